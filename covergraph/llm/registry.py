@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import mixing, packing, quality_rules, simhash, url_filter
+from . import language_model, mixing, packing, quality_rules, simhash, url_filter
 
 QUERIES = {
     "op1_best_fit_packing": packing.op1_best_fit_packing,
     "op2_mix_sources": mixing.op2_mix_sources,
+    "op5_language_model": language_model.op5_language_model,
     "op6_simhash": simhash.op6_simhash,
     "op7_quality_rules": quality_rules.op7_quality_rules,
     "op9_url_filter": url_filter.op9_url_filter,
