@@ -88,7 +88,7 @@ def order_rules(docs: DataFrame, rules: list[Rule], sample_rows: int = SAMPLE_RO
     n = docs.count()
     if not n:
         return rules
-    sample = stage(docs.sample(min(1.0, sample_rows / n), seed=7).coalesce(1))
+    sample = stage(docs.sample(min(1.0, sample_rows / n), seed=7).repartition(4))
     scored = []
     for rule in [Rule("", F.lit(False)), *rules]:
         began = time.perf_counter()

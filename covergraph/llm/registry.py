@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import language_model, mixing, packing, quality_rules, simhash, url_filter
+from . import embedding_dedup, language_model, mixing, packing, quality_rules, simhash, url_filter
 
 QUERIES = {
     "op1_best_fit_packing": packing.op1_best_fit_packing,
@@ -11,6 +11,7 @@ QUERIES = {
     "op6_simhash": simhash.op6_simhash,
     "op7_quality_rules": quality_rules.op7_quality_rules,
     "op9_url_filter": url_filter.op9_url_filter,
+    "op10_embedding_dedup": embedding_dedup.op10_embedding_dedup,
 }
 ORACLES = {
     "op7_quality_rules": quality_rules.ORACLE,
