@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import bisect
+import json
+import re
 import zlib
 from array import array
 
@@ -14,8 +16,8 @@ from pyspark.sql import functions as F
 from .common import rank_within, stage, table
 
 LIMIT, END = 4096, 1
-#: Words kept by a task's cache; it is emptied when full.
-CACHE = 200_000
+#: Words kept by each half of a task's cache.
+CACHE = 300_000
 
 
 def default_tokenizer() -> str:
@@ -24,26 +26,66 @@ def default_tokenizer() -> str:
     return public_tokenizers.path("word_bpe_49k.json")
 
 
+def _bytes_as_letters() -> list[str]:
+    """The printable letter of each byte in byte-level vocabularies: itself where printable, else the next free one from 256 on."""
+    own = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in own]
+    return [chr(b if b in own else 256 + rest.index(b)) for b in range(256)]
+
+
 class WordIds(dict):
-    """Word -> its ids as little-endian 32-bit integers. The vocabulary drops
-    white space and never joins across it, so a text's ids are those of its
-    words one after another."""
+    """Word -> its ids as little-endian 32-bit integers.
+
+    A vocabulary that drops white space and splits by a pattern never joins
+    across white space, so a text's ids are those of its words one after
+    another. Words of ASCII and Latin-1 letters are lower-cased and split here
+    and go straight to the merges; other words, and other kinds of vocabulary,
+    take the library's whole path."""
+
+    PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+    PLAIN = re.compile("[\x21-\x7eÀ-ÖØ-öø-ÿ]+")
+    PARTS = re.compile("'s|'t|'re|'ve|'m|'ll|'d|[a-zß-öø-ÿ]+|[0-9]|[^a-z0-9ß-öø-ÿ]+")
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         super().__init__()
-        self.encode = Tokenizer.from_file(path).encode
+        self.encode, self.merge = (t := Tokenizer.from_file(path)).encode, t.model.tokenize
+        made = json.loads(t.to_str())
+        kinds = [x["type"] for x in (made["normalizer"] or {}).get("normalizers", [])]
+        cut = (made["pre_tokenizer"] or {}).get("pretokenizers", [])
+        self.by_word = kinds == ["NFC", "Replace", "Lowercase"] and [x["type"] for x in cut] == ["Split", "ByteLevel"] and cut[0]["pattern"] == {"Regex": self.PATTERN} and made["model"]["type"] == "BPE"
+        self.special = [x["content"] for x in made["added_tokens"]]
+        self.letters, self.older, self.parts = _bytes_as_letters(), {}, {}
+
+    def part(self, part: str) -> bytes:
+        found = self.parts.get(part)
+        if found is None:
+            if len(self.parts) >= CACHE:
+                self.parts.clear()
+            letters = part if part.isascii() else "".join(self.letters[b] for b in part.encode())
+            found = array("I", [x.id for x in self.merge(letters)]).tobytes()
+            if len(part) <= 40:
+                self.parts[part] = found
+        return found
 
     def __missing__(self, word: str) -> bytes:
-        packed = array("I", self.encode(word, add_special_tokens=False).ids).tobytes()
+        packed = self.older.get(word)
+        if packed is None:
+            if self.PLAIN.fullmatch(word) and not any(x in word for x in self.special):
+                packed = b"".join(map(self.part, self.PARTS.findall(word.lower())))
+            else:
+                packed = array("I", self.encode(word, add_special_tokens=False).ids).tobytes()
         if len(word) <= 40:
-            if len(self) >= CACHE:
+            if len(self) >= CACHE:  # frequent words come back from the older half
+                self.older = dict(self)
                 self.clear()
             self[word] = packed
         return packed
 
     def ids(self, text: str) -> bytes:
+        if not self.by_word:
+            return array("I", self.encode(text, add_special_tokens=False).ids).tobytes()
         return b"".join(map(self.__getitem__, text.replace("\n", " ").split(" ")))
 
 
