@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import embedding_dedup, language_model, license_scan, mixing, packing, quality_rules, simhash, url_filter
+from . import embedding_dedup, language_model, license_scan, mixing, packing, quality_classifier, quality_rules, simhash, url_filter
 
 QUERIES = {
     "op1_best_fit_packing": packing.op1_best_fit_packing,
@@ -11,6 +11,7 @@ QUERIES = {
     "op5_language_model": language_model.op5_language_model,
     "op6_simhash": simhash.op6_simhash,
     "op7_quality_rules": quality_rules.op7_quality_rules,
+    "op8_quality_classifier": quality_classifier.op8_quality_classifier,
     "op9_url_filter": url_filter.op9_url_filter,
     "op10_embedding_dedup": embedding_dedup.op10_embedding_dedup,
 }
