@@ -47,6 +47,13 @@ def stage(df: DataFrame) -> DataFrame:
     return out
 
 
+def bucketed(df: DataFrame, key: str, prefix: str) -> DataFrame:
+    """Writes df as a table in the shared folder, bucketed by key: what meets it by that key travels to it, and it stays where it is."""
+    spark, name = df.sparkSession, f"{prefix}_{uuid.uuid4().hex}"
+    df.write.bucketBy(shuffle_width(spark), key).sortBy(key).format("parquet").option("compression", "zstd").option("path", f"{shared_dir(spark)}/{name}").saveAsTable(name)
+    return spark.table(name)
+
+
 def discard(*frames: DataFrame) -> None:
     """Deletes what stage() wrote, once no later plan reads it."""
     for df in frames:

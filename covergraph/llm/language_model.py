@@ -11,11 +11,10 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import shuffle_width, stage, table
+from .common import bucketed, shuffle_width, stage, table
 
 #: Fixed by the contract: additive smoothing of single words.
 ADD = 0.1
@@ -24,7 +23,7 @@ DISCOUNT = 0.75
 #: Tokens of a block; a longer document is a block of its own.
 BLOCK = 1 << 20
 #: Words kept by a task's cache; it is emptied when full.
-CACHE = 500_000
+CACHE = 300_000
 END = b""
 
 
@@ -47,15 +46,31 @@ def held_out(doc_id) -> bool:
     return zlib.crc32(b"" if doc_id is None else str(doc_id).encode()) % 10 == 0
 
 
-def _blob(x: np.ndarray) -> bytes:
-    return np.ascontiguousarray(x).tobytes()
+BLOCKS = "block long, docs binary, no_id binary, ends binary, tokens binary, words binary"
 
 
-BLOCKS = "block long, docs binary, no_id binary, held binary, ends binary, tokens binary, words binary, pairs binary, counts binary"
+def squeeze(x: np.ndarray) -> bytes:
+    """Bytes of equal weight side by side, then zstd: rising or small numbers leave their high bytes empty."""
+    from zstandard import ZstdCompressor
+
+    return ZstdCompressor(level=1).compress(np.ascontiguousarray(np.ascontiguousarray(x).view(np.uint8).reshape(len(x), -1).T).tobytes())
+
+
+def unsqueeze(b: bytes, kind) -> np.ndarray:
+    from zstandard import ZstdDecompressor
+
+    raw = np.frombuffer(ZstdDecompressor().decompress(b), np.uint8).reshape(np.dtype(kind).itemsize, -1)
+    return np.ascontiguousarray(raw.T).view(kind).ravel()
+
+
+def _table(rows: list[tuple], schema: str) -> pa.Table:
+    kinds = {"long": pa.int64(), "binary": pa.binary()}
+    names = [c.split() for c in schema.split(", ")]
+    return pa.table([pa.array([r[i] for r in rows], kinds[k]) for i, (_, k) in enumerate(names)], names=[n for n, _ in names])
 
 
 def _blocks(batches):
-    """Blocks of whole documents: token numbers into the block's words, and its distinct (previous, next) pairs with their counts over training texts."""
+    """Blocks of whole documents: token numbers into the block's words."""
     from pyspark import TaskContext
 
     part, at = TaskContext.get().partitionId(), 0
@@ -64,18 +79,9 @@ def _blocks(batches):
     ids, ends, tokens, n = [], [], [], 0
 
     def flush():
-        t = np.concatenate(tokens)
-        vocab, t = np.unique(t, return_inverse=True)
-        stops = np.array(ends, np.int64)
-        held = np.array([held_out(d) for d in ids])
-        first = np.r_[0, stops[:-1]]
-        before = np.r_[len(vocab), t[:-1]]  # the start of a text is a context of its own
-        before[first] = len(vocab)
-        pairs, which = np.unique(before.astype(np.int64) << 32 | t, return_inverse=True)
-        train = np.repeat(~held, np.diff(np.r_[0, stops]))
-        counts = np.bincount(which[train], minlength=len(pairs)).astype(np.uint32)
-        row = (part << 32 | at, _blob(np.array([d or 0 for d in ids], np.int64)), _blob(np.array([d is None for d in ids])), _blob(held), _blob(stops), _blob(which.astype(np.uint32)), _blob(vocab), _blob(pairs), _blob(counts))
-        return pa.RecordBatch.from_arrays([pa.array([x], pa.int64() if i == 0 else pa.binary()) for i, x in enumerate(row)], [c.split()[0] for c in BLOCKS.split(", ")])
+        vocab, t = np.unique(np.concatenate(tokens), return_inverse=True)
+        row = (part << 32 | at, squeeze(np.array([d or 0 for d in ids], np.int64)), squeeze(np.array([d is None for d in ids])), squeeze(np.array(ends, np.int64)), squeeze(t.astype(np.uint32)), squeeze(np.diff(vocab, prepend=np.uint64(0))))
+        return _table([row], BLOCKS).to_batches()[0]
 
     for batch in batches:
         for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
@@ -92,104 +98,131 @@ def _blocks(batches):
         yield flush()
 
 
-def _column(batch, name: str, kind) -> list[np.ndarray]:
-    return [np.frombuffer(x.as_py(), kind) for x in batch.column(batch.schema.get_field_index(name))]
+class Block:
+    """A block's documents, its words and contexts, and its distinct (context, word) pairs with their counts over training texts."""
+
+    def __init__(self, row: pa.Table):
+        get = lambda c, kind: unsqueeze(row.column(c)[0].as_py(), kind)
+        self.id = row.column("block")[0].as_py()
+        self.docs, self.no_id, self.ends = get("docs", np.int64), get("no_id", bool), get("ends", np.int64)
+        self.words = np.cumsum(get("words", np.uint64), dtype=np.uint64)
+        self.context = np.r_[self.words, np.uint64(1)]  # the last one is the start of a text
+        self.held = np.array([held_out(None if x else d) for d, x in zip(self.docs.tolist(), self.no_id.tolist(), strict=True)])
+        t = get("tokens", np.uint32).astype(np.int64)
+        before = np.r_[0, t[:-1]]
+        self.first = np.r_[0, self.ends[:-1]]
+        before[self.first] = len(self.words)
+        pairs, self.arcs = np.unique(before << 32 | t, return_inverse=True)
+        self.of, self.word = pairs >> 32, pairs & 0xFFFFFFFF
+        train = np.repeat(~self.held, np.diff(np.r_[0, self.ends]))
+        self.counts = np.bincount(self.arcs[train], minlength=len(pairs)).astype(np.uint32)
+        self.keys = _mix(self.context[self.of], self.words[self.word])
 
 
 def _mix(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """A 64-bit hash of two."""
     h = a * np.uint64(0x9E3779B97F4A7C15) ^ (b + np.uint64(0x7F4A7C15)) * np.uint64(0xC2B2AE3D27D4EB4F)
-    h ^= h >> np.uint64(29)
-    h *= np.uint64(0x165667B19E3779F9)
+    for _ in range(2):
+        h ^= h >> np.uint64(29)
+        h *= np.uint64(0x165667B19E3779F9)
     return h ^ h >> np.uint64(32)
 
 
-def _contexts(vocab: np.ndarray) -> np.ndarray:
-    return np.r_[vocab, np.uint64(1)]
+def deal(h: np.ndarray, shards: int) -> tuple[np.ndarray, np.ndarray]:
+    """Order of the hashes, and where each shard, a range of them, begins in it."""
+    order = np.argsort(h)
+    bounds = np.array([s * (1 << 64) // shards for s in range(1, shards)], np.uint64)
+    return order, np.r_[0, np.searchsorted(h[order], bounds), len(h)]
+
+
+def _send(block: int, h: np.ndarray, values: list[np.ndarray], shards: int) -> list[tuple]:
+    order, at = deal(h, shards)
+    rows = []
+    for s in range(shards):
+        if at[s] < at[s + 1]:
+            i = order[at[s] : at[s + 1]]
+            rows.append((s, block, squeeze(np.diff(h[i], prepend=np.uint64(s * (1 << 64) // shards))), *[squeeze(v[i]) for v in values]))
+    return rows
+
+
+def _sent(group: pa.Table, shards: int) -> list[np.ndarray]:
+    bases = [np.uint64(s * (1 << 64) // shards) for s in group.column("shard").to_pylist()]
+    return [np.cumsum(unsqueeze(x.as_py(), np.uint64), dtype=np.uint64) + b for x, b in zip(group.column("keys"), bases, strict=True)]
+
+
+def _gather(h: np.ndarray, shards: int, answers: list[tuple[int, bytes]], kind) -> np.ndarray:
+    """A block's answers in its own order."""
+    order, at = deal(h, shards)
+    out = np.zeros(len(h), kind)
+    for s, blob in answers:
+        out[order[at[s] : at[s + 1]]] = unsqueeze(blob, kind)
+    return out
+
+
+def _listed(answers: pa.Table, *names: str) -> list[list[tuple[int, bytes]]]:
+    shard = answers.column("shard").to_pylist()
+    return [[(s, x) for s, x in zip(shard, answers.column(c).to_pylist(), strict=True) if x is not None] for c in names]
+
+
+PAIRS, PAIR_ANSWERS = "shard long, block long, keys binary, counts binary", "shard long, block long, total binary, owner binary"
+WORDS, WORD_ANSWERS = "shard long, block long, keys binary, c binary, contexts binary, types binary", "shard long, block long, c binary, contexts binary, types binary, n long, v long"
 
 
 def _ask_pairs(shards: int):
     def ask(batches):
-        """A block's pair hashes and counts, cut by shard."""
         for batch in batches:
-            for block, vocab, pairs, counts in zip(batch.column(0).to_pylist(), _column(batch, "words", np.uint64), _column(batch, "pairs", np.int64), _column(batch, "counts", np.uint32), strict=True):
-                h = _mix(_contexts(vocab)[pairs >> 32], vocab[pairs & 0xFFFFFFFF])
-                yield from _cut(block, h, [counts], shards)
+            for i in range(batch.num_rows):
+                b = Block(pa.Table.from_batches([batch.slice(i, 1)]))
+                yield from _table(_send(b.id, b.keys, [b.counts], shards), PAIRS).to_batches()
 
     return ask
 
 
-def _cut(block: int, h: np.ndarray, values: list[np.ndarray], shards: int):
-    shard = (h % np.uint64(shards)).astype(np.int64)
-    order = np.argsort(shard, kind="stable")
-    at = np.searchsorted(shard[order], np.arange(shards + 1))
-    rows = [(s, block, _blob(h[i]), *[_blob(v[i]) for v in values]) for s in range(shards) if len(i := order[at[s] : at[s + 1]])]
-    kinds = [pa.int32(), pa.int64()] + [pa.binary()] * (1 + len(values))
-    yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], ["shard", "block", "keys"] + [f"v{i}" for i in range(len(values))])
-
-
-def _sum_pairs(group: pa.Table) -> pa.Table:
-    """One shard: the count of each pair over all blocks, and which block counts it as a distinct pair."""
-    blocks = group.column("block").to_pylist()
-    keys = [np.frombuffer(x.as_py(), np.uint64) for x in group.column("keys")]
-    mine = [np.frombuffer(x.as_py(), np.uint32) for x in group.column("v0")]
-    order = sorted(range(len(blocks)), key=blocks.__getitem__)
-    every = np.concatenate([keys[i] for i in order])
-    count = np.concatenate([mine[i] for i in order]).astype(np.uint64)
-    distinct, where = np.unique(every, return_inverse=True)
-    total = np.bincount(where, count, len(distinct)).astype(np.uint64)
-    owner = np.zeros(len(every), bool)
-    trained = np.flatnonzero(count)
-    owner[trained[np.unique(where[trained], return_index=True)[1]]] = True
-    answer, at, out = total[where], 0, {}
-    for i in order:
-        n = len(keys[i])
-        out[i] = (_blob(np.minimum(answer[at : at + n], 0xFFFFFFFF).astype(np.uint32)), _blob(np.packbits(owner[at : at + n])))
-        at += n
-    return pa.table({"block": pa.array(blocks, pa.int64()), "shard": group.column("shard"), "c": pa.array([out[i][0] for i in range(len(blocks))], pa.binary()), "o": pa.array([out[i][1] for i in range(len(blocks))], pa.binary())})
-
-
-def _unshard(h: np.ndarray, shards: int, answers: list[tuple], kinds: list) -> list[np.ndarray]:
-    """Puts a block's answers back into its own order."""
-    shard = (h % np.uint64(shards)).astype(np.int64)
-    order = np.argsort(shard, kind="stable")
-    at = np.searchsorted(shard[order], np.arange(shards + 1))
-    out = [np.zeros(len(h), k) for k in kinds]
-    for s, *blobs in answers:
-        i = order[at[s] : at[s + 1]]
-        for o, b, k in zip(out, blobs, kinds, strict=True):
-            o[i] = np.unpackbits(np.frombuffer(b, np.uint8), count=len(i)) if k is bool else np.frombuffer(b, k)
-    return out
+def _sum_pairs(shards: int):
+    def total(group: pa.Table) -> pa.Table:
+        """One shard: the count of each pair over all blocks, and which block counts it as a distinct pair."""
+        keys, blocks = _sent(group, shards), np.array(group.column("block").to_pylist())
+        count = np.concatenate([unsqueeze(x.as_py(), np.uint32) for x in group.column("counts")]).astype(np.float64)
+        distinct, where = np.unique(np.concatenate(keys), return_inverse=True)
+        answer = np.bincount(where, count, len(distinct))[where]
+        rank = np.repeat(np.argsort(np.argsort(blocks)), list(map(len, keys)))
+        trained = np.flatnonzero(count)
+        trained = trained[np.argsort(rank[trained], kind="stable")]  # the smallest block owns, in whatever order they came
+        owner = np.zeros(len(count), bool)
+        owner[trained[np.unique(where[trained], return_index=True)[1]]] = True
+        at = np.cumsum([0, *map(len, keys)])
+        rows = [(s, b, squeeze(answer[i:j].astype(np.uint64)), squeeze(owner[i:j])) for s, b, i, j in zip(group.column("shard").to_pylist(), blocks.tolist(), at[:-1], at[1:], strict=True)]
+        return _table(rows, PAIR_ANSWERS)
+
+    return total
 
 
 def _ask_words(shards: int):
     def ask(key, blocks: pa.Table, answers: pa.Table) -> pa.Table:
         """A block's words: their count in training texts, as a context, and the distinct pairs they own as a context."""
-        empty = pa.table({"shard": pa.array([], pa.int32()), "block": pa.array([], pa.int64()), "keys": pa.array([], pa.binary()), "v0": pa.array([], pa.binary())})
         if not blocks.num_rows:
-            return empty
-        b = blocks.to_batches()[0] if blocks.num_rows else None
-        vocab, pairs, counts = (_column(b, n, k)[0] for n, k in (("words", np.uint64), ("pairs", np.int64), ("counts", np.uint32)))
-        context = _contexts(vocab)
-        _, owner = _unshard(_mix(context[pairs >> 32], vocab[pairs & 0xFFFFFFFF]), shards, list(zip(*(answers.column(c).to_pylist() for c in ("shard", "c", "o")), strict=True)), [np.uint32, bool])
-        n = len(context)
-        own = np.stack([np.bincount(pairs & 0xFFFFFFFF, counts, n), np.bincount(pairs >> 32, counts, n), np.bincount(pairs >> 32, owner, n)], 1).astype(np.int64)
-        rows = list(_cut(b.column(0)[0].as_py(), context, [own], shards))
-        return pa.Table.from_batches(rows) if rows else empty
+            return _table([], WORDS)
+        b = Block(blocks)
+        (mine,) = _listed(answers, "owner")
+        owner, n = _gather(b.keys, shards, mine, bool), len(b.context)
+        own = [np.bincount(b.word, b.counts, n), np.bincount(b.of, b.counts, n), np.bincount(b.of, owner, n)]
+        return _table(_send(b.id, b.context, [x.astype(np.int64) for x in own], shards), WORDS)
 
     return ask
 
 
-def _sum_words(group: pa.Table) -> pa.Table:
-    """One shard: sums per word, answered to each block; `n` and `v` are the shard's training tokens and distinct words."""
-    keys = [np.frombuffer(x.as_py(), np.uint64) for x in group.column("keys")]
-    own = np.concatenate([np.frombuffer(x.as_py(), np.int64).reshape(-1, 3) for x in group.column("v0")])
-    distinct, where = np.unique(np.concatenate(keys), return_inverse=True)
-    total = np.stack([np.bincount(where, own[:, i], len(distinct)) for i in range(3)], 1).astype(np.int64)
-    at = np.cumsum([0, *map(len, keys)])
-    answers = [_blob(total[where[a:b]]) for a, b in zip(at[:-1], at[1:], strict=True)]
-    n = len(keys)
-    return pa.table({"block": group.column("block"), "shard": group.column("shard"), "c": pa.array(answers, pa.binary()), "n": pa.array([int(total[:, 0].sum())] + [0] * (n - 1), pa.int64()), "v": pa.array([int((total[:, 0] > 0).sum())] + [0] * (n - 1), pa.int64())})
+def _sum_words(shards: int):
+    def total(group: pa.Table) -> pa.Table:
+        """One shard: sums per word, answered to each block; `n` and `v` are the shard's training tokens and distinct words."""
+        keys = _sent(group, shards)
+        distinct, where = np.unique(np.concatenate(keys), return_inverse=True)
+        sums = [np.bincount(where, np.concatenate([unsqueeze(x.as_py(), np.int64) for x in group.column(c)]), len(distinct)).astype(np.int64) for c in ("c", "contexts", "types")]
+        at = np.cumsum([0, *map(len, keys)])
+        rows = [(s, b, *[squeeze(x[where[i:j]]) for x in sums], 0, 0) for s, b, i, j in zip(group.column("shard").to_pylist(), group.column("block").to_pylist(), at[:-1], at[1:], strict=True)]
+        rows[0] = (*rows[0][:-2], int(sums[0].sum()), int((sums[0] > 0).sum()))
+        return _table(rows, WORD_ANSWERS)
+
+    return total
 
 
 class Automaton:
@@ -216,26 +249,13 @@ SCORES = "doc_id long, held_out boolean, n_tokens long, n_known long, train_toke
 
 
 def _score(shards: int, total: int, vocabulary: int):
-    def score(key, left: pa.Table, answers: pa.Table) -> pa.Table:
-        blocks, pairs_answered, words_answered = left.filter(pa.compute.is_valid(left["docs"])), answers.filter(pa.compute.is_valid(answers["o"])), answers.filter(pa.compute.is_null(answers["o"]))
-        b = blocks.combine_chunks().to_batches()[0]
-        get = lambda name, kind: _column(b, name, kind)[0]
-        vocab, pairs, ends, arcs = get("words", np.uint64), get("pairs", np.int64), get("ends", np.int64), get("tokens", np.uint32)
-        context = _contexts(vocab)
-        h, w = pairs >> 32, pairs & 0xFFFFFFFF
-        listed = lambda t, *names: list(zip(*(t.column(c).to_pylist() for c in names), strict=True))
-        (joint, _) = _unshard(_mix(context[h], vocab[w]), shards, listed(pairs_answered, "shard", "c", "o"), [np.uint32, bool])
-        shard = (context % np.uint64(shards)).astype(np.int64)
-        order = np.argsort(shard, kind="stable")
-        at = np.searchsorted(shard[order], np.arange(shards + 1))
-        sums = np.zeros((len(context), 3), np.int64)
-        for s, blob in listed(words_answered, "shard", "c"):
-            sums[order[at[s] : at[s + 1]]] = np.frombuffer(blob, np.int64).reshape(-1, 3)
-        model = Automaton(joint.astype(np.float64), h, w, sums[:, 0].astype(float), sums[:, 1].astype(float), sums[:, 2].astype(float), total, vocabulary)
-        word = model.word[arcs]
-        first = np.r_[0, ends[:-1]]
-        ids = pa.array(get("docs", np.int64), mask=get("no_id", bool))
-        return pa.table({"doc_id": ids, "held_out": get("held", bool), "n_tokens": ends - first, "n_known": np.add.reduceat((sums[word, 0] > 0).astype(np.int64), first), "train_tokens": np.full(len(ends), total), "base_score": np.add.reduceat(model.root[word], first), "score": model.traverse(arcs, ends)})
+    def score(key, blocks: pa.Table, answers: pa.Table) -> pa.Table:
+        b = Block(blocks)
+        joint, *sums = _listed(answers, "total", "c", "contexts", "types")
+        c, contexts, types = (_gather(b.context, shards, x, np.int64).astype(float) for x in sums)
+        model = Automaton(_gather(b.keys, shards, joint, np.uint64).astype(float), b.of, b.word, c, contexts, types, total, vocabulary)
+        word = model.word[b.arcs]
+        return pa.table({"doc_id": pa.array(b.docs, mask=b.no_id), "held_out": b.held, "n_tokens": b.ends - b.first, "n_known": np.add.reduceat((c[word] > 0).astype(np.int64), b.first), "train_tokens": np.full(len(b.ends), total), "base_score": np.add.reduceat(model.root[word], b.first), "score": model.traverse(b.arcs, b.ends)})
 
     return score
 
@@ -248,13 +268,12 @@ def score_documents(docs: DataFrame) -> DataFrame:
     each on its own; an empty table gives no rows; other columns are left out."""
     spark = docs.sparkSession
     shards = shuffle_width(spark)
-    blocks = stage(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("binary")).mapInArrow(_blocks, BLOCKS))
-    asked = blocks.select("block", "words", "pairs", "counts").mapInArrow(_ask_pairs(shards), "shard int, block long, keys binary, v0 binary")
-    pairs = stage(asked.groupBy("shard").applyInArrow(_sum_pairs, "block long, shard int, c binary, o binary"))
-    asked = blocks.select("block", "words", "pairs", "counts").groupBy("block").cogroup(pairs.groupBy("block")).applyInArrow(_ask_words(shards), "shard int, block long, keys binary, v0 binary")
-    words = stage(asked.groupBy("shard").applyInArrow(_sum_words, "block long, shard int, c binary, n long, v long"))
+    blocks = bucketed(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("binary")).mapInArrow(_blocks, BLOCKS), "block", "token_blocks")
+    pairs = stage(blocks.mapInArrow(_ask_pairs(shards), PAIRS).groupBy("shard").applyInArrow(_sum_pairs(shards), PAIR_ANSWERS))
+    asked = blocks.groupBy("block").cogroup(pairs.groupBy("block")).applyInArrow(_ask_words(shards), WORDS)
+    words = stage(asked.groupBy("shard").applyInArrow(_sum_words(shards), WORD_ANSWERS))
     total, vocabulary = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("v"), F.lit(0))).first()
-    answers = pairs.unionByName(words.select("block", "shard", "c", F.lit(None).cast("binary").alias("o")))
+    answers = pairs.unionByName(words, allowMissingColumns=True)
     return blocks.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(_score(shards, int(total), int(vocabulary)), SCORES)
 
 

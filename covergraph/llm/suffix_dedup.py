@@ -11,7 +11,6 @@ prefixes of `length` or more is one repeated string."""
 from __future__ import annotations
 
 import hashlib
-import uuid
 
 import numpy as np
 import pyarrow as pa
@@ -20,7 +19,7 @@ import pyarrow.ipc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import shared_dir, shuffle_width, stage, table
+from .common import bucketed, shuffle_width, stage, table
 from .induced_sort import suffixes
 
 LENGTH = 50
@@ -313,10 +312,8 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, digest: bool = False)
     spark = docs.sparkSession
     shards = shuffle_width(spark)
     rest = [c for c in docs.columns if c != "text"]
-    name = f"blocks_{uuid.uuid4().hex}"
     packed = docs.select(*rest, F.col("doc_id").cast("long").alias("_id"), F.col("text").cast("binary").alias("_bytes")).mapInArrow(_pack, "block long, text binary, ends binary, ids binary, rest binary")
-    packed.write.bucketBy(shards, "block").sortBy("block").format("parquet").option("compression", "zstd").option("path", f"{shared_dir(spark)}/{name}").saveAsTable(name)
-    blocks = spark.table(name)
+    blocks = bucketed(packed, "block", "text_blocks")
     kinds = lambda names: ", ".join(f"{c} {'long' if c in ('shard', 'block') else 'binary'}" for c in names)
     light = blocks.select("block", "text", "ends", "ids")
     anchors = light.mapInArrow(_ask_anchors(length, shards), kinds(["shard", "block", "keys"]))
