@@ -1,9 +1,369 @@
 """Registry of the queries outside the llm subpackage."""
 
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from . import oracles as sql
+from .functions.exact import Share
+from .functions.metric import expression
+from .operators import audit, cliques, prune, search
+from .plans import evaluate, relational
+from .sources import points as source
+from .streaming import arrivals
+
+#: Shares of the degree table.
+TABLE_SHARES = ["1", "0.995", "0.95"]
+PEEL, SAMPLED, DELTA = "0.8", "0.8", 0.1
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Covered points and out-degree of each node of the exact clique-peel graph."""
+    pts = source.embeddings(spark, sf_dir)
+    edges = source.stage(cliques.peel(pts, PEEL).edges())
+    degree = edges.groupBy("src").agg(F.count_distinct("dst").alias("degree"))
+    return audit.covered_counts(pts, edges).join(degree, "src", "left").select("src", "covered", F.coalesce("degree", F.lit(0)).alias("degree"))
+
+
+def _r(name: str, digits: int = 6):
+    return F.round(name, digits).alias(name)
+
+
+def _points(f):
+    return lambda spark, sf_dir: f(spark, source.embeddings(spark, sf_dir))
+
+
+def _pruned(f, share=1):
+    """f(points, edges of the nearest-first prune, n)."""
+
+    def run(spark, sf_dir):
+        pts = source.stage(source.embeddings(spark, sf_dir))
+        return f(pts, source.stage(prune.prune(pts, share)), pts.count())
+
+    return run
+
+
+def _peeled(f, delta=None, share=PEEL):
+    return lambda spark, sf_dir: f(cliques.peel(source.embeddings(spark, sf_dir), share, delta))
+
+
+def profile(spark, sf_dir):
+    return source.profile(source.embeddings(spark, sf_dir))
+
+
+def dedupe(spark, sf_dir):
+    return source.dedupe(source.text_vectors(source.table(spark, sf_dir, "documents"))).select("id", "copies")
+
+
+def jitter_unique(spark, pts):
+    """Distinct vectors before and after a small move."""
+    twice = pts.unionByName(pts.withColumn("id", F.col("id") + 1000000))
+    moved = source.jitter(twice, 0.25)
+    return twice.agg(F.count_distinct("vec").alias("before")).crossJoin(moved.agg(F.count_distinct("vec").alias("after"), F.count(F.lit(1)).alias("n")))
+
+
+def text_vectors(spark, sf_dir):
+    v = source.text_vectors(source.table(spark, sf_dir, "documents"))
+    return v.select("id", F.posexplode("vec").alias("bucket", "count")).where("count > 0")
+
+
+def numeric_vectors(spark, sf_dir):
+    v = source.line_item_vectors(source.table(spark, sf_dir, "lineitem"))
+    return v.select("id", *[F.col("vec")[i].alias(c) for i, c in enumerate("abcd")])
+
+
+def nearest_by(metric: str):
+    """Each embedding's nearest other one under a metric."""
+
+    def run(spark, sf_dir):
+        pts = source.stage(source.embeddings(spark, sf_dir))
+        near = search.knn_exact(pts, pts.withColumnRenamed("id", "qid"), 2, metric)
+        return near.where("id <> qid").withColumn("r", F.row_number().over(_by_qid())).where("r = 1").select("qid", "id", _r("dist") if metric == "cosine" else F.col("dist").cast("long").alias("dist"))
+
+    return run
+
+
+def _by_qid():
+    from pyspark.sql import Window as W
+
+    return W.partitionBy("qid").orderBy("dist", "id")
+
+
+def pair_distances(metric: str):
+    """All pairs of benchmark items, whose number is fixed: the set metrics need no vectors."""
+
+    def run(spark, sf_dir):
+        b = source.table(spark, sf_dir, "benchmark")
+        side = lambda n: b.select(F.col("item_id").alias(n), (F.array_distinct(source.tokens(F.col("text"))) if metric == "jaccard" else F.substring("text", 1, 1 << 30)).alias(f"{n}_x"))
+        a, c = side("a"), side("b")
+        return a.join(F.broadcast(c), F.col("a") < F.col("b")).select("a", "b", F.round(expression(metric, F.col("a_x"), F.col("b_x")).cast("double"), 6).alias("dist"))
+
+    return run
+
+
+def thresholds(spark, sf_dir):
+    n = source.table(spark, sf_dir, "embeddings").count()
+    rows = [(s.num, s.den, s.need(n), s.clique(2), s.clique(4)) for s in (Share.of(x) for x in ("0", "0.5", (2, 3), "0.8", "0.9", "0.95", "0.98", "0.99", "0.995", "0.999"))]
+    return spark.createDataFrame(rows, "num long, den long, need long, s2 long, s4 long")
+
+
+def half_kept(members):
+    """Per full chunk: members that own at most twice their fair share; at least half do."""
+    w = members.groupBy("round", "chunk").agg(F.sum("owned").alias("owned"), F.sum(F.col("kept").cast("long")).alias("kept"), F.count(F.lit(1)).alias("size"))
+    return w.withColumn("half", F.col("kept") * 2 >= F.col("size"))
+
+
+def size_report(p):
+    e = p.edges().distinct()
+    n = p.points.count()
+    return e.agg(F.count(F.lit(1)).alias("edges"), (F.count(F.lit(1)) <= 4 * n * 5).alias("within_bound"))
+
+
+def sample_draw(spark, pts):
+    import numpy as np
+
+    n = pts.count()
+    w = Share.of(SAMPLED).sample(n, DELTA)
+    pos, mult = np.unique(cliques.draws(n, w, 1, 1), return_counts=True)
+    return spark.createDataFrame([(int(p), int(m)) for p, m in zip(pos, mult, strict=True)], "pos long, mult long")
+
+
+def distance_cost(spark, sf_dir):
+    """Distances of the sampled and the exact peel against all pairs, on line-item vectors: sampled falls with 1/n."""
+    pts = source.stage(source.line_item_vectors(source.table(spark, sf_dir, "lineitem")))
+    out = []
+    n = pts.count()
+    for share in ("0.8", "0.9"):
+        log = cliques.peel(pts, share, DELTA).log
+        out.append((n, share, len(log), sum(r["distances"] for r in log), sum(r["distances"] for r in log) / max(1, n * n)))
+    return spark.createDataFrame(out, "n long, share string, rounds int, distances long, part_of_all double")
+
+
+def seed_success(spark, pts):
+    """Sampled peels of several seeds: does every node cover its need?"""
+    pts, out = source.stage(pts), None
+    for seed in range(1, 6):
+        one = audit.coverage_check(audit.covered_counts(pts, cliques.peel(pts, SAMPLED, DELTA, seed=seed).edges()), SAMPLED).withColumn("seed", F.lit(seed))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def degree_table(pts, edges, n):
+    out = None
+    for s in TABLE_SHARES:
+        one = audit.degree_stats(pts, prune.cut(edges, s, n)).select(F.lit(s).alias("share"), _r("mean"), _r("median"), "min", "max")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def probe_vs_full(pts, edges, n):
+    """Mean degree over a tenth of the nodes as probes, against all."""
+    probes = pts.where(F.col("id") % 10 == 3)
+    return audit.degree_stats(pts, edges).select(F.lit("all").alias("nodes"), _r("mean")).unionByName(audit.degree_stats(probes, edges.join(probes.select(F.col("id").alias("src")), "src", "left_semi")).select(F.lit("probes").alias("nodes"), _r("mean")))
+
+
+def probe_line_items(spark, sf_dir):
+    """Nearest-first lists of probe nodes over every line-item vector."""
+    pts = source.stage(source.line_item_vectors(source.table(spark, sf_dir, "lineitem")))
+    probes = pts.orderBy(F.xxhash64("id"), "id").limit(100)  # a probe sample is the method
+    return prune.probe_prune(pts, probes, "0.95")
+
+
+def prune_candidates(spark, pts):
+    """Lists whose candidates are the 30 nearest only, and what they cover."""
+    pts = source.stage(pts)
+    near = search.knn_exact(pts, pts.withColumnRenamed("id", "qid"), 31).where("id <> qid").select(F.col("qid").alias("src"), F.col("id").alias("dst"))
+    edges = source.stage(prune.prune(pts, 1, candidates=near))
+    return audit.achieved_share(audit.covered_counts(pts, edges.select("src", "dst"))).select(_r("share_min"), _r("share_mean"), _r("share_max"))
+
+
+def set_cover_vs_prune(spark, pts):
+    pts, out = source.stage(pts), None
+    for s in ("1", "0.95"):
+        for name, f in (("prune", prune.prune), ("cover", prune.set_cover)):
+            one = audit.degree_stats(pts, f(pts, s)).select(F.lit(s).alias("share"), F.lit(name).alias("method"), _r("mean"), _r("median"))
+            out = one if out is None else out.unionByName(one)
+    return out
+
+
+def complete(pts):
+    return pts.select(F.col("id").alias("src")).join(F.broadcast(pts.select(F.col("id").alias("dst"))), F.col("src") != F.col("dst"))
+
+
+def _split(spark, sf_dir):
+    index, queries = source.split(source.embeddings(spark, sf_dir))
+    return source.stage(index), source.stage(queries)
+
+
+def knn(spark, sf_dir):
+    index, queries = _split(spark, sf_dir)
+    return search.knn_exact(index, queries, 10).select("qid", "pos", "id", F.col("dist").cast("long").alias("dist"))
+
+
+def knn_filtered(spark, sf_dir):
+    """Neighbours among the points of label 3: the filter comes before the search."""
+    e = source.table(spark, sf_dir, "embeddings").where("label = 3").select(F.col("vec_id").alias("id"))
+    _, queries = _split(spark, sf_dir)
+    return search.knn_exact(source.embeddings(spark, sf_dir).join(e, "id", "left_semi"), queries, 5).select("qid", "pos", "id")
+
+
+def radius(spark, sf_dir):
+    index, queries = _split(spark, sf_dir)
+    return search.radius_search(index, queries, 3.5e14).select("qid", "id", F.col("dist").cast("long").alias("dist"))
+
+
+def _searched(f, share="0.95"):
+    """f(index, queries, edges of the prune at a share)."""
+
+    def run(spark, sf_dir):
+        index, queries = _split(spark, sf_dir)
+        return f(index, queries, source.stage(prune.prune(index, share)))
+
+    return run
+
+
+def beam_equals_greedy(index, queries, edges):
+    """Rows where a beam of one and the greedy walk disagree: none."""
+    g = search.Graph(index, edges)
+    one = search.beam_sweep(g, queries, [1], [1]).select("qid", F.col("id").alias("b_id"))
+    return search.greedy(g, queries).join(one, "qid").where("result <> b_id").select("qid", "result", "b_id")
+
+
+def joins_equal_greedy(index, queries, edges):
+    """Rows where the walk by joins and the walk in memory disagree: none."""
+    start = index.agg(F.min("id")).first()[0]
+    far = search.greedy_joins(index, edges, queries, start).select("qid", F.col("result").alias("j_id"), F.col("steps").alias("j_steps"))
+    return search.greedy(search.Graph(index, edges), queries).join(far, "qid").where("result <> j_id or steps <> j_steps").select("qid", "result", "j_id")
+
+
+def self_queries(spark, sf_dir):
+    """Points found by a greedy walk to themselves, per share."""
+    pts = source.stage(source.embeddings(spark, sf_dir))
+    full, n, out = source.stage(prune.prune(pts, 1)), pts.count(), None
+    for s in ("1", "0.995", "0.95", "0.9"):
+        walk = search.greedy(search.Graph(pts, prune.cut(full, s, n)), pts.withColumnRenamed("id", "qid"))
+        one = walk.agg(F.lit(s).alias("share"), F.sum((F.col("result") == F.col("qid")).cast("long")).alias("found"), F.count(F.lit(1)).alias("total"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def tradeoff(spark, sf_dir):
+    return evaluate.tradeoff(*_split(spark, sf_dir))
+
+
+def _from_tradeoff(f):
+    return lambda spark, sf_dir: f(tradeoff(spark, sf_dir))
+
+
+def hard(f):
+    def run(spark, sf_dir):
+        out = None
+        for n, share, k in ((100, "0.5", 2), (100, "0.8", 5), (1000, "0.9", 10)):
+            nodes, links = source.line_of_balls(n, k)
+            pts = spark.createDataFrame(nodes, "id long, vec array<double>")
+            one = f(pts, spark.createDataFrame(links, "src long, dst long"), share).withColumn("n", F.lit(n)).withColumn("share", F.lit(share))
+            out = one if out is None else out.unionByName(one)
+        return out
+
+    return run
+
+
+def hard_coverage(pts, edges, share):
+    return audit.coverage_check(audit.covered_counts(pts, edges), share).select("ok", "min_covered", "need")
+
+
+def hard_failures(pts, edges, share):
+    walk = search.greedy(search.Graph(pts, edges), pts.withColumnRenamed("id", "qid"))
+    return walk.agg(F.sum((F.col("result") == F.col("qid")).cast("long")).alias("found"))
+
+
+E = sql.EMB
+_CUTS = " UNION ALL ".join(f"SELECT '{s}' AS share, round(avg(k), 6) AS mean, round(median(k), 6) AS median, min(k) AS min, max(k) AS max FROM (SELECT src, count(*) AS k FROM e WHERE {sql.cut(s)} GROUP BY 1)" for s in TABLE_SHARES)
+_NEAR = "SELECT a AS qid, arg_min(b, row({d}, b)) AS id, CAST(min({d}) AS BIGINT) AS dist FROM ({pairs}) WHERE a <> b GROUP BY 1"
+_L = "p AS (SELECT vec_id AS id, list_transform(embedding, lambda x: floor(CAST(x AS DOUBLE) * 16777216)) AS v FROM embeddings)"
+_SELF = "SELECT x.id AS a, y.id AS b, {f} AS d FROM p x, p y"
+_IDX, _QRY = "(SELECT * FROM q WHERE id % 10 <> 0)", "(SELECT * FROM q WHERE id % 10 = 0)"
+_QD = f"WITH {_L}, q AS (SELECT id, v, list_inner_product(v, v) AS n FROM p), x AS (SELECT a.id AS qid, b.id AS id, a.n + b.n - 2 * list_inner_product(a.v, b.v) AS dist FROM {_QRY} a, {_IDX} b)"
+_TOK = "list_filter(regexp_split_to_array(lower(coalesce(text, '')), '[^\\p{L}\\p{N}_]+'), lambda t: t <> '')"
+
+REGISTRY: dict[str, tuple] = {
+    "points_profile": (profile, "SELECT count(*) AS n, min(len(embedding)) AS dim_min, max(len(embedding)) AS dim_max, 0 AS bad, count(DISTINCT embedding) AS distinct_vecs FROM embeddings"),
+    "points_dedupe": (dedupe, f"WITH t AS (SELECT doc_id, unnest({_TOK}) AS t FROM documents), c AS (SELECT doc_id, CAST('0x' || substr(md5(t), 1, 8) AS BIGINT) % 64 AS b, count(*) AS k FROM t GROUP BY 1, 2), v AS (SELECT doc_id, list(row(b, k) ORDER BY b) AS v FROM c GROUP BY 1) SELECT min(doc_id) AS id, count(*) AS copies FROM v GROUP BY v"),
+    "points_jitter_unique": (_points(jitter_unique), "SELECT count(DISTINCT embedding) AS before, 2 * count(*) AS after, 2 * count(*) AS n FROM embeddings"),
+    "text_vectors": (text_vectors, f"WITH t AS (SELECT doc_id, unnest({_TOK}) AS t FROM documents) SELECT doc_id AS id, CAST(CAST('0x' || substr(md5(t), 1, 8) AS BIGINT) % 64 AS INTEGER) AS bucket, CAST(count(*) AS DOUBLE) AS count FROM t GROUP BY 1, 2"),
+    "numeric_vectors": (numeric_vectors, "SELECT row_number() OVER (ORDER BY a, b, c, d) - 1 AS id, a, b, c, d FROM (SELECT DISTINCT round(l_quantity * 100) AS a, round(l_extendedprice * 1) AS b, round(l_discount * 10000) AS c, round(l_tax * 10000) AS d FROM lineitem)"),
+    "distance_l2sq": (nearest_by("l2sq"), f"WITH {E} " + _NEAR.format(d="d", pairs="SELECT * FROM d")),
+    "distance_l1": (nearest_by("l1"), f"WITH {_L} " + _NEAR.format(d="d", pairs=_SELF.format(f="list_sum(list_transform(range(1, 65), lambda i: abs(x.v[i] - y.v[i])))"))),
+    "distance_linf": (nearest_by("linf"), f"WITH {_L} " + _NEAR.format(d="d", pairs=_SELF.format(f="list_max(list_transform(range(1, 65), lambda i: abs(x.v[i] - y.v[i])))"))),
+    "distance_cosine": (nearest_by("cosine"), f"WITH {_L} " + _NEAR.replace("CAST(min({d}) AS BIGINT)", "round(min({d}), 6)").format(d="d", pairs=_SELF.format(f="1 - list_cosine_similarity(x.v, y.v)"))),
+    "distance_jaccard": (pair_distances("jaccard"), f"WITH t AS (SELECT item_id, list_distinct({_TOK}) AS t FROM benchmark) SELECT a.item_id AS a, b.item_id AS b, round(1 - len(list_intersect(a.t, b.t)) / greatest(len(list_distinct(list_concat(a.t, b.t))), 1), 6) AS dist FROM t a JOIN t b ON a.item_id < b.item_id"),
+    "distance_levenshtein": (pair_distances("levenshtein"), None),
+    "thresholds": (thresholds, "SELECT num, den, (num * (n - 1) + den - 1) // den AS need, (2 * den + den - num - 1) // (den - num) AS s2, (4 * den + den - num - 1) // (den - num) AS s4 FROM (VALUES (0, 1), (1, 2), (2, 3), (4, 5), (9, 10), (19, 20), (49, 50), (99, 100), (199, 200), (999, 1000)) t(num, den), (SELECT count(*) AS n FROM embeddings)"),
+    "clique_ownership": (_peeled(lambda p: p.members), sql.peel(PEEL, "SELECT round, chunk, member, owned, kept FROM m")),
+    "clique_keep_half": (_peeled(lambda p: half_kept(p.members)), sql.peel(PEEL, "SELECT round, chunk, CAST(sum(owned) AS BIGINT) AS owned, CAST(sum(kept::INT) AS BIGINT) AS kept, count(*) AS size, 2 * sum(kept::INT) >= count(*) AS half FROM m GROUP BY 1, 2")),
+    "peel_exact_edges": (_peeled(lambda p: p.edges()), sql.peel(PEEL, "SELECT src, dst FROM g")),
+    "peel_exact_rounds": (_peeled(lambda p: p.rounds().select("round", "pool", "kept", "carried")), sql.peel(PEEL, "SELECT CAST(round AS INTEGER) AS round, pool, kept, pool - kept AS carried FROM (SELECT m.round, sum(kept::INT)::BIGINT AS kept, (SELECT count(*) FROM p) - coalesce((SELECT sum(b.kept::INT) FROM m b WHERE b.round < m.round), 0) AS pool FROM m GROUP BY 1)")),
+    "peel_exact_coverage": (_peeled(lambda p: audit.covered_counts(p.points, source.stage(p.edges())).select("src", "covered")), sql.peel(PEEL, sql.COVERED)),
+    "peel_exact_size": (_peeled(size_report), sql.peel(PEEL, "SELECT count(*) AS edges, count(*) <= 20 * (SELECT count(*) FROM p) AS within_bound FROM (SELECT DISTINCT * FROM g)")),
+    "peel_exact_check": (_peeled(lambda p: audit.coverage_check(audit.covered_counts(p.points, source.stage(p.edges())), PEEL)), sql.peel(PEEL, f"SELECT bool_and(covered >= need) AS ok, count(*) FILTER (WHERE covered < need) AS n_bad, min(covered) AS min_covered, max(need) AS need FROM ({sql.COVERED}), (SELECT {sql.need(Share.of(PEEL))} AS need)")),
+    "sample_draw": (_points(sample_draw), f"SELECT pos, count(*) AS mult FROM (SELECT ({sql.hashed('(i * 69069 + 12345) % 2147483647', 1, 1)}) % (SELECT count(*) FROM embeddings) AS pos FROM range(CAST(ceil(16 * ln((SELECT count(*) FROM embeddings) / 0.1) * 5) AS BIGINT)) r(i)) GROUP BY 1"),
+    "peel_sampled_ownership": (_peeled(lambda p: p.members, DELTA, SAMPLED), sql.peel(SAMPLED, "SELECT round, chunk, member, owned, kept FROM m", DELTA)),
+    "peel_sampled_edges": (_peeled(lambda p: p.edges(), DELTA, SAMPLED), sql.peel(SAMPLED, "SELECT src, dst FROM g", DELTA)),
+    "peel_sampled_rounds": (_peeled(lambda p: p.rounds(), DELTA, SAMPLED), None),
+    "peel_sampled_coverage": (_peeled(lambda p: audit.covered_counts(p.points, source.stage(p.edges())).select("src", "covered"), DELTA, SAMPLED), sql.peel(SAMPLED, sql.COVERED, DELTA)),
+    "peel_distance_cost": (distance_cost, None),
+    "peel_seed_success": (_points(seed_success), None),
+    "prune_navigable": (_pruned(lambda p, e, n: e), sql.prune("SELECT src, rank, dst, dist, gain, cum FROM e")),
+    "prune_gamma_995": (_pruned(lambda p, e, n: e, "0.995"), sql.prune(f"SELECT src, rank, dst, dist, gain, cum FROM e WHERE {sql.cut('0.995')}")),
+    "prune_gamma_950": (_pruned(lambda p, e, n: e, "0.95"), sql.prune(f"SELECT src, rank, dst, dist, gain, cum FROM e WHERE {sql.cut('0.95')}")),
+    "prune_prefix_except": (_pruned(lambda p, e, n: prune.prune(p, "0.95").select("src", "rank", "dst").exceptAll(prune.cut(e, "0.95", n).select("src", "rank", "dst"))), "SELECT 0::BIGINT AS src, 0::INTEGER AS rank, 0::BIGINT AS dst WHERE false"),
+    "prune_candidates": (_points(prune_candidates), None),
+    "prune_probe": (probe_line_items, None),
+    "degree_table": (_pruned(degree_table), sql.prune(_CUTS)),
+    "coverage_trace": (_pruned(lambda p, e, n: prune.coverage_trace(e, n).select("src", "rank", _r("uncovered"), _r("log10_uncovered"))), sql.prune("SELECT src, rank, round(1 - cum / (n - 1), 6) AS uncovered, round(log10(greatest(1 - cum / (n - 1), 0.5 / (n - 1))), 6) AS log10_uncovered FROM e, (SELECT count(*) AS n FROM p)")),
+    "coverage_median": (_pruned(lambda p, e, n: prune.median_trace(e, n).select("rank", _r("median_log10"))), sql.prune("SELECT pos AS rank, round(median(log10(greatest(1 - cum / (n - 1), 0.5 / (n - 1)))), 6) AS median_log10 FROM (SELECT DISTINCT rank AS pos FROM e) JOIN (SELECT src, max(rank) AS top FROM e GROUP BY 1) ON true JOIN e USING (src), (SELECT count(*) AS n FROM p) WHERE e.rank = least(pos, top) GROUP BY 1")),
+    "edges_to_reach": (_pruned(lambda p, e, n: prune.edges_to_reach(e, ["1", "0.995", "0.95", "0.9"], n).select(F.col("share").cast("double").alias("share"), _r("median_edges"), _r("mean_edges"))), sql.prune(" UNION ALL ".join(f"SELECT CAST({s} AS DOUBLE) AS share, round(median(r), 6) AS median_edges, round(avg(r), 6) AS mean_edges FROM (SELECT min(rank) AS r FROM e WHERE cum >= {sql.need(Share.of(s))} GROUP BY src)" for s in ("1", "0.995", "0.95", "0.9")))),
+    "probe_vs_full": (_pruned(probe_vs_full), sql.prune("SELECT 'all' AS nodes, round(avg(k), 6) AS mean FROM (SELECT count(*) AS k FROM e GROUP BY src) UNION ALL SELECT 'probes', round(avg(k), 6) FROM (SELECT count(*) AS k FROM e WHERE src % 10 = 3 GROUP BY src)")),
+    "set_cover_edges": (_points(lambda s, p: prune.set_cover(p, "0.95")), None),
+    "set_cover_vs_prune": (_points(set_cover_vs_prune), None),
+    "covered_counts": (_pruned(lambda p, e, n: audit.covered_counts(p, e.select("src", "dst")).select("src", "covered"), "0.95"), sql.prune(f", g AS (SELECT src, dst FROM e WHERE {sql.cut('0.95')}) {sql.COVERED}")),
+    "is_navigable": (_pruned(lambda p, e, n: audit.coverage_check(audit.covered_counts(p, e.select("src", "dst")), 1)), "SELECT true AS ok, 0::BIGINT AS n_bad, count(*) - 1 AS min_covered, count(*) - 1 AS need FROM embeddings"),
+    "is_gamma_covering": (_pruned(lambda p, e, n: audit.coverage_check(audit.covered_counts(p, e.select("src", "dst")), "0.95"), "0.95"), sql.prune(f", g AS (SELECT src, dst FROM e WHERE {sql.cut('0.95')}) SELECT bool_and(covered >= need) AS ok, count(*) FILTER (WHERE covered < need) AS n_bad, min(covered) AS min_covered, max(need) AS need FROM ({sql.COVERED}), (SELECT {sql.need(Share.of('0.95'))} AS need)")),
+    "achieved_gamma": (_pruned(lambda p, e, n: audit.achieved_share(audit.covered_counts(p, e.select("src", "dst"))).select(_r("share_min"), _r("share_mean"), _r("share_max")), "0.95"), sql.prune(f", g AS (SELECT src, dst FROM e WHERE {sql.cut('0.95')}) SELECT round(min(covered / (n - 1)), 6) AS share_min, round(avg(covered / (n - 1)), 6) AS share_mean, round(max(covered / (n - 1)), 6) AS share_max FROM ({sql.COVERED}), (SELECT count(*) AS n FROM p)")),
+    "uncovered_pairs": (_pruned(lambda p, e, n: audit.uncovered_pairs(p, e.select("src", "dst")), "0.95"), sql.prune(f", g AS (SELECT src, dst FROM e WHERE {sql.cut('0.95')}) SELECT y.a AS src, y.b AS target FROM d y WHERE y.a <> y.b AND NOT EXISTS (SELECT 1 FROM g JOIN d x ON x.a = g.dst WHERE g.src = y.a AND x.b = y.b AND x.d < y.d)")),
+    "coverage_sampled": (_pruned(lambda p, e, n: audit.covered_counts(p, e.select("src", "dst"), targets=100), "0.95"), None),
+    "validate_graph": (_pruned(lambda p, e, n: audit.validate_graph(p, e.select("src", "dst"))), sql.prune("SELECT count(*) AS edges, 0::BIGINT AS self_loops, 0::BIGINT AS dangling, 0::BIGINT AS parallel FROM e")),
+    "complete_graph_check": (_points(lambda s, p: audit.coverage_check(audit.covered_counts(p, complete(p)), 1)), "SELECT true AS ok, 0::BIGINT AS n_bad, count(*) - 1 AS min_covered, count(*) - 1 AS need FROM embeddings"),
+    "bounds": (lambda s, d: audit.bounds(s, source.table(s, d, "embeddings").count(), "0.95").select("n", "need", _r("clique_degree"), _r("navigable_degree"), _r("worst_edges"), "regime"), "SELECT n, (19 * (n - 1) + 19) // 20 AS need, 80.0::DOUBLE AS clique_degree, round(sqrt(n), 6) AS navigable_degree, round(n * sqrt(n), 6) AS worst_edges, CASE WHEN 80 < sqrt(n) THEN 'cliques' ELSE 'navigable' END AS regime FROM (SELECT count(*) AS n FROM embeddings)"),
+    "knn_exact": (knn, f"{_QD} SELECT qid, CAST(pos AS INTEGER) AS pos, id, CAST(dist AS BIGINT) AS dist FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY dist, id) AS pos FROM x) WHERE pos <= 10"),
+    "knn_filtered": (knn_filtered, f"{_QD.replace(_IDX, '(SELECT q.* FROM q JOIN embeddings ON vec_id = id WHERE label = 3)')} SELECT qid, CAST(pos AS INTEGER) AS pos, id FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY dist, id) AS pos FROM x) WHERE pos <= 5"),
+    "radius_search": (radius, f"{_QD} SELECT qid, id, CAST(dist AS BIGINT) AS dist FROM x WHERE dist <= 350000000000000"),
+    "greedy_walk": (_searched(lambda i, q, e: search.greedy(search.Graph(i, e), q).select("qid", "result", F.col("dist").cast("long").alias("dist"), "steps")), None),
+    "greedy_joins_equal": (_searched(joins_equal_greedy), "SELECT 0::BIGINT AS qid, 0::BIGINT AS result, 0::BIGINT AS j_id WHERE false"),
+    "beam_b1_equals_greedy": (_searched(beam_equals_greedy), "SELECT 0::BIGINT AS qid, 0::BIGINT AS result, 0::BIGINT AS b_id WHERE false"),
+    "beam_results": (_searched(lambda i, q, e: search.beam_sweep(search.Graph(i, e), q, [64], [10]).select("qid", "pos", "id", F.col("dist").cast("long").alias("dist"), "dist_evals"), "1"), None),
+    "beam_sweep": (_searched(lambda i, q, e: search.beam_sweep(search.Graph(i, e), q, evaluate.WIDTHS, evaluate.KS).where("b >= k").groupBy("b", "k").agg(_avg("dist_evals"), _avg("edges_scanned"), _avg("expanded")), "0.995"), None),
+    "self_query_rate": (self_queries, None),
+    "reachable": (_peeled(lambda p: audit.reachable(source.stage(p.edges()), 0)), sql.peel(PEEL, ", b AS (SELECT 0::BIGINT AS node, 0 AS hops UNION SELECT dst, hops + 1 FROM b JOIN g ON src = node WHERE hops < 50) SELECT node, CAST(min(hops) AS INTEGER) AS hops FROM b GROUP BY 1")),
+    "components": (_peeled(lambda p: audit.components(p.points, source.stage(p.edges()))), sql.peel(PEEL, ", b AS (SELECT id AS node, id AS c FROM p UNION SELECT dst, c FROM b JOIN (SELECT src, dst FROM g UNION SELECT dst, src FROM g) h ON src = node) SELECT node, min(c) AS component FROM b GROUP BY 1")),
+    "recall_cost": (lambda s, d: tradeoff(s, d).select("share", "k", "b", _r("degree"), _r("recall"), _r("dc")), None),
+    "ratio_table": (_from_tradeoff(evaluate.ratio_table), None),
+    "ratio_average": (_from_tradeoff(evaluate.ratio_average), None),
+    "pareto_points": (_from_tradeoff(evaluate.pareto), None),
+    "min_gamma": (_from_tradeoff(evaluate.min_share), None),
+    "hard_case_coverage": (hard(hard_coverage), "SELECT true AS ok, CAST(n - k AS BIGINT) AS min_covered, CAST(ceil((k - 1) * (n - 1) / k) AS BIGINT) AS need, n, share FROM (VALUES (100, 2, '0.5'), (100, 5, '0.8'), (1000, 10, '0.9')) t(n, k, share)"),
+    "hard_case_failures": (hard(hard_failures), "SELECT CAST(k AS BIGINT) AS found, n, share FROM (VALUES (100, 2, '0.5'), (100, 5, '0.8'), (1000, 10, '0.9')) t(n, k, share)"),
+}
+
+
+def _avg(name: str):
+    return F.round(F.avg(name), 6).alias(name)
+
 
 def queries():
-    return {}
+    return {k: v[0] for k, v in REGISTRY.items()} | relational.queries() | arrivals.QUERIES
 
 
 def oracles():
-    return {}
+    return {k: v[1] for k, v in REGISTRY.items() if v[1]} | relational.oracles() | arrivals.ORACLES
