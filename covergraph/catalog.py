@@ -352,7 +352,7 @@ REGISTRY: dict[str, tuple] = {
     "ratio_average": (_from_tradeoff(evaluate.ratio_average), None),
     "pareto_points": (_from_tradeoff(evaluate.pareto), None),
     "min_gamma": (_from_tradeoff(evaluate.min_share), None),
-    "hard_case_coverage": (hard(hard_coverage), "SELECT true AS ok, CAST(n - k AS BIGINT) AS min_covered, CAST(ceil((k - 1) * (n - 1) / k) AS BIGINT) AS need, n, share FROM (VALUES (100, 2, '0.5'), (100, 5, '0.8'), (1000, 10, '0.9')) t(n, k, share)"),
+    "hard_case_coverage": (hard(hard_coverage), "SELECT true AS ok, CAST(n - n // k AS BIGINT) AS min_covered, CAST(ceil((k - 1) * (n - 1) / k) AS BIGINT) AS need, n, share FROM (VALUES (100, 2, '0.5'), (100, 5, '0.8'), (1000, 10, '0.9')) t(n, k, share)"),
     "hard_case_failures": (hard(hard_failures), "SELECT CAST(k AS BIGINT) AS found, n, share FROM (VALUES (100, 2, '0.5'), (100, 5, '0.8'), (1000, 10, '0.9')) t(n, k, share)"),
 }
 

@@ -51,11 +51,11 @@ def cost_at(points: DataFrame, targets=TARGETS) -> DataFrame:
 
 
 def ratio_table(points: DataFrame, targets=TARGETS) -> DataFrame:
-    """Per k and target: the cheapest share below 1 against the full graph, in distance computations and in degree."""
+    """Per k and target: the cheapest share below 1 against the full graph, in distance computations and in degree; null where none reaches the target."""
     cost = cost_at(points, targets)
     full = cost.where("share = 1").select("k", "target", F.col("dc").alias("full_dc"), F.col("degree").alias("full_degree"), F.col("censored").alias("ref_censored"))
     best = cost.where("share < 1").groupBy("k", "target").agg(F.min(F.struct("dc", "share", "degree", "censored")).alias("m"))
-    return full.join(best, ["k", "target"]).select("k", "target", F.col("m.share").alias("share"), (F.col("m.dc") / F.col("full_dc")).alias("dc_ratio"), (F.col("m.degree") / F.col("full_degree")).alias("degree_ratio"), "ref_censored", F.col("m.censored").alias("num_censored"))
+    return full.join(best, ["k", "target"], "left").select("k", "target", F.col("m.share").alias("share"), (F.col("m.dc") / F.col("full_dc")).alias("dc_ratio"), (F.col("m.degree") / F.col("full_degree")).alias("degree_ratio"), "ref_censored", F.col("m.censored").alias("num_censored"))
 
 
 def ratio_average(points: DataFrame) -> DataFrame:

@@ -29,7 +29,7 @@ def drained(stream: DataFrame, mode: str = "complete") -> DataFrame:
         batch.write.mode("overwrite").parquet(f"{at}/out" if mode == "complete" else f"{at}/out/batch={n}")  # a retried batch replaces itself
 
     stream.writeStream.outputMode(mode).foreachBatch(write).option("checkpointLocation", f"{at}/state").trigger(availableNow=True).start().awaitTermination()
-    return spark.read.schema(stream.schema).parquet(f"{at}/out")
+    return spark.read.schema(stream.schema).parquet(f"{at}/out").select(*stream.columns)
 
 
 def tumbling(spark: SparkSession, sf_dir: str) -> DataFrame:
