@@ -84,12 +84,11 @@ def _rounded(most: float):
         pdf = pdf.sort_values("size", ascending=False, ignore_index=True)
         base, extra, carry = [], [], 0.0
         for size, n, rate in zip(pdf["size"].to_list(), pdf["n"].to_list(), pdf["rate"].to_list(), strict=True):
-            whole = int(rate)
-            want = n * size * (rate - whole) + carry
-            m = min(n, max(0, round(want / size))) if size and whole < most else 0
-            carry = want - m * size if size else carry
-            base.append(whole)
-            extra.append(m)
+            want = n * size * rate + carry
+            copies = min(most * n, max(0, round(want / size))) if size else n
+            carry = want - copies * size
+            base.append(copies // n)
+            extra.append(copies % n)
         return pdf.assign(base=base, extra=extra)[["sid", "size", "base", "extra"]]
 
     return run
