@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import oracles as sql
+from .functions import sqlapi
 from .functions.exact import Share
 from .functions.metric import expression
 from .operators import audit, cliques, prune, search
@@ -15,6 +16,7 @@ from .streaming import arrivals
 
 #: Shares of the degree table.
 TABLE_SHARES = ["1", "0.995", "0.95"]
+SELF_SHARES = ["1", "0.995", "0.95", "0.9"]
 PEEL, SAMPLED, DELTA = "0.8", "0.8", 0.1
 
 
@@ -108,6 +110,26 @@ def thresholds(spark, sf_dir):
     return spark.createDataFrame(rows, "num long, den long, need long, s2 long, s4 long")
 
 
+def ownership_ties(spark, sf_dir):
+    """Twelve points at equal distances, in chunks of four: each owns itself and ties for the eight outside."""
+    pts = spark.createDataFrame([(i, [float(i == j) for j in range(12)]) for i in range(12)], "id long, vec array<double>")
+    return cliques.peel(pts, "0.5").members.select("member", "owned")
+
+
+def sql_distance(spark, sf_dir):
+    """Distance of each embedding to the first one, through the SQL function."""
+    sqlapi.register(spark)
+    source.embeddings(spark, sf_dir).createOrReplaceTempView("lattice_points")
+    return spark.sql("SELECT a.id, CAST(vector_l2sq(a.vec, b.vec) AS BIGINT) AS dist FROM lattice_points a CROSS JOIN (SELECT vec FROM lattice_points WHERE id = 0) b")
+
+
+def sql_clique_edges(spark, sf_dir):
+    """Edges of the nations of each region, through the table function."""
+    sqlapi.register(spark)
+    source.table(spark, sf_dir, "nation").createOrReplaceTempView("nation_rows")
+    return spark.sql("SELECT e.src, e.dst FROM (SELECT collect_list(CAST(n_nationkey AS BIGINT)) AS ids FROM nation_rows GROUP BY n_regionkey) g, LATERAL clique_edges(g.ids) e")
+
+
 def half_kept(members):
     """Per full chunk: members that own at most twice their fair share; at least half do."""
     w = members.groupBy("round", "chunk").agg(F.sum("owned").alias("owned"), F.sum(F.col("kept").cast("long")).alias("kept"), F.count(F.lit(1)).alias("size"))
@@ -241,7 +263,7 @@ def self_queries(spark, sf_dir):
     """Points found by a greedy walk to themselves, per share."""
     pts = source.stage(source.embeddings(spark, sf_dir))
     full, n, out = source.stage(prune.prune(pts, 1)), pts.count(), None
-    for s in ("1", "0.995", "0.95", "0.9"):
+    for s in SELF_SHARES:
         walk = search.greedy(search.Graph(pts, prune.cut(full, s, n)), pts.withColumnRenamed("id", "qid"))
         one = walk.agg(F.lit(s).alias("share"), F.sum((F.col("result") == F.col("qid")).cast("long")).alias("found"), F.count(F.lit(1)).alias("total"))
         out = one if out is None else out.unionByName(one)
@@ -281,6 +303,7 @@ def hard_failures(pts, edges, share):
 E = sql.EMB
 _CUTS = " UNION ALL ".join(f"SELECT '{s}' AS share, round(avg(k), 6) AS mean, round(median(k), 6) AS median, min(k) AS min, max(k) AS max FROM (SELECT src, count(*) AS k FROM e WHERE {sql.cut(s)} GROUP BY 1)" for s in TABLE_SHARES)
 _NEAR = "SELECT a AS qid, arg_min(b, row({d}, b)) AS id, CAST(min({d}) AS BIGINT) AS dist FROM ({pairs}) WHERE a <> b GROUP BY 1"
+_ROUNDS = "SELECT CAST(round AS INTEGER) AS round, pool, kept, pool - kept AS carried FROM (SELECT m.round, sum(kept::INT)::BIGINT AS kept, (SELECT count(*) FROM p) - coalesce((SELECT sum(b.kept::INT) FROM m b WHERE b.round < m.round), 0) AS pool FROM m GROUP BY 1)"
 _L = "p AS (SELECT vec_id AS id, list_transform(embedding, lambda x: floor(CAST(x AS DOUBLE) * 16777216)) AS v FROM embeddings)"
 _SELF = "SELECT x.id AS a, y.id AS b, {f} AS d FROM p x, p y"
 _IDX, _QRY = "(SELECT * FROM q WHERE id % 10 <> 0)", "(SELECT * FROM q WHERE id % 10 = 0)"
@@ -300,17 +323,19 @@ REGISTRY: dict[str, tuple] = {
     "distance_jaccard": (pair_distances("jaccard"), f"WITH t AS (SELECT item_id, list_distinct({_TOK}) AS t FROM benchmark) SELECT a.item_id AS a, b.item_id AS b, round(1 - len(list_intersect(a.t, b.t)) / greatest(len(list_distinct(list_concat(a.t, b.t))), 1), 6) AS dist FROM t a JOIN t b ON a.item_id < b.item_id"),
     "distance_levenshtein": (pair_distances("levenshtein"), None),
     "thresholds": (thresholds, "SELECT num, den, (num * (n - 1) + den - 1) // den AS need, (2 * den + den - num - 1) // (den - num) AS s2, (4 * den + den - num - 1) // (den - num) AS s4 FROM (VALUES (0, 1), (1, 2), (2, 3), (4, 5), (9, 10), (19, 20), (49, 50), (99, 100), (199, 200), (999, 1000)) t(num, den), (SELECT count(*) AS n FROM embeddings)"),
+    "clique_chunks": (_points(lambda s, p: cliques.chunks(p, Share.of(PEEL).clique(), 1, 1).select("id", "pos", "chunk")), sql.peel(PEEL, "SELECT k1.id, k1.pos, coalesce(chunk, -1) AS chunk FROM k1 LEFT JOIN c1 USING (id)")),
+    "clique_ownership_ties": (ownership_ties, "SELECT i AS member, 9::BIGINT AS owned FROM range(12) r(i)"),
     "clique_ownership": (_peeled(lambda p: p.members), sql.peel(PEEL, "SELECT round, chunk, member, owned, kept FROM m")),
     "clique_keep_half": (_peeled(lambda p: half_kept(p.members)), sql.peel(PEEL, "SELECT round, chunk, CAST(sum(owned) AS BIGINT) AS owned, CAST(sum(kept::INT) AS BIGINT) AS kept, count(*) AS size, 2 * sum(kept::INT) >= count(*) AS half FROM m GROUP BY 1, 2")),
     "peel_exact_edges": (_peeled(lambda p: p.edges()), sql.peel(PEEL, "SELECT src, dst FROM g")),
-    "peel_exact_rounds": (_peeled(lambda p: p.rounds().select("round", "pool", "kept", "carried")), sql.peel(PEEL, "SELECT CAST(round AS INTEGER) AS round, pool, kept, pool - kept AS carried FROM (SELECT m.round, sum(kept::INT)::BIGINT AS kept, (SELECT count(*) FROM p) - coalesce((SELECT sum(b.kept::INT) FROM m b WHERE b.round < m.round), 0) AS pool FROM m GROUP BY 1)")),
+    "peel_exact_rounds": (_peeled(lambda p: p.rounds().select("round", "pool", "kept", "carried")), sql.peel(PEEL, _ROUNDS)),
     "peel_exact_coverage": (_peeled(lambda p: audit.covered_counts(p.points, source.stage(p.edges())).select("src", "covered")), sql.peel(PEEL, sql.COVERED)),
     "peel_exact_size": (_peeled(size_report), sql.peel(PEEL, "SELECT count(*) AS edges, count(*) <= 20 * (SELECT count(*) FROM p) AS within_bound FROM (SELECT DISTINCT * FROM g)")),
     "peel_exact_check": (_peeled(lambda p: audit.coverage_check(audit.covered_counts(p.points, source.stage(p.edges())), PEEL)), sql.peel(PEEL, f"SELECT bool_and(covered >= need) AS ok, count(*) FILTER (WHERE covered < need) AS n_bad, min(covered) AS min_covered, max(need) AS need FROM ({sql.COVERED}), (SELECT {sql.need(Share.of(PEEL))} AS need)")),
     "sample_draw": (_points(sample_draw), f"SELECT pos, count(*) AS mult FROM (SELECT ({sql.hashed('(i * 69069 + 12345) % 2147483647', 1, 1)}) % (SELECT count(*) FROM embeddings) AS pos FROM range(CAST(ceil(16 * ln((SELECT count(*) FROM embeddings) / 0.1) * 5) AS BIGINT)) r(i)) GROUP BY 1"),
     "peel_sampled_ownership": (_peeled(lambda p: p.members, DELTA, SAMPLED), sql.peel(SAMPLED, "SELECT round, chunk, member, owned, kept FROM m", DELTA)),
     "peel_sampled_edges": (_peeled(lambda p: p.edges(), DELTA, SAMPLED), sql.peel(SAMPLED, "SELECT src, dst FROM g", DELTA)),
-    "peel_sampled_rounds": (_peeled(lambda p: p.rounds(), DELTA, SAMPLED), None),
+    "peel_sampled_rounds": (_peeled(lambda p: p.rounds().select("round", "pool", "kept", "carried"), DELTA, SAMPLED), sql.peel(SAMPLED, _ROUNDS, DELTA)),
     "peel_sampled_coverage": (_peeled(lambda p: audit.covered_counts(p.points, source.stage(p.edges())).select("src", "covered"), DELTA, SAMPLED), sql.peel(SAMPLED, sql.COVERED, DELTA)),
     "peel_distance_cost": (distance_cost, None),
     "peel_seed_success": (_points(seed_success), None),
@@ -339,12 +364,12 @@ REGISTRY: dict[str, tuple] = {
     "knn_exact": (knn, f"{_QD} SELECT qid, CAST(pos AS INTEGER) AS pos, id, CAST(dist AS BIGINT) AS dist FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY dist, id) AS pos FROM x) WHERE pos <= 10"),
     "knn_filtered": (knn_filtered, f"{_QD.replace(_IDX, '(SELECT q.* FROM q JOIN embeddings ON vec_id = id WHERE label = 3)')} SELECT qid, CAST(pos AS INTEGER) AS pos, id FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY dist, id) AS pos FROM x) WHERE pos <= 5"),
     "radius_search": (radius, f"{_QD} SELECT qid, id, CAST(dist AS BIGINT) AS dist FROM x WHERE dist <= 350000000000000"),
-    "greedy_walk": (_searched(lambda i, q, e: search.greedy(search.Graph(i, e), q).select("qid", "result", F.col("dist").cast("long").alias("dist"), "steps")), None),
+    "greedy_walk": (_searched(lambda i, q, e: search.greedy(search.Graph(i, e), q).select("qid", "result", F.col("dist").cast("long").alias("dist"), "steps")), sql.prune(f", x AS (SELECT a.id AS qid, b.id, a.n + b.n - 2 * list_inner_product(a.v, b.v) AS dist FROM {_QRY} a, {_IDX} b), {sql.greedy(sql.cut('0.95').replace('FROM p', 'FROM p WHERE id % 10 <> 0'))} SELECT qid, arg_max(at_id, steps) AS result, CAST(min(dist) AS BIGINT) AS dist, CAST(max(steps) AS INTEGER) AS steps FROM w GROUP BY 1", sql.INDEX, "(SELECT count(*) FROM p WHERE id % 10 <> 0)")),
     "greedy_joins_equal": (_searched(joins_equal_greedy), "SELECT 0::BIGINT AS qid, 0::BIGINT AS result, 0::BIGINT AS j_id WHERE false"),
     "beam_b1_equals_greedy": (_searched(beam_equals_greedy), "SELECT 0::BIGINT AS qid, 0::BIGINT AS result, 0::BIGINT AS b_id WHERE false"),
     "beam_results": (_searched(lambda i, q, e: search.beam_sweep(search.Graph(i, e), q, [64], [10]).select("qid", "pos", "id", F.col("dist").cast("long").alias("dist"), "dist_evals"), "1"), None),
     "beam_sweep": (_searched(lambda i, q, e: search.beam_sweep(search.Graph(i, e), q, evaluate.WIDTHS, evaluate.KS).where("b >= k").groupBy("b", "k").agg(_avg("dist_evals"), _avg("edges_scanned"), _avg("expanded")), "0.995"), None),
-    "self_query_rate": (self_queries, None),
+    "self_query_rate": (self_queries, sql.prune(", x AS (SELECT a AS qid, b AS id, d AS dist FROM d), " + ", ".join(sql.greedy(sql.cut(t), f"w{i}") for i, t in enumerate(SELF_SHARES)) + " " + " UNION ALL ".join(f"SELECT '{t}' AS share, count(*) FILTER (WHERE r = qid) AS found, count(*) AS total FROM (SELECT qid, arg_max(at_id, steps) AS r FROM w{i} GROUP BY 1)" for i, t in enumerate(SELF_SHARES)))),
     "reachable": (_peeled(lambda p: audit.reachable(source.stage(p.edges()), 0)), sql.peel(PEEL, ", b AS (SELECT 0::BIGINT AS node, 0 AS hops UNION SELECT dst, hops + 1 FROM b JOIN g ON src = node WHERE hops < 50) SELECT node, CAST(min(hops) AS INTEGER) AS hops FROM b GROUP BY 1")),
     "components": (_peeled(lambda p: audit.components(p.points, source.stage(p.edges()))), sql.peel(PEEL, ", b AS (SELECT id AS node, id AS c FROM p UNION SELECT dst, c FROM b JOIN (SELECT src, dst FROM g UNION SELECT dst, src FROM g) h ON src = node) SELECT node, min(c) AS component FROM b GROUP BY 1")),
     "recall_cost": (lambda s, d: tradeoff(s, d).select("share", "k", "b", _r("degree"), _r("recall"), _r("dc")), None),
@@ -352,6 +377,9 @@ REGISTRY: dict[str, tuple] = {
     "ratio_average": (_from_tradeoff(evaluate.ratio_average), None),
     "pareto_points": (_from_tradeoff(evaluate.pareto), None),
     "min_gamma": (_from_tradeoff(evaluate.min_share), None),
+    "hard_case_points": (hard(lambda p, e, s: p.select("id", F.round(F.col("vec")[0], 4).alias("x"), F.round(F.col("vec")[1], 4).alias("y"))), "SELECT i AS id, round((i // (n // k)) * 5 + cos(2 * pi() * (i % (n // k)) / (n // k)), 4) AS x, round(sin(2 * pi() * (i % (n // k)) / (n // k)), 4) AS y, n, share FROM (VALUES (100, 2, '0.5'), (100, 5, '0.8'), (1000, 10, '0.9')) t(n, k, share), range(1000) r(i) WHERE i < n"),
+    "sql_distance": (sql_distance, f"WITH {_L} SELECT a.id, CAST(list_sum(list_transform(range(1, 65), lambda i: (a.v[i] - b.v[i]) * (a.v[i] - b.v[i]))) AS BIGINT) AS dist FROM p a, (SELECT v FROM p WHERE id = 0) b"),
+    "sql_clique_edges": (sql_clique_edges, "SELECT a.n_nationkey::BIGINT AS src, b.n_nationkey::BIGINT AS dst FROM nation a JOIN nation b USING (n_regionkey) WHERE a.n_nationkey <> b.n_nationkey"),
     "hard_case_coverage": (hard(hard_coverage), "SELECT true AS ok, CAST(n - n // k AS BIGINT) AS min_covered, CAST(ceil((k - 1) * (n - 1) / k) AS BIGINT) AS need, n, share FROM (VALUES (100, 2, '0.5'), (100, 5, '0.8'), (1000, 10, '0.9')) t(n, k, share)"),
     "hard_case_failures": (hard(hard_failures), "SELECT CAST(k AS BIGINT) AS found, n, share FROM (VALUES (100, 2, '0.5'), (100, 5, '0.8'), (1000, 10, '0.9')) t(n, k, share)"),
 }

@@ -60,3 +60,10 @@ def peel(share, tail: str, delta: float | None = None, rounds: int = 3, seed: in
 
 #: Points strictly nearer to an out-neighbour (edges g) than to the source.
 COVERED = "SELECT p.id AS src, count(t.id) AS covered FROM p LEFT JOIN (SELECT DISTINCT g.src, x.b AS id FROM g JOIN d x ON x.a = g.dst JOIN d y ON y.a = g.src AND y.b = x.b WHERE x.d < y.d AND x.b <> g.src) t ON t.src = p.id GROUP BY 1"
+
+
+def greedy(share, name: str = "w", start: str = "(SELECT min(id) FROM x)") -> str:
+    """Walks over edges e of a share, with x(qid, id, dist): each step to the nearest out-neighbour while it is nearer."""
+    return f"""{name} AS (SELECT qid, id AS at_id, dist, 0 AS steps FROM x WHERE id = {start}
+  UNION ALL SELECT qid, nid, nd, steps + 1 FROM (SELECT z.qid, z.dist AS cur, z.steps, arg_min(e.dst, row(x.dist, e.dst)) AS nid, min(x.dist) AS nd
+  FROM {name} z JOIN e ON e.src = z.at_id AND {share} JOIN x ON x.qid = z.qid AND x.id = e.dst GROUP BY 1, 2, 3) WHERE nd < cur)"""
