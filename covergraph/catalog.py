@@ -130,6 +130,44 @@ def sql_clique_edges(spark, sf_dir):
     return spark.sql("SELECT e.src, e.dst FROM (SELECT collect_list(CAST(n_nationkey AS BIGINT)) AS ids FROM nation_rows GROUP BY n_regionkey) g, LATERAL clique_edges(g.ids) e")
 
 
+def _text_peel(f, delta=None):
+    """f over the peel of distinct text vectors, which takes several rounds and has ties."""
+    return lambda spark, sf_dir: f(cliques.peel(source.dedupe(source.text_vectors(source.table(spark, sf_dir, "documents"))), PEEL, delta))
+
+
+def first_edge_is_nearest(pts, edges, n):
+    """Nodes whose first link is not their nearest point: none."""
+    near = search.knn_exact(pts, pts.withColumnRenamed("id", "qid"), 2).where("id <> qid").groupBy("qid").agg(F.min(F.struct("dist", "id")).alias("m"))
+    return edges.where("rank = 1").join(near, F.col("src") == F.col("qid")).where("dst <> m.id").select("src", "dst")
+
+
+def beam_shards(index, queries, edges):
+    """Recall at 10 of four shards' graphs together."""
+    found = search.beam_sharded(index, queries, 4, lambda p: prune.prune(p, 1), 64, 10)
+    truth = search.knn_exact(index, queries, 10).select("qid", "id")
+    return found.join(truth, ["qid", "id"], "left_semi").groupBy("qid").agg(F.count(F.lit(1)).alias("hits"))
+
+
+def beam_medoid(index, queries, edges):
+    """The same beam from the point nearest to the mean, and from the first one: hits are found either way at this width."""
+    g = search.Graph(index, edges)
+    out = None
+    for name, start in (("first", 0), ("medoid", g.medoid())):
+        one = search.beam_sweep(g, queries, [64], [10], start=start).groupBy().agg(F.lit(name).alias("start"), _avg("dist_evals"), F.round(F.avg("dist"), 1).alias("dist"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def stream_distance(spark, sf_dir):
+    """Arrivals as queries: each event asks for the neighbour of point event_id mod n; distance by hour."""
+    pts = source.stage(source.embeddings(spark, sf_dir))
+    n = pts.count()
+    near = search.knn_exact(pts, pts.withColumnRenamed("id", "qid"), 2).where("id <> qid").groupBy("qid").agg(F.min("dist").cast("long").alias("dist"))
+    asked = arrivals.events(spark, sf_dir).withColumn("qid", F.col("event_id") % n).join(source.stage(near), "qid")
+    hours = asked.groupBy(F.window("ts", "1 hour").alias("w")).agg(F.count(F.lit(1)).alias("n"), F.max("dist").alias("worst"))
+    return arrivals.drained(hours).select(F.unix_timestamp("w.start").alias("start_s"), "n", "worst")
+
+
 def half_kept(members):
     """Per full chunk: members that own at most twice their fair share; at least half do."""
     w = members.groupBy("round", "chunk").agg(F.sum("owned").alias("owned"), F.sum(F.col("kept").cast("long")).alias("kept"), F.count(F.lit(1)).alias("size"))
@@ -332,6 +370,10 @@ REGISTRY: dict[str, tuple] = {
     "peel_exact_coverage": (_peeled(lambda p: audit.covered_counts(p.points, source.stage(p.edges())).select("src", "covered")), sql.peel(PEEL, sql.COVERED)),
     "peel_exact_size": (_peeled(size_report), sql.peel(PEEL, "SELECT count(*) AS edges, count(*) <= 20 * (SELECT count(*) FROM p) AS within_bound FROM (SELECT DISTINCT * FROM g)")),
     "peel_exact_check": (_peeled(lambda p: audit.coverage_check(audit.covered_counts(p.points, source.stage(p.edges())), PEEL)), sql.peel(PEEL, f"SELECT bool_and(covered >= need) AS ok, count(*) FILTER (WHERE covered < need) AS n_bad, min(covered) AS min_covered, max(need) AS need FROM ({sql.COVERED}), (SELECT {sql.need(Share.of(PEEL))} AS need)")),
+    **{f"peel_exact_edges_{t.replace('.', '')}": (_peeled(lambda p: p.edges(), share=t), sql.peel(t, "SELECT src, dst FROM g")) for t in ("0", "0.5", "0.9", "0.95")},
+    "peel_text_edges": (_text_peel(lambda p: p.edges().distinct()), sql.peel(PEEL, "SELECT src, dst FROM g", rounds=6, base=sql.TEXT)),
+    "peel_text_rounds": (_text_peel(lambda p: p.rounds().select("round", "pool", "kept", "carried")), sql.peel(PEEL, _ROUNDS, rounds=6, base=sql.TEXT)),
+    "peel_text_sampled": (_text_peel(lambda p: p.members, DELTA), sql.peel(PEEL, "SELECT round, chunk, member, owned, kept FROM m", DELTA, rounds=6, base=sql.TEXT)),
     "sample_draw": (_points(sample_draw), f"SELECT pos, count(*) AS mult FROM (SELECT ({sql.hashed('(i * 69069 + 12345) % 2147483647', 1, 1)}) % (SELECT count(*) FROM embeddings) AS pos FROM range(CAST(ceil(16 * ln((SELECT count(*) FROM embeddings) / 0.1) * 5) AS BIGINT)) r(i)) GROUP BY 1"),
     "peel_sampled_ownership": (_peeled(lambda p: p.members, DELTA, SAMPLED), sql.peel(SAMPLED, "SELECT round, chunk, member, owned, kept FROM m", DELTA)),
     "peel_sampled_edges": (_peeled(lambda p: p.edges(), DELTA, SAMPLED), sql.peel(SAMPLED, "SELECT src, dst FROM g", DELTA)),
@@ -350,6 +392,7 @@ REGISTRY: dict[str, tuple] = {
     "coverage_median": (_pruned(lambda p, e, n: prune.median_trace(e, n).select("rank", _r("median_log10"))), sql.prune("SELECT pos AS rank, round(median(log10(greatest(1 - cum / (n - 1), 0.5 / (n - 1)))), 6) AS median_log10 FROM (SELECT DISTINCT rank AS pos FROM e) JOIN (SELECT src, max(rank) AS top FROM e GROUP BY 1) ON true JOIN e USING (src), (SELECT count(*) AS n FROM p) WHERE e.rank = least(pos, top) GROUP BY 1")),
     "edges_to_reach": (_pruned(lambda p, e, n: prune.edges_to_reach(e, ["1", "0.995", "0.95", "0.9"], n).select(F.col("share").cast("double").alias("share"), _r("median_edges"), _r("mean_edges"))), sql.prune(" UNION ALL ".join(f"SELECT CAST({s} AS DOUBLE) AS share, round(median(r), 6) AS median_edges, round(avg(r), 6) AS mean_edges FROM (SELECT min(rank) AS r FROM e WHERE cum >= {sql.need(Share.of(s))} GROUP BY src)" for s in ("1", "0.995", "0.95", "0.9")))),
     "probe_vs_full": (_pruned(probe_vs_full), sql.prune("SELECT 'all' AS nodes, round(avg(k), 6) AS mean FROM (SELECT count(*) AS k FROM e GROUP BY src) UNION ALL SELECT 'probes', round(avg(k), 6) FROM (SELECT count(*) AS k FROM e WHERE src % 10 = 3 GROUP BY src)")),
+    "first_edge_is_nearest": (_pruned(first_edge_is_nearest), "SELECT 0::BIGINT AS src, 0::BIGINT AS dst WHERE false"),
     "set_cover_edges": (_points(lambda s, p: prune.set_cover(p, "0.95")), None),
     "set_cover_vs_prune": (_points(set_cover_vs_prune), None),
     "covered_counts": (_pruned(lambda p, e, n: audit.covered_counts(p, e.select("src", "dst")).select("src", "covered"), "0.95"), sql.prune(f", g AS (SELECT src, dst FROM e WHERE {sql.cut('0.95')}) {sql.COVERED}")),
@@ -369,6 +412,9 @@ REGISTRY: dict[str, tuple] = {
     "beam_b1_equals_greedy": (_searched(beam_equals_greedy), "SELECT 0::BIGINT AS qid, 0::BIGINT AS result, 0::BIGINT AS b_id WHERE false"),
     "beam_results": (_searched(lambda i, q, e: search.beam_sweep(search.Graph(i, e), q, [64], [10]).select("qid", "pos", "id", F.col("dist").cast("long").alias("dist"), "dist_evals"), "1"), None),
     "beam_sweep": (_searched(lambda i, q, e: search.beam_sweep(search.Graph(i, e), q, evaluate.WIDTHS, evaluate.KS).where("b >= k").groupBy("b", "k").agg(_avg("dist_evals"), _avg("edges_scanned"), _avg("expanded")), "0.995"), None),
+    "beam_sharded": (_searched(beam_shards), None),
+    "beam_medoid": (_searched(beam_medoid, "1"), None),
+    "stream_query_distance": (stream_distance, f"WITH {E}, k AS (SELECT a AS qid, CAST(min(d) AS BIGINT) AS dist FROM d WHERE a <> b GROUP BY 1) SELECT CAST(epoch(time_bucket(INTERVAL '1 hour', ts)) AS BIGINT) AS start_s, count(*) AS n, max(dist) AS worst FROM events JOIN k ON qid = event_id % (SELECT count(*) FROM p) GROUP BY 1"),
     "self_query_rate": (self_queries, sql.prune(", x AS (SELECT a AS qid, b AS id, d AS dist FROM d), " + ", ".join(sql.greedy(sql.cut(t), f"w{i}") for i, t in enumerate(SELF_SHARES)) + " " + " UNION ALL ".join(f"SELECT '{t}' AS share, count(*) FILTER (WHERE r = qid) AS found, count(*) AS total FROM (SELECT qid, arg_max(at_id, steps) AS r FROM w{i} GROUP BY 1)" for i, t in enumerate(SELF_SHARES)))),
     "reachable": (_peeled(lambda p: audit.reachable(source.stage(p.edges()), 0)), sql.peel(PEEL, ", b AS (SELECT 0::BIGINT AS node, 0 AS hops UNION SELECT dst, hops + 1 FROM b JOIN g ON src = node WHERE hops < 50) SELECT node, CAST(min(hops) AS INTEGER) AS hops FROM b GROUP BY 1")),
     "components": (_peeled(lambda p: audit.components(p.points, source.stage(p.edges()))), sql.peel(PEEL, ", b AS (SELECT id AS node, id AS c FROM p UNION SELECT dst, c FROM b JOIN (SELECT src, dst FROM g UNION SELECT dst, src FROM g) h ON src = node) SELECT node, min(c) AS component FROM b GROUP BY 1")),

@@ -163,3 +163,19 @@ def greedy_joins(points: DataFrame, edges: DataFrame, queries: DataFrame, start:
         nearer = F.coalesce(F.col("m.d") < F.col("dist"), F.lit(False))
         state = stage(state.join(best, "qid", "left").select("qid", "q", F.when(nearer, F.col("m.dst")).otherwise(F.col("at")).alias("at"), F.when(nearer, F.col("m.d")).otherwise(F.col("dist")).alias("dist"), (F.col("steps") + nearer.cast("int")).alias("steps"), nearer.alias("open")))
     return state.select("qid", F.col("at").alias("result"), "dist", "steps")
+
+
+def beam_sharded(points: DataFrame, queries: DataFrame, shards: int, build, width: int, k: int) -> DataFrame:
+    """(qid, pos, id, dist) over sets too large for one graph: a graph for each shard of ids, the best k of all kept.
+
+    `build` makes the edges of a shard. Coverage holds within shards only."""
+    found = None
+    for s in range(shards):
+        part = stage(points.where(F.pmod(F.xxhash64("id"), F.lit(shards)) == s))
+        if part.isEmpty():
+            continue
+        one = beam_sweep(Graph(part, build(part)), queries, [width], [k]).select("qid", "id", "dist")
+        found = one if found is None else found.unionByName(one)
+    if found is None:
+        return queries.sparkSession.createDataFrame([], "qid long, pos int, id long, dist double")
+    return found.withColumn("pos", F.row_number().over(W.partitionBy("qid").orderBy("dist", "id"))).where(F.col("pos") <= k).select("qid", "pos", "id", "dist")

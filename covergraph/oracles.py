@@ -34,11 +34,20 @@ def hashed(x: str, turn: int, seed: int) -> str:
     return f"((({x}) % {PRIME}) * {BY_ID} + {(BY_ROUND * turn + seed) % PRIME}) % {PRIME}"
 
 
-def peel(share, tail: str, delta: float | None = None, rounds: int = 3, seed: int = 1) -> str:
+#: Token counts of documents in 64 buckets, equal vectors collapsed.
+TEXT = r"""tok AS (SELECT doc_id, unnest(list_filter(regexp_split_to_array(lower(coalesce(text, '')), '[^\p{L}\p{N}_]+'), lambda t: t <> '')) AS t FROM documents),
+cnt AS (SELECT doc_id, CAST('0x' || substr(md5(t), 1, 8) AS BIGINT) % 64 AS b, count(*) AS k FROM tok GROUP BY 1, 2),
+mp AS (SELECT doc_id, map_from_entries(list(row(b, k))) AS m FROM cnt GROUP BY 1),
+p AS (SELECT min(doc_id) AS id, v FROM (SELECT doc_id, list_transform(range(64), lambda i: CAST(coalesce(m[i], 0) AS DOUBLE)) AS v FROM mp) GROUP BY v),
+q AS (SELECT id, v, list_inner_product(v, v) AS n FROM p),
+d AS MATERIALIZED (SELECT a.id AS a, b.id AS b, a.n + b.n - 2 * list_inner_product(a.v, b.v) AS d FROM q a, q b)"""
+
+
+def peel(share, tail: str, delta: float | None = None, rounds: int = 3, seed: int = 1, base: str = EMB) -> str:
     """Rounds of chunks, ownership and carried points, unrolled; l holds the points left at the end."""
     share = Share.of(share)
     size = share.clique(2 if delta is None else 4)
-    parts = [EMB, "n AS (SELECT count(*) AS n FROM p)", "l0 AS (SELECT id FROM p)"]
+    parts = [base, "n AS (SELECT count(*) AS n FROM p)", "l0 AS (SELECT id FROM p)"]
     for t in range(1, rounds + 1):
         parts.append(f"k{t} AS (SELECT id, row_number() OVER (ORDER BY {hashed('id', t, seed)}, id) - 1 AS pos, count(*) OVER () AS m FROM l{t - 1})")
         parts.append(f"c{t} AS (SELECT id, pos // {size} AS chunk FROM k{t} WHERE pos < m // {size} * {size})")
