@@ -49,6 +49,17 @@ def _cells(axes: dict[int, np.ndarray], dimensions: int, epsilon: float):
     return run
 
 
+def _narrow(v: np.ndarray) -> np.ndarray:
+    """Single precision where it holds every number whole, as it does for float input."""
+    with np.errstate(over="ignore"):
+        small = v.astype(np.float32)
+    return small if (small == v).all() else v.astype(np.float64)
+
+
+def _wide(v: bytes, dim: int, n: int) -> np.ndarray:
+    return np.frombuffer(v, np.float32 if len(v) == 4 * dim * n else np.float64).reshape(-1, dim)
+
+
 def _sequence(block: int, dimensions: int):
     def run(batches):
         """Cuts a sorted partition into blocks of one label and one dimension."""
@@ -65,7 +76,7 @@ def _sequence(block: int, dimensions: int):
                     get = lambda c, b=b: b.column(b.schema.get_field_index(c))
                     v = get("v").flatten().to_numpy(zero_copy_only=False)
                     cells = np.stack([get(f"c{k}").to_numpy(zero_copy_only=False) for k in range(dimensions)], 1)
-                    rows.append((part + at, label[i].item(), dim[i].item(), cells.min(0).tolist(), cells.max(0).tolist(), get("rep").to_numpy(zero_copy_only=False).tobytes(), get("n").to_numpy(zero_copy_only=False).tobytes(), v.astype(np.float64).tobytes()))
+                    rows.append((part + at, label[i].item(), dim[i].item(), cells.min(0).tolist(), cells.max(0).tolist(), get("rep").to_numpy(zero_copy_only=False).tobytes(), get("n").to_numpy(zero_copy_only=False).tobytes(), _narrow(v).tobytes()))
                     at += 1
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int32(), pa.list_(pa.int32()), pa.list_(pa.int32()), pa.binary(), pa.binary(), pa.binary()), strict=True)], ["block", "label", "dim", "lo", "hi", "reps", "ns", "vs"])
@@ -142,7 +153,7 @@ def _join(cosine: float):
         for batch in batches:
             col = lambda c: batch.column(batch.schema.get_field_index(c)).to_pylist()
             for same, dim, r1, n1, v1, r2, n2, v2 in zip(*map(col, ("same", "dim", "r1", "n1", "v1", "r2", "n2", "v2")), strict=True):
-                sides = [(np.frombuffer(r, np.int64), np.frombuffer(n, np.int64), unit(np.frombuffer(v, np.float64).reshape(-1, dim))) for r, n, v in ((r1, n1, v1), (r2, n2, v2))[: 1 if same else 2]]
+                sides = [(np.frombuffer(r, np.int64), np.frombuffer(n, np.int64), unit(_wide(v, dim, len(r) // 8))) for r, n, v in ((r1, n1, v1), (r2, n2, v2))[: 1 if same else 2]]
                 j = Join(*[np.concatenate(x) for x in zip(*sides, strict=True)], cosine)
                 m = len(sides[0][0])
                 j.run((0, m), (0, m) if same else (m, len(j.rep)))
