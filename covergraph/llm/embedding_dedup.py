@@ -216,3 +216,11 @@ def link_vectors(rows: DataFrame, cosine: float = COSINE, dimensions: int = DIME
 def op10_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     linked = link_vectors(table(spark, sf_dir, "embeddings"))
     return linked.withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(False)))
+
+
+ORACLE = """
+WITH RECURSIVE e AS (SELECT vec_id, label, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS v FROM embeddings),
+l AS (SELECT a.vec_id AS a, b.vec_id AS b FROM e a JOIN e b ON a.label = b.label AND a.vec_id <> b.vec_id AND list_cosine_similarity(a.v, b.v) >= 0.98),
+c AS (SELECT vec_id AS n, vec_id AS c FROM e UNION SELECT l.b, c.c FROM c JOIN l ON l.a = c.n)
+SELECT n AS vec_id, (SELECT count(*) FROM l WHERE l.a = n) AS n_links, min(c) AS component_id, n = min(c) AS kept FROM c GROUP BY n
+"""

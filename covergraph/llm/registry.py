@@ -19,4 +19,5 @@ QUERIES = {
 ORACLES = {
     "op7_quality_rules": quality_rules.ORACLE,
     "op9_url_filter": url_filter.ORACLE,
+    "op10_embedding_dedup": embedding_dedup.ORACLE,
 }
