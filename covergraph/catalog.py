@@ -8,10 +8,11 @@ from pyspark.sql import functions as F
 from . import oracles as sql
 from .functions import sqlapi
 from .functions.exact import Share
-from .functions.metric import expression
+from .functions.metric import expression, lattice
 from .operators import audit, cliques, prune, search
 from .plans import evaluate, relational
 from .sources import points as source
+from .sources import storage
 from .streaming import arrivals
 
 #: Shares of the degree table.
@@ -297,6 +298,51 @@ def joins_equal_greedy(index, queries, edges):
     return search.greedy(search.Graph(index, edges), queries).join(far, "qid").where("result <> j_id or steps <> j_steps").select("qid", "result", "j_id")
 
 
+def joins_equal_beam(index, queries, edges):
+    """Rows where the beam by joins and the beam in memory disagree, in what they find or in cost: none."""
+    start = index.agg(F.min("id")).first()[0]
+    near = search.beam_sweep(search.Graph(index, edges), queries, [4], [4]).select("qid", "pos", "id", "dist_evals", "expanded")
+    far = search.beam_joins(index, source.stage(edges), queries, start, 4, 4).select("qid", "pos", "id", "dist_evals", "expanded")
+    return near.exceptAll(far).unionByName(far.exceptAll(near))
+
+
+def stream_recall(spark, sf_dir):
+    """Arrivals as queries of a beam of 16: recall at 10 and distance computations by day."""
+    index, queries = (source.stage(x) for x in source.split(source.embeddings(spark, sf_dir)))
+    found = search.beam_sweep(search.Graph(index, prune.prune(index, "0.995")), queries, [16], [10])
+    asked = source.indexed(queries.select("qid"), "qid")
+    known = source.stage(evaluate.recall(found, search.knn_exact(index, queries, 10)).join(asked, "qid").select("pos", "recall", "dist_evals"))
+    n = known.count()
+    come = arrivals.events(spark, sf_dir).withColumn("pos", F.col("event_id") % max(n, 1)).join(F.broadcast(known) if n < 100_000 else known, "pos")
+    days = come.groupBy(F.window("ts", "1 day").alias("w")).agg(F.count(F.lit(1)).alias("n"), F.avg("recall").alias("recall"), F.avg("dist_evals").alias("dc"))
+    return arrivals.drained(days).select(F.unix_timestamp("w.start").alias("start_s"), "n", _r("recall"), _r("dc"))
+
+
+def medoids(spark, sf_dir):
+    """The embedding of each label nearest to the label's mean."""
+    pts = source.table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), "label", lattice(F.col("embedding")).alias("vec"))
+    return source.medoids(pts, "label")
+
+
+def formats(spark, sf_dir):
+    """Orders written and read in each format: rows and sums stay."""
+    orders, out = source.table(spark, sf_dir, "orders"), None
+    for form in ("csv", "json", "orc", "parquet"):
+        back = storage.through(orders, form, arrivals.shared(spark))
+        one = back.agg(F.lit(form).alias("form"), F.count(F.lit(1)).alias("n"), F.sum("o_orderkey").alias("keys"), F.count_distinct("o_orderpriority").alias("priorities"), F.max("o_orderdate").alias("latest"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def slack(pts):
+    """Edges of the prune that covers only what a link is nearer to by a margin: more of them, the larger the margin."""
+    out = None
+    for s in ("1", "1.2", "1.5"):
+        one = prune.prune(pts, "0.95", slack=float(s)).agg(F.lit(s).alias("slack"), F.count(F.lit(1)).alias("edges"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 def self_queries(spark, sf_dir):
     """Points found by a greedy walk to themselves, per share."""
     pts = source.stage(source.embeddings(spark, sf_dir))
@@ -412,6 +458,11 @@ REGISTRY: dict[str, tuple] = {
     "beam_b1_equals_greedy": (_searched(beam_equals_greedy), "SELECT 0::BIGINT AS qid, 0::BIGINT AS result, 0::BIGINT AS b_id WHERE false"),
     "beam_results": (_searched(lambda i, q, e: search.beam_sweep(search.Graph(i, e), q, [64], [10]).select("qid", "pos", "id", F.col("dist").cast("long").alias("dist"), "dist_evals"), "1"), None),
     "beam_sweep": (_searched(lambda i, q, e: search.beam_sweep(search.Graph(i, e), q, evaluate.WIDTHS, evaluate.KS).where("b >= k").groupBy("b", "k").agg(_avg("dist_evals"), _avg("edges_scanned"), _avg("expanded")), "0.995"), None),
+    "beam_bsp_equals_local": (_searched(joins_equal_beam), "SELECT 0::BIGINT AS qid, 0 AS pos, 0::BIGINT AS id, 0::BIGINT AS dist_evals, 0::BIGINT AS expanded WHERE false"),
+    "stream_query_recall": (stream_recall, None),
+    "points_medoid": (medoids, f"WITH {_L}, l AS (SELECT p.id, label, v FROM p JOIN embeddings ON vec_id = p.id), c AS (SELECT label, i, avg(v[i]) AS x FROM l, range(1, 65) r(i) GROUP BY 1, 2), m AS (SELECT label, list(x ORDER BY i) AS m FROM c GROUP BY 1) SELECT label, arg_min(id, row(list_sum(list_transform(range(1, 65), lambda i: (v[i] - m[i]) * (v[i] - m[i]))), id)) AS id FROM l JOIN m USING (label) GROUP BY 1"),
+    "source_formats": (formats, "SELECT form, count(*) AS n, sum(o_orderkey)::BIGINT AS keys, count(DISTINCT o_orderpriority) AS priorities, max(o_orderdate) AS latest FROM orders, (VALUES ('csv'), ('json'), ('orc'), ('parquet')) t(form) GROUP BY 1"),
+    "prune_slack": (_points(lambda s, p: slack(source.stage(p))), None),
     "beam_sharded": (_searched(beam_shards), None),
     "beam_medoid": (_searched(beam_medoid, "1"), None),
     "stream_query_distance": (stream_distance, f"WITH {E}, k AS (SELECT a AS qid, CAST(min(d) AS BIGINT) AS dist FROM d WHERE a <> b GROUP BY 1) SELECT CAST(epoch(time_bucket(INTERVAL '1 hour', ts)) AS BIGINT) AS start_s, count(*) AS n, max(dist) AS worst FROM events JOIN k ON qid = event_id % (SELECT count(*) FROM p) GROUP BY 1"),

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import bisect
 import heapq
+from functools import reduce
 from types import SimpleNamespace
 
 import numpy as np
@@ -20,12 +21,26 @@ from .audit import adjacency
 QUERY_BLOCK = 64 << 20
 
 
+def query_blocks(queries: DataFrame, most: int | None = None) -> list[DataFrame]:
+    """The queries, cut by a hash of qid so that a block stays well below `most` bytes (None: QUERY_BLOCK)."""
+    most = most or QUERY_BLOCK
+    n, dim = queries.agg(F.count(F.lit(1)), F.max(F.size("vec"))).first()
+    size = n * ((dim or 0) + 1) * 8
+    if size <= most:
+        return [queries]
+    cuts = -(-2 * size // most)
+    return [queries.where(F.pmod(F.xxhash64("qid"), F.lit(cuts)) == i) for i in range(cuts)]
+
+
 def knn_exact(points: DataFrame, queries: DataFrame, k: int, metric: str = "l2sq") -> DataFrame:
     """(qid, pos, id, dist): the k nearest by (distance, id).
 
-    Queries are broadcast behind a size check; each partition keeps its k best
-    per query and those are merged."""
+    Queries are broadcast behind a size check, larger sets block by block; each
+    partition keeps its k best per query and those are merged."""
     kernel = KERNELS[metric]
+    parts = query_blocks(queries)
+    if len(parts) > 1:
+        return reduce(DataFrame.unionByName, [knn_exact(points, q, k, metric) for q in parts])
     sent = points.sparkSession.sparkContext.broadcast(block(queries, "qid", QUERY_BLOCK))
 
     def run(batches):
@@ -46,8 +61,11 @@ def knn_exact(points: DataFrame, queries: DataFrame, k: int, metric: str = "l2sq
 
 
 def radius_search(points: DataFrame, queries: DataFrame, radius: float, metric: str = "l2sq") -> DataFrame:
-    """(qid, id, dist) within `radius`."""
+    """(qid, id, dist) within `radius`; large query sets go block by block."""
     kernel = KERNELS[metric]
+    parts = query_blocks(queries)
+    if len(parts) > 1:
+        return reduce(DataFrame.unionByName, [radius_search(points, q, radius, metric) for q in parts])
     sent = points.sparkSession.sparkContext.broadcast(block(queries, "qid", QUERY_BLOCK))
 
     def run(batches):
@@ -165,6 +183,35 @@ def greedy_joins(points: DataFrame, edges: DataFrame, queries: DataFrame, start:
     return state.select("qid", F.col("at").alias("result"), "dist", "steps")
 
 
+def beam_joins(points: DataFrame, edges: DataFrame, queries: DataFrame, start: int, width: int, k: int) -> DataFrame:
+    """beam_sweep() of one width for graphs of any size: every open walk expands a node per round, by joins on the node and on its links.
+
+    (qid, pos, id, dist, dist_evals, expanded). A walk is a row that holds what
+    it evaluated, degree times expansions of it, so no row grows with the graph.
+    Walks that have stopped are left out of the joins."""
+    d = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x)
+    seen = lambda dist, i: F.struct(dist.alias("d"), i.alias("id"), F.lit(False).alias("done"))
+    kind = "array<struct<d:double,id:bigint,done:boolean>>"
+    nearest = F.array_min(F.filter("pool", lambda x: ~x["done"]))
+    as_near = F.size(F.filter("pool", lambda x: x["done"] & (x["d"] <= F.col("at.d"))))
+    aim = lambda walks: walks.withColumn("at", nearest).withColumn("open", F.col("at").isNotNull() & (as_near < width))
+    first = points.where(F.col("id") == start).select(F.col("id").alias("_at"), F.col("vec").alias("_v"))
+    begun = queries.crossJoin(F.broadcast(first)).select("qid", F.col("vec").alias("q"), F.array(seen(d(F.col("vec"), F.col("_v")), F.col("_at"))).cast(kind).alias("pool"))
+    state = stage(aim(begun))
+    links = edges.select(F.col("src").alias("_src"), F.col("dst").alias("_dst")).distinct()
+    while not state.where("open").isEmpty():
+        going = state.where("open")
+        fresh = going.join(links, F.col("at.id") == F.col("_src")).where(~F.exists("pool", lambda x: x["id"] == F.col("_dst")))
+        met = fresh.join(points.select(F.col("id").alias("_id"), F.col("vec").alias("_v")), F.col("_dst") == F.col("_id"))
+        more = met.select(F.col("qid").alias("_qid"), seen(d(F.col("q"), F.col("_v")), F.col("_id")).alias("x")).groupBy("_qid").agg(F.collect_list("x").alias("more"))
+        marked = F.transform("pool", lambda x: F.struct(x["d"].alias("d"), x["id"].alias("id"), (x["done"] | (F.col("open") & (x["id"] == F.col("at.id")))).alias("done")))
+        pool = F.concat(marked, F.coalesce("more", F.array().cast(kind)))
+        state = stage(aim(state.join(more, F.col("qid") == F.col("_qid"), "left").select("qid", "q", pool.cast(kind).alias("pool"))))
+    best = F.slice(F.array_sort("pool"), 1, k)
+    out = state.select("qid", F.size("pool").cast("long").alias("dist_evals"), F.size(F.filter("pool", lambda x: x["done"])).cast("long").alias("expanded"), F.posexplode(best).alias("pos", "x"))
+    return out.select("qid", (F.col("pos") + 1).alias("pos"), "x.id", F.col("x.d").alias("dist"), "dist_evals", "expanded")
+
+
 def beam_sharded(points: DataFrame, queries: DataFrame, shards: int, build, width: int, k: int) -> DataFrame:
     """(qid, pos, id, dist) over sets too large for one graph: a graph for each shard of ids, the best k of all kept.
 

@@ -13,12 +13,16 @@ SQL: dict[str, str | tuple[str, str]] = {
         JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY r_name, n_name""",
     "rel_cube": "SELECT l_returnflag, l_linestatus, grouping(l_returnflag) AS gf, grouping(l_linestatus) AS gs, count(*) AS n, round(sum(l_quantity), 2) AS qty FROM lineitem GROUP BY CUBE(l_returnflag, l_linestatus)",
     "rel_rollup": "SELECT o_orderstatus, o_orderpriority, count(*) AS n, round(sum(o_totalprice), 1) AS total FROM orders GROUP BY ROLLUP(o_orderstatus, o_orderpriority)",
-    "rel_grouping_sets": "SELECT lang, source, count(*) AS n, sum(n_chars) AS chars FROM documents GROUP BY GROUPING SETS ((lang), (source), ())",
+    "rel_grouping_sets": "SELECT lang, source, count(*) AS n, CAST(sum(n_chars) AS BIGINT) AS chars FROM documents GROUP BY GROUPING SETS ((lang), (source), ())",
     "rel_window_rank": """SELECT s_suppkey, s_nationkey, rank() OVER w AS rk, dense_rank() OVER w AS dr, row_number() OVER w AS rn, ntile(4) OVER w AS quart
         FROM supplier WINDOW w AS (PARTITION BY s_nationkey ORDER BY s_acctbal DESC, s_suppkey)""",
     "rel_window_frame": """SELECT o_orderkey, o_custkey, lag(o_orderkey) OVER w AS before, lead(o_orderkey) OVER w AS after,
         count(*) OVER (PARTITION BY o_custkey ORDER BY o_orderkey ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS n3,
         first_value(o_orderkey) OVER w AS first_order FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderkey)""",
+    "rel_hash_join": "SELECT /*+ SHUFFLE_HASH(o) */ o_orderpriority, count(*) AS n FROM lineitem JOIN orders o ON l_orderkey = o_orderkey WHERE l_quantity < 10 GROUP BY o_orderpriority",
+    "rel_merge_join": "SELECT /*+ MERGE(o) */ o_orderstatus, count(*) AS n FROM lineitem JOIN orders o ON l_orderkey = o_orderkey WHERE l_quantity > 40 GROUP BY o_orderstatus",
+    "rel_hash_sample": "SELECT o_orderstatus, count(*) AS n, min(o_orderkey) AS first_key FROM orders WHERE (o_orderkey * 48271) % 2147483647 % 100 < CASE o_orderstatus WHEN 'P' THEN 50 ELSE 5 END GROUP BY o_orderstatus",
+    "rel_lateral_top": """SELECT n_nationkey, s_suppkey FROM (SELECT n_nationkey, s_suppkey, row_number() OVER (PARTITION BY n_nationkey ORDER BY s_acctbal DESC, s_suppkey) AS rn FROM nation LEFT JOIN supplier ON s_nationkey = n_nationkey) t WHERE rn = 1""",
     "rel_semi": "SELECT c_custkey, c_name FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalprice > 200000)",
     "rel_anti": "SELECT c_custkey, c_name FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)",
     "rel_full_outer": "SELECT coalesce(d.doc_id, l.doc_id) AS doc_id, d.lang, l.quality FROM documents d FULL OUTER JOIN labels l ON d.doc_id = l.doc_id",

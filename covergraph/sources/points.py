@@ -64,6 +64,14 @@ def jitter(points: DataFrame, amount: float, seed: int = 1) -> DataFrame:
     return points.withColumn("vec", F.transform("vec", lambda x, i: x + amount * noise(i)))
 
 
+def medoids(points: DataFrame, group: str) -> DataFrame:
+    """The point of each group nearest to the group's mean, ties by id: means are sums by (group, coordinate), so a group of any size is added up before it is shuffled."""
+    mean = points.select(group, F.posexplode("vec").alias("i", "x")).groupBy(group, "i").agg(F.avg("x").alias("x")).groupBy(group).agg(F.array_sort(F.collect_list(F.struct("i", "x"))).alias("m"))
+    centre = mean.select(F.col(group).alias("_g"), F.transform("m", lambda p: p["x"]).alias("_mean"))
+    far = F.aggregate(F.zip_with("vec", "_mean", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x)
+    return points.join(centre, F.col(group).eqNullSafe(F.col("_g"))).groupBy(group).agg(F.min(F.struct(far.alias("d"), F.col("id"))).alias("m")).select(group, F.col("m.id").alias("id"))
+
+
 def profile(points: DataFrame) -> DataFrame:
     """Counts of rows, bad rows (null, NaN or of another length), equal vectors, and the dimension."""
     bad = F.col("vec").isNull() | F.exists("vec", lambda x: x.isNull() | F.isnan(x))

@@ -4,12 +4,15 @@ import itertools
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from covergraph.functions.exact import Share
 from covergraph.functions.metric import l2sq
 from covergraph.operators import audit, cliques, prune, search
 from covergraph.plans import evaluate
 from covergraph.sources import points as source
+from covergraph.sources import storage
+from covergraph.streaming import arrivals
 
 
 def frame(spark, vecs, first=0):
@@ -141,6 +144,63 @@ def test_beam(spark):
     assert evaluate.ratio_table(cost, [0.5]).count() == 2 and evaluate.pareto(cost).count() > 0
 
 
+def test_beam_by_joins(spark):
+    vecs, q = grid(60, 3, 8), grid(5, 3, 9)
+    pts, queries = frame(spark, vecs), frame(spark, q, 1000).withColumnRenamed("id", "qid")
+    edges = prune.prune(pts, "0.9")
+    cols = ("qid", "pos", "id", "dist", "dist_evals", "expanded")
+    near = search.beam_sweep(search.Graph(pts, edges), queries, [3], [3])
+    assert rows(search.beam_joins(pts, edges.unionAll(edges), queries, 0, 3, 3), *cols) == rows(near, *cols)
+    lonely = search.beam_joins(pts, edges.where("false"), queries, 0, 3, 3)
+    assert rows(lonely, "id", "dist_evals", "expanded") == [(0, 1, 1)] * 5
+    assert search.beam_joins(pts, edges, queries.where("false"), 0, 3, 3).count() == 0
+
+
+def test_queries_in_blocks(spark, monkeypatch):
+    pts = frame(spark, grid(40, 3, 10))
+    queries = pts.withColumnRenamed("id", "qid")
+    whole = rows(search.knn_exact(pts, queries, 3), "qid", "pos", "id"), rows(search.radius_search(pts, queries, 2e5), "qid", "id")
+    monkeypatch.setattr(search, "QUERY_BLOCK", 400)
+    assert len(search.query_blocks(queries)) > 3
+    assert (rows(search.knn_exact(pts, queries, 3), "qid", "pos", "id"), rows(search.radius_search(pts, queries, 2e5), "qid", "id")) == whole
+
+
+def test_medoids(spark):
+    vecs = grid(30, 2, 11)
+    pts = frame(spark, vecs).withColumn("g", F.expr("case when id % 3 = 2 then null else id % 3 end"))
+    for g, i in source.medoids(pts, "g").collect():
+        mine = [k for k in range(30) if k % 3 == (2 if g is None else g)]
+        centre = vecs[mine].mean(0)
+        assert i == min(mine, key=lambda k: (((vecs[k] - centre) ** 2).sum(), k))
+
+
+def test_binary_vectors(spark, tmp_path):
+    vecs = np.random.default_rng(1).random((25, 4)).astype("<f4")
+    for name, part in (("a.bin", vecs[:9]), ("b.bin", vecs[9:9]), ("c.bin", vecs[9:])):
+        (tmp_path / name).write_bytes(np.hstack([np.full((len(part), 1), 4, "<i4"), part.view("<i4")]).tobytes())
+    got = sorted(storage.flat_vectors(spark, str(tmp_path)).collect())
+    assert [r["id"] for r in got] == list(range(25)) and np.array_equal(np.array([r["vec"] for r in got], "<f4"), vecs)
+
+
+def test_late_arrivals(spark, tmp_path):
+    """Nothing is late in the first two batches; a week's delay loses the rows whose hour was shut a batch before."""
+    day = 86400
+    times = [(i, (i * 7919) % (30 * day)) for i in range(3000)]
+    spark.createDataFrame(times, "event_id long, s long").selectExpr("event_id", "timestamp_ntz'2024-01-01 00:00:00' + make_dt_interval(0, 0, 0, s) as ts").coalesce(1).write.parquet(str(tmp_path / "events.parquet"))
+    first = 1704067200
+    batch = lambda i, s: (first + s + (7 * day if i % 100 == 0 else 0)) // (5 * day)
+    tops = {}
+    for i, s in times:
+        tops[batch(i, s)] = max(tops.get(batch(i, s), 0), first + s)
+    want = {}
+    for i, s in times:
+        before = [b for b in sorted(tops) if b < batch(i, s)][:-1]
+        hour = (first + s) // 3600 * 3600
+        if before and hour + 3600 <= max(tops[b] for b in before) - 900:
+            want[hour] = want.get(hour, 0) + 1
+    assert want and dict(rows(arrivals.late_rows(spark, str(tmp_path)), "start_s", "n_late")) == want
+
+
 def test_hard_case(spark):
     nodes, links = source.line_of_balls(100, 5)
     pts, edges = spark.createDataFrame(nodes, "id long, vec array<double>"), spark.createDataFrame(links, "src long, dst long")
