@@ -7,18 +7,36 @@ from pyspark.sql import functions as F
 
 from .common import discard, stage
 
+#: Rows of a key from which its minimum is broadcast to them; most keys for which that is done.
+HOT_ROWS, HOT_KEYS = 500, 10_000
+
 
 def _state(edges: DataFrame) -> tuple:
     """Count and an order-free checksum; unchanged means converged."""
     return tuple(edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("hi", "lo").cast("decimal(38,0)"))).first())
 
 
+def _joined(rows: DataFrame, least: DataFrame, key: str, most: int) -> DataFrame:
+    """rows with m, the minimum of their key, from least(key, m, n); n: the key's rows, `most` those of all keys or more.
+
+    Keys with more than a fixed share of `most` are HOT_KEYS at the most, so
+    their minima are broadcast and their rows stay where they are. The other
+    keys meet by a shuffle."""
+    cut = max(HOT_ROWS, most // HOT_KEYS)
+    if most <= cut:
+        return rows.join(least.drop("n"), key)
+    hot = least.where(F.col("n") > cut).select(key, F.col("m").alias("_m"))
+    met = rows.join(F.broadcast(hot), key, "left")
+    cold = met.where("_m is null").drop("_m").join(least.where(F.col("n") <= cut).drop("n"), key)
+    return cold.unionByName(met.where("_m is not null").withColumnRenamed("_m", "m"))
+
+
 def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(node, component): the smallest node reachable, for every node that an edge names.
 
     A large star links the larger neighbours of a node to its smallest one, a
-    small star the smaller ones; both are a minimum by key and a join, so a hub
-    is pre-aggregated and its join can be split. Null ends and loops are left
+    small star the smaller ones; both are a minimum by key, summed up before the
+    shuffle, and a join that leaves a hub's rows where they are. Null ends and loops are left
     out. Rounds grow with the logarithm of the longest path. Each round is
     written to the shared folder."""
     clean = edges.select(F.col(a).alias("x"), F.col(b).alias("y")).where("x is not null and y is not null and x <> y")
@@ -26,10 +44,10 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     state = _state(now)
     while state[0]:
         both = now.select(F.col("hi").alias("u"), F.col("lo").alias("v")).unionByName(now.select(F.col("lo").alias("u"), F.col("hi").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.where("v > u").join(least, "u").select(F.col("v").alias("hi"), F.col("m").alias("lo")).distinct()
-        lower = large.groupBy("hi").agg(F.min("lo").alias("m"))
-        small = large.join(lower, "hi").where("lo <> m").select(F.col("lo").alias("hi"), F.col("m").alias("lo")).unionByName(lower.select("hi", F.col("m").alias("lo"))).distinct()
+        least = both.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n")).select("u", F.least("u", "m").alias("m"), "n")
+        large = _joined(both.where("v > u"), least, "u", 2 * state[0]).select(F.col("v").alias("hi"), F.col("m").alias("lo")).distinct()
+        lower = large.groupBy("hi").agg(F.min("lo").alias("m"), F.count(F.lit(1)).alias("n"))
+        small = _joined(large, lower, "hi", state[0]).where("lo <> m").select(F.col("lo").alias("hi"), F.col("m").alias("lo")).unionByName(lower.select("hi", F.col("m").alias("lo"))).distinct()
         after = stage(small)
         discard(now)
         now, before = after, state

@@ -58,6 +58,15 @@ def test_components(spark):
     assert components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
+def test_components_of_hubs(spark):
+    """Hubs above HOT_ROWS, at both ends of the order, with equal links and a path between them."""
+    far = 9_000
+    edges = [(1, i) for i in range(1000, 2200)] * 2 + [(far, i) for i in range(3000, 4200)] + [(4199, 5000), (5000, 5001), (5001, 2199)] + [(7000 + i, 7001 + i) for i in range(700)] + [(None, 5), (6, 6)]
+    got = {r["node"]: r["component"] for r in components(spark.createDataFrame(edges, "a long, b long").repartition(8)).collect()}
+    assert len(got) == 2 + 1200 + 1200 + 2 + 701
+    assert {got[x] for x in (1, far, 1000, 3000, 5000)} == {1} and {got[7000 + i] for i in range(701)} == {7000}
+
+
 def test_packing(docs, empty):
     from tokenizers import Tokenizer
 
