@@ -474,7 +474,7 @@ REGISTRY: dict[str, tuple] = {
     "ratio_average": (_from_tradeoff(evaluate.ratio_average), None),
     "pareto_points": (_from_tradeoff(evaluate.pareto), None),
     "min_gamma": (_from_tradeoff(evaluate.min_share), None),
-    "hard_case_points": (hard(lambda p, e, s: p.select("id", F.round(F.col("vec")[0], 4).alias("x"), F.round(F.col("vec")[1], 4).alias("y"))), "SELECT i AS id, round((i // (n // k)) * 5 + cos(2 * pi() * (i % (n // k)) / (n // k)), 4) AS x, round(sin(2 * pi() * (i % (n // k)) / (n // k)), 4) AS y, n, share FROM (VALUES (100, 2, '0.5'), (100, 5, '0.8'), (1000, 10, '0.9')) t(n, k, share), range(1000) r(i) WHERE i < n"),
+    "hard_case_points": (hard(lambda p, e, s: p.select("id", (F.round(F.col("vec")[0], 4) + 0.0).alias("x"), (F.round(F.col("vec")[1], 4) + 0.0).alias("y"))), "SELECT i AS id, round((i // (n // k)) * 5 + cos(2 * pi() * (i % (n // k)) / (n // k)), 4) + 0.0 AS x, round(sin(2 * pi() * (i % (n // k)) / (n // k)), 4) + 0.0 AS y, n, share FROM (VALUES (100, 2, '0.5'), (100, 5, '0.8'), (1000, 10, '0.9')) t(n, k, share), range(1000) r(i) WHERE i < n"),
     "sql_distance": (sql_distance, f"WITH {_L} SELECT a.id, CAST(list_sum(list_transform(range(1, 65), lambda i: (a.v[i] - b.v[i]) * (a.v[i] - b.v[i]))) AS BIGINT) AS dist FROM p a, (SELECT v FROM p WHERE id = 0) b"),
     "sql_clique_edges": (sql_clique_edges, "SELECT a.n_nationkey::BIGINT AS src, b.n_nationkey::BIGINT AS dst FROM nation a JOIN nation b USING (n_regionkey) WHERE a.n_nationkey <> b.n_nationkey"),
     "hard_case_coverage": (hard(hard_coverage), "SELECT true AS ok, CAST(n - n // k AS BIGINT) AS min_covered, CAST(ceil((k - 1) * (n - 1) / k) AS BIGINT) AS need, n, share FROM (VALUES (100, 2, '0.5'), (100, 5, '0.8'), (1000, 10, '0.9')) t(n, k, share)"),

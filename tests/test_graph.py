@@ -6,8 +6,9 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from covergraph import catalog
 from covergraph.functions.exact import Share
-from covergraph.functions.metric import l2sq
+from covergraph.functions.metric import expression, l2sq
 from covergraph.operators import audit, cliques, prune, search
 from covergraph.plans import evaluate
 from covergraph.sources import points as source
@@ -144,6 +145,99 @@ def test_beam(spark):
     assert evaluate.ratio_table(cost, [0.5]).count() == 2 and evaluate.pareto(cost).count() > 0
 
 
+def test_prune_with_slack_and_candidates(spark):
+    vecs = grid(30, 3, 12)
+    pts, d = frame(spark, vecs), l2sq(vecs, vecs)
+
+    def lists(slack, allowed):
+        out = []
+        for p in range(30):
+            kept, left = [], {r for r in range(30) if r != p}
+            for r in sorted(allowed(p), key=lambda r: (d[p, r], r)):
+                if r in left:
+                    kept.append(r)
+                    left -= {x for x in left if x == r or slack * d[r, x] < d[p, x]}
+            out += [(p, i, r) for i, r in enumerate(kept, 1)]
+        return sorted(out)
+
+    assert rows(prune.prune(pts, 1, slack=1.5), "src", "rank", "dst") == lists(1.5, lambda p: [r for r in range(30) if r != p])
+    few = {p: [(p + k) % 30 for k in (1, 5, 9, 14)] for p in range(30)}
+    candidates = spark.createDataFrame([(p, r) for p in few for r in few[p]], "src long, dst long")
+    assert rows(prune.prune(pts, 1, candidates=candidates), "src", "rank", "dst") == lists(1, few.__getitem__)
+
+
+def test_sampled_audit(spark):
+    vecs = grid(60, 2, 13)
+    pts = frame(spark, vecs)
+    edges = prune.prune(pts, "0.7").select("src", "dst")
+    whole = dict(rows(audit.covered_counts(pts, edges), "src", "covered"))
+    drawn = audit.covered_counts(pts, edges, targets=40).collect()
+    assert all(r["checked"] in (39, 40) and r["covered"] <= whole[r["src"]] <= r["covered"] + 60 - r["checked"] for r in drawn)
+    assert rows(audit.covered_counts(pts, edges, targets=60), "src", "covered") == sorted(whole.items())
+
+
+def test_peel_seeds_and_cost(spark):
+    pts = frame(spark, grid(300, 4, 14))
+    good = [audit.coverage_check(audit.covered_counts(pts, cliques.peel(pts, "0.5", 0.1, seed=k).edges()), "0.5").first()["ok"] for k in (1, 2, 3)]
+    assert all(good)
+    part = []
+    for n in (300, 1200):
+        some = frame(spark, grid(n, 4, 15))
+        part.append(sum(r["distances"] for r in cliques.peel(some, "0.5", 0.1).log) / n**2)
+    assert part[1] < part[0] / 2
+
+
+def test_levenshtein(spark):
+    def far(a, b):
+        row = list(range(len(b) + 1))
+        for i, x in enumerate(a, 1):
+            row, before = [i], row
+            for j, y in enumerate(b, 1):
+                row.append(min(before[j] + 1, row[-1] + 1, before[j - 1] + (x != y)))
+        return row[-1]
+
+    words = ["", "kitten", "sitting", "straße", "strasse", "日本語", "日本"]
+    pairs = spark.createDataFrame([(a, b) for a in words for b in words], "a string, b string")
+    assert all(r["x"] == far(r["a"], r["b"]) for r in pairs.select("a", "b", expression("levenshtein", F.col("a"), F.col("b")).alias("x")).collect())
+
+
+def test_shards_and_starts(spark):
+    vecs, q = grid(80, 3, 16), grid(6, 3, 17)
+    pts, queries = frame(spark, vecs), frame(spark, q, 1000).withColumnRenamed("id", "qid")
+    found = search.beam_sharded(pts, queries, 3, lambda p: prune.prune(p, 1), 80, 4)
+    assert rows(found, "qid", "pos", "id") == rows(search.knn_exact(pts, queries, 4), "qid", "pos", "id")
+    g = search.Graph(pts, prune.prune(pts, 1))
+    assert g.medoid() == ((vecs - vecs.mean(0)) ** 2).sum(1).argmin()
+    wide = search.beam_sweep(g, queries, [80], [4], start=g.medoid())
+    assert rows(wide, "qid", "pos", "id") == rows(search.knn_exact(pts, queries, 4), "qid", "pos", "id")
+
+
+def test_ratios_by_hand(spark):
+    """Two shares and one k: costs at a target lie on the line between beam widths."""
+    made = [(1.0, 10.0, 1, 1, 0.5, 100.0), (1.0, 10.0, 1, 2, 0.9, 200.0), (0.9, 4.0, 1, 1, 0.6, 50.0), (0.9, 4.0, 1, 2, 0.8, 90.0), (0.8, 2.0, 1, 1, 0.3, 10.0), (0.8, 2.0, 1, 2, 0.5, 20.0)]
+    points = spark.createDataFrame(made, "share double, degree double, k int, b int, recall double, dc double")
+    (r,) = evaluate.ratio_table(points, [0.7]).collect()
+    assert r["share"] == 0.9 and r["dc_ratio"] == pytest.approx(70 / 150) and r["degree_ratio"] == pytest.approx(0.4) and not r["ref_censored"]
+    cost = {(x["share"], x["target"]): (x["dc"], x["censored"]) for x in evaluate.cost_at(points, [0.4, 0.95]).collect()}
+    assert cost[1.0, 0.4] == (100.0, True) and cost[0.8, 0.4][0] == pytest.approx(15) and (1.0, 0.95) not in cost
+    assert evaluate.min_share(points, 0.75).first()["min_share"] == 0.9
+    assert {(x["share"], x["b"]): x["beats"] for x in evaluate.pareto(points).collect()} == {(0.9, 1): True, (0.9, 2): True, (0.8, 1): True, (0.8, 2): True}
+    mean = evaluate.ratio_average(points).collect()  # of the stock targets only 0.9 is reached, by the full graph alone
+    assert len(mean) == 1 and mean[0]["dc_ratio"] is None
+
+
+def test_recall_of_arrivals(spark):
+    """Days of the stream add up to all arrivals, and their mean recall to that of the queries asked."""
+    sf = "/root/testdata/sf0.001"
+    days = catalog.stream_recall(spark, sf).collect()
+    assert sum(r["n"] for r in days) == spark.read.parquet(f"{sf}/events.parquet").count()
+    index, queries = source.split(source.embeddings(spark, sf))
+    found = search.beam_sweep(search.Graph(index, prune.prune(index, "0.995")), queries, [16], [10])
+    per = [r["recall"] for r in evaluate.recall(found, search.knn_exact(index, queries, 10)).orderBy("qid").collect()]
+    asked = [per[r["event_id"] % len(per)] for r in spark.read.parquet(f"{sf}/events.parquet").select("event_id").collect()]
+    assert sum(r["n"] * r["recall"] for r in days) == pytest.approx(sum(asked), abs=0.01)
+
+
 def test_beam_by_joins(spark):
     vecs, q = grid(60, 3, 8), grid(5, 3, 9)
     pts, queries = frame(spark, vecs), frame(spark, q, 1000).withColumnRenamed("id", "qid")
