@@ -1,6 +1,8 @@
 """Every pipeline stage on a small table."""
 
 import corpus_pipeline
+import numpy as np
+from covergraph.llm import simhash
 from covergraph.llm.common import stage
 
 from test_llm import SCHEMA, lower, removed, texts
@@ -32,3 +34,41 @@ def test_empty(spark):
     for _, step in corpus_pipeline.STAGES:
         docs = stage(step(spark, docs, ""))
     assert docs.count() == 0
+
+
+def test_near_copies_are_whole(spark):
+    """Edited copies, far beyond 2 bits, against brute force over all pairs; chains and texts just below the share stay right."""
+    r = np.random.default_rng(8)
+    words = [f"w{i}" for i in range(3000)]
+    out = [None, "", "Short text", "short  TEXT", "one two"]
+    for n in (60, 150, 400, 2000):
+        for edits in (1, 2, 3, 4, 6):
+            base = [words[i] for i in r.integers(0, 3000, n)]
+            out.append(" ".join(base))
+            for _ in range(3):
+                copy = list(base)
+                for at in r.choice(n, max(1, edits * n // 150), replace=False):
+                    copy[at] = "edited"
+                out.append(" ".join(copy))
+    chain = [words[i] for i in r.integers(0, 3000, 100)]
+    out += [" ".join(chain[k * 8 :] + [f"c{k}_{j}" for j in range(k)]) for k in range(5)]
+    crowd = [words[i] for i in r.integers(0, 3000, 80)]
+    out += [" ".join(crowd[:i] + ["x"] + crowd[i + 1 :]) for i in range(80)]
+    sets = []
+    for t in out:
+        w = (t or "").lower().split()
+        sets.append({tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else {()})
+    group = list(range(len(out)))
+    far = 0
+    prints = [simhash.fingerprint((t or "").lower().encode().split()) for t in out]
+    for i in range(len(out)):
+        for j in range(i):
+            if 5 * len(sets[i] & sets[j]) >= 4 * len(sets[i] | sets[j]):
+                far += (prints[i] ^ prints[j]).bit_count() > 2
+                a, b = group[i], group[j]
+                group = [min(a, b) if g in (a, b) else g for g in group]
+    assert far > 100
+    rows = [(i, t, "en", "a", 1) for i, t in enumerate(out)] + [(None, "short text", "en", "a", 1), (2, "Short text", "en", "a", 1)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").repartition(5)
+    got = sorted(-1 if x["doc_id"] is None else x["doc_id"] for x in corpus_pipeline.near_copies(spark, docs, "").collect())
+    assert got == [-1, *sorted(set(group))]
