@@ -1,8 +1,7 @@
-"""License scans through a positional index of rare words, with DataFrame functions only."""
+"""License scans through a positional index of licence words, with DataFrame functions only."""
 
 from __future__ import annotations
 
-import math
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -17,9 +16,6 @@ BASE = [("under the mit license", "mit"), ("apache license version 2", "apache-2
 #: Function words, which the index leaves out.
 STOP = set("a all an and any are as at be by for from in is it may not of on or that the this to under use with you your".split())
 
-#: Rarest licence words of a file that are looked up.
-LOOKED_UP = 16
-
 
 @dataclass(frozen=True)
 class Template:
@@ -87,17 +83,10 @@ def licence_words(docs: DataFrame, index: Index) -> DataFrame:
     return docs.withColumn("_scan", scan).select(*[c for c in docs.columns if c != "text"], "_scan.*")
 
 
-def idf(scanned: DataFrame, index: Index) -> dict[str, float]:
-    """Of every licence word over all files; as many rows as the templates have words."""
-    n = scanned.count()
-    df = scanned.select(F.explode(F.array_distinct("hits.w")).alias("w")).groupBy("w").count().collect()
-    return {w: math.log((n + 1) / (c + 1)) for w, c in df} | {w: math.log(n + 1) for w in set(index.vocabulary) - {r[0] for r in df}}
-
-
-def scan_licenses(docs: DataFrame, templates: list[Template] = TEMPLATES, base=BASE, looked_up: int = LOOKED_UP) -> DataFrame:
+def scan_licenses(docs: DataFrame, templates: list[Template] = TEMPLATES, base=BASE) -> DataFrame:
     """docs without text, with n_words, n_base, first_word, last_word, base_labels, labels and score.
 
-    A file's rarest licence words are looked up; a posting and a place in the
+    Every licence word of a file is looked up; a posting and a place in the
     file give where the template would begin, and equal beginnings add up. A
     template counts if its key phrase stands at its place there. score: the
     largest share of a counted template's indexed words that agree, 1 with a
@@ -105,18 +94,14 @@ def scan_licenses(docs: DataFrame, templates: list[Template] = TEMPLATES, base=B
     equal texts get equal results; an empty table gives no rows."""
     index = Index(templates, base)
     scanned = stage(licence_words(docs.drop("n_words", "hits", "starts"), index))
-    weight = idf(scanned, index)
-    ranked = sorted(index.vocabulary, key=lambda w: (-weight[w], w))
-    rank = F.map_from_arrays(F.array(*map(F.lit, ranked)), F.array(*map(F.lit, range(len(ranked)))))
-    posting = F.map_from_arrays(F.array(*map(F.lit, ranked)), F.array(*[F.array(*[F.struct(F.lit(k).alias("t"), F.lit(p).alias("p")) for k, p in index.postings.get(w, [])]).cast("array<struct<t:int,p:int>>") for w in ranked]))
-    rarest = F.transform(F.slice(F.array_sort(F.transform(F.array_distinct("hits.w"), lambda w: F.struct(F.element_at(rank, w).alias("r"), w.alias("w")))), 1, looked_up), lambda x: x["w"])
-    used = F.filter("hits", lambda h: F.array_contains(F.col("_rarest"), h["w"]))
-    begins = F.flatten(F.transform(used, lambda h: F.transform(F.element_at(posting, h["w"]), lambda q: F.struct(q["t"].alias("t"), (h["p"] - q["p"]).alias("o")))))
+    words = index.vocabulary
+    posting = F.map_from_arrays(F.array(*map(F.lit, words)), F.array(*[F.array(*[F.struct(F.lit(k).alias("t"), F.lit(p).alias("p")) for k, p in index.postings.get(w, [])]).cast("array<struct<t:int,p:int>>") for w in words]))
+    begins = F.flatten(F.transform("hits", lambda h: F.transform(F.element_at(posting, h["w"]), lambda q: F.struct(q["t"].alias("t"), (h["p"] - q["p"]).alias("o")))))
     places = [index.key_place(k) for k in range(len(templates))]
     words_of = [sum(w not in STOP for w in t.text.split()) for t in templates]
     # The few files with a phrase go on; of the others every result is known.
     with_phrase = F.exists("starts", lambda s: F.size(s) > 0)
-    voted = scanned.withColumn("_rarest", rarest).withColumn("_begins", F.when(with_phrase, begins).otherwise(F.array().cast("array<struct<t:int,o:int>>")))
+    voted = scanned.withColumn("_begins", F.when(with_phrase, begins).otherwise(F.array().cast("array<struct<t:int,o:int>>")))
     keyed = voted.withColumn("_right", F.filter("_begins", lambda b: _at(b, len(base), places)))
     found = F.transform(F.array_distinct("_right"), lambda b: F.struct(b["t"].alias("t"), (F.size(F.filter("_right", lambda x: x == b)) / F.element_at(F.array(*map(F.lit, words_of)), b["t"] + 1)).alias("s")))
     out = keyed.withColumn("_found", found)

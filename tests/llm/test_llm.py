@@ -136,6 +136,19 @@ def test_license(docs, empty, spark):
     assert license_scan.scan_licenses(empty).count() == 0
 
 
+def test_license_of_many_notices(spark):
+    """A file of all notices has every label, and one amid rarer words keeps its whole score."""
+    every = " / ".join(t.text for t in license_scan.TEMPLATES)
+    gpl = "this work is licensed under the gnu general public license version 3"
+    rare = "merchant " + " ".join(w for w in "redistribution source binary forms modification permitted granted permission charge person obtaining copy associated documentation files unencumbered mozilla".split())
+    notice = " . ".join([license_scan.TEMPLATES[1].text, license_scan.TEMPLATES[9].text, gpl, "licensed under cc by 4 0"])
+    cases = [every, rare + " " + gpl, notice] + [gpl] * 40
+    got = by_id(license_scan.scan_licenses(spark.createDataFrame(list(enumerate(cases)), "doc_id long, text string")))
+    assert set(got[0]["labels"].split(",")) == {t.label for t in license_scan.TEMPLATES}
+    assert got[1]["labels"] == "gpl-3" and got[1]["score"] == 1
+    assert got[2]["labels"] == "bsd,cc-by,gpl-3,mit"
+
+
 def test_induced_sort():
     r = np.random.default_rng(1)
     for k in range(120):
