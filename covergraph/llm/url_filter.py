@@ -2,18 +2,25 @@
 
 from __future__ import annotations
 
+import json
+from html.entities import html5
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, stage, table
+from .common import ascii_lower, let, stage, table
 from .components import components
 
 #: Fixed by the contract: verdict, host, path.
 RULES = [("block", "net", "/"), ("allow", "example.net", "/en/"), ("block", "example.com", "/de/"), ("allow", "org", "/fr/")]
 
 _PARTS = r"^(?s)(.*?)://([^/?#]*)([^?#]*)(\??[^#]*)"
-_CANONICAL = r"(?is)<link\b(?=[^>]*\brel\s*=\s*[\"']?canonical\b)[^>]*\bhref\s*=\s*[\"']?([^\"'\s>]+)"
-_REFRESH = r"(?is)<meta\b(?=[^>]*\bhttp-equiv\s*=\s*[\"']?refresh\b)[^>]*\burl\s*=\s*[\"']?([^\"'\s>]+)"
+_SCHEME = r"^[A-Za-z][A-Za-z0-9+.\-]*:"
+_CANONICAL = r"(?is)<link\b(?=[^>]*\brel\s*=\s*[\"']?canonical\b)[^>]*\bhref\s*=\s*[\"']?\s*([^\"'\s>]+)"
+_REFRESH = r"(?is)<meta\b(?=[^>]*\bhttp-equiv\s*=\s*[\"']?refresh\b)[^>]*\burl\s*=\s*[\"']?\s*([^\"'\s>]+)"
+_BASE = r"(?is)<base\b[^>]*\bhref\s*=\s*[\"']?\s*([^\"'\s>]+)"
+#: Fixed by HTML: the named entities that end in `;`.
+_NAMED = json.dumps({k: v for k, v in html5.items() if k.endswith(";")})
 
 
 def host(url: Column) -> Column:
@@ -25,9 +32,50 @@ def path(url: Column) -> Column:
     return F.coalesce(F.regexp_extract(url, _PARTS, 3), F.lit(""))
 
 
+def _undotted(p: Column) -> Column:
+    """A path without `.` and `..` steps; above the root there is nothing."""
+    step = lambda done, x: F.when(x == "..", F.slice(done, 1, F.greatest(F.size(done) - 1, F.lit(1)))).when(x == ".", done).otherwise(F.concat(done, F.array(x)))
+    parts = lambda w: F.concat(F.aggregate(F.slice(w, 2, F.size(w)), F.array(F.lit("")), step), F.when(F.element_at(w, -1).isin(".", ".."), F.array(F.lit(""))).otherwise(F.array().cast("array<string>")))
+    return F.when(p.contains("/."), F.array_join(let(F.split(p, "/", -1), parts), "/")).otherwise(p)
+
+
 def resource(url: Column) -> Column:
-    """The node of a url: scheme, host, path and query; a fragment names the same resource."""
-    return F.concat(ascii_lower(F.regexp_extract(url, _PARTS, 1)), F.lit("://"), host(url), path(url), F.regexp_extract(url, _PARTS, 4))
+    """The node of a url: scheme, host, path without dot steps and query; an empty path is `/`, a fragment names the same resource."""
+    p = F.when(path(url) == "", "/").otherwise(_undotted(path(url)))
+    return F.concat(ascii_lower(F.regexp_extract(url, _PARTS, 1)), F.lit("://"), host(url), p, F.regexp_extract(url, _PARTS, 4))
+
+
+def decoded(text: Column) -> Column:
+    """text with its HTML entities decoded once, named and numbered."""
+    named = F.from_json(F.lit(_NAMED), "map<string,string>")
+
+    def one(part: Column) -> Column:
+        name = F.regexp_extract(part, r"^(#[xX][0-9A-Fa-f]{1,6};|#[0-9]{1,7};|[A-Za-z0-9]+;)", 1)
+        code = F.when(name.rlike("^#[xX]"), F.conv(F.regexp_extract(name, r"([0-9A-Fa-f]+);$", 1), 16, 10)).otherwise(F.regexp_extract(name, r"([0-9]+);$", 1)).try_cast("long")
+        sign = F.decode(F.unhex(F.lpad(F.hex(code), 8, "0")), "UTF-32")
+        valid = ((code > 0) & (code < 0xD800)) | ((code > 0xDFFF) & (code < 0x110000))
+        value = F.when(name.startswith("#"), F.when(valid, sign)).when(name != "", F.element_at(named, name))
+        return F.coalesce(F.concat(value, part.substr(F.length(name) + 1, F.length(part))), F.concat(F.lit("&"), part))
+
+    parts = lambda w: F.concat(F.slice(w, 1, 1), F.transform(F.slice(w, 2, F.size(w)), one))
+    return F.when(text.contains("&"), F.array_join(let(F.split(text, "&", -1), parts), "")).otherwise(text)
+
+
+def resolved(to: Column, url: Column) -> Column:
+    """A target as read at url; one with another scheme form (`mailto:`) stays as it is."""
+    scheme = F.regexp_extract(url, _PARTS, 1)
+    site = F.concat(scheme, F.lit("://"), F.regexp_extract(url, _PARTS, 2))
+    here, query = path(url), F.regexp_extract(url, _PARTS, 4)
+    there, rest = F.regexp_extract(to, r"^([^?#]*)", 1), F.regexp_extract(to, r"(?s)^[^?#]*(.*)$", 1)
+    folder = F.when(here == "", "/").otherwise(F.regexp_extract(here, r"(?s)^(.*/)", 1))
+    return (
+        F.when(to.rlike(_SCHEME), to)
+        .when(to.startswith("//"), F.concat(scheme, F.lit(":"), to))
+        .when(to.startswith("/"), F.concat(site, _undotted(there), rest))
+        .when(to.startswith("?"), F.concat(site, here, to))
+        .when((to == "") | to.startswith("#"), F.concat(site, here, query, to))
+        .otherwise(F.concat(site, _undotted(F.concat(folder, there)), rest))
+    )
 
 
 def rule_of(h: Column, p: Column, rules=RULES) -> Column:
@@ -42,14 +90,17 @@ def rule_of(h: Column, p: Column, rules=RULES) -> Column:
 def alias_edges(pages: DataFrame, redirects: DataFrame | None = None) -> DataFrame:
     """(a, b): canonical links and refresh redirects in the html, and rows (from_url, to_url) of a crawl's redirects.
 
-    Targets that start with `/` are read against the page's host; other
-    relative targets, and empty or missing html, give no edge."""
-    base = F.concat(F.regexp_extract("url", _PARTS, 1), F.lit("://"), F.regexp_extract("url", _PARTS, 2))
-    found = F.array(F.regexp_extract("html", _CANONICAL, 1), F.regexp_extract("html", _REFRESH, 1))
-    links = pages.where(F.col("html").rlike(r"(?i)canonical|refresh") & F.col("url").contains("://")).select("url", base.alias("base"), F.explode(found).alias("to"))
-    links = links.select("url", F.when(F.col("to").startswith("//"), F.concat(F.regexp_extract("url", _PARTS, 1), F.lit(":"), F.col("to"))).when(F.col("to").startswith("/"), F.concat("base", "to")).otherwise(F.col("to")).alias("to"))
+    Every canonical and refresh target of a page counts; entities are decoded,
+    and relative targets are read against the page's `<base>` or url. Empty or
+    missing html gives no edge."""
+    found = F.concat(F.regexp_extract_all("html", F.lit(_CANONICAL), F.lit(1)), F.regexp_extract_all("html", F.lit(_REFRESH), F.lit(1)))
+    links = pages.where(F.col("html").rlike(r"(?i)canonical|refresh") & F.col("url").contains("://")).select("url", F.array(F.regexp_extract("html", _BASE, 1)).alias("base"), F.explode(found).alias("to"))
+    # A step a column: an expression put into another would be repeated for each mention of it.
+    links = links.select("url", F.explode("base").alias("base"), "to").select("url", decoded(F.col("base")).alias("base"), decoded(F.col("to")).alias("to"))
+    links = links.select("url", let(F.col("base"), lambda b: resolved(b, F.col("url"))).alias("base"), "to")
     if redirects is not None:
-        links = links.unionByName(redirects.select(F.col("from_url").alias("url"), F.col("to_url").alias("to")))
+        links = links.unionByName(redirects.where("to_url is not null").select(F.col("from_url").alias("url"), F.col("from_url").alias("base"), F.col("to_url").alias("to")))
+    links = links.select("url", let(F.struct("to", "base"), lambda x: resolved(x["to"], x["base"])).alias("to"))
     return links.where(F.col("to").contains("://") & F.col("url").contains("://")).select(resource(F.col("url")).alias("a"), resource(F.col("to")).alias("b"), "url", "to")
 
 

@@ -294,6 +294,27 @@ def test_urls(spark):
     assert url_filter.judge_urls(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
 
 
+def test_url_targets(spark):
+    """Relative targets as urllib reads them; entities, empty paths and second links reach their page."""
+    from html import unescape
+    from urllib.parse import urljoin
+
+    urls = ["https://h.io/a/b/c?q=1#f", "https://h.io", "https://h.io/a/"]
+    targets = ["page.html", "?id=5", "../x", "../../../x/", "./", "..", "/a/../b?x=/../y", "//o.io/z", "https://o.io/p", "d/e?u=http://w.io/", "#top", "mailto:a@b.c"]
+    got = spark.createDataFrame([(u, t) for u in urls for t in targets], "url string, t string").select("url", "t", url_filter.resolved(url_filter.F.col("t"), url_filter.F.col("url")).alias("r")).collect()
+    assert [(r["url"], r["t"], r["r"].replace("h.io/#", "h.io#")) for r in got] == [(r["url"], r["t"], urljoin(r["url"], r["t"]).replace("h.io/#", "h.io#").replace("h.io?", "h.io?")) for r in got]
+    coded = ["?a=1&amp;b=2", "a&#38;b&#x26;c", "&eacute;&unknown;&", "&amp;amp;", "&#x1F600;x"]
+    assert [r["d"] for r in spark.createDataFrame([(c,) for c in coded], "c string").select(url_filter.decoded(url_filter.F.col("c")).alias("d")).collect()] == [unescape(c) for c in coded]
+    link = '<link rel="canonical" href="{}">'.format
+    bad = "http://x.example.com/de/s/t"
+    pages = [(0, bad, link("../u") + link("https://two.io/?a=1&amp;b=2") + link("https://three.io")), (1, "http://x.example.com/de/u", ""), (2, "https://two.io/?a=1&b=2", ""), (3, "https://three.io/", ""), (4, "https://five.io/s/p", link("q.html")), (5, "https://five.io/s/q.html", '<meta http-equiv=refresh content="0;url=r"><meta http-equiv=refresh content="0;url=' + bad + '">'), (6, "https://five.io/s/r", ""), (7, "https://five.io/q.html", ""), (8, "https://six.io/a", '<base href="/deep/er/">' + link("x")), (9, "https://six.io/deep/er/x", link(bad))]
+    verdict = {r["page_id"]: r["verdict"] for r in url_filter.judge_urls(spark.createDataFrame(pages, "page_id long, url string, html string")).collect()}
+    assert verdict == {k: "allow" if k == 7 else "block" for k in range(10)}
+    redirects = spark.createDataFrame([(bad, "../../moved")], "from_url string, to_url string")
+    moved = spark.createDataFrame([(1, "http://x.example.com/moved", "")], "page_id long, url string, html string")
+    assert url_filter.judge_urls(moved, redirects=redirects).first()["verdict"] == "block"
+
+
 @pytest.mark.parametrize("block", [16, 1024])
 def test_embeddings(spark, block):
     r = np.random.default_rng(6)
