@@ -191,7 +191,7 @@ def sample_draw(spark, pts):
 
 
 def distance_cost(spark, sf_dir):
-    """Distances of the sampled and the exact peel against all pairs, on line-item vectors: sampled falls with 1/n."""
+    """Distances of the sampled peel against all pairs, on line-item vectors, for two shares."""
     pts = source.stage(source.line_item_vectors(source.table(spark, sf_dir, "lineitem")))
     out = []
     n = pts.count()
