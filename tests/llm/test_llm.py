@@ -269,6 +269,29 @@ def test_quality_rules(docs, empty):
     assert quality_rules.apply_rules(empty).count() == 0
 
 
+def test_rule_cascade(docs, spark):
+    """The order is the same on every run and however rows are dealt; any order gives the same verdicts; names that clash are replaced."""
+    names = [r.name for r in quality_rules.order_rules(docs)]
+    assert sorted(names) == sorted(r.name for r in quality_rules.RULES)
+    assert names == [r.name for r in quality_rules.order_rules(docs.repartition(7, "text"))] == [r.name for r in quality_rules.order_rules(docs)]
+    told = docs.withColumn("failed_rule", docs["rank"])
+    some = by_id(quality_rules.apply_rules(told))
+    other = by_id(quality_rules.cascade(docs, quality_rules.RULES[::-1]))
+    assert {i: r["failed_rule"] is None for i, r in some.items()} == {i: r["failed_rule"] is None for i, r in other.items()}
+    words = " ".join(f"word{i}" for i in range(60))
+    odd = [words, words + " lorem IPSUM", "\n".join(f"- {w}" for w in words.split()), "\n".join(f"{w} {w}x ..." for w in words.split()), " ".join(f"{i}{i}" for i in range(60)), words, None]
+    got = by_id(quality_rules.apply_rules(spark.createDataFrame(list(enumerate(odd)), "doc_id long, text string"), sample_rows=3))
+    assert [got[i]["failed_rule"] for i in range(7)] == [None, "placeholder", "bullet_lines", "ellipsis_lines", "few_letters", None, "few_words"]
+
+
+def test_rule_order_by_hand(spark):
+    """A cheap rule that rejects much comes first; a rule whose rejections are all taken goes last."""
+    rule = lambda name, below, cost: quality_rules.Rule(name, lambda t: t.n_words < below, lambda t: quality_rules.F.lit(cost))
+    rows = spark.createDataFrame([(i, "a " * n) for i, n in enumerate([1, 1, 1, 5, 5, 9, 9, 9])], "doc_id long, text string")
+    made = [rule("dear", 6, 100), rule("cheap", 3, 1), rule("all", 10, 1000), rule("none", 0, 1)]
+    assert [r.name for r in quality_rules.order_rules(rows, made)] == ["cheap", "dear", "all", "none"]
+
+
 def test_classifier(docs, empty, spark):
     good, bad = [PROSE.lower() * k for k in range(1, 25)], [PROSE.upper().replace(" ", "!! ") * k for k in range(1, 25)]
     both = good + bad
