@@ -279,7 +279,7 @@ def test_rule_cascade(docs, spark):
     other = by_id(quality_rules.cascade(docs, quality_rules.RULES[::-1]))
     assert {i: r["failed_rule"] is None for i, r in some.items()} == {i: r["failed_rule"] is None for i, r in other.items()}
     words = " ".join(f"word{i}" for i in range(60))
-    odd = [words, words + " lorem IPSUM", "\n".join(f"- {w}" for w in words.split()), "\n".join(f"{w} {w}x ..." for w in words.split()), " ".join(f"{i}{i}" for i in range(60)), words, None]
+    odd = [words, words + " lorem IPSUM", "\n".join(f"- {w} and {w}x" for w in words.split()), "\n".join(f"{w} {w}x ..." for w in words.split()), " ".join(f"{i}{i}" for i in range(60)), words, None]
     got = by_id(quality_rules.apply_rules(spark.createDataFrame(list(enumerate(odd)), "doc_id long, text string"), sample_rows=3))
     assert [got[i]["failed_rule"] for i in range(7)] == [None, "placeholder", "bullet_lines", "ellipsis_lines", "few_letters", None, "few_words"]
 
