@@ -11,10 +11,14 @@ from .common import shuffle_width, stage, table
 from .components import components
 
 COSINE = 0.98
-#: Leading principal dimensions of the grid; vectors of a sequence block; vectors of a recursion's leaf.
-DIMENSIONS, BLOCK, LEAF = 6, 1024, 64
-#: Vectors to fit the principal dimensions on; they steer the order, never the result.
-SAMPLE = 10_000
+#: Leading principal dimensions of the grid, and of the boxes that bound intervals of the sequence.
+DIMENSIONS, BOXED = 6, 16
+#: Vectors of a sequence block; vectors of a recursion's leaf; vectors of a box; blocks of a run.
+BLOCK, LEAF, BOX, RUN = 1024, 64, 16, 16
+#: Vectors, their bytes and the vector lengths that the principal dimensions are fitted on; they steer the order, never the result.
+SAMPLE, SAMPLE_BYTES, SAMPLE_DIMS = 10_000, 64 << 20, 8
+#: Rows of an equal vector from which its class is broadcast to them; at most one class for each so many of all rows.
+HOT_ROWS, HOT_SHARE = 500, 1000
 
 
 def unit(v: np.ndarray) -> np.ndarray:
@@ -23,16 +27,26 @@ def unit(v: np.ndarray) -> np.ndarray:
     return v / np.sqrt((v * v).sum(axis=1, keepdims=True))
 
 
-def principal(reps: DataFrame, dim: int, dimensions: int, sample: int) -> np.ndarray:
-    """Leading directions of the unit vectors, from at most about `sample` of them."""
-    n = reps.count()
-    rows = reps.where(F.size("v") == dim).sample(min(1.0, sample / max(1, n)), seed=11).select("v").limit(2 * sample).collect()
-    if not rows:
+def principal(reps: DataFrame, dim: int, n: int, dimensions: int, sample: int) -> np.ndarray:
+    """Leading directions of the unit vectors of a length, orthonormal, from at most about `sample` of its n vectors."""
+    most = max(dim, min(sample, SAMPLE_BYTES // (8 * dim)))
+    t = reps.where(F.size("v") == dim).sample(min(1.0, most / max(1, n)), seed=11).select("v").limit(2 * most).toArrow()
+    if not t.num_rows:
         return np.eye(dim)[:, :dimensions]
-    x = unit(np.array([r[0] for r in rows]))
+    x = unit(t.column("v").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, dim))
     return np.linalg.eigh(x.T @ x - len(x) * np.outer(x.mean(0), x.mean(0)))[1][:, ::-1][:, :dimensions]
 
 
+def fit_axes(reps: DataFrame, sample: int) -> dict[int, np.ndarray]:
+    """Directions for the commonest vector lengths; vectors of the others go by their first coordinates."""
+    sizes = reps.groupBy(F.size("v").alias("d")).count().orderBy(F.desc("count"), "d").limit(SAMPLE_DIMS).collect()
+    return {d: principal(reps, d, n, min(d, BOXED), sample) for d, n in sizes}
+
+
+def _axes(axes: dict[int, np.ndarray], d: int) -> np.ndarray:
+    return axes[d] if d in axes else np.eye(d)[:, :BOXED]
+
+
 def _cells(axes: dict[int, np.ndarray], dimensions: int, epsilon: float):
     def run(batches):
         for batch in batches:
@@ -42,7 +56,7 @@ def _cells(axes: dict[int, np.ndarray], dimensions: int, epsilon: float):
             for d in np.unique(size):
                 i = np.flatnonzero(size == d)
                 x = unit(v.take(pa.array(i)).flatten().to_numpy(zero_copy_only=False).reshape(-1, d))
-                at = np.floor(x @ axes[d] / epsilon).astype(np.int32)
+                at = np.floor(x @ _axes(axes, int(d))[:, :dimensions] / epsilon).astype(np.int32)
                 cells[i, : at.shape[1]] = at
             yield pa.RecordBatch.from_arrays([*batch.columns, *[pa.array(cells[:, k]) for k in range(dimensions)]], [*batch.schema.names, *[f"c{k}" for k in range(dimensions)]])
 
@@ -60,12 +74,15 @@ def _wide(v: bytes, dim: int, n: int) -> np.ndarray:
     return np.frombuffer(v, np.float32 if len(v) == 4 * dim * n else np.float64).reshape(-1, dim)
 
 
-def _sequence(block: int, dimensions: int):
+BLOCKS = "block long, part long, run long, label long, dim int, los array<array<double>>, his array<array<double>>, reps binary, ns binary, vs binary"
+
+
+def _sequence(axes: dict[int, np.ndarray], block: int, leaf: int):
     def run(batches):
-        """Cuts a sorted partition into blocks of one label and one dimension."""
+        """Cuts a sorted partition into blocks of one label and one dimension, with a box around each leaf of them."""
         from pyspark import TaskContext
 
-        part, at = TaskContext.get().partitionId() << 32, 0
+        part, at = TaskContext.get().partitionId(), 0
         for batch in batches:
             label, dim = (batch.column(batch.schema.get_field_index(c)).to_numpy(zero_copy_only=False) for c in ("label", "dim"))
             cuts = np.flatnonzero(np.r_[True, (label[1:] != label[:-1]) | (dim[1:] != dim[:-1])]).tolist() + [len(label)]
@@ -74,12 +91,17 @@ def _sequence(block: int, dimensions: int):
                 for i in range(s, e, block):
                     b = batch.slice(i, min(block, e - i))
                     get = lambda c, b=b: b.column(b.schema.get_field_index(c))
+                    d = dim[i].item()
                     v = get("v").flatten().to_numpy(zero_copy_only=False)
-                    cells = np.stack([get(f"c{k}").to_numpy(zero_copy_only=False) for k in range(dimensions)], 1)
-                    rows.append((part + at, label[i].item(), dim[i].item(), cells.min(0).tolist(), cells.max(0).tolist(), get("rep").to_numpy(zero_copy_only=False).tobytes(), get("n").to_numpy(zero_copy_only=False).tobytes(), _narrow(v).tobytes()))
+                    seen = unit(v.reshape(-1, d)) @ _axes(axes, d)
+                    starts = np.arange(0, len(seen), leaf)
+                    lo, hi = np.minimum.reduceat(seen, starts), np.maximum.reduceat(seen, starts)
+                    rows.append((part << 32 | at, part, part << 32 | at // RUN, label[i].item(), d, lo.tolist(), hi.tolist(), get("rep").to_numpy(zero_copy_only=False).tobytes(), get("n").to_numpy(zero_copy_only=False).tobytes(), _narrow(v).tobytes()))
                     at += 1
             if rows:
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int32(), pa.list_(pa.int32()), pa.list_(pa.int32()), pa.binary(), pa.binary(), pa.binary()), strict=True)], ["block", "label", "dim", "lo", "hi", "reps", "ns", "vs"])
+                box = pa.list_(pa.list_(pa.float64()))
+                kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), box, box, pa.binary(), pa.binary(), pa.binary())
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], [c.split()[0] for c in BLOCKS.split(", ")])
 
     return run
 
@@ -165,18 +187,85 @@ def _join(cosine: float):
     return run
 
 
-def block_pairs(blocks: DataFrame) -> DataFrame:
-    """Pairs of blocks, each once, whose cells are within one in every dimension of the grid.
+def _near(reach: float):
+    """Whether two boxes of projections come within reach: projections never lie further apart than what they are of."""
+    gaps = F.zip_with(F.zip_with("a_lo", "b_hi", lambda x, y: x - y), F.zip_with("b_lo", "a_hi", lambda x, y: x - y), lambda x, y: F.greatest(x, y, F.lit(0.0)))
+    return F.aggregate(gaps, F.lit(0.0), lambda s, x: s + x * x) <= reach * reach * (1 + 1e-6) + 1e-12
+
+
+def block_pairs(blocks: DataFrame, reach: float) -> DataFrame:
+    """(a_block, b_block): pairs of blocks of a label and a vector length, each once, that may hold a link.
+
+    Intervals of the sequence are joined from whole partitions down to runs of
+    blocks, blocks and leaves; a pair goes down a level only if its boxes come
+    within reach. Boxes travel, vectors don't."""
+    leaves = blocks.select("label", "dim", "part", "run", "block", F.posexplode(F.arrays_zip(F.col("los").alias("lo"), F.col("his").alias("hi"))).alias("leaf", "x")).select("*", "x.lo", "x.hi").drop("x")
+    leaves = stage(leaves.withColumn("leaf", F.struct("block", "leaf")))
+
+    def interval(keys: list[str], name: str) -> DataFrame:
+        if name == "leaf":
+            return leaves.select(*keys, F.col("leaf").alias("id"), "lo", "hi")
+        flat = leaves.select(*keys, F.col(name).alias("id"), F.posexplode(F.arrays_zip("lo", "hi")).alias("k", "x"))
+        box = flat.groupBy(*keys, "id", "k").agg(F.min("x.lo").alias("lo"), F.max("x.hi").alias("hi")).groupBy(*keys, "id").agg(F.array_sort(F.collect_list(F.struct("k", "lo", "hi"))).alias("box"))
+        return box.select(*keys, "id", F.transform("box", lambda x: x["lo"]).alias("lo"), F.transform("box", lambda x: x["hi"]).alias("hi"))
+
+    side = lambda df, n: df.select(*[F.col(c).alias(f"{n}_{c}") for c in df.columns])
+    top = interval(["label", "dim"], "part")
+    same = (F.col("a_label") == F.col("b_label")) & (F.col("a_dim") == F.col("b_dim"))
+    pairs = side(top, "a").join(side(top, "b"), same & (F.col("a_id") <= F.col("b_id"))).where(_near(reach))
+    pairs = pairs.select("a_label", "a_dim", F.col("a_id").alias("a_up"), F.col("b_id").alias("b_up"))
+    for up, name in (("part", "run"), ("run", "block"), ("block", "leaf")):
+        below = interval(["label", "dim", up], name).withColumnRenamed(up, "up")
+        a, b = (side(below, n) for n in "ab")
+        met = pairs.join(a, ["a_label", "a_dim", "a_up"]).join(b, (F.col("a_label") == F.col("b_label")) & (F.col("a_dim") == F.col("b_dim")) & (pairs["b_up"] == b["b_up"]))
+        found = met.where((F.col("a_id") <= F.col("b_id")) & _near(reach))
+        if name == "leaf":
+            return found.select(F.col("a_id.block").alias("a_block"), F.col("b_id.block").alias("b_block")).distinct()
+        pairs = stage(found.select("a_label", "a_dim", F.col("a_id").alias("a_up"), F.col("b_id").alias("b_up")))
+
+
+def sequence(reps: DataFrame, reach: float, dimensions: int, block: int, sample: int) -> DataFrame:
+    """Blocks of the epsilon grid order: vectors sorted by their cells on leading principal dimensions."""
+    axes = fit_axes(reps, sample)
+    order = ["label", "dim", *[f"c{k}" for k in range(dimensions)], "rep"]
+    schema = "label long, v array<double>, rep long, n long, dim int, " + ", ".join(f"c{k} int" for k in range(dimensions))
+    celled = reps.select("label", "v", "rep", "n", F.size("v").alias("dim")).mapInArrow(_cells(axes, dimensions, reach * (1 + 1e-9) + 1e-12), schema)
+    ordered = celled.repartitionByRange(shuffle_width(reps.sparkSession), *order).sortWithinPartitions(*order)
+    return stage(ordered.mapInArrow(_sequence(axes, block, BOX), BLOCKS))
+
+
+def classes_of(rows: DataFrame, cosine: float, dimensions: int = DIMENSIONS, block: int = BLOCK, sample: int = SAMPLE):
+    """(reps, blocks, pairs): equal vectors of a label as one, their sequence, and the pairs of blocks to compare."""
+    reach = float(np.sqrt(2 - 2 * cosine))
+    reps = stage(rows.where("good").groupBy("label", "v").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("n")))
+    blocks = sequence(reps, reach, dimensions, block, sample)
+    return reps, blocks, stage(block_pairs(blocks, reach))
+
 
-    Blocks meet on the first cell of the leading dimension that both reach, so
-    no pair of blocks further apart there is ever formed."""
-    meta = blocks.select("block", "label", "dim", "lo", "hi")
-    a = meta.select(*[F.col(c).alias(f"a_{c}") for c in meta.columns], F.explode(F.sequence(F.col("lo")[0] - 1, F.col("hi")[0] + 1)).alias("a_cell"))
-    b = meta.select(*[F.col(c).alias(f"b_{c}") for c in meta.columns], F.explode(F.sequence(F.col("lo")[0], F.col("hi")[0])).alias("b_cell"))
-    once = F.col("a_cell") == F.greatest(F.col("a_lo")[0] - 1, F.col("b_lo")[0])
-    near = F.forall(F.zip_with("a_lo", "b_hi", lambda x, y: x - 1 <= y), lambda x: x) & F.forall(F.zip_with("b_lo", "a_hi", lambda x, y: x - 1 <= y), lambda x: x)
-    on = (F.col("a_label") == F.col("b_label")) & (F.col("a_dim") == F.col("b_dim")) & (F.col("a_cell") == F.col("b_cell")) & (F.col("a_block") <= F.col("b_block"))
-    return a.join(b, on & once & near).select("a_block", "b_block")
+def pairs_report(blocks: DataFrame, pairs: DataFrame) -> DataFrame:
+    """One row: pairs of blocks that were formed, and all pairs within labels."""
+    every = blocks.groupBy("label", "dim").agg(F.count(F.lit(1)).alias("m")).agg(F.coalesce(F.sum(F.expr("m * (m + 1) div 2")), F.lit(0)).alias("every"))
+    return pairs.agg(F.count(F.lit(1)).alias("formed")).crossJoin(every)
+
+
+def checked(rows: DataFrame) -> DataFrame:
+    """(vec_id, label, v, good)"""
+    v = F.col("embedding").cast("array<double>")
+    good = F.col("vec_id").isNotNull() & F.col("label").isNotNull() & v.isNotNull() & F.forall(v, lambda x: F.coalesce(~F.isnan(x) & (F.abs(x) < float("inf")), F.lit(False))) & F.exists(v, lambda x: x != 0)
+    return rows.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("label").cast("long").alias("label"), v.alias("v"), F.coalesce(good, F.lit(False)).alias("good"))
+
+
+def _attach(cast: DataFrame, classes: DataFrame) -> DataFrame:
+    """cast with its classes (_label, _v, _n, ...) by vector: classes of many rows are broadcast, as there are HOT_SHARE of
+    them at the most, and their rows stay where they are; the others meet by a shuffle."""
+    total = classes.agg(F.coalesce(F.sum("_n"), F.lit(0))).first()[0]
+    cut = max(HOT_ROWS, total // HOT_SHARE)
+    on = F.col("good") & (F.col("label") == F.col("_label")) & (F.col("v") == F.col("_v"))
+    if total <= cut:
+        return cast.join(classes, on, "left")
+    met = cast.join(F.broadcast(classes.where(F.col("_n") > cut)), on, "left")
+    hot = met.where("_label is not null")
+    return met.where("_label is null").select(*cast.columns).join(classes.where(F.col("_n") <= cut), on, "left").unionByName(hot)
 
 
 def link_vectors(rows: DataFrame, cosine: float = COSINE, dimensions: int = DIMENSIONS, block: int = BLOCK, sample: int = SAMPLE) -> DataFrame:
@@ -186,30 +275,19 @@ def link_vectors(rows: DataFrame, cosine: float = COSINE, dimensions: int = DIME
     least `cosine` (0 to 1). Equal vectors of a label collapse to a class with a
     count before the join. A row without id or label, or with a null, empty,
     zero or non-finite vector links nothing: 0 links, its own component.
-    Repeated rows are vectors of their own; an empty table gives no rows."""
-    v = F.col("embedding").cast("array<double>")
-    good = F.col("vec_id").isNotNull() & F.col("label").isNotNull() & v.isNotNull() & F.forall(v, lambda x: F.coalesce(~F.isnan(x) & (F.abs(x) < float("inf")), F.lit(False))) & F.exists(v, lambda x: x != 0)
-    cast = rows.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("label").cast("long").alias("label"), v.alias("v"), F.coalesce(good, F.lit(False)).alias("good"))
-    spark = rows.sparkSession
-    reps = stage(cast.where("good").groupBy("label", "v").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("n")))
-    dims = [r[0] for r in reps.select(F.size("v")).distinct().collect()]
-    axes = {d: principal(reps, d, min(d, dimensions), sample) for d in dims}
-    epsilon = float(np.sqrt(2 - 2 * cosine)) * (1 + 1e-9) + 1e-12
-    order = ["label", "dim", *[f"c{k}" for k in range(dimensions)], "rep"]
-    schema = "label long, v array<double>, rep long, n long, dim int, " + ", ".join(f"c{k} int" for k in range(dimensions))
-    celled = reps.select("label", "v", "rep", "n", F.size("v").alias("dim")).mapInArrow(_cells(axes, dimensions, epsilon), schema)
-    ordered = celled.repartitionByRange(shuffle_width(spark), *order).sortWithinPartitions(*order)
-    blocks = stage(ordered.mapInArrow(_sequence(block, dimensions), "block long, label long, dim int, lo array<int>, hi array<int>, reps binary, ns binary, vs binary"))
+    Repeated rows are vectors of their own; an empty table gives no rows; other
+    columns are left out, whatever their names."""
+    cast = checked(rows)
+    reps, blocks, pairs = classes_of(cast, cosine, dimensions, block, sample)
     one = blocks.select(F.col("block").alias("a_block"), "dim", F.col("reps").alias("r1"), F.col("ns").alias("n1"), F.col("vs").alias("v1"))
     two = blocks.select(F.col("block").alias("b_block"), F.col("reps").alias("r2"), F.col("ns").alias("n2"), F.col("vs").alias("v2"))
-    pairs = stage(block_pairs(blocks))
     sides = pairs.join(one, "a_block").join(two, "b_block").withColumn("same", F.col("a_block") == F.col("b_block"))
     found = stage(sides.select("same", "dim", "r1", "n1", "v1", "r2", "n2", "v2").mapInArrow(_join(cosine), "a long, b long, links long"))
     links = found.where("b is null").groupBy("a").agg(F.sum("links").alias("links"))
     groups = components(found.where("b is not null").select("a", "b"))
     classes = reps.join(links, F.col("rep") == F.col("a"), "left").join(groups, F.col("rep") == F.col("node"), "left")
-    classes = classes.select(F.col("label").alias("_label"), F.col("v").alias("_v"), (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("_links"), F.coalesce("component", "rep").alias("_component"))
-    out = cast.join(classes, F.col("good") & (F.col("label") == F.col("_label")) & (F.col("v") == F.col("_v")), "left")
+    classes = classes.select(F.col("label").alias("_label"), F.col("v").alias("_v"), F.col("n").alias("_n"), (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("_links"), F.coalesce("component", "rep").alias("_component"))
+    out = _attach(cast, stage(classes))
     return out.select("vec_id", F.coalesce("_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("_component", "vec_id").alias("component_id"))
 
 

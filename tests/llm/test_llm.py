@@ -356,3 +356,23 @@ def test_embeddings(spark, block):
             group[group == max(group[i], group[j])] = min(group[i], group[j])
     assert [(got[i]["n_links"], got[i]["component_id"]) for i in range(n)] == [(int(near[i].sum()) - 1, int(group[i])) for i in range(n)]
     assert all((got[i]["n_links"], got[i]["component_id"]) == (0, i) for i in range(n, n + 7))
+
+
+def test_embedding_blocks_are_skipped(spark, empty):
+    """On clustered vectors most pairs of blocks are never formed; repeated rows beyond the broadcast bound and other columns do no harm."""
+    r = np.random.default_rng(8)
+    centres = r.normal(size=(64, 32))
+    vecs = np.repeat(centres, 40, axis=0) + r.normal(size=(2560, 32)) * 0.03
+    rows = [(i, [float(x) for x in v], 0, 1, "x", 2) for i, v in enumerate(vecs)]
+    rows += [(len(rows) + i, rows[0][1], 0, 1, "x", 2) for i in range(700)]
+    table = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int, n long, block string, rep int")
+    _, blocks, pairs = embedding_dedup.classes_of(embedding_dedup.checked(table), 0.98, block=64)
+    formed, every = embedding_dedup.pairs_report(blocks, pairs).first()
+    assert blocks.count() <= formed < every / 4
+    got = {x["vec_id"]: x for x in embedding_dedup.link_vectors(table, block=64).collect()}
+    u = vecs / np.linalg.norm(vecs, axis=1, keepdims=True)
+    near = u @ u.T >= 0.98
+    assert len(got) == len(rows) and all(got[i]["n_links"] == near[i].sum() - 1 + (700 if near[i, 0] else 0) for i in range(0, 2560, 7))
+    assert all(got[i]["component_id"] == 0 for i in range(2560, 3260))
+    none = spark.createDataFrame([], "vec_id long, embedding array<float>, label int")
+    assert embedding_dedup.link_vectors(none).count() == 0
