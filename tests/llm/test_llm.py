@@ -149,6 +149,32 @@ def test_license_of_many_notices(spark):
     assert got[2]["labels"] == "bsd,cc-by,gpl-3,mit"
 
 
+def test_license_by_brute_force(docs, spark):
+    """Places, labels and weighted shares of whole and cut licences among other texts, nulls, ties and clashing columns."""
+    words = lambda t: re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", lower(t))
+    full = [t.text for t in license_scan.TEMPLATES]
+    rows = [None, "", *full, *[t[: len(t) // 2] for t in full], *[t[len(t) // 5 :] for t in full], " / ".join(full), *texts()[:12], "under the mit license " * 300, full[13], full[13]]
+    table = spark.createDataFrame([(i, t, 7, "no") for i, t in enumerate(rows)], "doc_id long, text string, n_words int, labels string").repartition(5)
+    got = by_id(license_scan.scan_licenses(table))
+    held = collections.Counter(w for t in rows for w in set(words(t)))
+    weight = {w: 1 + math.log((len(rows) + 1) / (n + 1)) for w, n in held.items()}
+    find = lambda w, p: [i for i in range(len(w) - len(p) + 1) if w[i : i + len(p)] == p]
+    for i, t in enumerate(rows):
+        w, labels, share = words(t), set(), 0.0
+        base = {label: find(w, p.split()) for p, label in license_scan.BASE}
+        for x in license_scan.TEMPLATES:
+            own = [(q, y, weight[y]) for q, y in enumerate(x.words()) if y not in license_scan.STOP]
+            for s in find(w, x.key.split()):
+                labels.add(x.label)
+                o = s - x.key_place()
+                share = max(share, sum(v for q, y, v in own if 0 <= o + q < len(w) and w[o + q] == y) / sum(v for _, _, v in own))
+        places = sorted(p for ps in base.values() for p in ps)
+        mine = {k for k, ps in base.items() if ps}
+        assert (got[i]["n_words"], got[i]["n_base"], got[i]["first_word"], got[i]["last_word"]) == (len(w), len(places), places[0] if places else None, places[-1] if places else None)
+        assert (got[i]["base_labels"], got[i]["labels"]) == (",".join(sorted(mine)), ",".join(sorted(mine | labels))), i
+        assert got[i]["score"] == pytest.approx(1.0 if mine else min(share, 1.0))
+
+
 def test_induced_sort():
     r = np.random.default_rng(1)
     for k in range(120):
