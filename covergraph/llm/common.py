@@ -5,6 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -48,10 +49,34 @@ def stage(df: DataFrame) -> DataFrame:
 
 
 def bucketed(df: DataFrame, key: str, prefix: str) -> DataFrame:
-    """Writes df as a table in the shared folder, bucketed by key: what meets it by that key travels to it, and it stays where it is."""
+    """Writes df as a table in the shared folder, bucketed by key: what meets it by that key travels to it, and it stays where it is.
+
+    The catalog forgets the table at once; plans made from the result know its files and buckets."""
     spark, name = df.sparkSession, f"{prefix}_{uuid.uuid4().hex}"
     df.write.bucketBy(shuffle_width(spark), key).sortBy(key).format("parquet").option("compression", "zstd").option("path", f"{shared_dir(spark)}/{name}").saveAsTable(name)
-    return spark.table(name)
+    out = spark.table(name)
+    spark.sql(f"DROP TABLE {name}")
+    return out
+
+
+def scratch_dir(spark: SparkSession) -> str | None:
+    """Where a task may keep files that only it reads: the shared folder if that is mounted, else None, the executor's own spill folder."""
+    found = shared_dir(spark)
+    return found.removeprefix("file://").removeprefix("file:") if found.startswith(("file:", "/")) else None
+
+
+def squeeze(x) -> bytes:
+    """Bytes of equal weight side by side, then zstd: rising or small numbers leave their high bytes empty."""
+    from zstandard import ZstdCompressor
+
+    return ZstdCompressor(level=1).compress(np.ascontiguousarray(np.ascontiguousarray(x).view(np.uint8).reshape(len(x), -1).T).tobytes() if len(x) else b"")
+
+
+def unsqueeze(b: bytes, kind):
+    from zstandard import ZstdDecompressor
+
+    raw = np.frombuffer(ZstdDecompressor().decompress(b), np.uint8).reshape(np.dtype(kind).itemsize, -1)
+    return np.ascontiguousarray(raw.T).view(kind).ravel()
 
 
 def discard(*frames: DataFrame) -> None:

@@ -21,8 +21,8 @@ NONE = 255
 class LetterQueue:
     """Monotone priority queue: tuples leave by letter, and within a letter in the order they came."""
 
-    def __init__(self, memory: int = MEMORY):
-        self.memory, self.held, self.file = memory, 0, None
+    def __init__(self, memory: int = MEMORY, scratch: str | None = None):
+        self.memory, self.scratch, self.held, self.file = memory, scratch, 0, None
         self.live: dict[int, list] = {}
         self.spilled: dict[int, list[tuple[int, int]]] = {}
 
@@ -36,7 +36,7 @@ class LetterQueue:
             self.spill()
 
     def spill(self) -> None:
-        self.file = self.file or tempfile.TemporaryFile()
+        self.file = self.file or tempfile.TemporaryFile(dir=self.scratch or os.environ.get("SPARK_LOCAL_DIRS", "").split(",")[0] or None)
         self.file.seek(0, os.SEEK_END)
         for letter, parts in self.live.items():
             places, common = (np.concatenate(x) for x in zip(*parts, strict=True))
@@ -109,7 +109,7 @@ class _Least:
         return np.minimum(out + 1, self.depth).astype(np.uint8)
 
 
-def induce(t: np.ndarray, up: np.ndarray, seeds: np.ndarray, seed_common: np.ndarray | None, depth: int, memory: int = MEMORY) -> tuple[np.ndarray, np.ndarray]:
+def induce(t: np.ndarray, up: np.ndarray, seeds: np.ndarray, seed_common: np.ndarray | None, depth: int, memory: int = MEMORY, scratch: str | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Order of all suffixes and each one's common prefix with the one before, from the order of the seeds."""
     letters = int(t.max()) + 1
     run = runs_of(t, depth)
@@ -117,7 +117,7 @@ def induce(t: np.ndarray, up: np.ndarray, seeds: np.ndarray, seed_common: np.nda
     seed_letter = t[seeds]
     at = np.searchsorted(seed_letter, np.arange(letters + 1))
     present = np.unique(t)
-    queue, done = LetterQueue(memory), LetterQueue(memory)
+    queue, done = LetterQueue(memory, scratch), LetterQueue(memory, scratch)
 
     def send(places, common, keep, least):
         source = np.flatnonzero(places > 0)
@@ -205,7 +205,7 @@ def agree(t: np.ndarray, a: np.ndarray, b: np.ndarray, depth: int) -> np.ndarray
     return out
 
 
-def suffixes(t: np.ndarray, depth: int, memory: int = MEMORY, internal: int = INTERNAL) -> tuple[np.ndarray, np.ndarray]:
+def suffixes(t: np.ndarray, depth: int, memory: int = MEMORY, internal: int = INTERNAL, scratch: str | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Order of the suffixes of t by their first `depth` letters at least, and common prefixes, at most `depth` (under 255).
 
     t ends with its only 0. Seeds get names by sorting the substrings between
@@ -217,7 +217,7 @@ def suffixes(t: np.ndarray, depth: int, memory: int = MEMORY, internal: int = IN
     if not len(seeds):
         return np.arange(len(t))[::-1], np.r_[0, agree(t, np.arange(len(t))[:0:-1], np.arange(len(t) - 1)[::-1], depth)].astype(np.uint8)
     by_letter = seeds[np.argsort(t[seeds], kind="stable")]
-    order, _ = induce(t, up, by_letter, None, depth, memory)
+    order, _ = induce(t, up, by_letter, None, depth, memory, scratch)
     is_seed = np.zeros(len(t), bool)
     is_seed[seeds] = True
     ranked = order[is_seed[order]]
@@ -232,7 +232,7 @@ def suffixes(t: np.ndarray, depth: int, memory: int = MEMORY, internal: int = IN
     reduced = names[seeds]
     if same.any():
         whole = depth // 2 + 2  # a name adds two letters at least
-        inner = suffixes(reduced, min(whole, 254), memory, internal)[0] if len(reduced) > internal else doubling(reduced, whole)
+        inner = suffixes(reduced, min(whole, 254), memory, internal, scratch)[0] if len(reduced) > internal else doubling(reduced, whole)
         ranked = seeds[inner]
     common = np.r_[0, agree(t, ranked[:-1], ranked[1:], depth)].astype(np.uint8)
-    return induce(t, up, ranked, common, depth, memory)
+    return induce(t, up, ranked, common, depth, memory, scratch)

@@ -19,44 +19,92 @@ import pyarrow.ipc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bucketed, shuffle_width, stage, table
+from .common import bucketed, scratch_dir, shuffle_width, squeeze, stage, table, unsqueeze
 from .induced_sort import suffixes
 
 LENGTH = 50
-#: Bytes of a minimizer; bytes of text in a block (a longer document is one); windows hashed at once.
-ANCHOR, BLOCK, STRETCH = 16, 8 << 20, (1 << 20) - 256
+#: Bytes of a minimizer; bytes of text in a block (a longer document is one); windows hashed at once; bytes of text to a shard.
+ANCHOR, BLOCK, STRETCH, SHARD = 16, 8 << 20, (1 << 20) - 256, 16 << 20
 NO_ID = np.iinfo(np.int64).max
 
 
-def _pack(batches):
-    """Blocks of whole documents, their other columns as an Arrow stream."""
-    from pyspark import TaskContext
-
-    part, at, held, size = TaskContext.get().partitionId() << 32, 0, [], 0
-
-    def flush(rows):
-        whole = pa.Table.from_batches(rows).combine_chunks()
-        text = whole.column("_bytes").to_pylist()
-        rest = whole.drop_columns(["_bytes", "_id"])
-        sink = pa.BufferOutputStream()
-        with pa.ipc.new_stream(sink, rest.schema) as w:
-            w.write_table(rest)
-        ids = np.array([NO_ID if x is None else x for x in whole.column("_id").to_pylist()], np.int64)
-        row = (part + at, b"".join(x or b"" for x in text), np.cumsum([len(x or b"") for x in text], dtype=np.int64).tobytes(), ids.tobytes(), sink.getvalue().to_pybytes())
-        return pa.RecordBatch.from_arrays([pa.array([x], pa.binary() if i else pa.int64()) for i, x in enumerate(row)], ["block", "text", "ends", "ids", "rest"])
-
-    for batch in batches:
-        lengths = pa.compute.fill_null(pa.compute.binary_length(batch.column(batch.schema.get_field_index("_bytes"))), 0).to_pylist()
-        start = 0
-        for i, n in enumerate(lengths):
-            if size and size + n > BLOCK:
-                held.append(batch.slice(start, i - start))
-                yield flush(held)
-                at, held, size, start = at + 1, [], 0, i
-            size += n
-        held.append(batch.slice(start))
-    if sum(b.num_rows for b in held):
-        yield flush(held)
+BLOCKS = "block long, bytes long, text binary, ends binary, ids binary, segments binary, rest binary"
+
+
+def _pack(length: int):
+    def pack(batches):
+        """Blocks of whole documents with their segments, their other columns as an Arrow stream."""
+        from pyspark import TaskContext
+
+        part, at, held, size = TaskContext.get().partitionId() << 32, 0, [], 0
+
+        def flush(rows):
+            whole = pa.Table.from_batches(rows).combine_chunks()
+            texts = whole.column("_bytes").to_pylist()
+            rest = whole.drop_columns(["_bytes", "_id"])
+            sink = pa.BufferOutputStream()
+            with pa.ipc.new_stream(sink, rest.schema) as w:
+                w.write_table(rest)
+            ids = np.array([NO_ID if x is None else x for x in whole.column("_id").to_pylist()], np.int64)
+            text, ends = b"".join(x or b"" for x in texts), np.cumsum([len(x or b"") for x in texts], dtype=np.int64)
+            row = (part + at, len(text), text, ends.tobytes(), ids.tobytes(), segments(text, ends, length), sink.getvalue().to_pybytes())
+            names = [c.split() for c in BLOCKS.split(", ")]
+            return pa.RecordBatch.from_arrays([pa.array([x], pa.int64() if k == "long" else pa.binary()) for x, (_, k) in zip(row, names, strict=True)], [n for n, _ in names])
+
+        for batch in batches:
+            lengths = pa.compute.fill_null(pa.compute.binary_length(batch.column(batch.schema.get_field_index("_bytes"))), 0).to_pylist()
+            start = 0
+            for i, n in enumerate(lengths):
+                if size and size + n > BLOCK:
+                    held.append(batch.slice(start, i - start))
+                    yield flush(held)
+                    at, held, size, start = at + 1, [], 0, i
+                size += n
+            held.append(batch.slice(start))
+        if sum(b.num_rows for b in held):
+            yield flush(held)
+
+    return pack
+
+
+def segments(text: bytes, ends: np.ndarray, length: int) -> bytes:
+    """Runs of windows with one minimizer: gaps between their first windows, windows, and the minimizer's place in them; built once, a few bytes each."""
+    n = len(text) - length + 1
+    stop = np.repeat(ends, np.diff(np.r_[0, ends])) if n > 0 else ends
+    parts = [_stretch(text, s, min(STRETCH, n - s), stop, length) for s in range(0, n, STRETCH)]
+    start, run, anchor = (np.concatenate([p[i] for p in parts]) if parts else np.empty(0, np.int64) for i in range(3))
+    gaps = squeeze(np.diff(start, prepend=0))
+    return len(start).to_bytes(8, "little") + len(gaps).to_bytes(8, "little") + gaps + squeeze(run.astype(np.uint8)) + (anchor - start).astype(np.uint8).tobytes()
+
+
+def _hash(text: bytes, places) -> np.ndarray:
+    """64-bit hashes of the ANCHOR bytes at places, an array or a slice."""
+    n = len(text) - 7
+    h = None
+    for offset, by in ((0, 0x9E3779B97F4A7C15), (8, 0xC2B2AE3D27D4EB4F)):
+        eight = np.ndarray((n - offset,), "<u8", text, offset, (1,))[places] * np.uint64(by)
+        h = eight if h is None else h ^ eight
+        h ^= h >> np.uint64(29)
+        h *= np.uint64(0xD6E8FEB86659FD93)
+    return h ^ h >> np.uint64(32)
+
+
+def _stretch(text: bytes, s: int, n: int, stop: np.ndarray, length: int):
+    """(first window, windows, minimizer's place) of the segments of n windows from s on."""
+    low = np.uint64((1 << 20) - 1)
+    places = n + length - ANCHOR
+    h = _hash(text, slice(s, s + places))
+    least, width, whole = h & ~low | np.arange(places, dtype=np.uint64), 1, length - ANCHOR + 1
+    while 2 * width <= whole:
+        least = np.minimum(least[:-width], least[width:])
+        width *= 2
+    if width < whole:
+        least = np.minimum(least[: len(least) - (whole - width)], least[whole - width :])
+    inside = np.arange(s + length, s + length + n) <= stop[s : s + n]
+    first = np.flatnonzero(np.r_[True, (least[1:] != least[:-1]) | (inside[1:] != inside[:-1])])
+    run = np.diff(np.r_[first, n])
+    first, run = first[inside[first]], run[inside[first]]
+    return first + s, run, (least[first] & low).astype(np.int64) + s
 
 
 class Block:
@@ -67,38 +115,14 @@ class Block:
         self.id = row.column("block")[0].as_py()
         self.text = row.column("text")[0].as_py()
         self.ends, self.ids = (np.frombuffer(row.column(c)[0].as_py(), np.int64) for c in ("ends", "ids"))
-        n = len(self.text) - length + 1
-        parts = []
-        if n > 0:
-            stop = np.repeat(self.ends, np.diff(np.r_[0, self.ends]))
-            for s in range(0, n, STRETCH):
-                parts.append(self.stretch(s, min(STRETCH, n - s), stop))
-        cat = lambda i, kind: np.concatenate([p[i] for p in parts]) if parts else np.empty(0, kind)
-        self.start, self.run, self.anchor, self.hash = cat(0, np.int64), cat(1, np.int64), cat(2, np.int64), cat(3, np.uint64)
+        packed = row.column("segments")[0].as_py()
+        n, gaps = int.from_bytes(packed[:8], "little"), int.from_bytes(packed[8:16], "little")
+        self.start = np.cumsum(unsqueeze(packed[16 : 16 + gaps], np.int64))
+        self.run = unsqueeze(packed[16 + gaps : len(packed) - n], np.uint8).astype(np.int64)
+        self.anchor = self.start + np.frombuffer(packed[len(packed) - n :], np.uint8)
+        self.hash = _hash(self.text, self.anchor) if n else np.empty(0, np.uint64)
         self.doc = np.searchsorted(self.ends, self.start, "right")
 
-    def stretch(self, s: int, n: int, stop: np.ndarray):
-        low = np.uint64((1 << 20) - 1)
-        places = n + self.length - ANCHOR
-        h = np.zeros(places, np.uint64)
-        for offset, by in ((0, 0x9E3779B97F4A7C15), (8, 0xC2B2AE3D27D4EB4F)):
-            h ^= np.ndarray((places,), "<u8", self.text, s + offset, (1,)) * np.uint64(by)
-            h ^= h >> np.uint64(29)
-            h *= np.uint64(0xD6E8FEB86659FD93)
-        h ^= h >> np.uint64(32)
-        least, width, whole = h & ~low | np.arange(places, dtype=np.uint64), 1, self.length - ANCHOR + 1
-        while 2 * width <= whole:
-            least = np.minimum(least[:-width], least[width:])
-            width *= 2
-        if width < whole:
-            least = np.minimum(least[: len(least) - (whole - width)], least[whole - width :])
-        inside = np.arange(s + self.length, s + self.length + n) <= stop[s : s + n]
-        first = np.flatnonzero(np.r_[True, (least[1:] != least[:-1]) | (inside[1:] != inside[:-1])])
-        run = np.diff(np.r_[first, n])
-        first, run = first[inside[first]], run[inside[first]]
-        at = (least[first] & low).astype(np.int64)
-        return first + s, run, at + s, h[at]
-
     def content(self, i: int) -> bytes:
         return self.text[self.start[i] : self.start[i] + self.run[i] + self.length - 1]
 
@@ -188,7 +212,7 @@ def _ranges(starts: np.ndarray, counts: np.ndarray) -> np.ndarray:
     return np.repeat(starts - np.r_[0, np.cumsum(counts)[:-1]], counts) + np.arange(counts.sum())
 
 
-def _sort(length: int):
+def _sort(length: int, scratch: str | None):
     def sort(group: pa.Table) -> pa.Table:
         """One shard: the smallest id in which each window stands, and for each block which windows of its segments stand in a smaller one."""
         from zstandard import ZstdDecompressor
@@ -215,7 +239,7 @@ def _sort(length: int):
             sizes = run[chosen].astype(np.int64) + length
             ends = np.cumsum(sizes)
             t[ends - 1] = 1  # no match crosses a segment's end
-            order, common = suffixes(np.r_[t, 0], length)
+            order, common = suffixes(np.r_[t, 0], length, scratch=scratch)
             owner = np.full(len(t) + 1, NO_ID)
             places = _ranges(ends - sizes, run[chosen].astype(np.int64))
             owner[places] = np.repeat(least[chosen], run[chosen])
@@ -280,11 +304,11 @@ def _finish(length: int, shards: int, digest: bool, names: list[str]):
         rest = pa.ipc.open_stream(blocks.column("rest")[0].as_py()).read_all()
         if digest:
             left = [kept[s:e][~gone[s:e]].tobytes() if r else b.text[s:e] for s, e, r in zip(starts, ends, n_removed, strict=True)]
-            new = {"n_bytes": pa.array(ends - starts), "n_removed": pa.array(n_removed), "n_spans": pa.array(spans[ends] - spans[starts]), "kept_sha256": pa.array([hashlib.sha256(x).hexdigest() for x in left])}
+            new = {"_n_bytes": pa.array(ends - starts), "_n_removed": pa.array(n_removed), "_n_spans": pa.array(spans[ends] - spans[starts]), "_kept_sha256": pa.array([hashlib.sha256(x).hexdigest() for x in left])}
         else:
             inner = (kept & 0xC0) == 0x80
             gone = whole_characters(gone, inner)
-            new = {"text": pa.array([kept[s:e][~gone[s:e]].tobytes().decode("utf-8", "replace") for s, e in zip(starts, ends, strict=True)])}
+            new = {"_text": pa.array([kept[s:e][~gone[s:e]].tobytes().decode("utf-8", "replace") for s, e in zip(starts, ends, strict=True)])}
         return pa.table({c: new[c] if c in new else rest.column(c) for c in names})
 
     return finish
@@ -304,26 +328,35 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, digest: bool = False)
     """docs with every byte removed that a string of `length` (32 to 254) bytes covers which also starts in a document of smaller doc_id.
 
     digest: the other columns with n_bytes, n_removed, n_spans and kept_sha256
-    instead of the text; else the text keeps whole characters (one that would be
+    (replaced where the caller has such) instead of the text; else the text keeps whole characters (one that would be
     cut stays), null becomes empty. A null doc_id comes after all others; rows of
     one id don't remove each other's bytes; an empty table gives no rows. Blocks
     of text lie in a table in the shared folder, bucketed by block, so answers
     travel to the text and not the text to them."""
     spark = docs.sparkSession
-    shards = shuffle_width(spark)
-    rest = [c for c in docs.columns if c != "text"]
-    packed = docs.select(*rest, F.col("doc_id").cast("long").alias("_id"), F.col("text").cast("binary").alias("_bytes")).mapInArrow(_pack, "block long, text binary, ends binary, ids binary, rest binary")
+    names = docs.columns
+    kept = [f"_c{i}" for i, c in enumerate(names) if c != "text"]  # the caller's names may clash with ours, these don't
+    rest = [c for c in names if c != "text"]
+    packed = docs.select(*[F.col(f"`{c}`").alias(k) for k, c in zip(kept, rest, strict=True)], F.col("doc_id").cast("long").alias("_id"), F.col("text").cast("binary").alias("_bytes")).mapInArrow(_pack(length), BLOCKS)
     blocks = bucketed(packed, "block", "text_blocks")
+    size = blocks.agg(F.coalesce(F.sum("bytes"), F.lit(0))).first()[0]
+    shards = max(shuffle_width(spark), -(-size // SHARD))
     kinds = lambda names: ", ".join(f"{c} {'long' if c in ('shard', 'block') else 'binary'}" for c in names)
-    light = blocks.select("block", "text", "ends", "ids")
+    light = blocks.select("block", "text", "ends", "ids", "segments")
     anchors = light.mapInArrow(_ask_anchors(length, shards), kinds(["shard", "block", "keys"]))
     elsewhere = stage(anchors.groupBy("shard").applyInArrow(_elsewhere, kinds(["shard", "block", "bits", "windows"])))
     sent = light.groupBy("block").cogroup(elsewhere.groupBy("block")).applyInArrow(_ask_segments(length, shards), kinds(SENT))
-    windows = stage(sent.groupBy("shard").applyInArrow(_sort(length), kinds(["shard", "block", "bits", "windows"])))
-    new = "n_bytes long, n_removed long, n_spans long, kept_sha256 string" if digest else None
-    names = [*rest, "n_bytes", "n_removed", "n_spans", "kept_sha256"] if digest else docs.columns
-    schema = ", ".join(f"`{c}` {'string' if c == 'text' else docs.schema[c].dataType.simpleString()}" for c in (rest if digest else docs.columns))
-    return blocks.groupBy("block").cogroup(elsewhere.unionByName(windows).groupBy("block")).applyInArrow(_finish(length, shards, digest, names), f"{schema}, {new}" if digest else schema)
+    windows = stage(sent.groupBy("shard").applyInArrow(_sort(length, scratch_dir(spark)), kinds(["shard", "block", "bits", "windows"])))
+    kind = lambda c: docs.schema[c].dataType.simpleString()
+    new = [("_n_bytes", "n_bytes", "long"), ("_n_removed", "n_removed", "long"), ("_n_spans", "n_spans", "long"), ("_kept_sha256", "kept_sha256", "string")] if digest else [("_text", "text", "string")]
+    schema = ", ".join([*[f"{k} {kind(c)}" for k, c in zip(kept, rest, strict=True)], *[f"{k} {t}" for k, _, t in new]])
+    done = blocks.groupBy("block").cogroup(elsewhere.unionByName(windows).groupBy("block")).applyInArrow(_finish(length, shards, digest, [*kept, *[k for k, _, _ in new]]), schema)
+    called = dict([*zip(rest, kept, strict=True), *[(c, k) for k, c, _ in new]])
+    order = [*[c for c in rest if c not in RESULT], *RESULT] if digest else names
+    return done.select(*[F.col(called[c]).alias(c) for c in order])
+
+
+RESULT = ("n_bytes", "n_removed", "n_spans", "kept_sha256")
 
 
 def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
