@@ -1,9 +1,11 @@
 """LM scoring with a weighted backoff automaton.
 
-Documents become blocks of local word numbers. The n-grams of a block are its
-arcs; shards of the corpus sum their counts and answer each block in the
-block's own order, so a block gets the part of the automaton that its texts can
-reach, whatever the size of the whole model."""
+States are the n-grams, up to ORDER - 1 words, that training texts hold twice or
+more (single words: once); an arc leaves a state for each word seen after it, and
+a failure arc leads to the state that is one word shorter, down to the root.
+Documents become blocks of local word numbers. Order by order a block asks the
+shards of the corpus for the arcs of the states that its texts reach, so it gets
+its part of the automaton, whatever the size of the whole model."""
 
 from __future__ import annotations
 
@@ -14,31 +16,20 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bucketed, shuffle_width, stage, table
+from .common import bucketed, shuffle_width, squeeze, stage, table, unsqueeze
 
 #: Fixed by the contract: additive smoothing of single words.
 ADD = 0.1
-#: Taken off each seen word pair and given to the failure arc.
-DISCOUNT = 0.75
-#: Tokens of a block; a longer document is a block of its own.
-BLOCK = 1 << 20
-#: Words kept by a task's cache; it is emptied when full.
-CACHE = 300_000
-END = b""
-
-
-class WordHash(dict):
-    """Word -> 64-bit hash, as numbers of words that no task has to agree on."""
-
-    def __missing__(self, word: bytes) -> int:
-        from xxhash import xxh64_intdigest
-
-        h = xxh64_intdigest(word, 7)
-        if len(word) <= 40:
-            if len(self) >= CACHE:
-                self.clear()
-            self[word] = h
-        return h
+#: Words of the longest arc, with the state that it leaves; weight of a failure arc against a state's count (held-out texts
+#: of sf0.1: log10 of -3.76 a token, -4.13 with a weight of 1, -4.26 by single words).
+ORDER, FAIL = 4, 8.0
+#: Occurrences that make an n-gram of two words or more a state.
+SEEN = 2
+#: Tokens of a block (a longer document is a block of its own); tokens of the corpus to a shard; bytes split at once.
+BLOCK, SHARD, PIECE = 1 << 20, 1 << 22, 1 << 22
+#: Bits of an n-gram's key beyond those that number all tokens: one n-gram in 2**SPARE shares a key, at any size.
+SPARE = 24
+END, START = b"", b"\n"  # no word is empty or holds white space
 
 
 def held_out(doc_id) -> bool:
@@ -46,79 +37,72 @@ def held_out(doc_id) -> bool:
     return zlib.crc32(b"" if doc_id is None else str(doc_id).encode()) % 10 == 0
 
 
-BLOCKS = "block long, docs binary, no_id binary, ends binary, tokens binary, words binary"
+BLOCKS = "block long, n long, docs binary, no_id binary, ends binary, tokens binary, words binary"
 
 
-def squeeze(x: np.ndarray) -> bytes:
-    """Bytes of equal weight side by side, then zstd: rising or small numbers leave their high bytes empty."""
-    from zstandard import ZstdCompressor
+def _table(rows: list[tuple], schema: str) -> pa.Table:
+    kinds = {"long": pa.int64(), "binary": pa.binary()}
+    names = [c.split() for c in schema.split(", ")]
+    return pa.table([pa.array([r[i] for r in rows], kinds[k]) for i, (_, k) in enumerate(names)], names=[n for n, _ in names])
 
-    return ZstdCompressor(level=1).compress(np.ascontiguousarray(np.ascontiguousarray(x).view(np.uint8).reshape(len(x), -1).T).tobytes())
 
+class Numbers(dict):
+    """Word -> its number in the block."""
 
-def unsqueeze(b: bytes, kind) -> np.ndarray:
-    from zstandard import ZstdDecompressor
+    def __missing__(self, word: bytes) -> int:
+        n = self[word] = len(self)
+        return n
 
-    raw = np.frombuffer(ZstdDecompressor().decompress(b), np.uint8).reshape(np.dtype(kind).itemsize, -1)
-    return np.ascontiguousarray(raw.T).view(kind).ravel()
 
-
-def _table(rows: list[tuple], schema: str) -> pa.Table:
-    kinds = {"long": pa.int64(), "binary": pa.binary()}
-    names = [c.split() for c in schema.split(", ")]
-    return pa.table([pa.array([r[i] for r in rows], kinds[k]) for i, (_, k) in enumerate(names)], names=[n for n, _ in names])
+def _pieces(text: bytes):
+    """The text cut at white space, so that a long one is never split into words at once."""
+    at = 0
+    while len(text) - at > PIECE:
+        end = at + PIECE
+        cut = max(text.rfind(c, at, end) for c in (b" ", b"\n", b"\t", b"\r", b"\x0b", b"\x0c"))
+        if cut < at:
+            break
+        yield text[at:cut]
+        at = cut
+    yield text[at:]
 
 
 def _blocks(batches):
-    """Blocks of whole documents: token numbers into the block's words."""
+    """Blocks of whole documents: token numbers into the block's words, which are 128-bit hashes in order."""
     from pyspark import TaskContext
+    from xxhash import xxh3_128_digest
 
     part, at = TaskContext.get().partitionId(), 0
-    words = WordHash()
-    end = words[END]
+    numbers = Numbers()
     ids, ends, tokens, n = [], [], [], 0
 
     def flush():
-        vocab, t = np.unique(np.concatenate(tokens), return_inverse=True)
-        row = (part << 32 | at, squeeze(np.array([d or 0 for d in ids], np.int64)), squeeze(np.array([d is None for d in ids])), squeeze(np.array(ends, np.int64)), squeeze(t.astype(np.uint32)), squeeze(np.diff(vocab, prepend=np.uint64(0))))
+        keys = np.frombuffer(b"".join(map(xxh3_128_digest, numbers)), ">u8").reshape(-1, 2).astype(np.uint64)
+        order = np.lexsort((keys[:, 1], keys[:, 0]))
+        back = np.empty(len(order), np.uint32)
+        back[order] = np.arange(len(order), dtype=np.uint32)
+        keys = keys[order]
+        row = (part << 32 | at, n, squeeze(np.array([d or 0 for d in ids], np.int64)), squeeze(np.array([d is None for d in ids])), squeeze(np.array(ends, np.int64)), squeeze(back[np.concatenate(tokens)]), squeeze(np.diff(keys[:, 0], prepend=np.uint64(0))) + keys[:, 1].tobytes())
         return _table([row], BLOCKS).to_batches()[0]
 
     for batch in batches:
         for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-            seen = list(map(words.__getitem__, (text.as_py() or b"").lower().split()))
-            seen.append(end)
-            if n and n + len(seen) > BLOCK:
-                yield flush()
-                ids, ends, tokens, n, at = [], [], [], 0, at + 1
+            seen = [np.array([numbers[START]], np.uint32)]
+            for piece in _pieces((text.as_py() or b"").lower()):
+                seen.append(np.array(list(map(numbers.__getitem__, piece.split())), np.uint32))
+            seen.append(np.array([numbers[END]], np.uint32))
+            size = sum(map(len, seen))
             ids.append(doc_id)
-            tokens.append(np.array(seen, np.uint64))
-            n += len(seen)
+            tokens += seen
+            n += size
             ends.append(n)
+            if n >= BLOCK:
+                yield flush()
+                numbers, ids, ends, tokens, n, at = Numbers(), [], [], [], 0, at + 1
     if ids:
         yield flush()
 
 
-class Block:
-    """A block's documents, its words and contexts, and its distinct (context, word) pairs with their counts over training texts."""
-
-    def __init__(self, row: pa.Table):
-        get = lambda c, kind: unsqueeze(row.column(c)[0].as_py(), kind)
-        self.id = row.column("block")[0].as_py()
-        self.docs, self.no_id, self.ends = get("docs", np.int64), get("no_id", bool), get("ends", np.int64)
-        self.words = np.cumsum(get("words", np.uint64), dtype=np.uint64)
-        self.context = np.r_[self.words, np.uint64(1)]  # the last one is the start of a text
-        self.held = np.array([held_out(None if x else d) for d, x in zip(self.docs.tolist(), self.no_id.tolist(), strict=True)])
-        t = get("tokens", np.uint32).astype(np.int64)
-        before = np.r_[0, t[:-1]]
-        self.first = np.r_[0, self.ends[:-1]]
-        before[self.first] = len(self.words)
-        pairs, self.arcs = np.unique(before << 32 | t, return_inverse=True)
-        self.of, self.word = pairs >> 32, pairs & 0xFFFFFFFF
-        train = np.repeat(~self.held, np.diff(np.r_[0, self.ends]))
-        self.counts = np.bincount(self.arcs[train], minlength=len(pairs)).astype(np.uint32)
-        self.keys = _mix(self.context[self.of], self.words[self.word])
-
-
 def _mix(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """A 64-bit hash of two."""
     h = a * np.uint64(0x9E3779B97F4A7C15) ^ (b + np.uint64(0x7F4A7C15)) * np.uint64(0xC2B2AE3D27D4EB4F)
@@ -128,153 +112,221 @@ def _mix(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return h ^ h >> np.uint64(32)
 
 
-def deal(h: np.ndarray, shards: int) -> tuple[np.ndarray, np.ndarray]:
-    """Order of the hashes, and where each shard, a range of them, begins in it."""
-    order = np.argsort(h)
-    bounds = np.array([s * (1 << 64) // shards for s in range(1, shards)], np.uint64)
-    return order, np.r_[0, np.searchsorted(h[order], bounds), len(h)]
+class Block:
+    """A block's documents, each with a start before its tokens, and the n-grams that end at each place."""
+
+    def __init__(self, row: pa.Table, bits: int):
+        get = lambda c, kind: unsqueeze(row.column(c)[0].as_py(), kind)
+        self.id, self.bits = row.column("block")[0].as_py(), np.uint64(64 - bits)
+        self.docs, self.no_id, self.ends = get("docs", np.int64), get("no_id", bool), get("ends", np.int64)
+        self.tokens = get("tokens", np.uint32).astype(np.int64)
+        words = row.column("words")[0].as_py()
+        n = int(self.tokens.max()) + 1
+        self.low = np.frombuffer(words[len(words) - 8 * n :], np.uint64)
+        self.high = np.cumsum(unsqueeze(words[: len(words) - 8 * n], np.uint64), dtype=np.uint64)
+        self.first = np.r_[0, self.ends[:-1]]
+        self.held = np.array([held_out(None if x else d) for d, x in zip(self.docs.tolist(), self.no_id.tolist(), strict=True)])
+        self.train = np.repeat(~self.held, np.diff(np.r_[0, self.ends]))
+        self.word = _mix(self.high, self.low)[self.tokens]
+        self.place = np.arange(len(self.tokens)) - np.repeat(self.first, np.diff(np.r_[0, self.ends]))
+        self.gram = self.word
+
+    def arcs(self, order: int, states: np.ndarray | None):
+        """The next order's arcs: (places they end at, their distinct keys in order, which is each place's). Called for 2, 3, ...
+
+        states: occurrences of the n-gram of order - 1 that ends at each place."""
+        self.gram = np.r_[np.uint64(0), _mix(self.gram[:-1], self.word[1:])]
+        open_ = self.place >= order - 1
+        if states is not None:
+            open_[1:] &= states[:-1] >= SEEN
+        at = np.flatnonzero(open_)
+        keys, which = np.unique(self.gram[at] >> self.bits, return_inverse=True)
+        return at, keys, which
+
+    def counted(self, answers: list[list[tuple[int, bytes]]]):
+        """Yields (order, places, occurrences of the arc that ends there, of the state that it leaves) for each order answered."""
+        states = None
+        for order, mine in enumerate(answers, 2):
+            at, _, which = self.arcs(order, states)
+            counts = np.concatenate([unsqueeze(x, np.uint64) for _, x in sorted(mine)]).astype(np.int64) if mine else np.empty(0, np.int64)
+            after = np.zeros(len(self.tokens), np.int64)
+            after[at] = counts[which]
+            yield order, at, after, states
+            states = after
 
 
-def _send(block: int, h: np.ndarray, values: list[np.ndarray], shards: int) -> list[tuple]:
-    order, at = deal(h, shards)
-    rows = []
-    for s in range(shards):
-        if at[s] < at[s + 1]:
-            i = order[at[s] : at[s + 1]]
-            rows.append((s, block, squeeze(np.diff(h[i], prepend=np.uint64(s * (1 << 64) // shards))), *[squeeze(v[i]) for v in values]))
-    return rows
+def _cuts(keys: np.ndarray, shards: int, bits: int) -> np.ndarray:
+    """Where each shard, a range of keys, begins among keys in order."""
+    bounds = np.array([s * (1 << bits) // shards for s in range(1, shards)], np.uint64)
+    return np.r_[0, np.searchsorted(keys, bounds), len(keys)].tolist()
 
 
-def _sent(group: pa.Table, shards: int) -> list[np.ndarray]:
-    bases = [np.uint64(s * (1 << 64) // shards) for s in group.column("shard").to_pylist()]
-    return [np.cumsum(unsqueeze(x.as_py(), np.uint64), dtype=np.uint64) + b for x, b in zip(group.column("keys"), bases, strict=True)]
+ARCS, ARC_ANSWERS = "shard long, block long, keys binary, counts binary", "shard long, block long, arc long, counts binary"
+WORDS, WORD_ANSWERS = "shard long, block long, keys binary, low binary, counts binary", "shard long, block long, arc long, counts binary, v long"
 
 
-def _gather(h: np.ndarray, shards: int, answers: list[tuple[int, bytes]], kind) -> np.ndarray:
-    """A block's answers in its own order."""
-    order, at = deal(h, shards)
-    out = np.zeros(len(h), kind)
-    for s, blob in answers:
-        out[order[at[s] : at[s + 1]]] = unsqueeze(blob, kind)
-    return out
+def _messages(b: Block, keys: np.ndarray, counts: np.ndarray, shards: int, bits: int) -> list[tuple]:
+    at = _cuts(keys, shards, bits)
+    return [(s, b.id, squeeze(np.diff(keys[i:j], prepend=np.uint64(s * (1 << bits) // shards))), squeeze(counts[i:j].astype(np.uint32))) for s, (i, j) in enumerate(zip(at[:-1], at[1:], strict=True)) if i < j]
 
 
-def _listed(answers: pa.Table, *names: str) -> list[list[tuple[int, bytes]]]:
-    shard = answers.column("shard").to_pylist()
-    return [[(s, x) for s, x in zip(shard, answers.column(c).to_pylist(), strict=True) if x is not None] for c in names]
+def _asked(b: Block, order: int, states: np.ndarray | None, shards: int, bits: int) -> pa.Table:
+    at, keys, which = b.arcs(order, states)
+    return _table(_messages(b, keys, np.bincount(which[b.train[at]], minlength=len(keys)), shards, bits), ARCS)
 
 
-PAIRS, PAIR_ANSWERS = "shard long, block long, keys binary, counts binary", "shard long, block long, total binary, owner binary"
-WORDS, WORD_ANSWERS = "shard long, block long, keys binary, c binary, contexts binary, types binary", "shard long, block long, c binary, contexts binary, types binary, n long, v long"
+def _listed(answers: pa.Table, orders) -> list[list[tuple[int, bytes]]]:
+    out = {k: [] for k in orders}
+    for k, s, x in zip(answers.column("arc").to_pylist(), answers.column("shard").to_pylist(), answers.column("counts").to_pylist(), strict=True):
+        out[k].append((s, x))
+    return [out[k] for k in orders]
 
 
-def _ask_pairs(shards: int):
+def _ask_first(shards: int, bits: int):
     def ask(batches):
         for batch in batches:
             for i in range(batch.num_rows):
-                b = Block(pa.Table.from_batches([batch.slice(i, 1)]))
-                yield from _table(_send(b.id, b.keys, [b.counts], shards), PAIRS).to_batches()
+                yield from _asked(Block(pa.Table.from_batches([batch.slice(i, 1)]), bits), 2, None, shards, bits).to_batches()
+
+    return ask
+
+
+def _ask_next(order: int, shards: int, bits: int):
+    def ask(key, blocks: pa.Table, answers: pa.Table) -> pa.Table:
+        """Arcs of an order from the states that the answers for shorter ones show."""
+        if not blocks.num_rows:
+            return _table([], ARCS)
+        b = Block(blocks, bits)
+        for _, _, after, _ in b.counted(_listed(answers, range(2, order))):
+            states = after
+        return _asked(b, order, states, shards, bits)
 
     return ask
 
 
-def _sum_pairs(shards: int):
+def _sum_arcs(order: int, shards: int, bits: int):
     def total(group: pa.Table) -> pa.Table:
-        """One shard: the count of each pair over all blocks, and which block counts it as a distinct pair."""
-        keys, blocks = _sent(group, shards), np.array(group.column("block").to_pylist())
-        count = np.concatenate([unsqueeze(x.as_py(), np.uint32) for x in group.column("counts")]).astype(np.float64)
+        """One shard: occurrences of each arc over all blocks."""
+        shard, blocks = group.column("shard").to_pylist(), group.column("block").to_pylist()
+        keys = [np.cumsum(unsqueeze(x.as_py(), np.uint64), dtype=np.uint64) + np.uint64(s * (1 << bits) // shards) for s, x in zip(shard, group.column("keys"), strict=True)]
+        count = np.concatenate([unsqueeze(x.as_py(), np.uint32) for x in group.column("counts")])
         distinct, where = np.unique(np.concatenate(keys), return_inverse=True)
-        answer = np.bincount(where, count, len(distinct))[where]
-        rank = np.repeat(np.argsort(np.argsort(blocks)), list(map(len, keys)))
-        trained = np.flatnonzero(count)
-        trained = trained[np.argsort(rank[trained], kind="stable")]  # the smallest block owns, in whatever order they came
-        owner = np.zeros(len(count), bool)
-        owner[trained[np.unique(where[trained], return_index=True)[1]]] = True
+        answer = np.bincount(where, count, len(distinct)).astype(np.uint64)[where]
         at = np.cumsum([0, *map(len, keys)])
-        rows = [(s, b, squeeze(answer[i:j].astype(np.uint64)), squeeze(owner[i:j])) for s, b, i, j in zip(group.column("shard").to_pylist(), blocks.tolist(), at[:-1], at[1:], strict=True)]
-        return _table(rows, PAIR_ANSWERS)
+        return _table([(s, b, order, squeeze(answer[i:j])) for s, b, i, j in zip(shard, blocks, at[:-1], at[1:], strict=True)], ARC_ANSWERS)
 
     return total
 
 
 def _ask_words(shards: int):
-    def ask(key, blocks: pa.Table, answers: pa.Table) -> pa.Table:
-        """A block's words: their count in training texts, as a context, and the distinct pairs they own as a context."""
-        if not blocks.num_rows:
-            return _table([], WORDS)
-        b = Block(blocks)
-        (mine,) = _listed(answers, "owner")
-        owner, n = _gather(b.keys, shards, mine, bool), len(b.context)
-        own = [np.bincount(b.word, b.counts, n), np.bincount(b.of, b.counts, n), np.bincount(b.of, owner, n)]
-        return _table(_send(b.id, b.context, [x.astype(np.int64) for x in own], shards), WORDS)
+    def ask(batches):
+        for batch in batches:
+            for i in range(batch.num_rows):
+                b = Block(pa.Table.from_batches([batch.slice(i, 1)]), 64)
+                counts = np.bincount(b.tokens[b.train], minlength=len(b.high))
+                at = _cuts(b.high, shards, 64)
+                rows = [(s, b.id, b.high[i:j].tobytes(), b.low[i:j].tobytes(), squeeze(counts[i:j])) for s, (i, j) in enumerate(zip(at[:-1], at[1:], strict=True)) if i < j]
+                yield from _table(rows, WORDS).to_batches()
 
     return ask
 
 
-def _sum_words(shards: int):
-    def total(group: pa.Table) -> pa.Table:
-        """One shard: sums per word, answered to each block; `n` and `v` are the shard's training tokens and distinct words."""
-        keys = _sent(group, shards)
-        distinct, where = np.unique(np.concatenate(keys), return_inverse=True)
-        sums = [np.bincount(where, np.concatenate([unsqueeze(x.as_py(), np.int64) for x in group.column(c)]), len(distinct)).astype(np.int64) for c in ("c", "contexts", "types")]
-        at = np.cumsum([0, *map(len, keys)])
-        rows = [(s, b, *[squeeze(x[where[i:j]]) for x in sums], 0, 0) for s, b, i, j in zip(group.column("shard").to_pylist(), group.column("block").to_pylist(), at[:-1], at[1:], strict=True)]
-        rows[0] = (*rows[0][:-2], int(sums[0].sum()), int((sums[0] > 0).sum()))
-        return _table(rows, WORD_ANSWERS)
-
-    return total
+def _sum_words(group: pa.Table) -> pa.Table:
+    """One shard: occurrences of each word, by all 128 bits, over all blocks; v: words that training texts hold, starts among them."""
+    high, low = (np.concatenate([np.frombuffer(x.as_py(), np.uint64) for x in group.column(c)]) for c in ("keys", "low"))
+    parts = [unsqueeze(x.as_py(), np.int64) for x in group.column("counts")]
+    order = np.lexsort((low, high))
+    fresh = np.r_[True, (high[order][1:] != high[order][:-1]) | (low[order][1:] != low[order][:-1])]
+    where = np.empty(len(order), np.int64)
+    where[order] = np.cumsum(fresh) - 1
+    sums = np.bincount(where, np.concatenate(parts)).astype(np.int64)
+    answer, at = sums[where], np.cumsum([0, *map(len, parts)])
+    rows = [(s, b, 1, squeeze(answer[i:j].astype(np.uint64)), 0) for s, b, i, j in zip(group.column("shard").to_pylist(), group.column("block").to_pylist(), at[:-1], at[1:], strict=True)]
+    rows[0] = (*rows[0][:-1], int((sums > 0).sum()))
+    return _table(rows, WORD_ANSWERS)
 
 
 class Automaton:
-    """Weighted backoff automaton over one block: a state per word (and one for
-    the start of a text), arcs for seen pairs, a failure arc from each state to
-    the root, whose arcs are the smoothed single words. All words have an arc at
-    the root, so one failure is enough and the weights of a state sum to one."""
+    """Weighted backoff automaton over one block.
 
-    def __init__(self, pair_counts, pair_context, pair_word, word_count, context_count, context_types, n, v):
-        root = (word_count + ADD) / (n + ADD * (v + 1))
-        seen = context_count[pair_context]
-        fail = np.where(context_count > 0, DISCOUNT * context_types / np.maximum(context_count, 1), 1.0)
-        arc = np.where(pair_counts > 0, np.maximum(pair_counts - DISCOUNT, 0) / np.maximum(seen, 1), 0.0)
-        self.root = np.log10(root)
-        self.weight = np.log10(arc + fail[pair_context] * root[pair_word])  # an arc, or the failure arc and the root's
-        self.word = pair_word
+    After each token the state is the longest n-gram ending there that is one;
+    it is at most a word longer than the state before. A state of count c gives
+    the arc of a word seen n times after it (n + FAIL * w) / (c + FAIL), where w
+    is what the shorter state gives the word, and its failure arc
+    FAIL / (c + FAIL); so the weights of a state sum to one."""
 
-    def traverse(self, arcs: np.ndarray, ends: np.ndarray) -> np.ndarray:
-        """Sums of weights along each text's path, from left to right: the state after a word is that word."""
-        return np.add.reduceat(self.weight[arcs], np.r_[0, ends[:-1]])
+    def __init__(self, root: np.ndarray):
+        self.weight = root  # of single words, at each place
+
+    def follow(self, places: np.ndarray, arcs: np.ndarray, states: np.ndarray) -> None:
+        """Goes from the shorter states to those of the next order, at the places whose state is that long."""
+        c = states[places - 1]
+        known = c > 0
+        at, c = places[known], c[known]
+        self.weight[at] = (arcs[at] + FAIL * self.weight[at]) / (c + FAIL)
+
+    def traverse(self, first: np.ndarray, start: np.ndarray) -> np.ndarray:
+        """Log-probabilities summed along each text, the start, which is given, left out."""
+        self.weight[start] = 1.0
+        return np.add.reduceat(np.log10(self.weight), first)
 
 
 SCORES = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
 
 
-def _score(shards: int, total: int, vocabulary: int):
+def _score(order: int, bits: int, total: int, vocabulary: int):
     def score(key, blocks: pa.Table, answers: pa.Table) -> pa.Table:
-        b = Block(blocks)
-        joint, *sums = _listed(answers, "total", "c", "contexts", "types")
-        c, contexts, types = (_gather(b.context, shards, x, np.int64).astype(float) for x in sums)
-        model = Automaton(_gather(b.keys, shards, joint, np.uint64).astype(float), b.of, b.word, c, contexts, types, total, vocabulary)
-        word = model.word[b.arcs]
-        return pa.table({"doc_id": pa.array(b.docs, mask=b.no_id), "held_out": b.held, "n_tokens": b.ends - b.first, "n_known": np.add.reduceat((c[word] > 0).astype(np.int64), b.first), "train_tokens": np.full(len(b.ends), total), "base_score": np.add.reduceat(model.root[word], b.first), "score": model.traverse(b.arcs, b.ends)})
+        b = Block(blocks, bits)
+        words, *arcs = _listed(answers, range(1, order + 1))
+        c = np.concatenate([unsqueeze(x, np.uint64) for _, x in sorted(words)]).astype(np.int64)[b.tokens]
+        root = (c + ADD) / (total + ADD * (vocabulary + 1))
+        root[b.first] = 1.0
+        base = np.add.reduceat(np.log10(root), b.first)
+        known = c > 0
+        known[b.first] = False
+        model, states = Automaton(root), c
+        for _, at, after, _ in b.counted(arcs):
+            model.follow(at, after, states)
+            states = after
+        return pa.table({"doc_id": pa.array(b.docs, mask=b.no_id), "held_out": b.held, "n_tokens": b.ends - b.first - 1, "n_known": np.add.reduceat(known.astype(np.int64), b.first), "train_tokens": np.full(len(b.ends), total), "base_score": base, "score": model.traverse(b.first, b.first)})
 
     return score
 
 
-def score_documents(docs: DataFrame) -> DataFrame:
+def score_documents(docs: DataFrame, order: int = ORDER) -> DataFrame:
     """A row per document: token counts, the unigram score and the automaton's log10 probability of the whole text.
 
-    Learns from rows whose id is not held out; counts take in every such row. A
-    null or empty text is the end token alone; repeated rows count and score
-    each on its own; an empty table gives no rows; other columns are left out."""
+    Learns from rows whose id is not held out; counts take in every such row.
+    Words meet by 128-bit hashes, n-grams by keys that grow with the corpus, of
+    which one in 2**SPARE is shared. A null or empty text is the end token
+    alone; repeated rows count and score each on its own; an empty table gives no
+    rows; other columns are left out. order: 2 or more."""
     spark = docs.sparkSession
-    shards = shuffle_width(spark)
     blocks = bucketed(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("binary")).mapInArrow(_blocks, BLOCKS), "block", "token_blocks")
-    pairs = stage(blocks.mapInArrow(_ask_pairs(shards), PAIRS).groupBy("shard").applyInArrow(_sum_pairs(shards), PAIR_ANSWERS))
-    asked = blocks.groupBy("block").cogroup(pairs.groupBy("block")).applyInArrow(_ask_words(shards), WORDS)
-    words = stage(asked.groupBy("shard").applyInArrow(_sum_words(shards), WORD_ANSWERS))
-    total, vocabulary = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("v"), F.lit(0))).first()
-    answers = pairs.unionByName(words, allowMissingColumns=True)
-    return blocks.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(_score(shards, int(total), int(vocabulary)), SCORES)
+    size = blocks.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    bits, shards = min(64, SPARE + max(1, int(size).bit_length())), max(shuffle_width(spark), -(-size // SHARD))
+    words = stage(blocks.mapInArrow(_ask_words(shards), WORDS).groupBy("shard").applyInArrow(_sum_words, WORD_ANSWERS))
+    asked = blocks.mapInArrow(_ask_first(shards, bits), ARCS)
+    answers = None
+    for k in range(2, order + 1):
+        one = stage(asked.groupBy("shard").applyInArrow(_sum_arcs(k, shards, bits), ARC_ANSWERS))
+        answers = one if answers is None else answers.unionByName(one)
+        if k < order:
+            asked = blocks.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(_ask_next(k + 1, shards, bits), ARCS)
+    vocabulary = words.agg(F.coalesce(F.sum("v"), F.lit(0))).first()[0]
+    total = blocks.mapInArrow(_trained, "n long, texts long").agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("texts"), F.lit(0))).first()
+    every = answers.unionByName(words.drop("v"))
+    return blocks.groupBy("block").cogroup(every.groupBy("block")).applyInArrow(_score(order, bits, int(total[0]), int(vocabulary) - (total[1] > 0)), SCORES)
+
+
+def _trained(batches):
+    """Training tokens, without starts, and texts of each block."""
+    for batch in batches:
+        for i in range(batch.num_rows):
+            get = lambda c, kind, i=i: unsqueeze(batch.column(batch.schema.get_field_index(c))[i].as_py(), kind)  # noqa: B023, E731
+            docs, no_id, ends = get("docs", np.int64), get("no_id", bool), get("ends", np.int64)
+            mine = np.array([not held_out(None if x else d) for d, x in zip(docs.tolist(), no_id.tolist(), strict=True)])
+            yield pa.RecordBatch.from_pydict({"n": [int((np.diff(np.r_[0, ends]) - 1)[mine].sum())], "texts": [int(mine.sum())]})
 
 
 def op5_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -216,25 +216,41 @@ def test_suffix_dedup(docs, empty):
     assert suffix_dedup.whole_characters(np.array([1, 0, 1, 1], bool), np.array([0, 1, 0, 1], bool)).tolist() == [False, False, True, True]
 
 
-def test_language_model(docs, empty):
-    counts, pairs, heads, kinds = collections.Counter(), collections.Counter(), collections.Counter(), collections.Counter()
-    tokens = {i: lower(t).encode().split() + [b""] for i, t in enumerate(texts())}
-    for i, t in tokens.items():
-        if not language_model.held_out(i):
-            counts.update(t)
-            pairs.update(zip([None, *t[:-1]], t, strict=True))
-            heads.update([None, *t[:-1]])
-    kinds.update(h for h, _ in pairs)
-    n, v = sum(counts.values()), len(counts)
-    one = lambda w: (counts[w] + 0.1) / (n + 0.1 * (v + 1))
-    for i, r in by_id(language_model.score_documents(docs)).items():
-        t = tokens[i]
-        model = sum(math.log10((max(pairs[h, w] - 0.75, 0) / heads[h] + 0.75 * kinds[h] / heads[h] * one(w)) if heads[h] else one(w)) for h, w in zip([None, *t[:-1]], t, strict=True))
-        assert (r["n_tokens"], r["n_known"], r["train_tokens"], r["held_out"]) == (len(t), sum(counts[w] > 0 for w in t), n, language_model.held_out(i))
-        assert math.isclose(r["base_score"], sum(math.log10(one(w)) for w in t), rel_tol=1e-9) and math.isclose(r["score"], model, rel_tol=1e-9)
+def test_language_model(docs, empty, spark, monkeypatch):
+    """Counts and scores against n-grams counted by hand, at several orders and block sizes, with repeated rows and null ids."""
+    rows = [(i, t) for i, t in enumerate(texts())]
+    rows += [(1000 + i, t) for i, t in rows[10:20]] + [(None, rows[20][1]), (5, rows[5][1]), (5, rows[5][1])] + [(2000 + i, rows[7][1] + " " + rows[20][1]) for i in range(12)]
+    tokens = [[b"\n", *lower(t).encode().split(), b""] for _, t in rows]
+    held = [zlib.crc32(b"" if i is None else str(i).encode()) % 10 == 0 for i, _ in rows]
+    grams = collections.Counter(tuple(t[e - k : e]) for t, h in zip(tokens, held, strict=True) if not h for k in range(1, 6) for e in range(k, len(t) + 1))
+    words = collections.Counter(w for t, h in zip(tokens, held, strict=True) if not h for w in t[1:])
+    n, v = sum(words.values()), len(words)
+    table = spark.createDataFrame([(*r, "x", 1) for r in rows], "doc_id long, text string, tokens string, n int").repartition(3)
+    for order, block in ((2, 1 << 20), (4, 300), (5, 50)):
+        monkeypatch.setattr(language_model, "BLOCK", block)
+        want = []
+        for (i, _), t, h in zip(rows, tokens, held, strict=True):
+            base = model = 0.0
+            for e in range(1, len(t)):
+                p = (words[t[e]] + 0.1) / (n + 0.1 * (v + 1))
+                base += math.log10(p)
+                for k in range(1, order):
+                    c = grams[tuple(t[e - k : e])] if e >= k else 0
+                    if c >= (1 if k == 1 else language_model.SEEN):
+                        p = (grams[tuple(t[e - k : e + 1])] + language_model.FAIL * p) / (c + language_model.FAIL)
+                model += math.log10(p)
+            want.append((i, h, len(t) - 1, sum(words[w] > 0 for w in t[1:]), n, round(base, 6), round(model, 6)))
+        got = [(r[0], r[1], r[2], r[3], r[4], round(r[5], 6), round(r[6], 6)) for r in language_model.score_documents(table, order).collect()]
+        assert sorted(got, key=str) == sorted(want, key=str), order
     assert language_model.score_documents(empty).count() == 0
 
 
+def test_long_texts_are_split_in_pieces(monkeypatch):
+    monkeypatch.setattr(language_model, "PIECE", 7)
+    for t in (b"", b"one two  three\tfour", b"x" * 40, b"x" * 40 + b" yy z", b" a b c d e f g h "):
+        assert [w for p in language_model._pieces(t) for w in p.split()] == t.split()
+
+
 def test_golay_keys_meet():
     r = np.random.default_rng(4)
     tables = simhash.golay()
