@@ -13,6 +13,8 @@ from pyspark.sql import functions as F
 #: Fixed by the contracts: the ASCII white space that separates words.
 SPACE = r"[\x20\x09-\x0D]+"
 WORD = r"[^\x20\x09-\x0D]+"
+#: Bytes of input to a bucket, about; most buckets that Spark allows.
+BUCKET_BYTES, MOST_BUCKETS = 64 << 20, 100_000
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -48,12 +50,15 @@ def stage(df: DataFrame) -> DataFrame:
     return out
 
 
-def bucketed(df: DataFrame, key: str, prefix: str) -> DataFrame:
+def bucketed(df: DataFrame, key: str, prefix: str, source: DataFrame | None = None) -> DataFrame:
     """Writes df as a table in the shared folder, bucketed by key: what meets it by that key travels to it, and it stays where it is.
 
+    The estimated size of `source`, which df is made from, sets the buckets, at least one for each partition of a shuffle.
     The catalog forgets the table at once; plans made from the result know its files and buckets."""
     spark, name = df.sparkSession, f"{prefix}_{uuid.uuid4().hex}"
-    df.write.bucketBy(shuffle_width(spark), key).sortBy(key).format("parquet").option("compression", "zstd").option("path", f"{shared_dir(spark)}/{name}").saveAsTable(name)
+    size = (source if source is not None else df)._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().bitLength()
+    buckets = max(shuffle_width(spark), min(MOST_BUCKETS, (1 << min(62, size)) // BUCKET_BYTES))
+    df.write.bucketBy(buckets, key).sortBy(key).format("parquet").option("compression", "zstd").option("path", f"{shared_dir(spark)}/{name}").saveAsTable(name)
     out = spark.table(name)
     spark.sql(f"DROP TABLE {name}")
     return out

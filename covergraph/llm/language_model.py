@@ -302,7 +302,7 @@ def score_documents(docs: DataFrame, order: int = ORDER) -> DataFrame:
     alone; repeated rows count and score each on its own; an empty table gives no
     rows; other columns are left out. order: 2 or more."""
     spark = docs.sparkSession
-    blocks = bucketed(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("binary")).mapInArrow(_blocks, BLOCKS), "block", "token_blocks")
+    blocks = bucketed(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("binary")).mapInArrow(_blocks, BLOCKS), "block", "token_blocks", docs)
     size = blocks.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     bits, shards = min(64, SPARE + max(1, int(size).bit_length())), max(shuffle_width(spark), -(-size // SHARD))
     words = stage(blocks.mapInArrow(_ask_words(shards), WORDS).groupBy("shard").applyInArrow(_sum_words, WORD_ANSWERS))

@@ -338,7 +338,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, digest: bool = False)
     kept = [f"_c{i}" for i, c in enumerate(names) if c != "text"]  # the caller's names may clash with ours, these don't
     rest = [c for c in names if c != "text"]
     packed = docs.select(*[F.col(f"`{c}`").alias(k) for k, c in zip(kept, rest, strict=True)], F.col("doc_id").cast("long").alias("_id"), F.col("text").cast("binary").alias("_bytes")).mapInArrow(_pack(length), BLOCKS)
-    blocks = bucketed(packed, "block", "text_blocks")
+    blocks = bucketed(packed, "block", "text_blocks", docs)
     size = blocks.agg(F.coalesce(F.sum("bytes"), F.lit(0))).first()[0]
     shards = max(shuffle_width(spark), -(-size // SHARD))
     kinds = lambda names: ", ".join(f"{c} {'long' if c in ('shard', 'block') else 'binary'}" for c in names)
