@@ -12,8 +12,9 @@ from .common import SPACE, ascii_lower, let, table
 
 #: Rows of the sample on which a rule's cost and selectivity are estimated.
 SAMPLE_ROWS = 2000
-#: Lines that begin as items of a list do, and lines that break off.
-BULLET, ELLIPSIS = r"^[\x20\x09]*[\x{2022}\x{25CF}\x{2023}*\x2D]", r"(\.\.\.|\x{2026})[\x20\x09\x0B-\x0D]*$"
+#: A line with a word; a line that begins as the item of a list; a line that breaks off.
+LINE = r"(?:^|\n)[\x20\x09\x0B-\x0D]*[^\x20\x09-\x0D]"
+BULLET, ELLIPSIS = r"(?:^|\n)[\x20\x09]*[\x{2022}\x{25CF}\x{2023}*\x2D]", r"(?:\.\.\.|\x{2026})[\x20\x09\x0B-\x0D]*(?:\n|\z)"
 
 
 def words(text: Column) -> Column:
@@ -54,8 +55,8 @@ def _repeats(w: Column) -> Column:
 
 
 def word_measures(text: Column) -> Column:
-    """struct(n_words, word_chars, n_repeat_words) from one split of the text."""
-    return let(words(text), lambda w: F.struct(F.size(w).cast("long").alias("n_words"), F.length(F.array_join(w, "")).cast("long").alias("word_chars"), _repeats(w).alias("n_repeat_words")))
+    """struct(n_words, word_chars, n_repeat_words, words) from one split of the text."""
+    return let(words(text), lambda w: F.struct(F.size(w).cast("long").alias("n_words"), F.length(F.array_join(w, "")).cast("long").alias("word_chars"), _repeats(w).alias("n_repeat_words"), w.alias("words")))
 
 
 @dataclass(frozen=True)
@@ -76,12 +77,9 @@ class Text:
         of_words = {"n_words": lambda w: F.size(w).cast("long"), "word_chars": lambda w: F.length(F.array_join(w, "")).cast("long"), "n_repeat_words": _repeats}
         return of_words[name](self.words) if name in of_words else MEASURES[name](self.raw)
 
-    def lines(self) -> Column:
-        return F.filter(F.split(self.raw, "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
-
-    def share_of_lines(self, pattern: str, percent: int) -> Column:
-        """Whether more than `percent` of the lines with a word match."""
-        return let(self.lines(), lambda x: 100 * F.size(F.filter(x, lambda y: y.rlike(pattern))) > percent * F.size(x))
+    def many_lines(self, pattern: str, percent: int) -> Column:
+        """Whether more than `percent` of the lines with a word match; lines are counted where any matches."""
+        return let(F.regexp_count(self.raw, F.lit(pattern)), lambda n: (n > 0) & (100 * n > percent * F.regexp_count(self.raw, F.lit(LINE))))
 
 
 @dataclass(frozen=True)
@@ -113,8 +111,8 @@ RULES = [
     Rule("duplicate_lines", lambda t: 20 * t.n_dup_lines > t.n_words, _measured(_chars(2))),
     Rule("word_length", lambda t: (t.word_chars < 2 * t.n_words) | (t.word_chars > 20 * t.n_words), _measured(_chars(1))),
     Rule("few_letters", lambda t: 100 * F.size(F.filter(t.words, lambda w: w.rlike(r"\p{L}"))) < 60 * F.size(t.words), _chars(3)),
-    Rule("bullet_lines", lambda t: t.share_of_lines(BULLET, 90), _chars(3)),
-    Rule("ellipsis_lines", lambda t: t.share_of_lines(ELLIPSIS, 30), _chars(3)),
+    Rule("bullet_lines", lambda t: t.many_lines(BULLET, 90), _chars(3)),
+    Rule("ellipsis_lines", lambda t: (F.contains(t.raw, F.lit("...")) | F.contains(t.raw, F.lit("\u2026"))) & t.many_lines(ELLIPSIS, 30), _chars(3)),
     Rule("placeholder", lambda t: F.contains(ascii_lower(t.raw), F.lit("lorem ipsum")), _chars(2)),
 ]
 MEASURES = {"n_words": n_words, "word_chars": word_chars, "n_symbols": n_symbols, "n_dup_lines": n_dup_lines, "n_repeat_words": n_repeat_words}
@@ -184,8 +182,8 @@ def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     ordered = order_rules(docs, known=True)
     split = docs.select("doc_id", "text", word_measures(F.col("text")).alias("m"), n_symbols(F.col("text")).alias("n_symbols"), n_dup_lines(F.col("text")).alias("n_dup_lines"))
-    measured = split.select("doc_id", "text", "m.n_words", "m.word_chars", "n_symbols", "n_dup_lines", "m.n_repeat_words")
-    t = Text(F.coalesce(F.col("text"), F.lit("")), words(F.col("text")), {k: F.col(k) for k in MEASURES})
+    measured = split.select("doc_id", "text", "m.words", "m.n_words", "m.word_chars", "n_symbols", "n_dup_lines", "m.n_repeat_words")
+    t = Text(F.coalesce(F.col("text"), F.lit("")), F.col("words"), {k: F.col(k) for k in MEASURES})
     base = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
     kept = F.when(base, F.lit(False)).otherwise(first_failure(ordered, t).isNull())
     return measured.select("doc_id", *MEASURES, base.alias("base_failed"), kept.alias("kept"))
@@ -204,8 +202,8 @@ m AS (SELECT w.doc_id, CAST(len(w) AS BIGINT) AS n_words,
   CAST(len(l) - len(list_distinct(l)) AS BIGINT) AS n_dup_lines,
   CAST(coalesce(n_repeat_words, 0) AS BIGINT) AS n_repeat_words,
   100 * len(list_filter(w, lambda q: regexp_matches(q, '\p{L}'))) < 60 * len(w) AS few_letters,
-  100 * len(list_filter(l, lambda q: regexp_matches(q, '""" + BULLET + r"""'))) > 90 * len(l) AS bullets,
-  100 * len(list_filter(l, lambda q: regexp_matches(q, '""" + ELLIPSIS + r"""'))) > 30 * len(l) AS ellipses,
+  100 * len(list_filter(l, lambda q: regexp_matches(q, '^[\x20\x09]*[\x{2022}\x{25CF}\x{2023}*\x2D]'))) > 90 * len(l) AS bullets,
+  100 * len(list_filter(l, lambda q: regexp_matches(q, '(\.\.\.|\x{2026})[\x20\x09\x0B-\x0D]*$'))) > 30 * len(l) AS ellipses,
   contains(translate(t, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), 'lorem ipsum') AS placeholder
   FROM w JOIN l USING (doc_id) LEFT JOIN r USING (doc_id))
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, (n_words < 50 OR 100 * n_repeat_words > 50 * n_words) AS base_failed,
