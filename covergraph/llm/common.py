@@ -57,7 +57,8 @@ def bucketed(df: DataFrame, key: str, prefix: str, source: DataFrame | None = No
     The catalog forgets the table at once; plans made from the result know its files and buckets."""
     spark, name = df.sparkSession, f"{prefix}_{uuid.uuid4().hex}"
     size = (source if source is not None else df)._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()
-    buckets = max(shuffle_width(spark), min(MOST_BUCKETS, int(size) // BUCKET_BYTES))
+    # Spark gives what it can't estimate an enormous size
+    buckets = max(shuffle_width(spark), min(MOST_BUCKETS, int(size) // BUCKET_BYTES if size < 1 << 50 else 0))
     df.write.bucketBy(buckets, key).sortBy(key).format("parquet").option("compression", "zstd").option("path", f"{shared_dir(spark)}/{name}").saveAsTable(name)
     out = spark.table(name)
     spark.sql(f"DROP TABLE {name}")
