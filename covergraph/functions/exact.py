@@ -7,7 +7,9 @@ from dataclasses import dataclass
 from fractions import Fraction
 
 #: Modulus and multipliers of the portable hash; any engine with 64-bit integers gives the same numbers.
-PRIME, BY_ID, BY_ROUND = 2147483647, 48271, 69621
+PRIME, BY_ID, BY_ROUND, BY_SEED = 2147483647, 48271, 16807, 69621
+#: Rounds from which draws take their numbers, so that they share none with the orders.
+DRAWS = 1000
 
 
 @dataclass(frozen=True)
@@ -49,10 +51,21 @@ class Share:
     def rounds(self, n: int) -> int:
         return math.ceil(math.log(max(n, 2)) / math.log(4 / 3)) + 1
 
+    def __float__(self) -> float:
+        return float(Fraction(self.num, self.den))
+
     def __str__(self) -> str:
-        return str(float(Fraction(self.num, self.den)))
+        return str(float(self))
 
 
 def portable_hash(x, turn: int, seed: int):
-    """(BY_ID x + BY_ROUND turn + seed) mod PRIME for numbers and columns alike."""
-    return (x % PRIME * BY_ID + (BY_ROUND * turn + seed) % PRIME) % PRIME
+    """A number below PRIME for numbers and columns alike. Two squarings with a linear step between them: orders of
+    different rounds and seeds are not shifts of each other."""
+    z = (x % PRIME * BY_ID + (BY_ROUND * turn + BY_SEED * seed) % PRIME) % PRIME
+    z = (z * z % PRIME * BY_ID + 11) % PRIME
+    return z * z % PRIME
+
+
+def draw(i, turn: int, seed: int, n):
+    """Draw i of a round's sample: a number below n, with replacement. Two hashes make one, so n may exceed PRIME."""
+    return (portable_hash(2 * i, turn + DRAWS, seed) * PRIME + portable_hash(2 * i + 1, turn + DRAWS, seed)) % n

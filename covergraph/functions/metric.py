@@ -15,26 +15,41 @@ def lattice(vec: Column) -> Column:
 
 
 def l2sq(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Squared Euclidean; exact for integers while 4 * |x|^2 stays below 2**53."""
-    d = (a * a).sum(1)[:, None] + (b * b).sum(1)[None] - 2 * (a @ b.T)
+    """Squared Euclidean; exact for integers while 4 * |x|^2 stays below 2**53. Where the sums cancel, differences are taken instead."""
+    a, b = a.astype(float, copy=False), b.astype(float, copy=False)
+    na, nb = (a * a).sum(1), (b * b).sum(1)
+    d = na[:, None] + nb[None] - 2 * (a @ b.T)
+    i, j = np.nonzero(d < 1e-9 * (na[:, None] + nb[None]))
+    for s in range(0, len(i), 4096):
+        d[i[s : s + 4096], j[s : s + 4096]] = ((a[i[s : s + 4096]] - b[j[s : s + 4096]]) ** 2).sum(1)
     return np.maximum(d, 0)
 
 
 def l1(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    return np.stack([np.abs(x - b).sum(1) for x in a]) if len(a) else np.empty((0, len(b)))
+    b = b.astype(float, copy=False)
+    return np.stack([np.abs(x - b).sum(1) for x in a.astype(float, copy=False)]) if len(a) else np.empty((0, len(b)))
 
 
 def linf(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    return np.stack([np.abs(x - b).max(1) for x in a]) if len(a) else np.empty((0, len(b)))
+    b = b.astype(float, copy=False)
+    return np.stack([np.abs(x - b).max(1) for x in a.astype(float, copy=False)]) if len(a) else np.empty((0, len(b)))
 
 
 def cosine(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """1 - cosine; a zero vector is at distance 1 from everything."""
+    a, b = a.astype(float, copy=False), b.astype(float, copy=False)
     na, nb = np.sqrt((a * a).sum(1)), np.sqrt((b * b).sum(1))
     return 1 - a @ b.T / np.maximum(na[:, None] * nb[None], 1e-300)
 
 
-KERNELS = {"l2sq": l2sq, "l1": l1, "linf": linf, "cosine": cosine}
+def jaccard(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """1 - shared / all members of sets given as vectors of 0 and 1; two empty sets are equal."""
+    a, b = a.astype(float, copy=False), b.astype(float, copy=False)
+    both = a @ b.T
+    return 1 - both / np.maximum(a.sum(1)[:, None] + b.sum(1)[None] - both, 1) - ((a.sum(1)[:, None] + b.sum(1)[None]) == 0)
+
+
+KERNELS = {"l2sq": l2sq, "l1": l1, "linf": linf, "cosine": cosine, "jaccard": jaccard}
 
 
 def expression(metric: str, a: Column, b: Column) -> Column:

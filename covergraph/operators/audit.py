@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.exact import Share
+from ..functions.exact import DRAWS, Share, portable_hash
 from ..functions.metric import KERNELS
 from ..sources.points import block, stage
 
@@ -18,35 +18,91 @@ def adjacency(edges: DataFrame) -> DataFrame:
     return edges.groupBy("src").agg(F.array_sort(F.collect_set("dst")).alias("dsts"))
 
 
-def covered_counts(points: DataFrame, edges: DataFrame, metric: str = "l2sq", targets: int | None = None, seed: int = 1) -> DataFrame:
-    """(src, covered, checked): points strictly nearer to an out-neighbour than to src, src itself not counted.
+def covered_counts(points: DataFrame, edges: DataFrame, metric: str = "l2sq", targets: int | None = None, seed: int = 1, all_linked: DataFrame | None = None) -> DataFrame:
+    """(src, covered, checked, half_width): points strictly nearer to an out-neighbour than to src, src itself not counted.
 
-    targets: check that many drawn points only; then covered/checked estimates
-    the share, off by more than sqrt(ln(2/d)/(2 checked)) with probability d."""
-    spark = points.sparkSession
+    targets: check that many drawn points only (sampled_counts), for points of
+    any number. all_linked(id): points that link to all others, with no edges
+    spelled out. Whole counts send the points to every task behind a size check."""
+    if targets is not None:
+        return sampled_counts(points, edges, targets, metric, seed, all_linked)
     ids, vecs = block(points)
-    aim = np.arange(len(ids)) if targets is None or targets >= len(ids) else np.sort(np.random.default_rng(seed).choice(len(ids), targets, replace=False))
-    sent = spark.sparkContext.broadcast((ids, vecs, aim))
+    sent = points.sparkSession.sparkContext.broadcast((ids, vecs))
     kernel = KERNELS[metric]
 
     def run(batches):
-        ids, vecs, aim = sent.value
+        ids, vecs = sent.value
         for batch in batches:
-            src, covered, checked = batch.column(0).to_numpy(), [], []
+            src, covered = batch.column(0).to_numpy(), []
             for s, dsts in zip(src, batch.column(1), strict=True):
                 p = np.searchsorted(ids, s)
-                here = aim[aim != p]
-                nbrs = np.searchsorted(ids, np.array(dsts.as_py() or [], np.int64))
-                own = kernel(vecs[p : p + 1], vecs[here])[0]
-                hit = np.zeros(len(here), bool)
-                for at in range(0, len(nbrs), 1024):
-                    hit |= (kernel(vecs[nbrs[at : at + 1024]], vecs[here]) < own).any(axis=0)
-                covered.append(int(hit.sum()))
-                checked.append(len(here))
-            yield pa.RecordBatch.from_arrays([pa.array(src), pa.array(covered, pa.int64()), pa.array(checked, pa.int64())], ["src", "covered", "checked"])
+                open_ = np.delete(np.arange(len(ids)), p)
+                own = _row(kernel, vecs, p, vecs)[open_]
+                for n in np.searchsorted(ids, np.array(dsts.as_py() or [], np.int64)).tolist():
+                    if not len(open_):
+                        break
+                    left = ~(_row(kernel, vecs, n, vecs, open_) < own)
+                    open_, own = open_[left], own[left]
+                covered.append(len(ids) - 1 - len(open_))
+            n = len(src)
+            yield pa.RecordBatch.from_arrays([pa.array(src), pa.array(covered, pa.int64()), pa.array(np.full(n, len(ids) - 1)), pa.array(np.zeros(n))], COUNTED)
 
     every = points.select(F.col("id").alias("src")).join(adjacency(edges), "src", "left")
-    return every.mapInArrow(run, "src long, covered long, checked long")
+    return _with_all_linked(every.mapInArrow(run, COUNTS), all_linked)
+
+
+COUNTS = "src long, covered long, checked long, half_width double"
+COUNTED = [c.split()[0] for c in COUNTS.split(", ")]
+
+
+def _row(kernel, a: np.ndarray, i: int, b: np.ndarray, which: np.ndarray | None = None, tile: int = 16384) -> np.ndarray:
+    """Distances of row i of a to rows of b, a tile at a time."""
+    n = len(b) if which is None else len(which)
+    parts = [kernel(a[i : i + 1], b[s : s + tile] if which is None else b[which[s : s + tile]])[0] for s in range(0, n, tile)]
+    return np.concatenate(parts) if parts else np.empty(0)
+
+
+def _with_all_linked(counts: DataFrame, all_linked: DataFrame | None) -> DataFrame:
+    if all_linked is None:
+        return counts
+    whole = all_linked.select(F.col("id").alias("_id")).distinct()
+    return counts.join(whole, F.col("src") == F.col("_id"), "left").select("src", F.when(F.col("_id").isNotNull(), F.col("checked")).otherwise(F.col("covered")).alias("covered"), "checked", "half_width")
+
+
+def drawn_targets(points: DataFrame, m: int, seed: int) -> DataFrame:
+    """m points by the portable hash of their ids: the same ones in every engine."""
+    return points.orderBy(portable_hash(F.col("id"), DRAWS, seed), "id").limit(m)
+
+
+def sampled_counts(points: DataFrame, edges: DataFrame, m: int, metric: str = "l2sq", seed: int = 1, all_linked: DataFrame | None = None, error: float = 0.05) -> DataFrame:
+    """covered_counts() over m drawn points, which alone are sent to the tasks; sources and their links meet by joins.
+
+    covered / checked is off by more than half_width with probability `error` at most."""
+    targets = stage(drawn_targets(points.select("id", "vec"), m, seed))
+    sent = points.sparkSession.sparkContext.broadcast(block(targets))
+    kernel = KERNELS[metric]
+
+    def run(group: pa.Table) -> pa.Table:
+        ids, vecs = sent.value
+        src, own = group.column("src").to_numpy(), group.column("own").to_numpy(zero_copy_only=False)
+        v = group.column("vec").combine_chunks().flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(src), -1)
+        order = np.lexsort((~own, src))
+        src, v = src[order], v[order]
+        starts = np.flatnonzero(np.r_[True, src[1:] != src[:-1]])
+        out = {"src": [], "covered": [], "checked": [], "half_width": []}
+        for s, e in zip(starts, np.r_[starts[1:], len(src)], strict=True):
+            here = ids != src[s]
+            near = np.full(len(ids), np.inf)
+            for at in range(s + 1, e, 256):
+                near = np.minimum(near, kernel(v[at : min(e, at + 256)], vecs).min(axis=0))
+            n = int(here.sum())
+            for c, x in zip(out, (int(src[s]), int((near < kernel(v[s : s + 1], vecs)[0])[here].sum()), n, float(np.sqrt(np.log(2 / error) / (2 * max(n, 1))))), strict=True):
+                out[c].append(x)
+        return pa.table(out)
+
+    links = edges.select("src", "dst").distinct().join(points.select(F.col("id").alias("dst"), "vec"), "dst").select("src", "vec", F.lit(False).alias("own"))
+    both = links.unionByName(points.select(F.col("id").alias("src"), "vec", F.lit(True).alias("own")))
+    return _with_all_linked(both.groupBy("src").applyInArrow(run, COUNTS), all_linked)
 
 
 def coverage_check(counts: DataFrame, share) -> DataFrame:
@@ -72,11 +128,12 @@ def uncovered_pairs(points: DataFrame, edges: DataFrame, metric: str = "l2sq") -
         for batch in batches:
             for s, dsts in zip(batch.column(0).to_numpy(), batch.column(1), strict=True):
                 p = np.searchsorted(ids, s)
-                nbrs = np.searchsorted(ids, np.array(dsts.as_py() or [], np.int64))
-                near = kernel(vecs[nbrs], vecs).min(axis=0) if len(nbrs) else np.full(len(ids), np.inf)
-                left = ids[~(near < kernel(vecs[p : p + 1], vecs)[0])]
-                left = left[left != s]
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(left), s)), pa.array(left)], ["src", "target"])
+                open_ = np.delete(np.arange(len(ids)), p)
+                own = _row(kernel, vecs, p, vecs)[open_]
+                for n in np.searchsorted(ids, np.array(dsts.as_py() or [], np.int64)).tolist():
+                    left = ~(_row(kernel, vecs, n, vecs, open_) < own)
+                    open_, own = open_[left], own[left]
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(open_), s)), pa.array(ids[open_])], ["src", "target"])
 
     return points.select(F.col("id").alias("src")).join(adjacency(edges), "src", "left").mapInArrow(run, "src long, target long")
 
@@ -104,6 +161,10 @@ def bounds(spark, n: int, share) -> DataFrame:
     return spark.createDataFrame([(n, str(share), share.need(n), peel, full, n * full, "cliques" if peel < full else "navigable")], "n long, share string, need long, clique_degree double, navigable_degree double, worst_edges double, regime string")
 
 
+#: Links of a node from which it is a hub; most hubs.
+HUB, HUBS = 10_000, 1000
+
+
 def reachable(edges: DataFrame, start: int) -> DataFrame:
     """(node, hops) along edges from start: one join per hop."""
     seen = stage(edges.sparkSession.createDataFrame([(start, 0)], "node long, hops int"))
@@ -120,8 +181,16 @@ def components(points: DataFrame, edges: DataFrame) -> DataFrame:
     """(node, component): smallest id that edges reach in either direction; labels spread and jump until they rest."""
     both = stage(edges.select("src", "dst").unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).distinct())
     now = stage(points.select(F.col("id").alias("node"), F.col("id").alias("component")))
+    degree = both.groupBy("src").agg(F.count(F.lit(1)).alias("n"))
+    cut = max(HUB, both.count() // HUBS)
+    hubs = stage(degree.where(F.col("n") > cut).select(F.col("src").alias("hub")))
+    # links of hubs, of which there are HUBS at the most, stay where they are and get the hub's label sent
+    to_hub, others = (both.join(F.broadcast(hubs), F.col("dst") == F.col("hub"), how) for how in ("left_semi", "left_anti"))
     while True:
-        near = both.join(now, both["dst"] == now["node"]).groupBy("src").agg(F.min("component").alias("near"))
+        label = now.select(F.col("node").alias("dst"), "component")
+        at_hubs = label.join(F.broadcast(hubs), F.col("dst") == F.col("hub"), "left_semi")
+        met = others.join(label, "dst").unionByName(to_hub.join(F.broadcast(at_hubs), "dst"))
+        near = met.groupBy("src").agg(F.min("component").alias("near"))
         lower = now.join(near, now["node"] == near["src"], "left").select("node", "component", F.least("component", F.coalesce("near", "component")).alias("low"))
         jump = lower.select(F.col("node").alias("_n"), F.col("low").alias("_c"))
         after = stage(lower.join(jump, lower["low"] == jump["_n"]).select("node", F.col("_c").alias("component"), (F.col("_c") != F.col("component")).alias("moved")))

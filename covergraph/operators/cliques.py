@@ -9,12 +9,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.exact import PRIME, Share, portable_hash
+from ..functions.exact import Share, draw, portable_hash
 from ..functions.metric import KERNELS
 from ..sources.points import block, indexed, stage
 
 #: Exact ownership compares all pairs; beyond this it is refused.
 MOST_PAIRS = 10**11
+#: Most partitions that a round of partition-wise chunks leaves.
+WIDEST = 100_000
 #: Chunks of one kernel call.
 TOGETHER = 32
 
@@ -28,28 +30,41 @@ class Peel:
     leftovers: DataFrame
     log: list[dict]
 
-    def edges(self) -> DataFrame:
-        """(src, dst), explicit; leftovers are multiplied out here only."""
+    def inside(self) -> DataFrame:
+        """(src, dst) within cliques; leftovers, which link to all points, are left implicit."""
         m = self.members
-        inside = m.where("kept").select("round", "chunk", F.col("member").alias("src")).join(m.select("round", "chunk", F.col("member").alias("dst")), ["round", "chunk"]).where("src <> dst").select("src", "dst")
-        tail = F.broadcast(self.leftovers.select(F.col("id").alias("src"))).crossJoin(self.points.select(F.col("id").alias("dst"))).where("src <> dst")
-        return inside.unionByName(tail.select("src", "dst"))
+        return m.where("kept").select("round", "chunk", F.col("member").alias("src")).join(m.select("round", "chunk", F.col("member").alias("dst")), ["round", "chunk"]).where("src <> dst").select("src", "dst")
+
+    def edges(self) -> DataFrame:
+        """(src, dst), explicit; leftovers are multiplied out here only, at most MOST_PAIRS of them."""
+        if self.log and (self.log[-1]["carried"]) * self.log[0]["pool"] > MOST_PAIRS:
+            raise ValueError("leftovers link to all points: use inside() and leftovers")
+        tail = self.points.select(F.col("id").alias("dst")).join(self.leftovers.select(F.col("id").alias("src")), F.col("src") != F.col("dst"))
+        return self.inside().unionByName(tail.select("src", "dst"))
 
     def rounds(self) -> DataFrame:
         return self.points.sparkSession.createDataFrame([tuple(r.values()) for r in self.log], "round int, pool long, chunks long, kept long, carried long, distances long, tie_limited boolean")
 
 
-def chunks(pool: DataFrame, size: int, turn: int, seed: int) -> DataFrame:
-    """pool with chunk numbers in an order drawn by the portable hash; the short last chunk is -1."""
+def projection(vec, turn: int, seed: int):
+    """A vector's sum with signs drawn by place: near points get near numbers."""
+    signed = F.transform(vec, lambda x, i: F.when(portable_hash(i.cast("long"), turn, seed) % 2 == 0, x).otherwise(-x))
+    return F.aggregate(signed, F.lit(0.0), lambda s, x: s + x)
+
+
+ORDERS = {"hash": lambda turn, seed: portable_hash(F.col("id"), turn, seed), "id": lambda turn, seed: F.col("id"), "locality": lambda turn, seed: projection(F.col("vec"), turn, seed)}
+
+
+def chunks(pool: DataFrame, size: int, turn: int, seed: int, order: str = "hash") -> DataFrame:
+    """pool with chunk numbers in an order: drawn by the portable hash, by id, or along a drawn direction (any will do); the short last chunk is -1."""
     n = pool.count()
-    ranked = indexed(pool.withColumn("_key", portable_hash(F.col("id"), turn, seed)), "_key", "id").drop("_key")
+    ranked = indexed(pool.withColumn("_key", ORDERS[order](turn, seed)), "_key", "id").drop("_key")
     return ranked.withColumn("chunk", F.when(F.col("pos") < n // size * size, F.floor(F.col("pos") / size)).otherwise(F.lit(-1)).cast("long"))
 
 
 def draws(n: int, w: int, turn: int, seed: int) -> np.ndarray:
     """w positions in 0..n-1, with replacement, the same in every engine."""
-    i = np.arange(w, dtype=np.int64)
-    return portable_hash((i * 69069 + 12345) % PRIME, turn, seed) % n
+    return draw(np.arange(w, dtype=np.int64), turn, seed, n)
 
 
 def owned_counts(distances: np.ndarray, weight: np.ndarray) -> np.ndarray:
@@ -80,13 +95,38 @@ def ownership(chunked: DataFrame, targets: tuple[np.ndarray, np.ndarray], metric
     return full.select("_group", "chunk", "id", "vec").groupBy("_group").applyInArrow(run, "chunk long, member long, owned long")
 
 
-def peel(points: DataFrame, share, delta: float | None = None, metric: str = "l2sq", seed: int = 1) -> Peel:
+def local_ownership(pool: DataFrame, size: int, targets: tuple[np.ndarray, np.ndarray], metric: str = "l2sq") -> DataFrame:
+    """(chunk, member, owned) of chunks formed of neighbours within partitions, without a shuffle; what is left over of a partition is in none."""
+    sent = pool.sparkSession.sparkContext.broadcast(targets)
+    kernel = KERNELS[metric]
+
+    def run(batches):
+        from pyspark import TaskContext
+
+        weight, vecs = sent.value
+        at, ids, held = TaskContext.get().partitionId() << 32, np.empty(0, np.int64), None
+        for batch in batches:
+            mine = batch.column(1).flatten().to_numpy(zero_copy_only=False).astype(float).reshape(batch.num_rows, -1)
+            ids, held = np.r_[ids, batch.column(0).to_numpy()], mine if held is None else np.concatenate([held, mine])
+            for s in range(0, len(ids) - size + 1, size):
+                owned = sum(owned_counts(kernel(held[s : s + size], vecs[k : k + 4096]), weight[k : k + 4096]) for k in range(0, len(vecs), 4096))
+                yield pa.RecordBatch.from_pydict({"chunk": np.full(size, at), "member": ids[s : s + size], "owned": owned.astype(np.int64)})
+                at += 1
+            done = len(ids) // size * size
+            ids, held = ids[done:], held[done:]
+
+    return pool.select("id", "vec").mapInArrow(run, "chunk long, member long, owned long")
+
+
+def peel(points: DataFrame, share, delta: float | None = None, metric: str = "l2sq", seed: int = 1, order: str = "hash") -> Peel:
     """Rounds of cliques over the points not yet finished. delta None: ownership over all points; else over a fresh
     sample each round, right with probability 1 - delta.
 
     Vectors must be distinct (dedupe) for the size bound; equal distances only
     make the rounds stop early (tie_limited), never the coverage fail. One count
-    per round comes to the driver."""
+    per round comes to the driver. order: hash, id or locality cut the pool as a
+    whole; partition cuts each partition as it lies, with no shuffle, and leaves
+    a remainder in each (so a round that keeps nothing may come early)."""
     share = Share.of(share)
     points = stage(points.select("id", "vec"))
     n = points.count()
@@ -98,7 +138,7 @@ def peel(points: DataFrame, share, delta: float | None = None, metric: str = "l2
     placed = None
     while left >= size:
         turn += 1
-        cut = stage(chunks(pool, size, turn, seed))
+        cut = pool if order == "partition" else stage(chunks(pool, size, turn, seed, order))
         if delta is None:
             target, w = (np.ones(n, np.int64), every[1]), n
         else:
@@ -108,13 +148,13 @@ def peel(points: DataFrame, share, delta: float | None = None, metric: str = "l2
             picked = points.sparkSession.createDataFrame([(int(p), int(m)) for p, m in zip(pos, weight, strict=True)], "pos long, mult long")
             rows = placed.join(F.broadcast(picked), "pos").select("mult", "vec").collect()
             target = np.array([r[0] for r in rows], np.int64), np.array([r[1] for r in rows])
-        owned = ownership(cut, target, metric)
+        owned = local_ownership(cut, size, target, metric) if order == "partition" else ownership(cut, target, metric)
         test = share.keeps(F.col("owned"), n) if delta is None else share.keeps_sampled(F.col("owned"), w)
         members = stage(owned.select(F.lit(turn).alias("round"), "chunk", "member", "owned", test.alias("kept")))
         parts.append(members)
-        kept = members.where("kept").count()
-        pool = stage(pool.join(members.where("kept").select(F.col("member").alias("id")), "id", "left_anti"))
-        full = left // size * size
+        kept, full = members.agg(F.coalesce(F.sum(F.col("kept").cast("long")), F.lit(0)), F.count(F.lit(1))).first()
+        pool = pool.join(members.where("kept").select(F.col("member").alias("id")), "id", "left_anti")
+        pool = stage(pool.coalesce(max(1, min(WIDEST, (left - kept) // (4 * size)))) if order == "partition" else pool)
         stuck = kept == 0 or turn >= share.rounds(n)
         log.append({"round": turn, "pool": left, "chunks": full // size, "kept": kept, "carried": left - kept, "distances": full * len(target[0]), "tie_limited": stuck and left - kept >= size})
         left -= kept

@@ -10,35 +10,37 @@ from pyspark.sql import functions as F
 
 from ..functions.exact import Share
 from ..functions.metric import KERNELS
-from ..sources.points import block
+from ..sources.points import block, bounded_blocks, width
+from .audit import _row
 
 EDGES = "src long, rank int, dst long, dist double, gain long, cum long"
 
 
-def nearest_first(own: np.ndarray, vecs: np.ndarray, ids: np.ndarray, p: int, need: int, kernel, order: np.ndarray | None = None, slack: float = 1.0):
-    """Links the nearest point not covered yet until `need` are: (position, gain) in order. `order`: candidates only."""
-    if order is None:
-        order = np.lexsort((ids, own))
-        order = order[order != p]
-    open_, covered, out = np.ones(len(ids), bool), 0, []
-    open_[p] = False
-    for s in order.tolist():
-        if covered >= need:
+def nearest_first(own: np.ndarray, vecs: np.ndarray, ids: np.ndarray, p: int, need: int, kernel, candidates: np.ndarray | None = None, slack: float = 1.0):
+    """Links the nearest point not covered yet until `need` are: (position, gain) in order. `candidates`: links come from these positions only.
+
+    Only points still open are compared, which a few links make few."""
+    open_ = np.lexsort((ids, own))
+    open_ = open_[open_ != p]
+    allowed = None if candidates is None else np.isin(np.arange(len(ids)), candidates)
+    covered, out = 0, []
+    while covered < need and len(open_):
+        first = 0 if allowed is None else int(allowed[open_].argmax())
+        s = int(open_[first])
+        if allowed is not None and not allowed[s]:
             break
-        if not open_[s]:
-            continue
-        hit = open_ & (slack * kernel(vecs[s : s + 1], vecs)[0] < own)
-        hit[s] = True
-        open_ &= ~hit
+        hit = slack * _row(kernel, vecs, s, vecs, open_) < own[open_]
+        hit[first] = True
+        open_ = open_[~hit]
         gain = int(hit.sum())
         covered += gain
         out.append((s, gain))
     return out
 
 
-def most_first(own: np.ndarray, vecs: np.ndarray, ids: np.ndarray, p: int, need: int, kernel, covers: np.ndarray):
-    """Greedy set cover: links the point that covers most of what is left, ties by distance and id."""
-    hits = covers < own[None]
+def most_first(own: np.ndarray, ids: np.ndarray, p: int, need: int, between: np.ndarray):
+    """Greedy set cover: links the point that covers most of what is left, ties by distance and id. between: distances of all pairs."""
+    hits = between < own[None]
     np.fill_diagonal(hits, True)
     hits[:, p] = False
     hits[p] = False
@@ -58,40 +60,44 @@ def most_first(own: np.ndarray, vecs: np.ndarray, ids: np.ndarray, p: int, need:
     return out
 
 
+#: Bytes of all pairs' distances that a set cover's task may hold; sources compared with all points at once.
+MOST_COVER, TOGETHER = 256 << 20, 16
+
+
 def _lists(points: DataFrame, share, sources: DataFrame | None, metric: str, rule: str, candidates: DataFrame | None = None, slack: float = 1.0) -> DataFrame:
     share, kernel = Share.of(share), KERNELS[metric]
     ids, vecs = block(points)
+    if rule == "cover" and len(ids) ** 2 * 8 > MOST_COVER:
+        raise ValueError(f"a set cover compares all pairs for every node: {len(ids)} points are too many, use prune()")
     need = share.need(len(ids))
-    sent = points.sparkSession.sparkContext.broadcast((ids, vecs, kernel(vecs, vecs) if rule == "cover" else None))
+    sent = points.sparkSession.sparkContext.broadcast((ids, vecs))
 
     def run(batches):
-        ids, vecs, covers = sent.value
+        ids, vecs = sent.value
+        between = kernel(vecs, vecs) if rule == "cover" else None
         for batch in batches:
-            rows = []
-            for i, s in enumerate(batch.column(0).to_pylist()):
-                p = int(np.searchsorted(ids, s))
-                own = kernel(vecs[p : p + 1], vecs)[0]
-                own[p] = 0
-                if rule == "cover":
-                    got = most_first(own, vecs, ids, p, need, kernel, covers)
-                else:
-                    order = None
-                    if batch.num_columns > 1:
-                        order = np.searchsorted(ids, np.array(batch.column(1)[i].as_py() or [], np.int64))
-                        order = order[np.lexsort((ids[order], own[order]))]
-                        order = order[order != p]
-                    got = nearest_first(own, vecs, ids, p, need, kernel, order, slack)
-                cum = 0
-                for rank, (d, gain) in enumerate(got, 1):
-                    cum += gain
-                    rows.append((s, rank, int(ids[d]), float(own[d]), gain, cum))
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True) if rows else [()] * 6, (pa.int64(), pa.int32(), pa.int64(), pa.float64(), pa.int64(), pa.int64()), strict=True)], ["src", "rank", "dst", "dist", "gain", "cum"])
+            src = batch.column(0).to_numpy()
+            place = np.searchsorted(ids, src)
+            for first in range(0, len(src), TOGETHER):
+                rows, some = [], place[first : first + TOGETHER]
+                every = np.concatenate([kernel(vecs[some], vecs[s : s + 16384]) for s in range(0, len(ids), 16384)], axis=1)
+                for i, (p, own) in enumerate(zip(some.tolist(), every, strict=True), first):
+                    own[p] = 0
+                    if rule == "cover":
+                        got = most_first(own, ids, p, need, between)
+                    else:
+                        allowed = np.searchsorted(ids, np.array(batch.column(1)[i].as_py() or [], np.int64)) if batch.num_columns > 1 else None
+                        got = nearest_first(own, vecs, ids, p, need, kernel, allowed, slack)
+                    cum = 0
+                    for rank, (d, gain) in enumerate(got, 1):
+                        cum += gain
+                        rows.append((int(src[i]), rank, int(ids[d]), float(own[d]), gain, cum))
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True) if rows else [()] * 6, (pa.int64(), pa.int32(), pa.int64(), pa.float64(), pa.int64(), pa.int64()), strict=True)], ["src", "rank", "dst", "dist", "gain", "cum"])
 
     nodes = (sources or points).select(F.col("id").alias("src"))
     if candidates is not None:
         nodes = nodes.join(candidates.groupBy("src").agg(F.collect_set("dst").alias("dsts")), "src", "left")
-    width = int(points.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return nodes.repartition(max(width, 8)).mapInArrow(run, EDGES)
+    return nodes.repartition(max(width(points), 8)).mapInArrow(run, EDGES)
 
 
 def prune(points: DataFrame, share=1, sources: DataFrame | None = None, metric: str = "l2sq", candidates: DataFrame | None = None, slack: float = 1.0) -> DataFrame:
@@ -107,76 +113,91 @@ def set_cover(points: DataFrame, share=1, sources: DataFrame | None = None, metr
 
 
 def probe_prune(points: DataFrame, probes: DataFrame, share, metric: str = "l2sq", shell: int = 64) -> DataFrame:
-    """prune() of a bounded number of probes over points of any number.
+    """prune() of a bounded number of probes over points of any number; probes go block by block."""
+    n = points.count()
+    out = None
+    for some in bounded_blocks(probes.select("id", "vec"), "id", PROBE_BLOCK):
+        one = _probe_block(points, some, Share.of(share).need(n), metric, shell)
+        out = one if out is None else out.unionByName(one)
+    return out
+
 
-    Each pass scans the points once: what the links so far cover is counted by
-    its first coverer, and the nearest `shell` of the rest are merged and pruned
-    on the driver, which holds shell candidates per probe and partition tree."""
-    spark, share, kernel = points.sparkSession, Share.of(share), KERNELS[metric]
+PROBE_BLOCK = 1 << 20
+
+
+def _probe_block(points: DataFrame, probes: DataFrame, need: int, metric: str, shell: int) -> DataFrame:
+    """Each pass scans the points once: what the links so far cover is counted by its first coverer, and the nearest
+    `shell` of the rest are kept, by partition and then by probe, where they are pruned to new links. The driver sees
+    the links of a block's probes only: ids, distances and vectors as arrays."""
+    spark, kernel = points.sparkSession, KERNELS[metric]
     pid, pvec = block(probes, most=64 << 20)
-    n = points.count()
-    need = share.need(n)
-    links: list[list] = [[] for _ in pid]
-    gains: list[list[int]] = [[] for _ in pid]
-    todo = [i for i in range(len(pid)) if need > 0]
+    dim = pvec.shape[1]
+    links = {i: (np.empty(0, np.int64), np.empty(0), np.empty((0, dim))) for i in range(len(pid))}
+    gains = {i: np.empty(0, np.int64) for i in range(len(pid))}
+    todo = list(range(len(pid))) if need > 0 else []
     while todo:
-        sent = spark.sparkContext.broadcast((todo, [np.array([v for _, _, v in links[i]]) for i in todo]))
+        sent = spark.sparkContext.broadcast((pid, pvec, {i: links[i] for i in todo}))
 
         def scan(batches):
-            todo, chosen = sent.value
+            pid, pvec, chosen = sent.value
+            hits = {i: np.zeros(len(c[0]), np.int64) for i, c in chosen.items()}
+            best = {i: (np.empty(0), np.empty(0, np.int64), np.empty((0, dim))) for i in chosen}
             for batch in batches:
-                ids = batch.column(0).to_numpy()
-                vecs = batch.column(1).flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(ids), -1)
-                out = {"probe": [], "hits": [], "ids": [], "dists": [], "vecs": []}
-                for i, s in zip(todo, chosen, strict=True):
-                    own = kernel(pvec[i : i + 1], vecs)[0]
-                    first = np.full(len(ids), -1)
-                    if len(s):
-                        near = kernel(s, vecs)
-                        # a link covers itself as well
-                        ok = (near < own) | (near == 0)
-                        first = np.where(ok.any(0), ok.argmax(0), -1)
-                    first[ids == pid[i]] = -2
-                    rest = np.flatnonzero(first == -1)
-                    rest = rest[np.lexsort((ids[rest], own[rest]))[:shell]]
-                    out["probe"].append(i)
-                    out["hits"].append(np.bincount(first[first >= 0], minlength=len(s)).tolist())
-                    out["ids"].append(ids[rest].tolist())
-                    out["dists"].append(own[rest].tolist())
-                    out["vecs"].append(vecs[rest].ravel().tolist())
-                yield pa.RecordBatch.from_pydict(out, schema=pa.schema([("probe", pa.int32()), ("hits", pa.list_(pa.int64())), ("ids", pa.list_(pa.int64())), ("dists", pa.list_(pa.float64())), ("vecs", pa.list_(pa.float64()))]))
-
-        dim = pvec.shape[1]
-        found = points.select("id", "vec").mapInArrow(scan, "probe int, hits array<long>, ids array<long>, dists array<double>, vecs array<double>")
-        hits = found.select("probe", F.posexplode("hits").alias("k", "h")).groupBy("probe", "k").agg(F.sum("h").alias("h"))
-        near = found.select("probe", F.explode(F.arrays_zip("ids", "dists", F.expr(f"transform(sequence(0, greatest(size(ids) - 1, 0)), i -> slice(vecs, i * {dim} + 1, {dim}))").alias("v"))).alias("x")).where("x.ids is not null")
-        near = near.withColumn("r", F.row_number().over(W.partitionBy("probe").orderBy("x.dists", "x.ids"))).where(F.col("r") <= shell)
-        counted = {(r[0], r[1]): r[2] for r in hits.collect()}
-        rows: dict[int, list] = {}
-        for r in near.orderBy("probe", "r").collect():
-            rows.setdefault(r[0], []).append((r[1][0], r[1][1], r[1][2]))
+                every = batch.column(0).to_numpy()
+                all_vecs = batch.column(1).flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(every), -1)
+                for at in range(0, len(every), 16384):
+                    ids, vecs = every[at : at + 16384], all_vecs[at : at + 16384]
+                    for i, (lid, _, lvec) in chosen.items():
+                        own = kernel(pvec[i : i + 1], vecs)[0]
+                        rest = np.flatnonzero(ids != pid[i])
+                        for k in range(len(lid)):  # first coverer: what an earlier link covers leaves
+                            ok = (_row(kernel, lvec, k, vecs, rest) < own[rest]) | (ids[rest] == lid[k])
+                            hits[i][k] += int(ok.sum())
+                            rest = rest[~ok]
+                        d0, i0, v0 = best[i]
+                        if len(d0) == shell:
+                            rest = rest[own[rest] <= d0[-1]]
+                        if len(rest):
+                            d1, i1 = np.r_[d0, own[rest]], np.r_[i0, ids[rest]]
+                            keep = np.lexsort((i1, d1))[:shell]
+                            best[i] = d1[keep], i1[keep], np.concatenate([v0, vecs[rest]])[keep]
+            for i in chosen:
+                d, x, v = best[i]
+                yield pa.RecordBatch.from_pydict({"probe": [i], "hits": [hits[i]], "ids": [x], "dists": [d], "vecs": [v.ravel()]}, schema=pa.schema([("probe", pa.int32()), ("hits", pa.list_(pa.int64())), ("ids", pa.list_(pa.int64())), ("dists", pa.list_(pa.float64())), ("vecs", pa.list_(pa.float64()))]))
+
+        def merge(group: pa.Table) -> pa.Table:
+            _, _, chosen = sent.value
+            probe = group.column("probe")[0].as_py()
+            flat = lambda c: group.column(c).combine_chunks().flatten().to_numpy(zero_copy_only=False)
+            hits = flat("hits").reshape(group.num_rows, -1).sum(axis=0)
+            ids, dists, vecs = flat("ids"), flat("dists"), flat("vecs").reshape(-1, dim)
+            order = np.lexsort((ids, dists))[:shell]
+            mine, new = chosen[probe][2], []
+            if hits.sum() < need:
+                for j in order.tolist():
+                    if len(mine) and (kernel(vecs[j : j + 1], mine)[0] < dists[j]).any():
+                        continue  # a link of this pass covers it
+                    mine = np.concatenate([mine, vecs[j : j + 1]])
+                    new.append(j)
+            return pa.table({"probe": pa.array([probe], pa.int32()), "hits": pa.array([hits.astype(np.int64)], pa.list_(pa.int64())), "ids": pa.array([ids[new]], pa.list_(pa.int64())), "dists": pa.array([dists[new]], pa.list_(pa.float64())), "vecs": pa.array([vecs[new].ravel()], pa.list_(pa.float64()))})
+
+        kind = "probe int, hits array<long>, ids array<long>, dists array<double>, vecs array<double>"
+        t = points.select("id", "vec").mapInArrow(scan, kind).groupBy("probe").applyInArrow(merge, kind).toArrow()
         after = []
-        for i in todo:
-            gains[i] = [counted.get((i, k), 0) for k in range(len(links[i]))]
-            if sum(gains[i]) >= need or not rows.get(i):
-                continue
-            for d, dist, v in rows[i]:
-                v = np.array(v)
-                mine = np.array([x for _, _, x in links[i]])
-                # earlier links of this pass may cover it
-                if len(mine) and ((kernel(mine, v[None])[:, 0] < dist).any()):
-                    continue
-                links[i].append((d, dist, v))
-            after.append(i)
+        for j, i in enumerate(t.column("probe").to_pylist()):
+            get = lambda c, j=j: t.column(c)[j].values.to_numpy(zero_copy_only=False)  # noqa: B023, E731
+            gains[i] = get("hits")
+            if len(get("ids")):
+                old = links[i]
+                links[i] = np.r_[old[0], get("ids")], np.r_[old[1], get("dists")], np.concatenate([old[2], get("vecs").reshape(-1, dim)])
+                after.append(i)
         todo = after
+        sent.unpersist()
     out = []
     for i, p in enumerate(pid.tolist()):
-        cum = 0
-        for rank, ((d, dist, _), g) in enumerate(zip(links[i], gains[i], strict=True), 1):
-            if cum >= need:
-                break
-            cum += g
-            out.append((p, rank, int(d), float(dist), int(g), int(cum)))
+        cum = np.cumsum(gains[i])
+        used = int(np.searchsorted(cum, need)) + 1 if len(cum) and need > 0 else 0
+        out += [(p, k + 1, int(links[i][0][k]), float(links[i][1][k]), int(gains[i][k]), int(cum[k])) for k in range(min(used, len(cum)))]
     return spark.createDataFrame(out, EDGES)
 
 

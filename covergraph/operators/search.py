@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import bisect
+import copy
 import heapq
 from functools import reduce
 from types import SimpleNamespace
@@ -13,9 +14,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ..functions.exact import Share, draw
 from ..functions.metric import KERNELS
-from ..sources.points import block, stage
-from .audit import adjacency
+from ..sources.points import block, bounded_blocks, stage, width
+from .audit import _row
+from .prune import nearest_first
 
 #: Bytes of queries that one scan of the points compares.
 QUERY_BLOCK = 64 << 20
@@ -23,24 +26,18 @@ QUERY_BLOCK = 64 << 20
 
 def query_blocks(queries: DataFrame, most: int | None = None) -> list[DataFrame]:
     """The queries, cut by a hash of qid so that a block stays well below `most` bytes (None: QUERY_BLOCK)."""
-    most = most or QUERY_BLOCK
-    n, dim = queries.agg(F.count(F.lit(1)), F.max(F.size("vec"))).first()
-    size = n * ((dim or 0) + 1) * 8
-    if size <= most:
-        return [queries]
-    cuts = -(-2 * size // most)
-    return [queries.where(F.pmod(F.xxhash64("qid"), F.lit(cuts)) == i) for i in range(cuts)]
+    return bounded_blocks(queries, "qid", most or QUERY_BLOCK)
 
 
-def knn_exact(points: DataFrame, queries: DataFrame, k: int, metric: str = "l2sq") -> DataFrame:
-    """(qid, pos, id, dist): the k nearest by (distance, id).
+def knn_exact(points: DataFrame, queries: DataFrame, k: int, metric: str = "l2sq", own: bool = False) -> DataFrame:
+    """(qid, pos, id, dist): the k nearest by (distance, id). own: queries are points too, and none finds itself.
 
     Queries are broadcast behind a size check, larger sets block by block; each
     partition keeps its k best per query and those are merged."""
     kernel = KERNELS[metric]
     parts = query_blocks(queries)
     if len(parts) > 1:
-        return reduce(DataFrame.unionByName, [knn_exact(points, q, k, metric) for q in parts])
+        return reduce(DataFrame.unionByName, [knn_exact(points, q, k, metric, own) for q in parts])
     sent = points.sparkSession.sparkContext.broadcast(block(queries, "qid", QUERY_BLOCK))
 
     def run(batches):
@@ -52,11 +49,14 @@ def knn_exact(points: DataFrame, queries: DataFrame, k: int, metric: str = "l2sq
             vecs = batch.column(1).flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(ids), -1)
             for at in range(0, len(qid), 256):
                 d = kernel(qvec[at : at + 256], vecs)
+                if own:
+                    d[qid[at : at + 256, None] == ids[None]] = np.inf
                 best = np.stack([np.lexsort((ids, row))[:k] for row in d])
                 row = np.repeat(np.arange(len(best)), best.shape[1])
                 yield pa.RecordBatch.from_arrays([pa.array(qid[at + row]), pa.array(ids[best.ravel()]), pa.array(d[row, best.ravel()])], ["qid", "id", "dist"])
 
     near = points.select("id", "vec").mapInArrow(run, "qid long, id long, dist double")
+    near = near.where("id <> qid") if own else near
     return near.withColumn("pos", F.row_number().over(W.partitionBy("qid").orderBy("dist", "id"))).where(F.col("pos") <= k).select("qid", "pos", "id", "dist")
 
 
@@ -81,22 +81,43 @@ def radius_search(points: DataFrame, queries: DataFrame, radius: float, metric:
 
 
 class Graph:
-    """A graph and its vectors as arrays, sent to every task; both sizes are checked."""
+    """A graph and its vectors as arrays, sent to every task; both sizes are checked.
+
+    Lists that carry rank, gain and cum stay in order of rank, so that the list
+    of a smaller share is the front of each."""
 
     def __init__(self, points: DataFrame, edges: DataFrame, most_edges: int = 1 << 26):
         self.ids, self.vecs = block(points)
         n = edges.count()
         if n > most_edges:
             raise ValueError(f"{n} edges are too many to broadcast: search by frontier joins (greedy_joins) or in shards")
-        t = adjacency(edges).toArrow()
-        src = np.searchsorted(self.ids, t.column("src").to_numpy())
-        self.out: list[np.ndarray] = [np.empty(0, np.int64)] * len(self.ids)
-        for s, d in zip(src, t.column("dsts").to_pylist(), strict=True):
-            self.out[s] = np.searchsorted(self.ids, np.array(d, np.int64))
+        ranked = {"rank", "cum", "gain"} <= set(edges.columns)
+        t = (edges.select("src", "dst", "rank", (F.col("cum") - F.col("gain")).alias("before")) if ranked else edges.select("src", "dst", F.col("dst").alias("rank"), F.lit(0).cast("long").alias("before")).distinct()).toArrow()
+        src, dst = (np.searchsorted(self.ids, t.column(c).to_numpy()) for c in ("src", "dst"))
+        order = np.lexsort((t.column("rank").to_numpy(), src))
+        self.source, self.links, self.before = src[order], dst[order], t.column("before").to_numpy()[order]
+        self.start = np.searchsorted(self.source, np.arange(len(self.ids) + 1))
+        self.end = self.start[1:]
+
+    def cut(self, need: int) -> Graph:
+        """The graph of the share that needs so many covered points, on the same arrays."""
+        out = copy.copy(self)
+        out.end = self.start[:-1] + np.bincount(self.source[self.before < need], minlength=len(self.ids))
+        return out
+
+    def out(self, x: int) -> np.ndarray:
+        return self.links[self.start[x] : self.end[x]]
 
     def medoid(self) -> int:
         """Position of the point nearest to the mean."""
-        return int(((self.vecs - self.vecs.mean(0)) ** 2).sum(1).argmin())
+        v = self.vecs.astype(float, copy=False)
+        return int(((v - v.mean(0)) ** 2).sum(1).argmin())
+
+    def starts(self, rule: str | int, qids, seed: int = 1) -> list[int]:
+        """Positions to start from: a fixed one, the medoid, or one drawn for each query."""
+        if rule == "random":
+            return [draw(int(q), 0, seed, len(self.ids)) for q in qids]
+        return [self.medoid() if rule == "medoid" else int(rule)] * len(qids)
 
 
 def beam(g: Graph, q: np.ndarray, start: int, widths: list[int], kernel):
@@ -115,7 +136,7 @@ def beam(g: Graph, q: np.ndarray, start: int, widths: list[int], kernel):
             continue
         d, _, x = heapq.heappop(frontier)
         bisect.insort(expanded, d)
-        nbrs = g.out[x]
+        nbrs = g.out(x)
         scanned += len(nbrs)
         fresh = [y for y in nbrs.tolist() if y not in dist]
         if fresh:
@@ -125,39 +146,51 @@ def beam(g: Graph, q: np.ndarray, start: int, widths: list[int], kernel):
     return out
 
 
-def beam_sweep(g: Graph, queries: DataFrame, widths: list[int], ks: list[int], metric: str = "l2sq", start: int = 0) -> DataFrame:
-    """(qid, b, k, pos, id, dist, dist_evals, edges_scanned, expanded) for every width and k, from one walk per query."""
+SWEEP = "share string, qid long, b int, k int, pos int, id long, dist double, dist_evals long, edges_scanned long, expanded long"
+
+
+def beam_sweep(g: Graph, queries: DataFrame, widths: list[int], ks: list[int], metric: str = "l2sq", start: int | str = 0, needs: dict[str, int] | None = None, own: bool = False) -> DataFrame:
+    """(share, qid, b, k, pos, id, dist, dist_evals, edges_scanned, expanded) for every width and k, from one walk per query and share.
+
+    needs: points that each share must cover; the graph's lists are cut for each
+    in the task. own: queries are points too, and none finds itself. start: a
+    position, 'medoid' or 'random'."""
     kernel = KERNELS[metric]
-    sent = queries.sparkSession.sparkContext.broadcast((g.ids, g.vecs, g.out))
+    start = g.medoid() if start == "medoid" else start
+    sent = queries.sparkSession.sparkContext.broadcast(g)
 
     def run(batches):
-        g = SimpleNamespace(**dict(zip(("ids", "vecs", "out"), sent.value, strict=True)))
+        whole = sent.value
+        graphs = {s: whole.cut(n) for s, n in needs.items()} if needs else {None: whole}
+        kinds = [pa.string(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.float64(), pa.int64(), pa.int64(), pa.int64()]
         for batch in batches:
-            rows = []
-            for qid, v in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                for b, evals, scanned, expanded, dist in beam(g, np.array(v, float), start, widths, kernel):
-                    best = heapq.nsmallest(max(ks), ((d, int(g.ids[x])) for x, d in dist.items()))
-                    rows += [(qid, b, k, pos, i, d, evals, scanned, expanded) for k in ks for pos, (d, i) in enumerate(best[:k], 1)]
-            kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.float64(), pa.int64(), pa.int64(), pa.int64())
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True) if rows else [()] * 9, kinds, strict=True)], ["qid", "b", "k", "pos", "id", "dist", "dist_evals", "edges_scanned", "expanded"])
+            qids = batch.column(0).to_pylist()
+            for qid, v, first in zip(qids, batch.column(1).to_pylist(), whole.starts(start, qids), strict=True):
+                rows = []
+                for share, g in graphs.items():
+                    for b, evals, scanned, expanded, dist in beam(g, np.array(v, float), first, widths, kernel):
+                        best = heapq.nsmallest(max(ks), ((d, int(g.ids[x])) for x, d in dist.items() if not own or int(g.ids[x]) != qid))
+                        rows += [(share, qid, b, k, pos, i, d, evals, scanned, expanded) for k in ks for pos, (d, i) in enumerate(best[:k], 1)]
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True) if rows else [()] * 10, kinds, strict=True)], [c.split()[0] for c in SWEEP.split(", ")])
 
-    return queries.select("qid", "vec").repartition(8).mapInArrow(run, "qid long, b int, k int, pos int, id long, dist double, dist_evals long, edges_scanned long, expanded long")
+    return queries.select("qid", "vec").repartition(width(queries)).mapInArrow(run, SWEEP)
 
 
-def greedy(g: Graph, queries: DataFrame, metric: str = "l2sq", start: int = 0) -> DataFrame:
+def greedy(g: Graph, queries: DataFrame, metric: str = "l2sq", start: int | str = 0) -> DataFrame:
     """(qid, result, dist, steps, dist_evals): moves to the nearest out-neighbour (by distance, id) while it is strictly nearer."""
     kernel = KERNELS[metric]
-    sent = queries.sparkSession.sparkContext.broadcast((g.ids, g.vecs, g.out))
+    start = g.medoid() if start == "medoid" else start
+    sent = queries.sparkSession.sparkContext.broadcast(g)
 
     def run(batches):
-        g = SimpleNamespace(**dict(zip(("ids", "vecs", "out"), sent.value, strict=True)))
+        g = sent.value
         for batch in batches:
-            rows = []
-            for qid, v in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                q, at, steps = np.array(v, float), start, 0
-                here, seen = float(kernel(q[None], g.vecs[at : at + 1])[0, 0]), {start}
-                while len(g.out[at]):
-                    nbrs = g.out[at]
+            rows, qids = [], batch.column(0).to_pylist()
+            for qid, v, at in zip(qids, batch.column(1).to_pylist(), g.starts(start, qids), strict=True):
+                q, steps = np.array(v, float), 0
+                here, seen = float(kernel(q[None], g.vecs[at : at + 1])[0, 0]), {at}
+                while len(g.out(at)):
+                    nbrs = g.out(at)
                     seen.update(nbrs.tolist())
                     d = kernel(q[None], g.vecs[nbrs])[0]
                     best = np.lexsort((g.ids[nbrs], d))[0]
@@ -167,7 +200,7 @@ def greedy(g: Graph, queries: DataFrame, metric: str = "l2sq", start: int = 0) -
                 rows.append((qid, int(g.ids[at]), here, steps, len(seen)))
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True) if rows else [()] * 5, (pa.int64(), pa.int64(), pa.float64(), pa.int32(), pa.int64()), strict=True)], ["qid", "result", "dist", "steps", "dist_evals"])
 
-    return queries.select("qid", "vec").repartition(8).mapInArrow(run, "qid long, result long, dist double, steps int, dist_evals long")
+    return queries.select("qid", "vec").repartition(width(queries)).mapInArrow(run, "qid long, result long, dist double, steps int, dist_evals long")
 
 
 def greedy_joins(points: DataFrame, edges: DataFrame, queries: DataFrame, start: int) -> DataFrame:
@@ -183,7 +216,7 @@ def greedy_joins(points: DataFrame, edges: DataFrame, queries: DataFrame, start:
     return state.select("qid", F.col("at").alias("result"), "dist", "steps")
 
 
-def beam_joins(points: DataFrame, edges: DataFrame, queries: DataFrame, start: int, width: int, k: int) -> DataFrame:
+def beam_joins(points: DataFrame, edges: DataFrame, queries: DataFrame, start: int, b: int, k: int) -> DataFrame:
     """beam_sweep() of one width for graphs of any size: every open walk expands a node per round, by joins on the node and on its links.
 
     (qid, pos, id, dist, dist_evals, expanded). A walk is a row that holds what
@@ -194,7 +227,7 @@ def beam_joins(points: DataFrame, edges: DataFrame, queries: DataFrame, start: i
     kind = "array<struct<d:double,id:bigint,done:boolean>>"
     nearest = F.array_min(F.filter("pool", lambda x: ~x["done"]))
     as_near = F.size(F.filter("pool", lambda x: x["done"] & (x["d"] <= F.col("at.d"))))
-    aim = lambda walks: walks.withColumn("at", nearest).withColumn("open", F.col("at").isNotNull() & (as_near < width))
+    aim = lambda walks: walks.withColumn("at", nearest).withColumn("open", F.col("at").isNotNull() & (as_near < b))
     first = points.where(F.col("id") == start).select(F.col("id").alias("_at"), F.col("vec").alias("_v"))
     begun = queries.crossJoin(F.broadcast(first)).select("qid", F.col("vec").alias("q"), F.array(seen(d(F.col("vec"), F.col("_v")), F.col("_at"))).cast(kind).alias("pool"))
     state = stage(aim(begun))
@@ -212,17 +245,31 @@ def beam_joins(points: DataFrame, edges: DataFrame, queries: DataFrame, start: i
     return out.select("qid", (F.col("pos") + 1).alias("pos"), "x.id", F.col("x.d").alias("dist"), "dist_evals", "expanded")
 
 
-def beam_sharded(points: DataFrame, queries: DataFrame, shards: int, build, width: int, k: int) -> DataFrame:
-    """(qid, pos, id, dist) over sets too large for one graph: a graph for each shard of ids, the best k of all kept.
+def beam_sharded(points: DataFrame, queries: DataFrame, shards: int, share, b: int, k: int, metric: str = "l2sq", own: bool = False) -> DataFrame:
+    """(qid, pos, id, dist) over sets too large for one graph: each shard of ids, which a task must hold, is pruned and
+    searched where it lies, and the best k of all are kept. Coverage holds within shards only. Queries go block by block."""
+    share, kernel = Share.of(share), KERNELS[metric]
+    parts = query_blocks(queries)
+    if len(parts) > 1:
+        return reduce(DataFrame.unionByName, [beam_sharded(points, q, shards, share, b, k, metric, own) for q in parts])
+    sent = points.sparkSession.sparkContext.broadcast(block(queries, "qid", QUERY_BLOCK))
 
-    `build` makes the edges of a shard. Coverage holds within shards only."""
-    found = None
-    for s in range(shards):
-        part = stage(points.where(F.pmod(F.xxhash64("id"), F.lit(shards)) == s))
-        if part.isEmpty():
-            continue
-        one = beam_sweep(Graph(part, build(part)), queries, [width], [k]).select("qid", "id", "dist")
-        found = one if found is None else found.unionByName(one)
-    if found is None:
-        return queries.sparkSession.createDataFrame([], "qid long, pos int, id long, dist double")
+    def run(group: pa.Table) -> pa.Table:
+        qid, qvec = sent.value
+        ids = group.column("id").to_numpy()
+        order = np.argsort(ids)
+        vecs = group.column("vec").combine_chunks().flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(ids), -1)[order]
+        ids, lists = ids[order], []
+        for p in range(len(ids)):
+            near = _row(kernel, vecs, p, vecs)
+            near[p] = 0
+            lists.append(np.array([s for s, _ in nearest_first(near, vecs, ids, p, share.need(len(ids)), kernel)], np.int64))
+        g = SimpleNamespace(ids=ids, vecs=vecs, out=lists.__getitem__)
+        rows = []
+        for q, v in zip(qid.tolist(), qvec, strict=True):
+            (_, _, _, _, dist), = beam(g, v.astype(float), 0, [b], kernel)
+            rows += [(q, i, d) for d, i in heapq.nsmallest(k, ((d, int(ids[x])) for x, d in dist.items() if not own or int(ids[x]) != q))]
+        return pa.table([pa.array(c, t) for c, t in zip(zip(*rows, strict=True) if rows else [()] * 3, (pa.int64(), pa.int64(), pa.float64()), strict=True)], names=["qid", "id", "dist"])
+
+    found = points.select("id", "vec").groupBy(F.pmod(F.xxhash64("id"), F.lit(shards)).alias("shard")).applyInArrow(run, "qid long, id long, dist double")
     return found.withColumn("pos", F.row_number().over(W.partitionBy("qid").orderBy("dist", "id"))).where(F.col("pos") <= k).select("qid", "pos", "id", "dist")

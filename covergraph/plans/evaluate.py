@@ -12,31 +12,31 @@ from ..operators import search
 from ..sources.points import stage
 
 WIDTHS, KS = [1, 2, 4, 16, 32, 64, 100, 128, 256], [1, 10, 100]
-SHARES = ["0.8", "0.9", "0.95", "0.98", "0.99", "0.995", "0.999", "1"]
+SHARES = ["0.8", "0.9", "0.95", "0.98", "0.99", "0.995", "0.999", "0.9995", "1"]
 TARGETS = [0.90, 0.95, 0.97, 0.99]
 
 
 def recall(found: DataFrame, truth: DataFrame) -> DataFrame:
-    """(qid, b, k, hits/k, dist_evals, edges_scanned, expanded) by a join on the true neighbours."""
+    """(share, qid, b, k, hits/k, dist_evals, edges_scanned, expanded) by a join on the true neighbours."""
     near = truth.select("qid", "id", F.col("pos").alias("true_pos"))
     hit = found.join(near, ["qid", "id"], "left").withColumn("hit", F.coalesce(F.col("true_pos") <= F.col("k"), F.lit(False)))
-    return hit.groupBy("qid", "b", "k").agg((F.sum(F.col("hit").cast("int")) / F.first("k")).alias("recall"), F.max("dist_evals").alias("dist_evals"), F.max("edges_scanned").alias("edges_scanned"), F.max("expanded").alias("expanded"))
+    return hit.groupBy("share", "qid", "b", "k").agg((F.sum(F.col("hit").cast("int")) / F.first("k")).alias("recall"), F.max("dist_evals").alias("dist_evals"), F.max("edges_scanned").alias("edges_scanned"), F.max("expanded").alias("expanded"))
 
 
-def tradeoff(points: DataFrame, queries: DataFrame, shares=SHARES, widths=WIDTHS, ks=KS, edges: DataFrame | None = None) -> DataFrame:
-    """(share, degree, k, b, recall, dc), b >= k only: mean recall and distance computations for every share, from one pruned list per node."""
+def tradeoff(points: DataFrame, queries: DataFrame, shares=SHARES, widths=WIDTHS, ks=KS, edges: DataFrame | None = None, own: bool = False) -> DataFrame:
+    """(share, degree, k, b, recall, dc), b >= k only: mean recall and distance computations for every share.
+
+    One pruned list per node serves all shares and one graph is sent for all;
+    each task cuts it. own: queries are points too, and none finds itself."""
     n = points.count()
     full = stage(pruning.prune(points, 1)) if edges is None else edges
-    truth = stage(search.knn_exact(points, queries, max(ks)))
-    out = None
-    for s in shares:
-        part = pruning.cut(full, s, n)
-        found = search.beam_sweep(search.Graph(points, part), queries, widths, ks)
-        one = recall(found, truth).where("b >= k").groupBy("k", "b").agg(F.avg("recall").alias("recall"), F.avg("dist_evals").alias("dc"))
-        degree = part.count() / max(1, n)
-        one = one.select(F.lit(str(Share.of(s))).cast("double").alias("share"), F.lit(degree).alias("degree"), "k", "b", "recall", "dc")
-        out = one if out is None else out.unionByName(one)
-    return stage(out)
+    truth = search.knn_exact(points, queries, max(ks), own=own)
+    needs = {str(float(Share.of(s))): Share.of(s).need(n) for s in shares}
+    found = search.beam_sweep(search.Graph(points, full), queries, widths, ks, needs=needs, own=own)
+    mean = recall(found, truth).where("b >= k").groupBy("share", "k", "b").agg(F.avg("recall").alias("recall"), F.avg("dist_evals").alias("dc"))
+    sizes = full.agg(*[F.sum((F.col("cum") - F.col("gain") < need).cast("long")) for need in needs.values()]).first()
+    degree = points.sparkSession.createDataFrame([(s, (m or 0) / max(1, n)) for s, m in zip(needs, sizes, strict=True)], "share string, degree double")
+    return stage(mean.join(F.broadcast(degree), "share").select(F.col("share").cast("double").alias("share"), "degree", "k", "b", "recall", "dc"))
 
 
 def cost_at(points: DataFrame, targets=TARGETS) -> DataFrame:

@@ -26,24 +26,29 @@ def embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), lattice(F.col("embedding")).alias("vec"))
 
 
-def split(points: DataFrame, every: int = 10) -> tuple[DataFrame, DataFrame]:
-    """Index and held-out queries, by id."""
-    return points.where(F.col("id") % every != 0), points.where(F.col("id") % every == 0).withColumnRenamed("id", "qid")
+def split(points: DataFrame, every: int = 100) -> tuple[DataFrame, DataFrame]:
+    """Index and queries: every point is indexed, and those whose id `every` divides ask; a search leaves out the asking point itself."""
+    return points, points.where(F.col("id") % every == 0).withColumnRenamed("id", "qid")
 
 
 def tokens(text: Column) -> Column:
     return F.array_remove(F.split(F.lower(F.coalesce(text, F.lit(""))), r"[^\p{L}\p{N}_]+"), "")
 
 
-def text_vectors(docs: DataFrame, buckets: int = 64) -> DataFrame:
+def text_vectors(docs: DataFrame, buckets: int = 64, key: str = "doc_id") -> DataFrame:
     """Token counts by hash bucket, as whole numbers: the first 8 hex digits of md5, modulo `buckets`."""
     bucket = F.conv(F.substring(F.md5(F.col("t")), 1, 8), 16, 10).cast("long") % buckets
-    counted = docs.select(F.col("doc_id").alias("id"), F.explode(tokens(F.col("text"))).alias("t")).groupBy("id", bucket.alias("b")).count()
+    counted = docs.select(F.col(key).alias("id"), F.explode(tokens(F.col("text"))).alias("t")).groupBy("id", bucket.alias("b")).count()
     vec = F.transform(F.sequence(F.lit(0), F.lit(buckets - 1)), lambda i: F.coalesce(F.element_at(F.col("m"), i), F.lit(0)).cast("double"))
     packed = counted.groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct(F.col("b").cast("int"), F.col("count")))).alias("m"))
     return packed.select("id", vec.alias("vec"))
 
 
+def token_sets(docs: DataFrame, buckets: int = 64) -> DataFrame:
+    """Sets of token buckets as vectors of 0 and 1."""
+    return text_vectors(docs, buckets).withColumn("vec", F.transform("vec", lambda x: F.least(x, F.lit(1.0))))
+
+
 def line_item_vectors(items: DataFrame) -> DataFrame:
     """Distinct (quantity, price, discount, tax) in whole units; ids are dense, in the order of the vectors."""
     part = lambda c, by: F.round(F.col(c) * by).cast("double")
@@ -100,14 +105,32 @@ def stage(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def width(df: DataFrame) -> int:
+    """Partitions of a shuffle, as configured."""
+    return int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+
+
+def bounded_blocks(vectors: DataFrame, key: str, most: int) -> list[DataFrame]:
+    """The rows, cut by a hash of their key so that a block of vectors stays well below `most` bytes."""
+    n, dim = vectors.agg(F.count(F.lit(1)), F.max(F.size("vec"))).first()
+    size = n * ((dim or 0) + 1) * 8
+    if size <= most:
+        return [vectors]
+    cuts = -(-2 * size // most)
+    return [vectors.where(F.pmod(F.xxhash64(key), F.lit(cuts)) == i) for i in range(cuts)]
+
+
 def block(points: DataFrame, key: str = "id", most: int = BROADCAST_BYTES) -> tuple[np.ndarray, np.ndarray]:
-    """Ids and vectors of a set whose size is checked before it is collected; sorted by id."""
-    n, dim = points.agg(F.count(F.lit(1)), F.max(F.size("vec"))).first()
-    if n * ((dim or 0) + 1) * 8 > most:
+    """Ids and vectors of a set whose size is checked before it is collected; sorted by id. Vectors that single precision
+    holds whole are kept so; kernels work in double precision."""
+    whole = F.forall("vec", lambda x: F.coalesce(x.cast("float").cast("double") == x.cast("double"), F.lit(False)))
+    n, dim, narrow = points.agg(F.count(F.lit(1)), F.max(F.size("vec")), F.every(whole)).first()
+    kind = np.float32 if narrow else np.float64
+    if n * ((dim or 0) * np.dtype(kind).itemsize + 8) > most:
         raise ValueError(f"{n} vectors are more than {most} bytes: use probes, a sample or shards")
-    t = points.select(key, "vec").toArrow()
+    t = points.select(key, F.col("vec").cast("array<float>" if narrow else "array<double>").alias("vec")).toArrow()
     ids = t.column(0).to_numpy()
-    vecs = t.column(1).combine_chunks().flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(ids), -1) if n else np.empty((0, 1))
+    vecs = t.column(1).combine_chunks().flatten().to_numpy(zero_copy_only=False).astype(kind, copy=False).reshape(len(ids), -1) if n else np.empty((0, 1))
     order = np.argsort(ids)
     return ids[order], vecs[order]
 
@@ -115,8 +138,7 @@ def block(points: DataFrame, key: str = "id", most: int = BROADCAST_BYTES) -> tu
 def indexed(points: DataFrame, *order: str | Column) -> DataFrame:
     """points with `pos`, a dense 0-based rank by `order`, without one task that holds all rows."""
     spark = points.sparkSession
-    width = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    cut = stage(points.repartitionByRange(width, *order).withColumn("_part", F.spark_partition_id()))
+    cut = stage(points.repartitionByRange(width(points), *order).withColumn("_part", F.spark_partition_id()))
     sizes = cut.groupBy("_part").agg(F.count(F.lit(1)).alias("_n"))
     before = sizes.select("_part", F.coalesce(F.sum("_n").over(W.orderBy("_part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("_first"))
     ranked = cut.withColumn("_in", F.row_number().over(W.partitionBy("_part").orderBy(*order)) - 1)

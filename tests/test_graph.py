@@ -204,7 +204,7 @@ def test_levenshtein(spark):
 def test_shards_and_starts(spark):
     vecs, q = grid(80, 3, 16), grid(6, 3, 17)
     pts, queries = frame(spark, vecs), frame(spark, q, 1000).withColumnRenamed("id", "qid")
-    found = search.beam_sharded(pts, queries, 3, lambda p: prune.prune(p, 1), 80, 4)
+    found = search.beam_sharded(pts, queries, 3, 1, 80, 4)
     assert rows(found, "qid", "pos", "id") == rows(search.knn_exact(pts, queries, 4), "qid", "pos", "id")
     g = search.Graph(pts, prune.prune(pts, 1))
     assert g.medoid() == ((vecs - vecs.mean(0)) ** 2).sum(1).argmin()
@@ -232,8 +232,8 @@ def test_recall_of_arrivals(spark):
     days = catalog.stream_recall(spark, sf).collect()
     assert sum(r["n"] for r in days) == spark.read.parquet(f"{sf}/events.parquet").count()
     index, queries = source.split(source.embeddings(spark, sf))
-    found = search.beam_sweep(search.Graph(index, prune.prune(index, "0.995")), queries, [16], [10])
-    per = [r["recall"] for r in evaluate.recall(found, search.knn_exact(index, queries, 10)).orderBy("qid").collect()]
+    found = search.beam_sweep(search.Graph(index, prune.prune(index, "0.995")), queries, [16], [10], own=True)
+    per = [r["recall"] for r in evaluate.recall(found, search.knn_exact(index, queries, 10, own=True)).orderBy("qid").collect()]
     asked = [per[r["event_id"] % len(per)] for r in spark.read.parquet(f"{sf}/events.parquet").select("event_id").collect()]
     assert sum(r["n"] * r["recall"] for r in days) == pytest.approx(sum(asked), abs=0.01)
 
