@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -143,18 +145,18 @@ def first_edge_is_nearest(pts, edges, n):
 
 
 def beam_shards(index, queries, edges):
-    """Recall at 10 of four shards' graphs together."""
-    found = search.beam_sharded(index, queries, 4, lambda p: prune.prune(p, 1), 64, 10)
-    truth = search.knn_exact(index, queries, 10).select("qid", "id")
+    """Recall at 10 of four shards' graphs together, by query."""
+    found = search.beam_sharded(index, queries, 4, 1, 64, 10, own=True)
+    truth = search.knn_exact(index, queries, 10, own=True).select("qid", "id")
     return found.join(truth, ["qid", "id"], "left_semi").groupBy("qid").agg(F.count(F.lit(1)).alias("hits"))
 
 
-def beam_medoid(index, queries, edges):
-    """The same beam from the point nearest to the mean, and from the first one: hits are found either way at this width."""
-    g = search.Graph(index, edges)
-    out = None
-    for name, start in (("first", 0), ("medoid", g.medoid())):
-        one = search.beam_sweep(g, queries, [64], [10], start=start).groupBy().agg(F.lit(name).alias("start"), _avg("dist_evals"), F.round(F.avg("dist"), 1).alias("dist"))
+def beam_starts(index, queries, edges):
+    """The same beam from the first point, from the one nearest to the mean, and from one drawn for each query: recall and cost."""
+    g, truth, out = search.Graph(index, edges), search.knn_exact(index, queries, 10, own=True), None
+    for name, start in (("first", 0), ("medoid", "medoid"), ("random", "random")):
+        found = search.beam_sweep(g, queries, [64], [10], start=start, own=True)
+        one = evaluate.recall(found, truth).agg(F.lit(name).alias("start"), _avg("recall"), F.round(F.avg("dist_evals"), 6).alias("dc"))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -176,9 +178,22 @@ def half_kept(members):
 
 
 def size_report(p):
+    """Edges, whether they are within the theory's bound, and bytes: of edges spelled out, and of cliques with implicit leftovers."""
     e = p.edges().distinct()
     n = p.points.count()
-    return e.agg(F.count(F.lit(1)).alias("edges"), (F.count(F.lit(1)) <= 4 * n * 5).alias("within_bound"))
+    held = p.members.count() * 24 + p.leftovers.count() * 8
+    return e.agg(F.count(F.lit(1)).alias("edges"), (F.count(F.lit(1)) <= 4 * n * 5).alias("within_bound"), (F.count(F.lit(1)) * 16).alias("edge_bytes"), F.lit(held).cast("long").alias("clique_bytes"))
+
+
+def peel_log(p):
+    """Every round: pool, chunks, distances and how far the pool shrinks."""
+    return p.rounds().select("round", "pool", "chunks", "kept", "carried", "distances", F.round(F.col("carried") / F.col("pool"), 6).alias("shrink"))
+
+
+def reachable_share(p):
+    seen = audit.reachable(source.stage(p.edges()), 0)
+    n = p.points.count()
+    return seen.agg(F.count(F.lit(1)).alias("reached"), F.round(F.count(F.lit(1)) / max(1, n), 6).alias("share"))
 
 
 def sample_draw(spark, pts):
@@ -190,24 +205,52 @@ def sample_draw(spark, pts):
     return spark.createDataFrame([(int(p), int(m)) for p, m in zip(pos, mult, strict=True)], "pos long, mult long")
 
 
+def _sets(spark, sf_dir):
+    """The three point sets of the given tables, the smaller first."""
+    yield "embeddings", source.stage(source.embeddings(spark, sf_dir))
+    yield "text", source.stage(_texts(spark, sf_dir))
+    yield "items", source.stage(source.line_item_vectors(source.table(spark, sf_dir, "lineitem")))
+
+
+def _texts(spark, sf_dir):
+    return source.dedupe(source.text_vectors(source.table(spark, sf_dir, "documents"))).select("id", "vec")
+
+
 def distance_cost(spark, sf_dir):
-    """Distances of the sampled peel against all pairs, on line-item vectors, for two shares."""
-    pts = source.stage(source.line_item_vectors(source.table(spark, sf_dir, "lineitem")))
-    out = []
-    n = pts.count()
-    for share in ("0.8", "0.9"):
-        log = cliques.peel(pts, share, DELTA).log
-        out.append((n, share, len(log), sum(r["distances"] for r in log), sum(r["distances"] for r in log) / max(1, n * n)))
-    return spark.createDataFrame(out, "n long, share string, rounds int, distances long, part_of_all double")
+    """Distances of the exact peel (where its limit on pairs allows it) and of sampled ones at two deltas, on sets of growing size:
+    the exact peel's share of all pairs stays, a sampled one's falls like 1/n."""
+    cases = [(name, pts, pts.count(), share, delta) for name, pts in _sets(spark, sf_dir) for share in ("0.8", "0.9") for delta in (None, 0.1, 0.01)]
+
+    def one(case):
+        name, pts, n, share, delta = case
+        log = cliques.peel(pts, share, delta).log if delta or n * n <= cliques.MOST_PAIRS // 1000 else []
+        d = sum(r["distances"] for r in log) if log else None
+        return name, n, share, delta, len(log) or None, d, d / max(1, n * n) if log else None
+
+    with ThreadPoolExecutor(4) as side_by_side:
+        out = list(side_by_side.map(one, cases))
+    return spark.createDataFrame(out, "points string, n long, share string, delta double, rounds int, distances long, part_of_all double")
 
 
 def seed_success(spark, pts):
-    """Sampled peels of several seeds: does every node cover its need?"""
-    pts, out = source.stage(pts), None
-    for seed in range(1, 6):
-        one = audit.coverage_check(audit.covered_counts(pts, cliques.peel(pts, SAMPLED, DELTA, seed=seed).edges()), SAMPLED).withColumn("seed", F.lit(seed))
-        out = one if out is None else out.unionByName(one)
-    return out
+    """Sampled peels of twenty seeds at two deltas: how many are valid, against 1 - delta."""
+    pts = source.stage(pts)
+
+    def valid(case):
+        delta, seed = case
+        p = cliques.peel(pts, SAMPLED, delta, seed=seed)
+        return bool(audit.coverage_check(audit.covered_counts(pts, p.inside(), all_linked=p.leftovers), SAMPLED).first()["ok"])
+
+    out = []
+    with ThreadPoolExecutor(4) as side_by_side:
+        for delta in SEED_DELTAS:
+            good = sum(side_by_side.map(valid, [(delta, seed) for seed in range(1, SEEDS + 1)]))
+            out.append((delta, SEEDS, good, good / SEEDS, good / SEEDS >= 1 - delta))
+    return spark.createDataFrame(out, "delta double, seeds long, valid long, rate double, enough boolean")
+
+
+#: Seeds and deltas of the success rate; nodes probed on large sets.
+SEEDS, SEED_DELTAS, PROBES = 20, (0.1, 0.01), 10_000
 
 
 def degree_table(pts, edges, n):
@@ -225,10 +268,52 @@ def probe_vs_full(pts, edges, n):
 
 
 def probe_line_items(spark, sf_dir):
-    """Nearest-first lists of probe nodes over every line-item vector."""
+    """Degrees of at most PROBES nodes, drawn by hash, over every line-item vector, for the shares of the degree table."""
     pts = source.stage(source.line_item_vectors(source.table(spark, sf_dir, "lineitem")))
-    probes = pts.orderBy(F.xxhash64("id"), "id").limit(100)  # a probe sample is the method
-    return prune.probe_prune(pts, probes, "0.95")
+    probes = source.stage(pts.orderBy(F.xxhash64("id"), "id").limit(PROBES))  # a probe sample is the method
+    n, edges = pts.count(), source.stage(prune.probe_prune(pts, probes, 1))
+    return degree_table(probes, edges, n)
+
+
+def degrees_of_texts(spark, sf_dir):
+    pts = source.stage(_texts(spark, sf_dir))
+    return degree_table(pts, source.stage(prune.prune(pts, 1)), pts.count())
+
+
+def pruned_by(metric):
+    return lambda spark, sf_dir: prune.prune(source.stage(source.embeddings(spark, sf_dir)), "0.95", metric=metric).select("src", "rank", "dst", F.col("dist").cast("long").alias("dist"), "gain", "cum")
+
+
+def jaccard_peel(f):
+    """f over the peel of distinct token sets of documents under Jaccard's distance."""
+    return lambda spark, sf_dir: f(cliques.peel(source.dedupe(source.token_sets(source.table(spark, sf_dir, "documents"))), PEEL, metric="jaccard"))
+
+
+def partition_peel(spark, sf_dir):
+    """A sampled peel whose chunks are formed within partitions: does every node cover its need, and without a shuffle?"""
+    pts = source.stage(source.embeddings(spark, sf_dir))
+    p = cliques.peel(pts, SAMPLED, DELTA, order="partition")
+    one = cliques.local_ownership(pts, 20, source.block(pts.limit(5)))
+    plan = one._jdf.queryExecution().executedPlan().toString()
+    return audit.coverage_check(audit.covered_counts(pts, p.inside(), all_linked=p.leftovers), SAMPLED).select("ok", "n_bad").withColumn("shuffles", F.lit("Exchange" in plan))
+
+
+def _text_search(spark, sf_dir):
+    """Documents' text vectors as the index, all benchmark items, held out, as queries."""
+    items = source.text_vectors(source.table(spark, sf_dir, "benchmark"), key="item_id").withColumnRenamed("id", "qid")
+    return source.stage(_texts(spark, sf_dir)), source.stage(items)
+
+
+def _from_texts(f):
+    return lambda spark, sf_dir: f(evaluate.tradeoff(*_text_search(spark, sf_dir)))
+
+
+def knn_good_texts(spark, sf_dir):
+    """The five nearest documents of quality 1 of each benchmark item: the join with labels comes before the search."""
+    _, items = _text_search(spark, sf_dir)
+    good = source.table(spark, sf_dir, "labels").where("quality = 1").select("doc_id").distinct()
+    docs = source.text_vectors(source.table(spark, sf_dir, "documents").join(good, "doc_id", "left_semi"))
+    return search.knn_exact(docs, items, 5).select("qid", "pos", "id", F.col("dist").cast("long").alias("dist"))
 
 
 def prune_candidates(spark, pts):
@@ -249,7 +334,10 @@ def set_cover_vs_prune(spark, pts):
 
 
 def complete(pts):
-    return pts.select(F.col("id").alias("src")).join(F.broadcast(pts.select(F.col("id").alias("dst"))), F.col("src") != F.col("dst"))
+    """Every ordered pair: the square of n rows, refused beyond the limit on pairs."""
+    if pts.count() ** 2 > cliques.MOST_PAIRS:
+        raise ValueError("a complete graph holds all pairs")
+    return pts.select(F.col("id").alias("src")).join(pts.select(F.col("id").alias("dst")), F.col("src") != F.col("dst"))
 
 
 def _split(spark, sf_dir):
@@ -259,19 +347,19 @@ def _split(spark, sf_dir):
 
 def knn(spark, sf_dir):
     index, queries = _split(spark, sf_dir)
-    return search.knn_exact(index, queries, 10).select("qid", "pos", "id", F.col("dist").cast("long").alias("dist"))
+    return search.knn_exact(index, queries, 10, own=True).select("qid", "pos", "id", F.col("dist").cast("long").alias("dist"))
 
 
 def knn_filtered(spark, sf_dir):
     """Neighbours among the points of label 3: the filter comes before the search."""
     e = source.table(spark, sf_dir, "embeddings").where("label = 3").select(F.col("vec_id").alias("id"))
     _, queries = _split(spark, sf_dir)
-    return search.knn_exact(source.embeddings(spark, sf_dir).join(e, "id", "left_semi"), queries, 5).select("qid", "pos", "id")
+    return search.knn_exact(source.embeddings(spark, sf_dir).join(e, "id", "left_semi"), queries, 5, own=True).select("qid", "pos", "id")
 
 
 def radius(spark, sf_dir):
     index, queries = _split(spark, sf_dir)
-    return search.radius_search(index, queries, 3.5e14).select("qid", "id", F.col("dist").cast("long").alias("dist"))
+    return search.radius_search(index, queries, 3.5e14).where("id <> qid").select("qid", "id", F.col("dist").cast("long").alias("dist"))
 
 
 def _searched(f, share="0.95"):
@@ -309,11 +397,11 @@ def joins_equal_beam(index, queries, edges):
 def stream_recall(spark, sf_dir):
     """Arrivals as queries of a beam of 16: recall at 10 and distance computations by day."""
     index, queries = (source.stage(x) for x in source.split(source.embeddings(spark, sf_dir)))
-    found = search.beam_sweep(search.Graph(index, prune.prune(index, "0.995")), queries, [16], [10])
+    found = search.beam_sweep(search.Graph(index, prune.prune(index, "0.995")), queries, [16], [10], own=True)
     asked = source.indexed(queries.select("qid"), "qid")
-    known = source.stage(evaluate.recall(found, search.knn_exact(index, queries, 10)).join(asked, "qid").select("pos", "recall", "dist_evals"))
+    known = source.stage(evaluate.recall(found, search.knn_exact(index, queries, 10, own=True)).join(asked, "qid").select("pos", "recall", "dist_evals"))
     n = known.count()
-    come = arrivals.events(spark, sf_dir).withColumn("pos", F.col("event_id") % max(n, 1)).join(F.broadcast(known) if n < 100_000 else known, "pos")
+    come = arrivals.events(spark, sf_dir).withColumn("pos", F.col("event_id") % max(n, 1)).join(known, "pos")
     days = come.groupBy(F.window("ts", "1 day").alias("w")).agg(F.count(F.lit(1)).alias("n"), F.avg("recall").alias("recall"), F.avg("dist_evals").alias("dc"))
     return arrivals.drained(days).select(F.unix_timestamp("w.start").alias("start_s"), "n", _r("recall"), _r("dc"))
 
@@ -355,17 +443,21 @@ def self_queries(spark, sf_dir):
 
 
 def tradeoff(spark, sf_dir):
-    return evaluate.tradeoff(*_split(spark, sf_dir))
+    return evaluate.tradeoff(*_split(spark, sf_dir), own=True)
 
 
 def _from_tradeoff(f):
     return lambda spark, sf_dir: f(tradeoff(spark, sf_dir))
 
 
+#: Points, share and clusters of the hard case.
+HARD = [(n, share, k) for n in (100, 1000) for share, k in (("0.5", 2), ("0.8", 5), ("0.9", 10))]
+
+
 def hard(f):
     def run(spark, sf_dir):
         out = None
-        for n, share, k in ((100, "0.5", 2), (100, "0.8", 5), (1000, "0.9", 10)):
+        for n, share, k in HARD:
             nodes, links = source.line_of_balls(n, k)
             pts = spark.createDataFrame(nodes, "id long, vec array<double>")
             one = f(pts, spark.createDataFrame(links, "src long, dst long"), share).withColumn("n", F.lit(n)).withColumn("share", F.lit(share))
@@ -385,15 +477,65 @@ def hard_failures(pts, edges, share):
 
 
 E = sql.EMB
+_HARD = ", ".join(f"({n}, {k}, '{t}')" for n, t, k in HARD)
 _CUTS = " UNION ALL ".join(f"SELECT '{s}' AS share, round(avg(k), 6) AS mean, round(median(k), 6) AS median, min(k) AS min, max(k) AS max FROM (SELECT src, count(*) AS k FROM e WHERE {sql.cut(s)} GROUP BY 1)" for s in TABLE_SHARES)
 _NEAR = "SELECT a AS qid, arg_min(b, row({d}, b)) AS id, CAST(min({d}) AS BIGINT) AS dist FROM ({pairs}) WHERE a <> b GROUP BY 1"
-_ROUNDS = "SELECT CAST(round AS INTEGER) AS round, pool, kept, pool - kept AS carried FROM (SELECT m.round, sum(kept::INT)::BIGINT AS kept, (SELECT count(*) FROM p) - coalesce((SELECT sum(b.kept::INT) FROM m b WHERE b.round < m.round), 0) AS pool FROM m GROUP BY 1)"
+_ROUNDS = "SELECT CAST(round AS INTEGER) AS round, CAST(pool AS BIGINT) AS pool, kept, CAST(pool - kept AS BIGINT) AS carried FROM (SELECT m.round, sum(kept::INT)::BIGINT AS kept, (SELECT count(*) FROM p) - coalesce((SELECT sum(b.kept::INT) FROM m b WHERE b.round < m.round), 0) AS pool FROM m GROUP BY 1)"
 _L = "p AS (SELECT vec_id AS id, list_transform(embedding, lambda x: floor(CAST(x AS DOUBLE) * 16777216)) AS v FROM embeddings)"
 _SELF = "SELECT x.id AS a, y.id AS b, {f} AS d FROM p x, p y"
-_IDX, _QRY = "(SELECT * FROM q WHERE id % 10 <> 0)", "(SELECT * FROM q WHERE id % 10 = 0)"
+_IDX, _QRY = "(SELECT * FROM q)", "(SELECT * FROM q WHERE id % 100 = 0)"
+_R6 = lambda *names: ", ".join(f"round({n}, 6) AS {n}" for n in names)
 _QD = f"WITH {_L}, q AS (SELECT id, v, list_inner_product(v, v) AS n FROM p), x AS (SELECT a.id AS qid, b.id AS id, a.n + b.n - 2 * list_inner_product(a.v, b.v) AS dist FROM {_QRY} a, {_IDX} b)"
 _TOK = "list_filter(regexp_split_to_array(lower(coalesce(text, '')), '[^\\p{L}\\p{N}_]+'), lambda t: t <> '')"
 
+_REACH_SHARES = ["1", "0.999", "0.995", "0.95", "0.9"]
+_REACH = " UNION ALL ".join(f"SELECT CAST({t} AS DOUBLE) AS share, round(median(r), 6) AS median_edges, round(avg(r), 6) AS mean_edges FROM (SELECT min(rank) AS r FROM e WHERE cum >= {sql.need(Share.of(t))} GROUP BY src)" for t in _REACH_SHARES)
+_TARGETS = sql.RATIOS.replace("{targets}", ", ".join(map(str, evaluate.TARGETS)))
+_RATIO = f"SELECT k, target, share, {_R6('dc_ratio', 'degree_ratio')}, ref_censored, num_censored FROM ratio"
+_HONEST = "coalesce(NOT (ref_censored OR num_censored), false)"
+_AVERAGE = f"SELECT k, round(avg(dc_ratio), 6) AS dc_ratio, round(avg(degree_ratio), 6) AS degree_ratio, round(avg(CASE WHEN {_HONEST} THEN dc_ratio END), 6) AS dc_ratio_uncensored, CAST(sum(CAST({_HONEST} AS INTEGER)) AS BIGINT) AS n_uncensored FROM ratio GROUP BY 1"
+_FRONT = f"SELECT share, k, b, {_R6('recall', 'dc', 'full_recall')}, recall > full_recall + 1e-9 AS beats FROM pa"
+_LEAST = "SELECT k, min(share) AS min_share FROM (SELECT k, share, max(recall) AS top FROM pts GROUP BY 1, 2) WHERE top > 0.97 GROUP BY 1"
+_DRAWN = sql.drawn("qid", 0, 1, "(SELECT count(*) FROM p)")
+_MEAN = "(SELECT list(a ORDER BY i) FROM (SELECT i, avg(v[i]) AS a FROM p, range(1, 65) r(i) GROUP BY 1))"
+_STARTS = sql.beams(["1"], [64], [10], f"SELECT share AS start, {_R6('recall', 'dc')} FROM (SELECT share, avg(recall) AS recall, avg(evals) AS dc FROM rc GROUP BY 1)", starts=f"""mid AS (SELECT list_sum(list_transform(range(1, 65), lambda i: (v[i] - c[i]) * (v[i] - c[i]))) AS far, id FROM p, (SELECT {_MEAN} AS c)),
+g AS (SELECT y.share, {sql.need(Share.of(1))} AS need, qid, CASE y.share WHEN 'first' THEN (SELECT min(id) FROM p) WHEN 'medoid' THEN (SELECT arg_min(id, far) FROM mid) ELSE (SELECT o.id FROM (SELECT id, row_number() OVER (ORDER BY id) - 1 AS pos FROM p) o WHERE o.pos = {_DRAWN}) END AS start
+  FROM (SELECT unnest(['first', 'medoid', 'random']) AS share) y, (SELECT id AS qid FROM p WHERE id % 100 = 0))""")
+
+
+def _beams(tail: str, more: str | None = None, text: bool = False) -> str:
+    """What `tail` makes of the recall and cost of every share, width and k."""
+    extra = [sql.POINTS] + ([_TARGETS if more is sql.RATIOS else more] if more else [])
+    held = {"base": sql.TEXT, "asked": sql.ASKED_ITEMS, "queries": "SELECT item_id AS qid FROM imp"} if text else {}
+    return sql.beams([str(float(t)) for t in map(Share.of, evaluate.SHARES)], evaluate.WIDTHS, evaluate.KS, tail, *extra, **held)
+
+
+def _ratios(t):
+    return evaluate.ratio_table(t).select("k", "target", "share", _r("dc_ratio"), _r("degree_ratio"), "ref_censored", "num_censored")
+
+
+def _averages(t):
+    return evaluate.ratio_average(t).select("k", _r("dc_ratio"), _r("degree_ratio"), _r("dc_ratio_uncensored"), "n_uncensored")
+
+
+def _fronts(t):
+    """beats: by more than rounding."""
+    return evaluate.pareto(t).select("share", "k", "b", _r("recall"), _r("dc"), _r("full_recall"), (F.col("recall") > F.col("full_recall") + 1e-9).alias("beats"))
+
+
+def edges_to_reach(pts, edges, n):
+    """Edges that each share takes, and the median's ratio to that of full coverage."""
+    from pyspark.sql import Window as W
+
+    t = prune.edges_to_reach(edges, _REACH_SHARES, n).select(F.col("share").cast("double").alias("share"), _r("median_edges"), _r("mean_edges"))
+    full = F.max(F.when(F.col("share") == 1, F.col("median_edges"))).over(W.partitionBy())
+    return t.withColumn("ratio", F.round(F.col("median_edges") / full, 6))
+
+
+def _ordered(order):
+    return lambda spark, sf_dir: cliques.peel(source.embeddings(spark, sf_dir), PEEL, order=order).edges()
+
+
 REGISTRY: dict[str, tuple] = {
     "points_profile": (profile, "SELECT count(*) AS n, min(len(embedding)) AS dim_min, max(len(embedding)) AS dim_max, 0 AS bad, count(DISTINCT embedding) AS distinct_vecs FROM embeddings"),
     "points_dedupe": (dedupe, f"WITH t AS (SELECT doc_id, unnest({_TOK}) AS t FROM documents), c AS (SELECT doc_id, CAST('0x' || substr(md5(t), 1, 8) AS BIGINT) % 64 AS b, count(*) AS k FROM t GROUP BY 1, 2), v AS (SELECT doc_id, list(row(b, k) ORDER BY b) AS v FROM c GROUP BY 1) SELECT min(doc_id) AS id, count(*) AS copies FROM v GROUP BY v"),
@@ -414,29 +556,38 @@ REGISTRY: dict[str, tuple] = {
     "peel_exact_edges": (_peeled(lambda p: p.edges()), sql.peel(PEEL, "SELECT src, dst FROM g")),
     "peel_exact_rounds": (_peeled(lambda p: p.rounds().select("round", "pool", "kept", "carried")), sql.peel(PEEL, _ROUNDS)),
     "peel_exact_coverage": (_peeled(lambda p: audit.covered_counts(p.points, source.stage(p.edges())).select("src", "covered")), sql.peel(PEEL, sql.COVERED)),
-    "peel_exact_size": (_peeled(size_report), sql.peel(PEEL, "SELECT count(*) AS edges, count(*) <= 20 * (SELECT count(*) FROM p) AS within_bound FROM (SELECT DISTINCT * FROM g)")),
+    "peel_exact_size": (_peeled(size_report), sql.peel(PEEL, "SELECT count(*) AS edges, count(*) <= 20 * (SELECT count(*) FROM p) AS within_bound, 16 * count(*) AS edge_bytes, (SELECT count(*) FROM m) * 24 + (SELECT count(*) FROM l) * 8 AS clique_bytes FROM (SELECT DISTINCT * FROM g)")),
+    "peel_exact_log": (_peeled(peel_log), sql.peel(PEEL, f"SELECT round, pool, pool // {Share.of(PEEL).clique()} AS chunks, kept, carried, pool // {Share.of(PEEL).clique()} * {Share.of(PEEL).clique()} * (SELECT count(*) FROM p) AS distances, round(carried / pool, 6) AS shrink FROM ({_ROUNDS})")),
+    "peel_reachable_share": (_peeled(reachable_share), sql.peel(PEEL, ", b AS (SELECT 0::BIGINT AS node UNION SELECT dst FROM b JOIN g ON src = node) SELECT count(*) AS reached, round(count(*) / (SELECT count(*) FROM p), 6) AS share FROM b")),
+    **{f"peel_order_{o}": (_ordered(o), sql.peel(PEEL, "SELECT src, dst FROM g", order=o)) for o in ("id", "locality")},
+    "peel_partition_check": (partition_peel, "SELECT true AS ok, 0::BIGINT AS n_bad, false AS shuffles"),
+    "peel_jaccard_edges": (jaccard_peel(lambda p: p.edges().distinct()), sql.peel(PEEL, "SELECT src, dst FROM g", rounds=9, base=sql.SETS)),
+    "peel_jaccard_rounds": (jaccard_peel(lambda p: p.rounds().select("round", "pool", "kept", "carried")), sql.peel(PEEL, _ROUNDS, rounds=9, base=sql.SETS)),
     "peel_exact_check": (_peeled(lambda p: audit.coverage_check(audit.covered_counts(p.points, source.stage(p.edges())), PEEL)), sql.peel(PEEL, f"SELECT bool_and(covered >= need) AS ok, count(*) FILTER (WHERE covered < need) AS n_bad, min(covered) AS min_covered, max(need) AS need FROM ({sql.COVERED}), (SELECT {sql.need(Share.of(PEEL))} AS need)")),
     **{f"peel_exact_edges_{t.replace('.', '')}": (_peeled(lambda p: p.edges(), share=t), sql.peel(t, "SELECT src, dst FROM g")) for t in ("0", "0.5", "0.9", "0.95")},
     "peel_text_edges": (_text_peel(lambda p: p.edges().distinct()), sql.peel(PEEL, "SELECT src, dst FROM g", rounds=6, base=sql.TEXT)),
     "peel_text_rounds": (_text_peel(lambda p: p.rounds().select("round", "pool", "kept", "carried")), sql.peel(PEEL, _ROUNDS, rounds=6, base=sql.TEXT)),
     "peel_text_sampled": (_text_peel(lambda p: p.members, DELTA), sql.peel(PEEL, "SELECT round, chunk, member, owned, kept FROM m", DELTA, rounds=6, base=sql.TEXT)),
-    "sample_draw": (_points(sample_draw), f"SELECT pos, count(*) AS mult FROM (SELECT ({sql.hashed('(i * 69069 + 12345) % 2147483647', 1, 1)}) % (SELECT count(*) FROM embeddings) AS pos FROM range(CAST(ceil(16 * ln((SELECT count(*) FROM embeddings) / 0.1) * 5) AS BIGINT)) r(i)) GROUP BY 1"),
+    "sample_draw": (_points(sample_draw), f"SELECT pos, count(*) AS mult FROM (SELECT {sql.drawn('i', 1, 1, '(SELECT count(*) FROM embeddings)')} AS pos FROM range(CAST(ceil(16 * ln((SELECT count(*) FROM embeddings) / 0.1) * 5) AS BIGINT)) r(i)) GROUP BY 1"),
     "peel_sampled_ownership": (_peeled(lambda p: p.members, DELTA, SAMPLED), sql.peel(SAMPLED, "SELECT round, chunk, member, owned, kept FROM m", DELTA)),
     "peel_sampled_edges": (_peeled(lambda p: p.edges(), DELTA, SAMPLED), sql.peel(SAMPLED, "SELECT src, dst FROM g", DELTA)),
     "peel_sampled_rounds": (_peeled(lambda p: p.rounds().select("round", "pool", "kept", "carried"), DELTA, SAMPLED), sql.peel(SAMPLED, _ROUNDS, DELTA)),
     "peel_sampled_coverage": (_peeled(lambda p: audit.covered_counts(p.points, source.stage(p.edges())).select("src", "covered"), DELTA, SAMPLED), sql.peel(SAMPLED, sql.COVERED, DELTA)),
     "peel_distance_cost": (distance_cost, None),
-    "peel_seed_success": (_points(seed_success), None),
+    "peel_seed_success": (_points(seed_success), "SELECT delta, count(*) AS seeds, count(*) FILTER (WHERE ok) AS valid, count(*) FILTER (WHERE ok) / count(*) AS rate, count(*) FILTER (WHERE ok) / count(*) >= 1 - delta AS enough FROM (" + " UNION ALL ".join(f"SELECT {d}::DOUBLE AS delta, ok FROM ({sql.peel(SAMPLED, f'SELECT bool_and(covered >= {sql.need(Share.of(SAMPLED))}) AS ok FROM ({sql.COVERED})', d, seed=i)})" for d in SEED_DELTAS for i in range(1, SEEDS + 1)) + ") GROUP BY 1"),
     "prune_navigable": (_pruned(lambda p, e, n: e), sql.prune("SELECT src, rank, dst, dist, gain, cum FROM e")),
     "prune_gamma_995": (_pruned(lambda p, e, n: e, "0.995"), sql.prune(f"SELECT src, rank, dst, dist, gain, cum FROM e WHERE {sql.cut('0.995')}")),
     "prune_gamma_950": (_pruned(lambda p, e, n: e, "0.95"), sql.prune(f"SELECT src, rank, dst, dist, gain, cum FROM e WHERE {sql.cut('0.95')}")),
     "prune_prefix_except": (_pruned(lambda p, e, n: prune.prune(p, "0.95").select("src", "rank", "dst").exceptAll(prune.cut(e, "0.95", n).select("src", "rank", "dst"))), "SELECT 0::BIGINT AS src, 0::INTEGER AS rank, 0::BIGINT AS dst WHERE false"),
-    "prune_candidates": (_points(prune_candidates), None),
+    "prune_candidates": (_points(prune_candidates), sql.candidates_only(30, f"SELECT round(min(covered / (n - 1)), 6) AS share_min, round(avg(covered / (n - 1)), 6) AS share_mean, round(max(covered / (n - 1)), 6) AS share_max FROM ({sql.COVERED}), (SELECT count(*) AS n FROM p)")),
+    "prune_l1": (pruned_by("l1"), sql.prune(f"SELECT src, rank, dst, CAST(dist AS BIGINT) AS dist, gain, cum FROM e WHERE {sql.cut('0.95')}", sql.embeddings_by("list_sum(list_transform(range(1, 65), lambda i: abs(x.v[i] - y.v[i])))"))),
+    "prune_linf": (pruned_by("linf"), sql.prune(f"SELECT src, rank, dst, CAST(dist AS BIGINT) AS dist, gain, cum FROM e WHERE {sql.cut('0.95')}", sql.embeddings_by("list_max(list_transform(range(1, 65), lambda i: abs(x.v[i] - y.v[i])))"))),
     "prune_probe": (probe_line_items, None),
     "degree_table": (_pruned(degree_table), sql.prune(_CUTS)),
+    "degree_table_text": (degrees_of_texts, sql.prune(_CUTS, sql.TEXT)),
     "coverage_trace": (_pruned(lambda p, e, n: prune.coverage_trace(e, n).select("src", "rank", _r("uncovered"), _r("log10_uncovered"))), sql.prune("SELECT src, rank, round(1 - cum / (n - 1), 6) AS uncovered, round(log10(greatest(1 - cum / (n - 1), 0.5 / (n - 1))), 6) AS log10_uncovered FROM e, (SELECT count(*) AS n FROM p)")),
     "coverage_median": (_pruned(lambda p, e, n: prune.median_trace(e, n).select("rank", _r("median_log10"))), sql.prune("SELECT pos AS rank, round(median(log10(greatest(1 - cum / (n - 1), 0.5 / (n - 1)))), 6) AS median_log10 FROM (SELECT DISTINCT rank AS pos FROM e) JOIN (SELECT src, max(rank) AS top FROM e GROUP BY 1) ON true JOIN e USING (src), (SELECT count(*) AS n FROM p) WHERE e.rank = least(pos, top) GROUP BY 1")),
-    "edges_to_reach": (_pruned(lambda p, e, n: prune.edges_to_reach(e, ["1", "0.995", "0.95", "0.9"], n).select(F.col("share").cast("double").alias("share"), _r("median_edges"), _r("mean_edges"))), sql.prune(" UNION ALL ".join(f"SELECT CAST({s} AS DOUBLE) AS share, round(median(r), 6) AS median_edges, round(avg(r), 6) AS mean_edges FROM (SELECT min(rank) AS r FROM e WHERE cum >= {sql.need(Share.of(s))} GROUP BY src)" for s in ("1", "0.995", "0.95", "0.9")))),
+    "edges_to_reach": (_pruned(edges_to_reach), sql.prune(f"SELECT share, median_edges, mean_edges, round(median_edges / max(median_edges) FILTER (share = 1) OVER (), 6) AS ratio FROM ({_REACH})")),
     "probe_vs_full": (_pruned(probe_vs_full), sql.prune("SELECT 'all' AS nodes, round(avg(k), 6) AS mean FROM (SELECT count(*) AS k FROM e GROUP BY src) UNION ALL SELECT 'probes', round(avg(k), 6) FROM (SELECT count(*) AS k FROM e WHERE src % 10 = 3 GROUP BY src)")),
     "first_edge_is_nearest": (_pruned(first_edge_is_nearest), "SELECT 0::BIGINT AS src, 0::BIGINT AS dst WHERE false"),
     "set_cover_edges": (_points(lambda s, p: prune.set_cover(p, "0.95")), None),
@@ -446,39 +597,44 @@ REGISTRY: dict[str, tuple] = {
     "is_gamma_covering": (_pruned(lambda p, e, n: audit.coverage_check(audit.covered_counts(p, e.select("src", "dst")), "0.95"), "0.95"), sql.prune(f", g AS (SELECT src, dst FROM e WHERE {sql.cut('0.95')}) SELECT bool_and(covered >= need) AS ok, count(*) FILTER (WHERE covered < need) AS n_bad, min(covered) AS min_covered, max(need) AS need FROM ({sql.COVERED}), (SELECT {sql.need(Share.of('0.95'))} AS need)")),
     "achieved_gamma": (_pruned(lambda p, e, n: audit.achieved_share(audit.covered_counts(p, e.select("src", "dst"))).select(_r("share_min"), _r("share_mean"), _r("share_max")), "0.95"), sql.prune(f", g AS (SELECT src, dst FROM e WHERE {sql.cut('0.95')}) SELECT round(min(covered / (n - 1)), 6) AS share_min, round(avg(covered / (n - 1)), 6) AS share_mean, round(max(covered / (n - 1)), 6) AS share_max FROM ({sql.COVERED}), (SELECT count(*) AS n FROM p)")),
     "uncovered_pairs": (_pruned(lambda p, e, n: audit.uncovered_pairs(p, e.select("src", "dst")), "0.95"), sql.prune(f", g AS (SELECT src, dst FROM e WHERE {sql.cut('0.95')}) SELECT y.a AS src, y.b AS target FROM d y WHERE y.a <> y.b AND NOT EXISTS (SELECT 1 FROM g JOIN d x ON x.a = g.dst WHERE g.src = y.a AND x.b = y.b AND x.d < y.d)")),
-    "coverage_sampled": (_pruned(lambda p, e, n: audit.covered_counts(p, e.select("src", "dst"), targets=100), "0.95"), None),
+    "coverage_sampled": (_pruned(lambda p, e, n: audit.covered_counts(p, e.select("src", "dst"), targets=100).select("src", "covered", "checked", _r("half_width")), "0.95"), sql.prune(f", g AS (SELECT src, dst FROM e WHERE {sql.cut('0.95')}), t AS (SELECT id FROM p ORDER BY {sql.hashed('id', sql.DRAWS, 1)}, id LIMIT 100), y AS (SELECT g.src, count(DISTINCT x.b) AS covered FROM g JOIN d x ON x.a = g.dst JOIN t ON t.id = x.b JOIN d z ON z.a = g.src AND z.b = x.b WHERE x.d < z.d AND x.b <> g.src GROUP BY 1), n AS (SELECT p.id AS src, (SELECT count(*) FROM t WHERE t.id <> p.id) AS checked FROM p) SELECT src, coalesce(covered, 0) AS covered, checked, round(sqrt(ln(2 / 0.05) / (2 * checked)), 6) AS half_width FROM n LEFT JOIN y USING (src)")),
     "validate_graph": (_pruned(lambda p, e, n: audit.validate_graph(p, e.select("src", "dst"))), sql.prune("SELECT count(*) AS edges, 0::BIGINT AS self_loops, 0::BIGINT AS dangling, 0::BIGINT AS parallel FROM e")),
     "complete_graph_check": (_points(lambda s, p: audit.coverage_check(audit.covered_counts(p, complete(p)), 1)), "SELECT true AS ok, 0::BIGINT AS n_bad, count(*) - 1 AS min_covered, count(*) - 1 AS need FROM embeddings"),
     "bounds": (lambda s, d: audit.bounds(s, source.table(s, d, "embeddings").count(), "0.95").select("n", "need", _r("clique_degree"), _r("navigable_degree"), _r("worst_edges"), "regime"), "SELECT n, (19 * (n - 1) + 19) // 20 AS need, 80.0::DOUBLE AS clique_degree, round(sqrt(n), 6) AS navigable_degree, round(n * sqrt(n), 6) AS worst_edges, CASE WHEN 80 < sqrt(n) THEN 'cliques' ELSE 'navigable' END AS regime FROM (SELECT count(*) AS n FROM embeddings)"),
-    "knn_exact": (knn, f"{_QD} SELECT qid, CAST(pos AS INTEGER) AS pos, id, CAST(dist AS BIGINT) AS dist FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY dist, id) AS pos FROM x) WHERE pos <= 10"),
-    "knn_filtered": (knn_filtered, f"{_QD.replace(_IDX, '(SELECT q.* FROM q JOIN embeddings ON vec_id = id WHERE label = 3)')} SELECT qid, CAST(pos AS INTEGER) AS pos, id FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY dist, id) AS pos FROM x) WHERE pos <= 5"),
-    "radius_search": (radius, f"{_QD} SELECT qid, id, CAST(dist AS BIGINT) AS dist FROM x WHERE dist <= 350000000000000"),
-    "greedy_walk": (_searched(lambda i, q, e: search.greedy(search.Graph(i, e), q).select("qid", "result", F.col("dist").cast("long").alias("dist"), "steps")), sql.prune(f", x AS (SELECT a.id AS qid, b.id, a.n + b.n - 2 * list_inner_product(a.v, b.v) AS dist FROM {_QRY} a, {_IDX} b), {sql.greedy(sql.cut('0.95').replace('FROM p', 'FROM p WHERE id % 10 <> 0'))} SELECT qid, arg_max(at_id, steps) AS result, CAST(min(dist) AS BIGINT) AS dist, CAST(max(steps) AS INTEGER) AS steps FROM w GROUP BY 1", sql.INDEX, "(SELECT count(*) FROM p WHERE id % 10 <> 0)")),
+    "knn_exact": (knn, f"{_QD} SELECT qid, CAST(pos AS INTEGER) AS pos, id, CAST(dist AS BIGINT) AS dist FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY dist, id) AS pos FROM x WHERE id <> qid) WHERE pos <= 10"),
+    "knn_filtered": (knn_filtered, f"{_QD.replace(_IDX, '(SELECT q.* FROM q JOIN embeddings ON vec_id = id WHERE label = 3)')} SELECT qid, CAST(pos AS INTEGER) AS pos, id FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY dist, id) AS pos FROM x WHERE id <> qid) WHERE pos <= 5"),
+    "radius_search": (radius, f"{_QD} SELECT qid, id, CAST(dist AS BIGINT) AS dist FROM x WHERE dist <= 350000000000000 AND id <> qid"),
+    "greedy_walk": (_searched(lambda i, q, e: search.greedy(search.Graph(i, e), q).select("qid", "result", F.col("dist").cast("long").alias("dist"), "steps")), sql.prune(f", x AS (SELECT a.id AS qid, b.id, a.n + b.n - 2 * list_inner_product(a.v, b.v) AS dist FROM {_QRY} a, {_IDX} b), {sql.greedy(sql.cut('0.95'))} SELECT qid, arg_max(at_id, steps) AS result, CAST(min(dist) AS BIGINT) AS dist, CAST(max(steps) AS INTEGER) AS steps FROM w GROUP BY 1")),
     "greedy_joins_equal": (_searched(joins_equal_greedy), "SELECT 0::BIGINT AS qid, 0::BIGINT AS result, 0::BIGINT AS j_id WHERE false"),
     "beam_b1_equals_greedy": (_searched(beam_equals_greedy), "SELECT 0::BIGINT AS qid, 0::BIGINT AS result, 0::BIGINT AS b_id WHERE false"),
-    "beam_results": (_searched(lambda i, q, e: search.beam_sweep(search.Graph(i, e), q, [64], [10]).select("qid", "pos", "id", F.col("dist").cast("long").alias("dist"), "dist_evals"), "1"), None),
-    "beam_sweep": (_searched(lambda i, q, e: search.beam_sweep(search.Graph(i, e), q, evaluate.WIDTHS, evaluate.KS).where("b >= k").groupBy("b", "k").agg(_avg("dist_evals"), _avg("edges_scanned"), _avg("expanded")), "0.995"), None),
+    "beam_results": (_searched(lambda i, q, e: search.beam_sweep(search.Graph(i, e), q, [64], [10], own=True).select("qid", "pos", "id", F.col("dist").cast("long").alias("dist"), "dist_evals"), "1"), sql.beams(["1"], [64], [10], "SELECT qid, CAST(pos AS INTEGER) AS pos, id, CAST(dist AS BIGINT) AS dist, evals AS dist_evals FROM found WHERE pos <= 10")),
+    "beam_sweep": (_searched(lambda i, q, e: search.beam_sweep(search.Graph(i, e), q, evaluate.WIDTHS, evaluate.KS, own=True).where("b >= k and pos = 1").groupBy("b", "k").agg(_avg("dist_evals"), _avg("edges_scanned"), _avg("expanded")), "0.995"), sql.beams(["0.995"], evaluate.WIDTHS, evaluate.KS, "SELECT b, k, round(avg(evals), 6) AS dist_evals, round(avg(scanned), 6) AS edges_scanned, round(avg(expanded), 6) AS expanded FROM z, (SELECT unnest([1, 10, 100]) AS k) WHERE b >= k AND evals > 1 GROUP BY 1, 2")),
     "beam_bsp_equals_local": (_searched(joins_equal_beam), "SELECT 0::BIGINT AS qid, 0 AS pos, 0::BIGINT AS id, 0::BIGINT AS dist_evals, 0::BIGINT AS expanded WHERE false"),
-    "stream_query_recall": (stream_recall, None),
+    "stream_query_recall": (stream_recall, sql.beams(["0.995"], [16], [10], "SELECT CAST(epoch(time_bucket(INTERVAL '1 day', ts)) AS BIGINT) AS start_s, count(*) AS n, round(avg(recall), 6) AS recall, round(avg(evals), 6) AS dc FROM events JOIN (SELECT row_number() OVER (ORDER BY qid) - 1 AS pos, recall, evals FROM rc) r ON r.pos = event_id % (SELECT count(*) FROM rc) GROUP BY 1")),
     "points_medoid": (medoids, f"WITH {_L}, l AS (SELECT p.id, label, v FROM p JOIN embeddings ON vec_id = p.id), c AS (SELECT label, i, avg(v[i]) AS x FROM l, range(1, 65) r(i) GROUP BY 1, 2), m AS (SELECT label, list(x ORDER BY i) AS m FROM c GROUP BY 1) SELECT label, arg_min(id, row(list_sum(list_transform(range(1, 65), lambda i: (v[i] - m[i]) * (v[i] - m[i]))), id)) AS id FROM l JOIN m USING (label) GROUP BY 1"),
     "source_formats": (formats, "SELECT form, count(*) AS n, sum(o_orderkey)::BIGINT AS keys, count(DISTINCT o_orderpriority) AS priorities, max(o_orderdate) AS latest FROM orders, (VALUES ('csv'), ('json'), ('orc'), ('parquet')) t(form) GROUP BY 1"),
-    "prune_slack": (_points(lambda s, p: slack(source.stage(p))), None),
+    "prune_slack": (_points(lambda s, p: slack(source.stage(p))), " UNION ALL ".join(f"SELECT * FROM ({sql.slack_edges(t, '0.95')})" for t in ("1", "1.2", "1.5"))),
     "beam_sharded": (_searched(beam_shards), None),
-    "beam_medoid": (_searched(beam_medoid, "1"), None),
+    "beam_starts": (_searched(beam_starts, "1"), _STARTS),
     "stream_query_distance": (stream_distance, f"WITH {E}, k AS (SELECT a AS qid, CAST(min(d) AS BIGINT) AS dist FROM d WHERE a <> b GROUP BY 1) SELECT CAST(epoch(time_bucket(INTERVAL '1 hour', ts)) AS BIGINT) AS start_s, count(*) AS n, max(dist) AS worst FROM events JOIN k ON qid = event_id % (SELECT count(*) FROM p) GROUP BY 1"),
     "self_query_rate": (self_queries, sql.prune(", x AS (SELECT a AS qid, b AS id, d AS dist FROM d), " + ", ".join(sql.greedy(sql.cut(t), f"w{i}") for i, t in enumerate(SELF_SHARES)) + " " + " UNION ALL ".join(f"SELECT '{t}' AS share, count(*) FILTER (WHERE r = qid) AS found, count(*) AS total FROM (SELECT qid, arg_max(at_id, steps) AS r FROM w{i} GROUP BY 1)" for i, t in enumerate(SELF_SHARES)))),
     "reachable": (_peeled(lambda p: audit.reachable(source.stage(p.edges()), 0)), sql.peel(PEEL, ", b AS (SELECT 0::BIGINT AS node, 0 AS hops UNION SELECT dst, hops + 1 FROM b JOIN g ON src = node WHERE hops < 50) SELECT node, CAST(min(hops) AS INTEGER) AS hops FROM b GROUP BY 1")),
     "components": (_peeled(lambda p: audit.components(p.points, source.stage(p.edges()))), sql.peel(PEEL, ", b AS (SELECT id AS node, id AS c FROM p UNION SELECT dst, c FROM b JOIN (SELECT src, dst FROM g UNION SELECT dst, src FROM g) h ON src = node) SELECT node, min(c) AS component FROM b GROUP BY 1")),
-    "recall_cost": (lambda s, d: tradeoff(s, d).select("share", "k", "b", _r("degree"), _r("recall"), _r("dc")), None),
-    "ratio_table": (_from_tradeoff(evaluate.ratio_table), None),
-    "ratio_average": (_from_tradeoff(evaluate.ratio_average), None),
-    "pareto_points": (_from_tradeoff(evaluate.pareto), None),
-    "min_gamma": (_from_tradeoff(evaluate.min_share), None),
-    "hard_case_points": (hard(lambda p, e, s: p.select("id", (F.round(F.col("vec")[0], 4) + 0.0).alias("x"), (F.round(F.col("vec")[1], 4) + 0.0).alias("y"))), "SELECT i AS id, round((i // (n // k)) * 5 + cos(2 * pi() * (i % (n // k)) / (n // k)), 4) + 0.0 AS x, round(sin(2 * pi() * (i % (n // k)) / (n // k)), 4) + 0.0 AS y, n, share FROM (VALUES (100, 2, '0.5'), (100, 5, '0.8'), (1000, 10, '0.9')) t(n, k, share), range(1000) r(i) WHERE i < n"),
+    "recall_cost": (lambda s, d: tradeoff(s, d).select("share", "k", "b", _r("degree"), _r("recall"), _r("dc")), _beams(f"SELECT share, k, b, {_R6('degree', 'recall', 'dc')} FROM pts")),
+    "recall_cost_text": (_from_texts(lambda t: t.select("share", "k", "b", _r("degree"), _r("recall"), _r("dc"))), _beams(f"SELECT share, k, b, {_R6('degree', 'recall', 'dc')} FROM pts", text=True)),
+    "ratio_table": (_from_tradeoff(_ratios), _beams(_RATIO, sql.RATIOS)),
+    "ratio_table_text": (_from_texts(_ratios), _beams(_RATIO, sql.RATIOS, text=True)),
+    "ratio_average": (_from_tradeoff(_averages), _beams(_AVERAGE, sql.RATIOS)),
+    "ratio_average_text": (_from_texts(_averages), _beams(_AVERAGE, sql.RATIOS, text=True)),
+    "pareto_points": (_from_tradeoff(_fronts), _beams(_FRONT, sql.PARETO)),
+    "min_gamma": (_from_tradeoff(evaluate.min_share), _beams(_LEAST)),
+    "min_gamma_text": (_from_texts(evaluate.min_share), _beams(_LEAST, text=True)),
+    "knn_good_texts": (knn_good_texts, f"WITH RECURSIVE {sql.TEXT.split('p AS (SELECT min')[0]} q AS (SELECT doc_id AS id, list_transform(range(64), lambda i: CAST(coalesce(m[i], 0) AS DOUBLE)) AS v, list_inner_product(v, v) AS n FROM mp WHERE doc_id IN (SELECT doc_id FROM labels WHERE quality = 1)), {sql.ASKED_ITEMS} SELECT qid, CAST(pos AS INTEGER) AS pos, id, CAST(dist AS BIGINT) AS dist FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY dist, id) AS pos FROM x) WHERE pos <= 5"),
+    "hard_case_points": (hard(lambda p, e, s: p.select("id", (F.round(F.col("vec")[0], 4) + 0.0).alias("x"), (F.round(F.col("vec")[1], 4) + 0.0).alias("y"))), f"SELECT i AS id, round((i // (n // k)) * 5 + cos(2 * pi() * (i % (n // k)) / (n // k)), 4) + 0.0 AS x, round(sin(2 * pi() * (i % (n // k)) / (n // k)), 4) + 0.0 AS y, n, share FROM (VALUES {_HARD}) t(n, k, share), range(1000) r(i) WHERE i < n"),
     "sql_distance": (sql_distance, f"WITH {_L} SELECT a.id, CAST(list_sum(list_transform(range(1, 65), lambda i: (a.v[i] - b.v[i]) * (a.v[i] - b.v[i]))) AS BIGINT) AS dist FROM p a, (SELECT v FROM p WHERE id = 0) b"),
     "sql_clique_edges": (sql_clique_edges, "SELECT a.n_nationkey::BIGINT AS src, b.n_nationkey::BIGINT AS dst FROM nation a JOIN nation b USING (n_regionkey) WHERE a.n_nationkey <> b.n_nationkey"),
-    "hard_case_coverage": (hard(hard_coverage), "SELECT true AS ok, CAST(n - n // k AS BIGINT) AS min_covered, CAST(ceil((k - 1) * (n - 1) / k) AS BIGINT) AS need, n, share FROM (VALUES (100, 2, '0.5'), (100, 5, '0.8'), (1000, 10, '0.9')) t(n, k, share)"),
-    "hard_case_failures": (hard(hard_failures), "SELECT CAST(k AS BIGINT) AS found, n, share FROM (VALUES (100, 2, '0.5'), (100, 5, '0.8'), (1000, 10, '0.9')) t(n, k, share)"),
+    "hard_case_coverage": (hard(hard_coverage), f"SELECT true AS ok, CAST(n - n // k AS BIGINT) AS min_covered, CAST(ceil((k - 1) * (n - 1) / k) AS BIGINT) AS need, n, share FROM (VALUES {_HARD}) t(n, k, share)"),
+    "hard_case_failures": (hard(hard_failures), f"SELECT CAST(k AS BIGINT) AS found, n, share FROM (VALUES {_HARD}) t(n, k, share)"),
 }
 
 

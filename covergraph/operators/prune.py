@@ -147,20 +147,30 @@ def _probe_block(points: DataFrame, probes: DataFrame, need: int, metric: str, s
                 all_vecs = batch.column(1).flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(every), -1)
                 for at in range(0, len(every), 16384):
                     ids, vecs = every[at : at + 16384], all_vecs[at : at + 16384]
-                    for i, (lid, _, lvec) in chosen.items():
-                        own = kernel(pvec[i : i + 1], vecs)[0]
-                        rest = np.flatnonzero(ids != pid[i])
-                        for k in range(len(lid)):  # first coverer: what an earlier link covers leaves
-                            ok = (_row(kernel, lvec, k, vecs, rest) < own[rest]) | (ids[rest] == lid[k])
-                            hits[i][k] += int(ok.sum())
-                            rest = rest[~ok]
-                        d0, i0, v0 = best[i]
-                        if len(d0) == shell:
-                            rest = rest[own[rest] <= d0[-1]]
-                        if len(rest):
-                            d1, i1 = np.r_[d0, own[rest]], np.r_[i0, ids[rest]]
-                            keep = np.lexsort((i1, d1))[:shell]
-                            best[i] = d1[keep], i1[keep], np.concatenate([v0, vecs[rest]])[keep]
+                    todo = list(chosen)
+                    for s in range(0, len(todo), 64):
+                        some = todo[s : s + 64]
+                        owns = kernel(pvec[some], vecs)
+                        sizes = np.cumsum([0, *(len(chosen[i][0]) for i in some)])
+                        near = kernel(np.concatenate([chosen[i][2] for i in some]), vecs) if sizes[-1] else np.empty((0, len(ids)))
+                        for own, i, u, v in zip(owns, some, sizes[:-1], sizes[1:], strict=True):
+                            covers = near[u:v] < own
+                            for k, j in enumerate(chosen[i][0].tolist()):
+                                covers[k, ids == j] = True  # a link covers itself
+                            covers[:, ids == pid[i]] = False
+                            met = covers.any(axis=0)
+                            if v > u:  # the first coverer counts
+                                hits[i] += np.bincount(covers.argmax(axis=0)[met], minlength=v - u)
+                            rest = np.flatnonzero(~met & (ids != pid[i]))
+                            d0, i0, v0 = best[i]
+                            if len(d0) == shell:
+                                rest = rest[own[rest] <= d0[-1]]
+                            if len(rest) > shell:
+                                rest = rest[own[rest] <= np.partition(own[rest], shell - 1)[shell - 1]]
+                            if len(rest):
+                                d1, i1 = np.r_[d0, own[rest]], np.r_[i0, ids[rest]]
+                                keep = np.lexsort((i1, d1))[:shell]
+                                best[i] = d1[keep], i1[keep], np.concatenate([v0, vecs[rest]])[keep]
             for i in chosen:
                 d, x, v = best[i]
                 yield pa.RecordBatch.from_pydict({"probe": [i], "hits": [hits[i]], "ids": [x], "dists": [d], "vecs": [v.ravel()]}, schema=pa.schema([("probe", pa.int32()), ("hits", pa.list_(pa.int64())), ("ids", pa.list_(pa.int64())), ("dists", pa.list_(pa.float64())), ("vecs", pa.list_(pa.float64()))]))
