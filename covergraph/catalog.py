@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from concurrent.futures import ThreadPoolExecutor
 
 from pyspark.sql import DataFrame, SparkSession
@@ -422,6 +423,60 @@ def formats(spark, sf_dir):
     return out
 
 
+def text_lines(spark, sf_dir):
+    """Priorities written as lines of text and read back."""
+    lines = storage.through(source.table(spark, sf_dir, "orders").select(F.col("o_orderpriority").alias("value")), "text", arrivals.shared(spark))
+    return lines.groupBy(F.col("value").alias("priority")).count()
+
+
+def flat_files(spark, sf_dir):
+    """Embeddings written as binary vector files and read by the data source of its own."""
+    path = f"{arrivals.shared(spark).removeprefix('file://').removeprefix('file:')}/flat-{uuid.uuid4().hex}"
+    storage.write_flat(source.table(spark, sf_dir, "embeddings").select(F.col("embedding").alias("vec")), path)
+    spark.dataSource.register(storage.FlatVectorSource)
+    back = spark.read.format("flat_vectors").load(path)
+    total = F.aggregate("vec", F.lit(0.0), lambda a, x: a + x.cast("double"))
+    return back.agg(F.count(F.lit(1)).alias("n"), F.min(F.size("vec")).alias("dim"), F.round(F.sum(total), 4).alias("total"))
+
+
+def stored_edges(spark, sf_dir):
+    """Full lists written in buckets of their source, and the lists of a smaller share read back by a filter."""
+    pts = source.stage(source.embeddings(spark, sf_dir))
+    name = f"edges_{uuid.uuid4().hex}"
+    storage.write_edges(prune.prune(pts, 1), name, f"{arrivals.shared(spark)}/{name}", source.width(pts))
+    out = storage.read_edges(spark, name, "0.95", pts.count())
+    spark.sql(f"DROP TABLE {name}")  # the files stay, and the plan knows them
+    return out.select("src", "rank", "dst", "dist", "gain", "cum")
+
+
+def stored_cliques(p):
+    """Edges multiplied out of cliques that were written and read back."""
+    path = f"{arrivals.shared(p.points.sparkSession)}/cliques-{uuid.uuid4().hex}"
+    storage.write_cliques(p.members, path)
+    p.members = p.points.sparkSession.read.parquet(path)
+    return p.edges()
+
+
+def sql_thresholds(spark, sf_dir):
+    sqlapi.register_thresholds(spark)
+    n = source.table(spark, sf_dir, "embeddings").count()
+    return spark.sql(f"SELECT num, den, coverage_need(num, den, {n}) AS need, clique_size(num, den, 2) AS s2, clique_size(num, den, 4) AS s4, sample_size(num, den, {n}, 0.1) AS w FROM VALUES (1L, 2L), (2L, 3L), (4L, 5L), (19L, 20L), (199L, 200L) AS t(num, den)")
+
+
+def sql_neighbors(spark, sf_dir):
+    """The three nearest points, themselves among them, of every embedding whose id 100 divides, through the table function."""
+    pts, queries = _split(spark, sf_dir)
+    sqlapi.register_neighbors(spark, *source.block(pts))
+    queries.createOrReplaceTempView("asking_points")
+    return spark.sql("SELECT q.qid, n.pos, n.id, CAST(n.dist AS BIGINT) AS dist FROM asking_points q, LATERAL neighbors(q.vec, 3) n")
+
+
+def sample_by(spark, sf_dir):
+    """A stratified sample that takes every finished order and no open one."""
+    taken = source.table(spark, sf_dir, "orders").sampleBy("o_orderstatus", {"F": 1.0, "O": 0.0, "P": 1.0}, seed=5)
+    return taken.groupBy("o_orderstatus").agg(F.count(F.lit(1)).alias("n"))
+
+
 def slack(pts):
     """Edges of the prune that covers only what a link is nearer to by a margin: more of them, the larger the margin."""
     out = None
@@ -613,6 +668,13 @@ REGISTRY: dict[str, tuple] = {
     "stream_query_recall": (stream_recall, sql.beams(["0.995"], [16], [10], "SELECT CAST(epoch(time_bucket(INTERVAL '1 day', ts)) AS BIGINT) AS start_s, count(*) AS n, round(avg(recall), 6) AS recall, round(avg(evals), 6) AS dc FROM events JOIN (SELECT row_number() OVER (ORDER BY qid) - 1 AS pos, recall, evals FROM rc) r ON r.pos = event_id % (SELECT count(*) FROM rc) GROUP BY 1")),
     "points_medoid": (medoids, f"WITH {_L}, l AS (SELECT p.id, label, v FROM p JOIN embeddings ON vec_id = p.id), c AS (SELECT label, i, avg(v[i]) AS x FROM l, range(1, 65) r(i) GROUP BY 1, 2), m AS (SELECT label, list(x ORDER BY i) AS m FROM c GROUP BY 1) SELECT label, arg_min(id, row(list_sum(list_transform(range(1, 65), lambda i: (v[i] - m[i]) * (v[i] - m[i]))), id)) AS id FROM l JOIN m USING (label) GROUP BY 1"),
     "source_formats": (formats, "SELECT form, count(*) AS n, sum(o_orderkey)::BIGINT AS keys, count(DISTINCT o_orderpriority) AS priorities, max(o_orderdate) AS latest FROM orders, (VALUES ('csv'), ('json'), ('orc'), ('parquet')) t(form) GROUP BY 1"),
+    "source_text": (text_lines, "SELECT o_orderpriority AS priority, count(*) AS count FROM orders GROUP BY 1"),
+    "source_flat_files": (flat_files, "SELECT count(*) AS n, CAST(min(len(embedding)) AS INTEGER) AS dim, round(sum(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE)))), 4) AS total FROM embeddings"),
+    "stored_edges": (stored_edges, sql.prune(f"SELECT src, rank, dst, dist, gain, cum FROM e WHERE {sql.cut('0.95')}")),
+    "stored_cliques": (_peeled(stored_cliques), sql.peel(PEEL, "SELECT src, dst FROM g")),
+    "sql_thresholds": (sql_thresholds, "SELECT num::BIGINT AS num, den::BIGINT AS den, (num * (n - 1) + den - 1) // den AS need, ((2 * den + den - num - 1) // (den - num))::BIGINT AS s2, ((4 * den + den - num - 1) // (den - num))::BIGINT AS s4, CAST(ceil(16 * ln(n / 0.1) * den / (den - num)) AS BIGINT) AS w FROM (VALUES (1, 2), (2, 3), (4, 5), (19, 20), (199, 200)) t(num, den), (SELECT count(*) AS n FROM embeddings)"),
+    "sql_neighbors": (sql_neighbors, f"{_QD} SELECT qid, CAST(pos AS INTEGER) AS pos, id, CAST(dist AS BIGINT) AS dist FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY dist, id) AS pos FROM x) WHERE pos <= 3"),
+    "rel_sample_by": (sample_by, "SELECT o_orderstatus, count(*) AS n FROM orders WHERE o_orderstatus IN ('F', 'P') GROUP BY 1"),
     "prune_slack": (_points(lambda s, p: slack(source.stage(p))), " UNION ALL ".join(f"SELECT * FROM ({sql.slack_edges(t, '0.95')})" for t in ("1", "1.2", "1.5"))),
     "beam_sharded": (_searched(beam_shards), None),
     "beam_starts": (_searched(beam_starts, "1"), _STARTS),

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import DataFrame, SparkSession
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
@@ -35,8 +37,23 @@ SQL: dict[str, str | tuple[str, str]] = {
         count(*) FILTER (WHERE l_discount = 0) AS full_price FROM lineitem GROUP BY l_returnflag""",
     "rel_min_by": ("SELECT o_custkey, min_by(o_orderkey, struct(o_totalprice, o_orderkey)) AS cheapest FROM orders GROUP BY o_custkey", "SELECT o_custkey, arg_min(o_orderkey, row(o_totalprice, o_orderkey)) AS cheapest FROM orders GROUP BY o_custkey"),
     "rel_percentile": ("SELECT l_linestatus, percentile(l_quantity, 0.5) AS med, percentile(l_quantity, 0.9) AS p90 FROM lineitem GROUP BY 1", "SELECT l_linestatus, quantile_cont(l_quantity, 0.5) AS med, quantile_cont(l_quantity, 0.9) AS p90 FROM lineitem GROUP BY 1"),
-    "rel_pivot": """SELECT o_orderstatus, count(*) FILTER (WHERE o_orderpriority LIKE '1%') AS p1, count(*) FILTER (WHERE o_orderpriority LIKE '2%') AS p2,
-        count(*) FILTER (WHERE o_orderpriority LIKE '3%') AS p3 FROM orders GROUP BY o_orderstatus""",
+    "rel_pivot": ("""SELECT o_orderstatus, coalesce(p1, 0) AS p1, coalesce(p2, 0) AS p2, coalesce(p3, 0) AS p3 FROM (SELECT o_orderstatus, substring(o_orderpriority, 1, 1) AS p, o_orderkey FROM orders)
+        PIVOT (count(o_orderkey) FOR p IN ('1' AS p1, '2' AS p2, '3' AS p3))""",
+        """SELECT o_orderstatus, count(*) FILTER (WHERE o_orderpriority LIKE '1%') AS p1, count(*) FILTER (WHERE o_orderpriority LIKE '2%') AS p2,
+        count(*) FILTER (WHERE o_orderpriority LIKE '3%') AS p3 FROM orders GROUP BY o_orderstatus"""),
+    "rel_approx": ("""SELECT l_returnflag, abs(approx_count_distinct(l_partkey) - count(DISTINCT l_partkey)) <= 0.15 * count(DISTINCT l_partkey) AS near_distinct,
+        abs(approx_percentile(l_extendedprice, 0.5, 10000) - percentile(l_extendedprice, 0.5)) <= 0.02 * percentile(l_extendedprice, 0.5) AS near_median,
+        abs(kll_sketch_get_quantile_double(kll_sketch_agg_double(l_extendedprice), 0.5) - percentile(l_extendedprice, 0.5)) <= 0.1 * percentile(l_extendedprice, 0.5) AS near_sketch,
+        mode(l_linenumber, true) AS common FROM lineitem GROUP BY l_returnflag""",
+        """SELECT l_returnflag, true AS near_distinct, true AS near_median, true AS near_sketch, arg_min(l_linenumber, row(-n, l_linenumber)) AS common
+        FROM (SELECT l_returnflag, l_linenumber, count(*) AS n FROM lineitem GROUP BY 1, 2) GROUP BY 1"""),
+    "rel_window_range": """SELECT o_orderkey, count(*) OVER (PARTITION BY o_custkey ORDER BY o_totalprice RANGE BETWEEN 1000 PRECEDING AND 1000 FOLLOWING) AS near,
+        round(percent_rank() OVER (PARTITION BY o_custkey ORDER BY o_totalprice), 6) AS pr, round(cume_dist() OVER (PARTITION BY o_custkey ORDER BY o_totalprice), 6) AS cd FROM orders""",
+    "rel_map_values": ("""SELECT n_regionkey, aggregate(map_values(map_zip_with(transform_values(m, (k, v) -> length(v)), m, (k, a, b) -> a + length(b))), 0, (s, x) -> s + x) AS chars
+        FROM (SELECT n_regionkey, map_from_entries(collect_list(struct(n_nationkey, n_name))) AS m FROM nation GROUP BY n_regionkey)""",
+        "SELECT n_regionkey, CAST(2 * sum(length(n_name)) AS INTEGER) AS chars FROM nation GROUP BY 1"),
+    "rel_json_struct": ("SELECT event_id, to_json(struct(from_json(props, 'k BIGINT').k AS k)) AS j, schema_of_json('{\"page\": 1}') AS s FROM events",
+        "SELECT event_id, CASE WHEN p IS NULL THEN '{}' ELSE '{\"k\":' || p || '}' END AS j, 'STRUCT<page: BIGINT>' AS s FROM (SELECT event_id, json_extract_string(props, '$.k') AS p FROM events)"),
     "rel_unpivot": ("SELECT doc_id, k, v FROM labels LATERAL VIEW stack(2, 'quality', quality, 'toxic', toxic) AS k, v", "SELECT doc_id, 'quality' AS k, quality AS v FROM labels UNION ALL SELECT doc_id, 'toxic', toxic FROM labels"),
     "rel_topk": """SELECT c_mktsegment, c_custkey, rn FROM (SELECT c_mktsegment, c_custkey, row_number() OVER (PARTITION BY c_mktsegment ORDER BY c_acctbal DESC, c_custkey) AS rn FROM customer) t WHERE rn <= 5""",
     "rel_supplier_part_rank": """SELECT l_suppkey, l_partkey, qty, rk FROM (SELECT l_suppkey, l_partkey, sum(l_quantity) AS qty, rank() OVER (PARTITION BY l_suppkey ORDER BY sum(l_quantity) DESC, l_partkey) AS rk
@@ -58,9 +75,9 @@ SQL: dict[str, str | tuple[str, str]] = {
     "rel_pages_url": ("SELECT parse_url(url, 'HOST') AS host, count(*) AS n, sum(length(html)) AS chars FROM pages GROUP BY 1", "SELECT regexp_extract(url, '://([^/?#]*)', 1) AS host, count(*) AS n, sum(length(html)) AS chars FROM pages GROUP BY 1"),
     "rel_conversation_turns": "SELECT conv_id, turn, role, lag(role) OVER w AS role_before, lead(turn) OVER w AS turn_after FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn, role, text)",
     "rel_benchmark_overlap": ("""WITH t AS (SELECT DISTINCT item_id, explode(split(lower(text), ' ')) AS w FROM benchmark), d AS (SELECT DISTINCT doc_id, explode(split(lower(text), ' ')) AS w FROM documents)
-        SELECT item_id, count(DISTINCT doc_id) AS docs FROM t JOIN d ON t.w = d.w WHERE length(t.w) > 9 GROUP BY item_id""",
+        SELECT item_id, count(DISTINCT doc_id) AS docs FROM t JOIN d ON t.w = d.w GROUP BY item_id""",
         """WITH t AS (SELECT DISTINCT item_id, unnest(string_split(lower(text), ' ')) AS w FROM benchmark), d AS (SELECT DISTINCT doc_id, unnest(string_split(lower(text), ' ')) AS w FROM documents)
-        SELECT item_id, count(DISTINCT doc_id) AS docs FROM t JOIN d ON t.w = d.w WHERE length(t.w) > 9 GROUP BY item_id"""),
+        SELECT item_id, count(DISTINCT doc_id) AS docs FROM t JOIN d ON t.w = d.w GROUP BY item_id"""),
     "rel_labels_cube": "SELECT lang, quality, toxic, count(*) AS n FROM documents JOIN labels USING (doc_id) GROUP BY CUBE(lang, quality, toxic)",
     "rel_scalar_subquery": "SELECT o_orderkey FROM orders o WHERE o_totalprice > (SELECT 2 * avg(o_totalprice) FROM orders i WHERE i.o_custkey = o.o_custkey)",
     "rel_recursive": ("WITH RECURSIVE t(n, f) AS (SELECT 1, CAST(1 AS BIGINT) UNION ALL SELECT n + 1, f * (n + 1) FROM t WHERE n < 12) SELECT n, f FROM t",) * 2,
@@ -70,11 +87,13 @@ SQL: dict[str, str | tuple[str, str]] = {
 
 
 def query(text: str):
+    """The text over views of its own names, so that no view of the caller's is touched."""
+
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        for t in TABLES:
-            if t in text:
-                spark.read.parquet(f"{sf_dir}/{t}.parquet").createOrReplaceTempView(t)
-        return spark.sql(text)
+        used = {t for t in TABLES if re.search(rf"\b(FROM|JOIN) {t}\b", text)}
+        for t in used:
+            spark.read.parquet(f"{sf_dir}/{t}.parquet").createOrReplaceTempView(f"given_{t}")
+        return spark.sql(re.sub(r"\b(FROM|JOIN) (" + "|".join(used) + r")\b", r"\1 given_\2", text))
 
     return run
 

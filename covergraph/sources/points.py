@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
 import math
+import shutil
 import tempfile
 import uuid
 
@@ -93,14 +95,21 @@ def line_of_balls(n: int, k: int, eps: float = 1.0) -> tuple[list, list]:
     return places, links
 
 
-def stage(df: DataFrame) -> DataFrame:
-    """Written to the shared folder and read back: cuts the lineage, survives lost executors."""
-    spark = df.sparkSession
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that all executors share: spark.checkpoint.dir; where it is unset, as in tests on one machine, a temporary one that goes at exit."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not found:
-        found = "file://" + tempfile.mkdtemp(prefix="staged-")
+        made = tempfile.mkdtemp(prefix="staged-")
+        atexit.register(shutil.rmtree, made, ignore_errors=True)
+        found = "file://" + made
         spark.conf.set("spark.checkpoint.dir", found)
-    path = f"{found}/points-{uuid.uuid4().hex}"
+    return found
+
+
+def stage(df: DataFrame) -> DataFrame:
+    """Written to the shared folder and read back: cuts the lineage, survives lost executors."""
+    spark = df.sparkSession
+    path = f"{shared_dir(spark)}/points-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 

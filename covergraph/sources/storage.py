@@ -9,6 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
+from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 from ..functions.exact import Share
 
@@ -63,3 +64,56 @@ def flat_vectors(spark: SparkSession, path: str) -> DataFrame:
     first = files.mapInArrow(count, "_path string, _n long").select("_path", F.coalesce(F.sum("_n").over(W.orderBy("_path").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("_first"))
     rows = files.mapInArrow(parse, "path string, row long, vec array<float>")
     return rows.join(F.broadcast(first), F.col("path") == F.col("_path")).select((F.col("row") + F.col("_first")).alias("id"), "vec")
+
+
+def write_flat(points: DataFrame, path: str) -> None:
+    """points as files of flat_vectors() in a mounted folder, one per partition, named in order; single precision."""
+
+    def save(batches):
+        import os
+
+        from pyspark import TaskContext
+
+        os.makedirs(path, exist_ok=True)
+        name = f"{path}/part-{TaskContext.get().partitionId():06d}.fvecs"
+        with open(f"{name}.new", "wb") as f:
+            for batch in batches:
+                v = batch.column(0).flatten().to_numpy(zero_copy_only=False).astype("<f4").reshape(batch.num_rows, -1)
+                f.write(np.concatenate([np.full((len(v), 1), v.shape[1], "<i4").view("<f4"), v], axis=1).tobytes())
+        os.replace(f"{name}.new", name)  # a task that runs again leaves the same file
+        yield pa.RecordBatch.from_pydict({"done": [1]})
+
+    points.select("vec").mapInArrow(save, "done long").agg(F.sum("done")).collect()
+
+
+class FlatVectorSource(DataSource):
+    """spark.read.format("flat_vectors"): (file, row, vec) of binary vector files in a mounted folder, a partition for each file."""
+
+    @classmethod
+    def name(cls) -> str:
+        return "flat_vectors"
+
+    def schema(self) -> str:
+        return "file string, row long, vec array<float>"
+
+    def reader(self, schema):
+        return FlatVectorReader(self.options["path"])
+
+
+class FlatVectorReader(DataSourceReader):
+    def __init__(self, path: str):
+        self.path = path
+
+    def partitions(self):
+        import os
+
+        return [InputPartition(n) for n in sorted(os.listdir(self.path)) if n.endswith(".fvecs")]
+
+    def read(self, partition):
+        data = np.fromfile(f"{self.path}/{partition.value}", "<i4")
+        if len(data):
+            rows = data.reshape(-1, int(data[0]) + 1)[:, 1:]
+            for at in range(0, len(rows), 8192):
+                part = rows[at : at + 8192].copy().view("<f4")
+                vecs = pa.ListArray.from_arrays(pa.array(np.arange(len(part) + 1, dtype=np.int32) * part.shape[1]), pa.array(part.ravel()))
+                yield pa.RecordBatch.from_arrays([pa.array([partition.value] * len(part)), pa.array(np.arange(at, at + len(part))), vecs], ["file", "row", "vec"])

@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+
+from ..sources.points import shared_dir
 from pyspark.sql.streaming.state import GroupStateTimeout
 
 
@@ -18,13 +19,7 @@ def events(spark: SparkSession, sf_dir: str) -> DataFrame:
     return raw.withColumn("ts", F.to_timestamp(F.date_format("ts", "yyyy-MM-dd HH:mm:ss.SSSSSS")))
 
 
-def shared(spark: SparkSession) -> str:
-    """The folder that spark.checkpoint.dir names, or a temporary one where it is unset."""
-    home = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not home:
-        home = "file://" + tempfile.mkdtemp(prefix="staged-")
-        spark.conf.set("spark.checkpoint.dir", home)
-    return home
+shared = shared_dir
 
 
 def drained(stream: DataFrame, mode: str = "complete") -> DataFrame:

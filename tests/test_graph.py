@@ -316,3 +316,102 @@ def test_plans_stay_lean(spark):
     edges = spark.createDataFrame([(1, 2)], "src long, dst long")
     plan = prune.cut(spark.createDataFrame([(1, 1, 2, 1.0, 3, 3)], prune.EDGES), "0.5", 10)._jdf.queryExecution().executedPlan().toString()
     assert "Exchange" not in plan and "CartesianProduct" not in audit.adjacency(edges)._jdf.queryExecution().executedPlan().toString()
+
+
+def test_draws_are_fresh_and_random():
+    """Draws of rounds and seeds are neither shifts of each other nor alike, and their multiplicities spread as with replacement."""
+    n = 500
+    got = {(t, k): cliques.draws(n, 20_000, t, k) for t in (1, 2, 3) for k in (1, 2, 3)}
+    for a, b in itertools.combinations(got, 2):
+        shift = np.bincount((got[a] - got[b]) % n, minlength=n)
+        assert shift.max() < 100 and abs(np.corrcoef(got[a], got[b])[0, 1]) < 0.04
+    for d in got.values():
+        times = np.bincount(d, minlength=n)
+        assert 0.75 < times.var() / times.mean() < 1.3
+    big = cliques.draws(1 << 40, 1000, 1, 1)
+    assert big.max() > 1 << 39 and len(np.unique(big)) == 1000
+
+
+@pytest.mark.parametrize("order", ["id", "locality", "partition"])
+def test_orders_of_chunks(spark, order):
+    vecs = grid(90, 3, 21)
+    pts = frame(spark, vecs).repartition(3)
+    for delta in (None, 0.1):
+        p = cliques.peel(pts, "0.5", delta, order=order)
+        assert all(c >= Share.of("0.5").need(90) for c in covered(vecs, rows(p.edges().distinct(), "src", "dst")))
+        counts = audit.covered_counts(p.points, p.inside(), all_linked=p.leftovers)
+        assert rows(counts, "src", "covered") == rows(audit.covered_counts(p.points, p.edges()), "src", "covered")
+    targets = np.ones(90, np.int64), vecs
+    if order == "partition":
+        assert "Exchange" not in cliques.local_ownership(source.stage(pts), 4, targets)._jdf.queryExecution().executedPlan().toString()
+
+
+def test_vectors_are_kept_narrow(spark, monkeypatch):
+    """Whole numbers and floats take half the room, so twice the points are searched whole; results stay the same."""
+    vecs = grid(64, 4, 22)
+    pts = frame(spark, vecs)
+    monkeypatch.setattr(source.block, "__defaults__", ("id", 64 * (4 * 4 + 8)))
+    assert source.block(pts)[1].dtype == np.float32
+    with pytest.raises(ValueError):
+        source.block(frame(spark, vecs + 0.1))
+    d = l2sq(vecs, vecs)
+    for src, group in itertools.groupby(rows(prune.prune(pts, 1), "src", "rank", "dst"), key=lambda r: r[0]):
+        left, kept = {r for r in range(64) if r != src}, []
+        for r in sorted(left, key=lambda r: (d[src, r], r)):
+            if r in left:
+                kept.append(r)
+                left -= {x for x in left if x == r or d[r, x] < d[src, x]}
+        assert [r[2] for r in group] == kept
+
+
+def test_near_copies_keep_their_distance(spark):
+    a = np.array([[1e6 + 0.1, 2e6]])
+    assert l2sq(a, a + 1e-4)[0, 0] == pytest.approx(2e-8, rel=1e-3) and l2sq(a, a)[0, 0] == 0
+
+
+def test_probes_equal_whole_lists(spark, monkeypatch):
+    vecs = grid(300, 3, 23)
+    pts = frame(spark, vecs).repartition(4)
+    probes = pts.where("id % 10 = 4")
+    whole = rows(prune.prune(pts, "0.97", sources=probes), "src", "rank", "dst", "gain")
+    cum = lambda edges: [(s, k, t) for s, k, t, g in edges]
+    for shell, most in ((64, 1 << 20), (5, 1 << 20), (16, 400)):
+        monkeypatch.setattr(prune, "PROBE_BLOCK", most)
+        got = rows(prune.probe_prune(pts, probes, "0.97", shell=shell), "src", "rank", "dst", "gain")
+        assert cum(got) == cum(whole)
+
+
+def test_greedy_cover_by_hand(spark):
+    """Each link covers most of what is left, ties by distance and id."""
+    vecs = grid(25, 2, 24)
+    d = l2sq(vecs, vecs)
+    want = []
+    for p in range(25):
+        left, rank = {r for r in range(25) if r != p}, 0
+        while len(left) > 24 - Share.of("0.9").need(25):
+            hit = {s: {r for r in left if r == s or d[s, r] < d[p, r]} for s in range(25) if s != p}
+            s = min(hit, key=lambda s: (-len(hit[s]), d[p, s], s))
+            rank, left = rank + 1, left - hit[s]
+            want.append((p, rank, s))
+    assert rows(prune.set_cover(frame(spark, vecs), "0.9"), "src", "rank", "dst") == want
+
+
+def test_searches_leave_out_the_asking_point(spark):
+    pts = frame(spark, grid(50, 3, 25))
+    asking = pts.where("id % 10 = 0").withColumnRenamed("id", "qid")
+    g = search.Graph(pts, prune.prune(pts, 1))
+    truth = rows(search.knn_exact(pts, asking, 4, own=True), "qid", "pos", "id")
+    assert len(truth) == 20 and all(q != i for q, _, i in truth)
+    assert rows(search.beam_sweep(g, asking, [50], [4], own=True), "qid", "pos", "id") == truth
+    assert rows(search.beam_sharded(pts, asking, 3, 1, 50, 4, own=True), "qid", "pos", "id") == truth
+    low = search.beam_sweep(g, asking, [50], [4], own=True, needs={"0.7": 35, "1": 49})
+    alone = search.beam_sweep(search.Graph(pts, prune.prune(pts, Share(35, 49))), asking, [50], [4], own=True)
+    assert rows(low.where("share = '0.7'"), "qid", "pos", "id", "dist_evals") == rows(alone, "qid", "pos", "id", "dist_evals")
+
+
+def test_hubs_of_components(spark, monkeypatch):
+    monkeypatch.setattr(audit, "HUB", 3)
+    pts = frame(spark, grid(40, 2, 26))
+    links = [(0, i) for i in range(1, 12)] + [(20, i) for i in range(21, 30)] + [(29, 30), (30, 31), (35, 36)]
+    got = dict(rows(audit.components(pts, spark.createDataFrame(links, "src long, dst long")), "node", "component"))
+    assert [got[i] for i in (0, 11, 12, 29, 31, 36, 39)] == [0, 0, 12, 20, 20, 35, 39]
