@@ -12,6 +12,8 @@ from .common import SPACE, ascii_lower, let, table
 
 #: Rows of the sample on which a rule's cost and selectivity are estimated.
 SAMPLE_ROWS = 2000
+#: A word without a letter.
+LETTERLESS = r"(?<![^\x20\x09-\x0D])[^\x20\x09-\x0D\p{L}]++(?![^\x20\x09-\x0D])"
 #: A line with a word; a line that begins as the item of a list; a line that breaks off.
 LINE = r"(?:^|\n)[\x20\x09\x0B-\x0D]*[^\x20\x09-\x0D]"
 BULLET, ELLIPSIS = r"(?:^|\n)[\x20\x09]*[\x{2022}\x{25CF}\x{2023}*\x2D]", r"(?:\.\.\.|\x{2026})[\x20\x09\x0B-\x0D]*(?:\n|\z)"
@@ -55,8 +57,8 @@ def _repeats(w: Column) -> Column:
 
 
 def word_measures(text: Column) -> Column:
-    """struct(n_words, word_chars, n_repeat_words, words) from one split of the text."""
-    return let(words(text), lambda w: F.struct(F.size(w).cast("long").alias("n_words"), F.length(F.array_join(w, "")).cast("long").alias("word_chars"), _repeats(w).alias("n_repeat_words"), w.alias("words")))
+    """struct(n_words, word_chars, n_repeat_words) from one split of the text."""
+    return let(words(text), lambda w: F.struct(F.size(w).cast("long").alias("n_words"), F.length(F.array_join(w, "")).cast("long").alias("word_chars"), _repeats(w).alias("n_repeat_words")))
 
 
 @dataclass(frozen=True)
@@ -66,7 +68,7 @@ class Text:
     `known`: the measures are there already and cost nothing more."""
 
     raw: Column
-    words: Column
+    words: Column | None
     known: dict[str, Column] | None = None
 
     def __getattr__(self, name: str) -> Column:
@@ -110,7 +112,7 @@ RULES = [
     Rule("symbols", lambda t: 10 * t.n_symbols > t.n_words, _measured(_chars(2))),
     Rule("duplicate_lines", lambda t: 20 * t.n_dup_lines > t.n_words, _measured(_chars(2))),
     Rule("word_length", lambda t: (t.word_chars < 2 * t.n_words) | (t.word_chars > 20 * t.n_words), _measured(_chars(1))),
-    Rule("few_letters", lambda t: 100 * F.size(F.filter(t.words, lambda w: w.rlike(r"\p{L}"))) < 60 * F.size(t.words), _chars(3)),
+    Rule("few_letters", lambda t: 100 * F.regexp_count(t.raw, F.lit(LETTERLESS)) > 40 * t.n_words, _chars(2)),
     Rule("bullet_lines", lambda t: t.many_lines(BULLET, 90), _chars(3)),
     Rule("ellipsis_lines", lambda t: (F.contains(t.raw, F.lit("...")) | F.contains(t.raw, F.lit("\u2026"))) & t.many_lines(ELLIPSIS, 30), _chars(3)),
     Rule("placeholder", lambda t: F.contains(ascii_lower(t.raw), F.lit("lorem ipsum")), _chars(2)),
@@ -182,8 +184,8 @@ def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     ordered = order_rules(docs, known=True)
     split = docs.select("doc_id", "text", word_measures(F.col("text")).alias("m"), n_symbols(F.col("text")).alias("n_symbols"), n_dup_lines(F.col("text")).alias("n_dup_lines"))
-    measured = split.select("doc_id", "text", "m.words", "m.n_words", "m.word_chars", "n_symbols", "n_dup_lines", "m.n_repeat_words")
-    t = Text(F.coalesce(F.col("text"), F.lit("")), F.col("words"), {k: F.col(k) for k in MEASURES})
+    measured = split.select("doc_id", "text", "m.n_words", "m.word_chars", "n_symbols", "n_dup_lines", "m.n_repeat_words")
+    t = Text(F.coalesce(F.col("text"), F.lit("")), None, {k: F.col(k) for k in MEASURES})
     base = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
     kept = F.when(base, F.lit(False)).otherwise(first_failure(ordered, t).isNull())
     return measured.select("doc_id", *MEASURES, base.alias("base_failed"), kept.alias("kept"))
