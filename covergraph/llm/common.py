@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
+from contextlib import contextmanager
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -13,6 +16,8 @@ from pyspark.sql import functions as F
 #: Fixed by the contracts: the ASCII white space that separates words.
 SPACE = r"[\x20\x09-\x0D]+"
 WORD = r"[^\x20\x09-\x0D]+"
+#: Bytes of an Arrow batch.
+BATCH_BYTES = 16 << 20
 #: Bytes of input to a bucket, about; most buckets that Spark allows.
 BUCKET_BYTES, MOST_BUCKETS = 64 << 20, 100_000
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -36,15 +41,32 @@ def shared_dir(spark: SparkSession) -> str:
     """The folder that all executors share: spark.checkpoint.dir, or a temporary one where it is unset (tests on one machine)."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not found:
-        found = "file://" + tempfile.mkdtemp(prefix="staged-")
+        made = tempfile.mkdtemp(prefix="staged-")
+        atexit.register(shutil.rmtree, made, ignore_errors=True)
+        found = "file://" + made
         spark.conf.set("spark.checkpoint.dir", found)
     return found
 
 
+@contextmanager
+def small_batches(spark: SparkSession):
+    """Arrow batches of at most BATCH_BYTES while a job runs: thousands of long texts at once would fill a worker."""
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    before = spark.conf.get(name, None)
+    try:
+        if before is not None:
+            spark.conf.set(name, str(BATCH_BYTES))
+        yield
+    finally:
+        if before is not None:
+            spark.conf.set(name, before)
+
+
 def stage(df: DataFrame) -> DataFrame:
     """Writes df to the shared folder and reads it back: cuts the lineage and survives lost executors."""
     path = f"{shared_dir(df.sparkSession)}/staged-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    with small_batches(df.sparkSession):
+        df.write.option("compression", "zstd").parquet(path)
     out = df.sparkSession.read.schema(df.schema).parquet(path)
     out._staged_path = path
     return out
@@ -59,7 +81,8 @@ def bucketed(df: DataFrame, key: str, prefix: str, source: DataFrame | None = No
     size = (source if source is not None else df)._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()
     # Spark gives what it can't estimate an enormous size
     buckets = max(shuffle_width(spark), min(MOST_BUCKETS, int(size) // BUCKET_BYTES if size < 1 << 50 else 0))
-    df.write.bucketBy(buckets, key).sortBy(key).format("parquet").option("compression", "zstd").option("path", f"{shared_dir(spark)}/{name}").saveAsTable(name)
+    with small_batches(spark):
+        df.write.bucketBy(buckets, key).sortBy(key).format("parquet").option("compression", "zstd").option("path", f"{shared_dir(spark)}/{name}").saveAsTable(name)
     out = spark.table(name)
     spark.sql(f"DROP TABLE {name}")
     return out
