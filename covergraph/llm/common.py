@@ -16,8 +16,8 @@ from pyspark.sql import functions as F
 #: Fixed by the contracts: the ASCII white space that separates words.
 SPACE = r"[\x20\x09-\x0D]+"
 WORD = r"[^\x20\x09-\x0D]+"
-#: Bytes of an Arrow batch.
-BATCH_BYTES = 16 << 20
+#: Rows of an Arrow batch of texts.
+BATCH_ROWS = 2000
 #: Bytes of input to a bucket, about; most buckets that Spark allows.
 BUCKET_BYTES, MOST_BUCKETS = 64 << 20, 100_000
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -50,16 +50,14 @@ def shared_dir(spark: SparkSession) -> str:
 
 @contextmanager
 def small_batches(spark: SparkSession):
-    """Arrow batches of at most BATCH_BYTES while a job runs: thousands of long texts at once would fill a worker."""
-    name = "spark.sql.execution.arrow.maxBytesPerBatch"
-    before = spark.conf.get(name, None)
+    """Arrow batches of at most BATCH_ROWS while a job runs: thousands of long texts at once would fill a worker."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    spark.conf.set(name, str(min(int(before), BATCH_ROWS) if int(before) > 0 else BATCH_ROWS))
     try:
-        if before is not None:
-            spark.conf.set(name, str(BATCH_BYTES))
         yield
     finally:
-        if before is not None:
-            spark.conf.set(name, before)
+        spark.conf.set(name, before)
 
 
 def stage(df: DataFrame) -> DataFrame:

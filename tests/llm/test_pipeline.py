@@ -72,3 +72,37 @@ def test_near_copies_are_whole(spark):
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").repartition(5)
     got = sorted(-1 if x["doc_id"] is None else x["doc_id"] for x in corpus_pipeline.near_copies(spark, docs, "").collect())
     assert got == [-1, *sorted(set(group))]
+
+
+def test_near_copies_in_small_blocks(spark):
+    """Chains, crowds and parts that only some pair joins, against all pairs, in blocks of any size."""
+    import numpy as np
+
+    from covergraph.llm import near_text
+
+    r = np.random.default_rng(12)
+    word = lambda: "".join(chr(97 + c) for c in r.integers(0, 26, 6))
+    texts = []
+    for _ in range(4):
+        base = [word() for _ in range(120)]
+        for _ in range(30):
+            copy = list(base)
+            for at in r.integers(0, 120, int(r.integers(0, 9))):
+                copy[at] = word()
+            texts.append(" ".join(copy))
+        for step in range(25):  # a chain that leaves its start behind
+            base[int(4 * step) % 120] = word()
+            texts.append(" ".join(base))
+    texts += [None, "", " ", texts[0], texts[40].upper(), "a b", "a b", "x y z"]
+    sets = [set(near_text.shingles((t or "").encode()).tolist()) for t in texts]
+    group = list(range(len(texts)))
+    for i in range(len(texts)):
+        for j in range(i):
+            both = len(sets[i] & sets[j])
+            if sets[i] == sets[j] or 5 * both >= 4 * (len(sets[i]) + len(sets[j]) - both) > 0:
+                low, high = sorted((group[i], group[j]))
+                group = [low if g == high else g for g in group]
+    table = spark.createDataFrame([(i, t, 1, "x") for i, t in enumerate(texts)], "doc_id long, text string, component int, k string").repartition(5)
+    for most in (2, 16, 256):
+        assert sorted(x[0] for x in near_text.first_copies(table, most).collect()) == sorted(set(group)), most
+    assert near_text.first_copies(table.where("false")).count() == 0
