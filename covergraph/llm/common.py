@@ -106,6 +106,19 @@ def unsqueeze(b: bytes, kind):
     return np.ascontiguousarray(raw.T).view(kind).ravel()
 
 
+def pieces(text: bytes, most: int):
+    """The text cut at white space, so that a long one is never split into words at once."""
+    at = 0
+    while len(text) - at > most:
+        end = at + most
+        cut = max(text.rfind(c, at, end) for c in (b" ", b"\n", b"\t", b"\r", b"\x0b", b"\x0c"))
+        if cut < at:
+            break
+        yield text[at:cut]
+        at = cut
+    yield text[at:]
+
+
 def discard(*frames: DataFrame) -> None:
     """Deletes what stage() wrote, once no later plan reads it."""
     for df in frames:

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bucketed, shuffle_width, squeeze, stage, table, unsqueeze
+from .common import bucketed, pieces, shuffle_width, squeeze, stage, table, unsqueeze
 
 #: Fixed by the contract: additive smoothing of single words.
 ADD = 0.1
@@ -54,19 +54,6 @@ class Numbers(dict):
         return n
 
 
-def _pieces(text: bytes):
-    """The text cut at white space, so that a long one is never split into words at once."""
-    at = 0
-    while len(text) - at > PIECE:
-        end = at + PIECE
-        cut = max(text.rfind(c, at, end) for c in (b" ", b"\n", b"\t", b"\r", b"\x0b", b"\x0c"))
-        if cut < at:
-            break
-        yield text[at:cut]
-        at = cut
-    yield text[at:]
-
-
 def _blocks(batches):
     """Blocks of whole documents: token numbers into the block's words, which are 128-bit hashes in order."""
     from pyspark import TaskContext
@@ -88,7 +75,7 @@ def _blocks(batches):
     for batch in batches:
         for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
             seen = [np.array([numbers[START]], np.uint32)]
-            for piece in _pieces((text.as_py() or b"").lower()):
+            for piece in pieces((text.as_py() or b"").lower(), PIECE):
                 seen.append(np.array(list(map(numbers.__getitem__, piece.split())), np.uint32))
             seen.append(np.array([numbers[END]], np.uint32))
             size = sum(map(len, seen))

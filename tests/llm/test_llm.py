@@ -10,7 +10,7 @@ import numpy as np
 import pytest
 
 from covergraph.llm import embedding_dedup, induced_sort, language_model, license_scan, mixing, packing, quality_classifier, quality_rules, simhash, suffix_dedup, url_filter
-from covergraph.llm.common import rank_within
+from covergraph.llm.common import pieces, rank_within
 from covergraph.llm.components import components
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, rank int, size string, component string"
@@ -245,10 +245,9 @@ def test_language_model(docs, empty, spark, monkeypatch):
     assert language_model.score_documents(empty).count() == 0
 
 
-def test_long_texts_are_split_in_pieces(monkeypatch):
-    monkeypatch.setattr(language_model, "PIECE", 7)
+def test_long_texts_are_split_in_pieces():
     for t in (b"", b"one two  three\tfour", b"x" * 40, b"x" * 40 + b" yy z", b" a b c d e f g h "):
-        assert [w for p in language_model._pieces(t) for w in p.split()] == t.split()
+        assert [w for p in pieces(t, 7) for w in p.split()] == t.split()
 
 
 def test_golay_keys_meet():
