@@ -93,6 +93,8 @@ def query(text: str):
         used = {t for t in TABLES if re.search(rf"\b(FROM|JOIN) {t}\b", text)}
         for t in used:
             spark.read.parquet(f"{sf_dir}/{t}.parquet").createOrReplaceTempView(f"given_{t}")
+        if not used:
+            return spark.sql(text)
         return spark.sql(re.sub(r"\b(FROM|JOIN) (" + "|".join(used) + r")\b", r"\1 given_\2", text))
 
     return run
