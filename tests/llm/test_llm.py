@@ -296,6 +296,18 @@ def test_simhash_documents(docs, empty):
     assert simhash.near_duplicates(empty).count() == 0
 
 
+def test_fingerprint_bits(docs):
+    """Each bit by counting over the shingles, repeats included."""
+    from xxhash import xxh64_intdigest
+
+    got = by_id(simhash.near_duplicates(docs))
+    for i, t in enumerate(texts()):
+        w = lower(t).encode().split()
+        hashes = [xxh64_intdigest(b" ".join(w[k : k + 3]), 42) for k in range(max(1, len(w) - 2))] if w else []
+        bits = sum(1 << b for b in range(64) if 2 * sum(h >> b & 1 for h in hashes) > len(hashes))
+        assert got[i]["fingerprint"] == f"{bits:016x}", i
+
+
 def test_quality_rules(docs, empty):
     got = by_id(docs.select("doc_id", *[f(docs["text"]).alias(k) for k, f in quality_rules.MEASURES.items()], quality_rules.word_measures(docs["text"]).alias("m")))
     for i, t in enumerate(texts()):
@@ -349,6 +361,16 @@ def test_classifier(docs, empty, spark):
     assert quality_classifier.score_quality(empty, quality_classifier.train(empty, labels.limit(0))).count() == 0
 
 
+def test_classifier_on_held_out_rows(spark):
+    """Labels of rows that training never saw: area under the curve."""
+    sf = "/root/testdata/sf0.01"
+    labels = {r["doc_id"]: r["quality"] for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
+    rows = [(r["score"], labels[r["doc_id"]]) for r in quality_classifier.op8_quality_classifier(spark, sf).collect() if r["held_out"] and labels.get(r["doc_id"]) is not None]
+    good, bad = ([x for x, y in rows if y == k] for k in (1, 0))
+    assert len(good) > 20 and len(bad) > 5
+    assert sum((a > b) + (a == b) / 2 for a in good for b in bad) / (len(good) * len(bad)) > 0.9
+
+
 def test_urls(spark):
     pages = [(1, "https://a.example.net/en/x", ""), (2, "http://b.net/", None), (3, "http://EXAMPLE.com/de/", '<link href="https://alias.io/p" rel="canonical">'), (4, "https://alias.io/p#top", "<html>"), (5, "https://far.io/q", '<meta http-equiv="refresh" content="0; url=https://alias.io/p">'), (6, "https://x.org/fr/", '<link rel=canonical href=https://alias.io/p>'), (7, None, None), (8, "no scheme", None), (9, "http://net", ""), (10, "https://ok.io/", '<link rel="canonical" href="/same">'), (4, "https://alias.io/p#top", "<html>")]
     got = url_filter.judge_urls(spark.createDataFrame(pages, "page_id long, url string, html string")).collect()
