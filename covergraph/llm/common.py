@@ -134,14 +134,15 @@ def shuffle_width(spark: SparkSession) -> int:
 def rank_within(df: DataFrame, keys: list[str], order: list[str], name: str = "rank", attach: DataFrame | None = None) -> DataFrame:
     """Adds a 0-based rank within `keys`, whole for a key of any size.
 
-    Each key is split over hash buckets of its order columns: a window ranks
-    within (key, bucket), and small bucket counts give each bucket its first
-    rank. No task holds more than one bucket of a key. Ranks follow bucket,
-    then `order`, which must be unique within the key; they are the same on
-    every run with the same number of shuffle partitions. `attach` has one row
-    per key; its other columns ride along with the bucket counts."""
+    Each key is split over ranges of a hash of its order columns: a window ranks
+    within (key, range), and small counts give each range its first rank. No
+    task holds more than one range of a key. Ranks follow the hash, then
+    `order`, which must be unique within the key, so they are the same on every
+    run, however many ranges the shuffle's width makes. `attach` has one row
+    per key; its other columns ride along with the counts."""
     buckets = max(64, shuffle_width(df.sparkSession))
-    cut = df.withColumn("_bucket", F.pmod(F.xxhash64(*order), F.lit(buckets)).cast("int"))
+    hashed = F.shiftrightunsigned(F.xxhash64(*order), 32)
+    cut = df.withColumn("_bucket", F.shiftright(hashed * F.lit(buckets), 32).cast("int"))
     counts = cut.groupBy(*keys, "_bucket").agg(F.count(F.lit(1)).alias("_n"))
     before = W.partitionBy(*keys).orderBy("_bucket").rowsBetween(W.unboundedPreceding, -1)
     first = counts.select(*[F.col(k).alias(f"_k{i}") for i, k in enumerate(keys)], F.col("_bucket").alias("_b"), F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_first"))
@@ -152,7 +153,7 @@ def rank_within(df: DataFrame, keys: list[str], order: list[str], name: str = "r
         for i in range(len(keys)):
             match = match & F.col(f"_k{i}").eqNullSafe(F.col(f"_a{i}"))
         first = first.join(to, match).drop(*[f"_a{i}" for i in range(len(keys))])
-    inner = F.row_number().over(W.partitionBy(*keys, "_bucket").orderBy(*order)) - 1
+    inner = F.row_number().over(W.partitionBy(*keys, "_bucket").orderBy(hashed, *order)) - 1
     same = F.col("_bucket") == F.col("_b")
     for i, k in enumerate(keys):
         same = same & F.col(k).eqNullSafe(F.col(f"_k{i}"))

@@ -51,6 +51,22 @@ def test_rank_within_is_dense(spark):
         assert sorted(g["rank"]) == list(range(len(g)))
 
 
+def test_rank_within_at_any_width(spark):
+    """The shuffle's width sets how many ranges a key is cut into, not the ranks; hot, null and repeated rows included."""
+    df = spark.range(3000).selectExpr("id", "case when id % 3 = 0 then null else id % 5 div 4 end as k")
+    df = df.unionByName(df.where("id < 20"))
+    name, seen = "spark.sql.shuffle.partitions", []
+    before = spark.conf.get(name)
+    try:
+        for width in (3, 64, 65, 700):
+            spark.conf.set(name, str(width))
+            seen.append(sorted((r["id"], r["rank"]) for r in rank_within(df, ["k"], ["id"]).collect()))
+    finally:
+        spark.conf.set(name, before)
+    assert all(x == seen[0] for x in seen)
+    assert rank_within(df.where("false"), ["k"], ["id"]).count() == 0
+
+
 def test_components(spark):
     edges = [(1, 2), (2, 3), (5, 4), (9, 9), (None, 1), *[(i, i + 1) for i in range(100, 160)], *[(200, i) for i in range(201, 260)]]
     got = {r["node"]: r["component"] for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
