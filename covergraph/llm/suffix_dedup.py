@@ -6,7 +6,10 @@ documents. A segment is a run of windows with one minimizer. Segments whose
 minimizer stands in one document only can't repeat and stay where they are; of
 equal segments one goes to its shard, with the smallest doc_id. A shard sorts
 the suffixes of its segments with their common prefixes: a stretch of common
-prefixes of `length` or more is one repeated string."""
+prefixes of `length` or more is one repeated string. A crowded minimizer, as at
+the edge of a passage that very many documents go on from differently, would fill one
+shard with different segments: they are cut into their windows, which are dealt by all
+their bytes, so that no shard holds more than its share of them."""
 
 from __future__ import annotations
 
@@ -25,6 +28,8 @@ from .induced_sort import suffixes
 LENGTH = 50
 #: Bytes of a minimizer; bytes of text in a block (a longer document is one); windows hashed at once; bytes of text to a shard.
 ANCHOR, BLOCK, STRETCH, SHARD = 16, 8 << 20, (1 << 20) - 256, 16 << 20
+#: Different surroundings from which a minimizer is crowded.
+CROWD = 1 << 14
 NO_ID = np.iinfo(np.int64).max
 
 
@@ -123,29 +128,55 @@ class Block:
         self.hash = _hash(self.text, self.anchor) if n else np.empty(0, np.uint64)
         self.doc = np.searchsorted(self.ends, self.start, "right")
 
-    def content(self, i: int) -> bytes:
-        return self.text[self.start[i] : self.start[i] + self.run[i] + self.length - 1]
-
     def keys(self) -> np.ndarray:
         return np.unique(self.hash)
 
-    def repeated(self, shards: int, answers: list[tuple[int, bytes]]):
-        """Segments whose minimizer stands in another document too; their distinct contents, each with its smallest id."""
+    def surroundings(self) -> np.ndarray:
+        """How many segments that begin or end differently each of the keys has here; a figure that only tells the crowded apart."""
+        keys, of, n = np.unique(self.hash, return_inverse=True, return_counts=True)
+        several = np.flatnonzero(n[of] > 1)
+        ends = self.start[several] + self.run[several] + self.length - 1 - ANCHOR
+        met = np.stack([of[several].astype(np.uint64), _hash(self.text, self.start[several]) ^ _hash(self.text, ends) * np.uint64(3)], 1) if len(several) else np.empty((0, 2), np.uint64)
+        met = met[np.lexsort((met[:, 1], met[:, 0]))]
+        fresh = np.r_[True, (met[1:] != met[:-1]).any(axis=1)][: len(met)]
+        return np.maximum(np.bincount(met[fresh, 0].astype(np.int64), minlength=len(keys)), 1)
+
+    def repeated(self, shards: int, answers: list[tuple[int, bytes, bytes | None]]) -> Parts:
+        """The segments whose minimizer stands in another document too, those of crowded minimizers window by window."""
         keys = self.keys()
         of = np.searchsorted(keys, self.hash)
         low, high = np.full(len(keys), NO_ID), np.full(len(keys), np.iinfo(np.int64).min)
         np.minimum.at(low, of, self.ids[self.doc])
         np.maximum.at(high, of, self.ids[self.doc])
-        wide = low != high
-        for part, (_, bits) in zip(deal(keys, shards, [a[0] for a in answers]), answers, strict=True):
+        wide, crowded = low != high, np.zeros(len(keys), bool)
+        for part, (_, bits, crowd) in zip(deal(keys, shards, [a[0] for a in answers]), answers, strict=True):
             wide[part] |= np.unpackbits(np.frombuffer(bits, np.uint8), count=len(part)).astype(bool)
-        chosen = np.flatnonzero(wide[of])
+            if crowd is not None:
+                crowded[part] = np.unpackbits(np.frombuffer(crowd, np.uint8), count=len(part)).astype(bool)
+        whole, cut = np.flatnonzero((wide & ~crowded)[of]), np.flatnonzero((wide & crowded)[of])
+        n = self.run[cut]
+        windows = _ranges(self.start[cut], n)
+        every = np.zeros(len(windows), np.uint64)
+        for o in [*range(0, self.length - ANCHOR, ANCHOR), self.length - ANCHOR] if len(cut) else []:
+            every = every * np.uint64(0x9E3779B97F4A7C15) ^ _hash(self.text, windows + o)
+        join = lambda a, b: np.concatenate([a, b])
+        start, run = join(self.start[whole], windows), join(self.run[whole], np.ones_like(windows))
+        offset = join(self.anchor[whole] - self.start[whole], np.repeat(self.anchor[cut], n) - windows)
+        return Parts(self.text, self.length, start, run, offset, join(self.hash[whole], every), self.ids[join(self.doc[whole], np.repeat(self.doc[cut], n))])
+
+
+class Parts:
+    """Parts of a block that others are asked about: their places, the keys they are dealt by, their documents' ids; which
+    content each has; of the distinct contents the first part and the smallest id."""
+
+    def __init__(self, text: bytes, length: int, start, run, offset, key, mine):
+        self.start, self.run, self.offset, self.key, self.mine = start, run, offset, key, mine
         known: dict[bytes, int] = {}
-        which = np.array([known.setdefault(self.content(i), len(known)) for i in chosen.tolist()], np.int64)
-        first = np.unique(which, return_index=True)[1] if len(which) else which
-        least = np.full(len(known), NO_ID)
-        np.minimum.at(least, which, self.ids[self.doc[chosen]])
-        return chosen, which, list(known), chosen[first], least
+        self.which = np.array([known.setdefault(text[i:j], len(known)) for i, j in zip(start.tolist(), (start + run + length - 1).tolist(), strict=True)], np.int64)
+        self.contents = list(known)
+        self.first = np.unique(self.which, return_index=True)[1]
+        self.least = np.full(len(known), NO_ID)
+        np.minimum.at(self.least, self.which, mine)
 
 
 def deal(keys: np.ndarray, shards: int, wanted: list[int]) -> list[np.ndarray]:
@@ -161,29 +192,38 @@ def _tables(rows: list[tuple], names: list[str]) -> pa.Table:
     return pa.table([pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)], names=names)
 
 
+ASKED, ANSWERED = ["shard", "block", "keys", "around"], ["shard", "block", "bits", "crowded", "windows"]
+
+
 def _ask_anchors(length: int, shards: int):
     def ask(batches):
         for batch in batches:
             for i in range(batch.num_rows):
                 b = Block(pa.Table.from_batches([batch.slice(i, 1)]), length)
-                keys = b.keys()
-                rows = [(s, b.id, keys[p].tobytes()) for s, p in enumerate(deal(keys, shards, range(shards))) if len(p)]
-                yield from _tables(rows, ["shard", "block", "keys"]).to_batches()
+                keys, around = b.keys(), np.minimum(b.surroundings(), np.iinfo(np.uint32).max).astype(np.uint32)
+                rows = [(s, b.id, keys[p].tobytes(), around[p].tobytes()) for s, p in enumerate(deal(keys, shards, range(shards))) if len(p)]
+                yield from _tables(rows, ASKED).to_batches()
 
     return ask
 
 
-def _elsewhere(group: pa.Table) -> pa.Table:
-    """One shard's minimizers: whether each stands in another block too."""
-    keys = [np.frombuffer(x.as_py(), np.uint64) for x in group.column("keys")]
-    _, where, count = np.unique(np.concatenate(keys), return_inverse=True, return_counts=True)
-    more, at = count[where] > 1, np.cumsum([0, *map(len, keys)])
-    rows = [(s, b, np.packbits(more[i:j]).tobytes(), None) for s, b, i, j in zip(group.column("shard").to_pylist(), group.column("block").to_pylist(), at[:-1], at[1:], strict=True)]
-    return _tables(rows, ["shard", "block", "bits", "windows"])
+def _elsewhere(crowd: int):
+    def elsewhere(group: pa.Table) -> pa.Table:
+        """One shard's minimizers: whether each stands in another block too, and which are crowded."""
+        keys, around = ([np.frombuffer(x.as_py(), kind) for x in group.column(c)] for c, kind in (("keys", np.uint64), ("around", np.uint32)))
+        _, where, count = np.unique(np.concatenate(keys), return_inverse=True, return_counts=True)
+        more, at = count[where] > 1, np.cumsum([0, *map(len, keys)])
+        many = (np.bincount(where, np.concatenate(around)) > crowd)[where]
+        bits = lambda x: np.packbits(x).tobytes()
+        rows = [(s, b, bits(more[i:j]), bits(many[i:j]) if many[i:j].any() else None, None) for s, b, i, j in zip(group.column("shard").to_pylist(), group.column("block").to_pylist(), at[:-1], at[1:], strict=True)]
+        return _tables(rows, ANSWERED)
 
+    return elsewhere
 
-def _answers(answers: pa.Table, name: str) -> list[tuple[int, bytes]]:
-    return sorted((s, x) for s, x in zip(answers.column("shard").to_pylist(), answers.column(name).to_pylist(), strict=True) if x is not None)
+
+def _answers(answers: pa.Table, name: str, *also: str) -> list[tuple]:
+    found = zip(*(answers.column(c).to_pylist() for c in ("shard", name, *also)), strict=True)
+    return sorted((row for row in found if row[1] is not None), key=lambda row: row[0])
 
 
 SENT = ["shard", "block", "keys", "ids", "runs", "offsets", "text"]
@@ -196,12 +236,12 @@ def _ask_segments(length: int, shards: int):
         if not blocks.num_rows:
             return _tables([], SENT)
         b = Block(blocks, length)
-        _, _, contents, first, least = b.repeated(shards, _answers(answers, "bits"))
+        parts = b.repeated(shards, _answers(answers, "bits", "crowded"))
         rows = []
-        for s, p in enumerate(deal(b.hash[first], shards, range(shards))):
+        for s, p in enumerate(deal(parts.key[parts.first], shards, range(shards))):
             if len(p):
-                i = first[p]
-                rows.append((s, b.id, b.hash[i].astype(np.uint32).tobytes(), least[p].tobytes(), b.run[i].astype(np.uint16).tobytes(), (b.anchor[i] - b.start[i]).astype(np.uint16).tobytes(), ZstdCompressor(level=1).compress(b"".join([contents[k] for k in p.tolist()]))))
+                i = parts.first[p]
+                rows.append((s, b.id, parts.key[i].astype(np.uint32).tobytes(), parts.least[p].tobytes(), parts.run[i].astype(np.uint16).tobytes(), parts.offset[i].astype(np.uint16).tobytes(), ZstdCompressor(level=1).compress(b"".join([parts.contents[k] for k in p.tolist()]))))
         return _tables(rows, SENT)
 
     return ask
@@ -251,8 +291,8 @@ def _sort(length: int, scratch: str | None):
         rows = []
         for s, b, w, i in zip(group.column("shard").to_pylist(), group.column("block").to_pylist(), which, ids, strict=True):
             n = run[w].astype(np.int64)
-            rows.append((s, b, None, np.packbits(smallest[_ranges(window_at[w], n)] < np.repeat(i, n)).tobytes()))
-        return _tables(rows, ["shard", "block", "bits", "windows"])
+            rows.append((s, b, None, None, np.packbits(smallest[_ranges(window_at[w], n)] < np.repeat(i, n)).tobytes()))
+        return _tables(rows, ANSWERED)
 
     return sort
 
@@ -279,18 +319,17 @@ def rivals(contents: list[bytes], key: np.ndarray, offset: np.ndarray, length: i
 def _finish(length: int, shards: int, digest: bool, names: list[str]):
     def finish(key, blocks: pa.Table, answers: pa.Table) -> pa.Table:
         b = Block(blocks, length)
-        chosen, which, _, first, least = b.repeated(shards, _answers(answers, "bits"))
+        parts = b.repeated(shards, _answers(answers, "bits", "crowded"))
         hit = np.zeros(len(b.text) + 1, np.int8)
-        n = b.run[chosen]
-        mine = b.ids[b.doc[chosen]]
-        bit_at = np.r_[0, np.cumsum(b.run[first])]
+        run = parts.run[parts.first]
+        bit_at = np.r_[0, np.cumsum(run)]
         bits = np.zeros(bit_at[-1], bool)
         windows = _answers(answers, "windows")
-        for p, (_, x) in zip(deal(b.hash[first], shards, [a[0] for a in windows]), windows, strict=True):
-            count = b.run[first[p]]
+        for p, (_, x) in zip(deal(parts.key[parts.first], shards, [a[0] for a in windows]), windows, strict=True):
+            count = run[p]
             bits[_ranges(bit_at[p], count)] = np.unpackbits(np.frombuffer(x, np.uint8), count=int(count.sum())).astype(bool)
-        if len(chosen):
-            hit[_ranges(b.start[chosen], n)] = bits[_ranges(bit_at[which], n)] | np.repeat(mine > least[which], n)
+        if len(parts.start):
+            hit[_ranges(parts.start, parts.run)] = bits[_ranges(bit_at[parts.which], parts.run)] | np.repeat(parts.mine > parts.least[parts.which], parts.run)
         run = np.cumsum(hit[:-1], dtype=np.int32)
         run[length:] -= run[:-length].copy() if len(run) > length else 0
         gone = run > 0
@@ -324,7 +363,7 @@ def whole_characters(gone: np.ndarray, inner: np.ndarray) -> np.ndarray:
     return np.r_[np.zeros(first[0], bool), np.repeat(all_gone, size)]
 
 
-def remove_repeats(docs: DataFrame, length: int = LENGTH, digest: bool = False) -> DataFrame:
+def remove_repeats(docs: DataFrame, length: int = LENGTH, digest: bool = False, crowd: int = CROWD) -> DataFrame:
     """docs with every byte removed that a string of `length` (32 to 254) bytes covers which also starts in a document of smaller doc_id.
 
     digest: the other columns with n_bytes, n_removed, n_spans and kept_sha256
@@ -332,7 +371,8 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, digest: bool = False)
     cut stays), null becomes empty. A null doc_id comes after all others; rows of
     one id don't remove each other's bytes; an empty table gives no rows. Blocks
     of text lie in a table in the shared folder, bucketed by block, so answers
-    travel to the text and not the text to them."""
+    travel to the text and not the text to them. crowd: different surroundings
+    from which a minimizer's segments are dealt window by window; results are the same."""
     spark = docs.sparkSession
     names = docs.columns
     kept = [f"_c{i}" for i, c in enumerate(names) if c != "text"]  # the caller's names may clash with ours, these don't
@@ -343,10 +383,10 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, digest: bool = False)
     shards = max(shuffle_width(spark), -(-size // SHARD))
     kinds = lambda names: ", ".join(f"{c} {'long' if c in ('shard', 'block') else 'binary'}" for c in names)
     light = blocks.select("block", "text", "ends", "ids", "segments")
-    anchors = light.mapInArrow(_ask_anchors(length, shards), kinds(["shard", "block", "keys"]))
-    elsewhere = stage(anchors.groupBy("shard").applyInArrow(_elsewhere, kinds(["shard", "block", "bits", "windows"])))
+    anchors = light.mapInArrow(_ask_anchors(length, shards), kinds(ASKED))
+    elsewhere = stage(anchors.groupBy("shard").applyInArrow(_elsewhere(crowd), kinds(ANSWERED)))
     sent = light.groupBy("block").cogroup(elsewhere.groupBy("block")).applyInArrow(_ask_segments(length, shards), kinds(SENT))
-    windows = stage(sent.groupBy("shard").applyInArrow(_sort(length, scratch_dir(spark)), kinds(["shard", "block", "bits", "windows"])))
+    windows = stage(sent.groupBy("shard").applyInArrow(_sort(length, scratch_dir(spark)), kinds(ANSWERED)))
     kind = lambda c: docs.schema[c].dataType.simpleString()
     new = [("_n_bytes", "n_bytes", "long"), ("_n_removed", "n_removed", "long"), ("_n_spans", "n_spans", "long"), ("_kept_sha256", "kept_sha256", "string")] if digest else [("_text", "text", "string")]
     schema = ", ".join([*[f"{k} {kind(c)}" for k, c in zip(kept, rest, strict=True)], *[f"{k} {t}" for k, _, t in new]])

@@ -232,6 +232,20 @@ def test_suffix_dedup(docs, empty):
     assert suffix_dedup.whole_characters(np.array([1, 0, 1, 1], bool), np.array([0, 1, 0, 1], bool)).tolist() == [False, False, True, True]
 
 
+@pytest.mark.parametrize("crowd", [0, 5, 1 << 14])
+def test_crowded_minimizers_are_cut_into_windows(spark, crowd):
+    """A passage that every text goes on from differently, some alike for a while: the same bytes go however few surroundings crowd."""
+    t = texts()
+    passage = t[7][:90]
+    rows = [(i, (t[20 + i % 7][: i % 40] + passage + ("abcdefghijk" * 9)[i % 6 :][: i % 19] + t[25 + i % 11]).encode()) for i in range(60)]
+    want = removed(rows)
+    table = spark.createDataFrame([(i, x.decode()) for i, x in rows], "doc_id long, text string").repartition(7)
+    got = by_id(suffix_dedup.remove_repeats(table, digest=True, crowd=crowd))
+    for i, x in rows:
+        kept = np.frombuffer(x, np.uint8)[~want[i]].tobytes()
+        assert (got[i]["n_removed"], got[i]["kept_sha256"]) == (int(want[i].sum()), hashlib.sha256(kept).hexdigest()), i
+
+
 def test_language_model(docs, empty, spark, monkeypatch):
     """Counts and scores against n-grams counted by hand, at several orders and block sizes, with repeated rows and null ids."""
     rows = [(i, t) for i, t in enumerate(texts())]
