@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from covergraph import catalog
 from covergraph.functions.exact import Share
-from covergraph.functions.metric import expression, l2sq
+from covergraph.functions.metric import KERNELS, Rows, expression, l2sq
 from covergraph.operators import audit, cliques, prune, search
 from covergraph.plans import evaluate
 from covergraph.sources import points as source
@@ -415,3 +415,33 @@ def test_hubs_of_components(spark, monkeypatch):
     links = [(0, i) for i in range(1, 12)] + [(20, i) for i in range(21, 30)] + [(29, 30), (30, 31), (35, 36)]
     got = dict(rows(audit.components(pts, spark.createDataFrame(links, "src long, dst long")), "node", "component"))
     assert [got[i] for i in (0, 11, 12, 29, 31, 36, 39)] == [0, 0, 12, 20, 20, 35, 39]
+
+
+@pytest.mark.parametrize("metric", ["l2sq", "l1"])
+def test_cover_of_many_sources_at_once(metric, monkeypatch):
+    """Lists, gains and open points of a block of sources equal brute force, with links given or found, also after the rounds over all points."""
+    vecs = np.r_[grid(60, 3, 27), grid(60, 3, 27)[:4]].astype(np.float32)
+    d = KERNELS[metric](vecs, vecs)
+    for whole, slack in ((0, 1.0), (2, 1.0), (2, 1.5), (9, 1.0)):
+        monkeypatch.setattr(audit, "WHOLE", whole)
+        for may in (None, list(range(0, 64, 3))):
+            got = audit.cover(Rows(vecs, metric), list(range(64)), 50, allowed=None if may is None else [np.array(may)] * 64, slack=slack)
+            for p, (links, left) in enumerate(got):
+                open_, want = [r for r in range(64) if r != p], []
+                while 63 - len(open_) < 50 and (fit := [r for r in open_ if may is None or r in may]):
+                    s = min(fit, key=lambda r: (d[p, r], r))
+                    kept = [r for r in open_ if r != s and not slack * d[s, r] < d[p, r]]
+                    want.append((s, d[p, s], len(open_) - len(kept)))
+                    open_ = kept
+                assert links == want and left.tolist() == open_
+        links = [np.array([(p * 7 + 3) % 64, (p + 1) % 64, p]) for p in range(64)]
+        for p, (_, left) in enumerate(audit.cover(Rows(vecs, metric), list(range(64)), 64, links)):
+            assert left.tolist() == [r for r in range(64) if r != p and not (d[links[p], r] < d[p, r]).any()]
+
+
+def test_all_linked_nodes_are_counted(spark):
+    """A copy is no nearer to a link than to its source, so a complete graph over copies is not fully covering."""
+    pts = frame(spark, [[1, 2], [1, 2], [3, 4], [9, 9]])
+    none = spark.createDataFrame([], "src long, dst long")
+    assert rows(audit.covered_counts(pts, none, all_linked=pts.where("id <> 3")), "src", "covered") == [(0, 2), (1, 2), (2, 3), (3, 0)]
+    assert not catalog.complete_check(spark, pts).first()["ok"]
