@@ -445,3 +445,22 @@ def test_all_linked_nodes_are_counted(spark):
     none = spark.createDataFrame([], "src long, dst long")
     assert rows(audit.covered_counts(pts, none, all_linked=pts.where("id <> 3")), "src", "covered") == [(0, 2), (1, 2), (2, 3), (3, 0)]
     assert not catalog.complete_check(spark, pts).first()["ok"]
+
+
+def test_set_cover_in_any_room(spark, monkeypatch):
+    """The greedy cover is the same from ranks, from bits and from distances taken anew, and no number of points is refused."""
+    vecs = np.r_[grid(150, 2, 28), grid(150, 2, 28)[:5]]
+    space, d = Rows(vecs, "l2sq"), l2sq(vecs, vecs)
+    for p in (0, 3, 77, 152):
+        left, want = {r for r in range(155) if r != p}, []
+        while left:
+            hit = {s: {r for r in left if r == s or d[s, r] < d[p, r]} for s in range(155) if s != p}
+            s = min(hit, key=lambda s: (-len(hit[s]), d[p, s], s))
+            want.append((s, len(hit[s])))
+            left -= hit[s]
+        for ranks, most in ((prune.column_ranks(space), 1 << 20), (None, 1 << 20), (None, 0)):
+            monkeypatch.setattr(prune, "MOST_BITS", most)
+            assert prune.most_first(space, d[p], p, 154, ranks) == want
+    big = grid(6000, 2, 29)
+    pts = frame(spark, big)
+    assert prune.set_cover(pts, "0.5", sources=pts.where("id < 2")).where("rank = 1").count() == 2
