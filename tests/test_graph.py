@@ -464,3 +464,17 @@ def test_set_cover_in_any_room(spark, monkeypatch):
     big = grid(6000, 2, 29)
     pts = frame(spark, big)
     assert prune.set_cover(pts, "0.5", sources=pts.where("id < 2")).where("rank = 1").count() == 2
+
+
+def test_exact_peel_of_any_number_of_pairs(spark, monkeypatch):
+    """No number of pairs is refused, and owned counts of chunks that share a product equal those of each alone."""
+    vecs = grid(90, 3, 30)
+    d = l2sq(vecs, vecs)
+    monkeypatch.setattr(cliques, "MOST_PAIRS", 5000)
+    p = cliques.peel(frame(spark, vecs), "0.5")
+    got = rows(p.members.where("round = 1"), "chunk", "member", "owned")
+    assert len(got) == 88
+    for _, group in itertools.groupby(got, key=lambda r: r[0]):
+        group = list(group)
+        near = d[[m for _, m, _ in group]]
+        assert [o for *_, o in group] == (near == near.min(axis=0)).sum(axis=1).tolist()
