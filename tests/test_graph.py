@@ -478,3 +478,26 @@ def test_exact_peel_of_any_number_of_pairs(spark, monkeypatch):
         group = list(group)
         near = d[[m for _, m, _ in group]]
         assert [o for *_, o in group] == (near == near.min(axis=0)).sum(axis=1).tolist()
+
+
+def test_hard_case_of_given_points(spark, tmp_path):
+    """All given embeddings make the hard case, also where clusters are a node apart in size."""
+    vecs = np.random.default_rng(31).normal(size=(53, 4))
+    spark.createDataFrame([(7 + 3 * i, [float(x) for x in v]) for i, v in enumerate(vecs)], "vec_id long, embedding array<double>").write.parquet(str(tmp_path / "embeddings.parquet"))
+    checks = {r["share"]: r for r in catalog.queries()["hard_case_coverage"](spark, str(tmp_path)).collect()}
+    found = {r["share"]: r["found"] for r in catalog.queries()["hard_case_failures"](spark, str(tmp_path)).collect()}
+    for share, k in (("0.5", 2), ("0.8", 5), ("0.9", 10)):
+        assert checks[share]["ok"] and checks[share]["n"] == 53 and checks[share]["min_covered"] == 53 - -(-53 // k) == checks[share]["need"]
+        nodes, links = source.balls_of_points(spark.read.parquet(str(tmp_path / "embeddings.parquet")).selectExpr("vec_id as id", "embedding as vec"), k)
+        place = {r["id"]: r["vec"] for r in nodes.collect()}
+        ids = sorted(place)
+        d = l2sq(*[np.array([place[i] for i in ids])] * 2)
+        pairs = [(ids.index(a), ids.index(b)) for a, b in rows(links, "src", "dst")]
+        assert min(covered(np.array([place[i] for i in ids]), pairs)) == checks[share]["min_covered"]
+        right = 0
+        for q in range(53):
+            at = 0
+            while (near := min([b for a, b in pairs if a == at], key=lambda b: (d[b, q], b))) is not None and d[near, q] < d[at, q]:
+                at = near
+            right += at == q
+        assert found[share] == right == k
