@@ -2,7 +2,7 @@
 
 import corpus_pipeline
 import numpy as np
-from covergraph.llm import simhash
+from covergraph.llm import near_text, simhash
 from covergraph.llm.common import stage
 
 from test_llm import SCHEMA, lower, removed, texts
@@ -106,3 +106,22 @@ def test_near_copies_in_small_blocks(spark):
     for most in (2, 16, 256):
         assert sorted(x[0] for x in near_text.first_copies(table, most).collect()) == sorted(set(group)), most
     assert near_text.first_copies(table.where("false")).count() == 0
+
+
+def test_near_copies_come_from_fingerprints(spark, monkeypatch):
+    """SimHash finds candidates of its own, without a min-hash key; whole sets still decide."""
+    r = np.random.default_rng(9)
+    docs, want = [], []
+    for k in range(40):
+        base = [f"v{i}" for i in r.integers(0, 4000, 1500)]
+        copy = list(base)
+        copy[int(r.integers(0, 1500))] = "edited"
+        a, b = (simhash.fingerprint([w.encode() for w in t]) for t in (base, copy))
+        if (a ^ b).bit_count() <= 2:
+            docs += [(2 * k, " ".join(base)), (2 * k + 1, " ".join(copy))]
+            want.append(2 * k)
+    # these share nothing
+    docs += [(900, "one two three"), (901, "four five six")]
+    monkeypatch.setattr(near_text, "_scan", lambda batches: (b.select(["key", "doc_id"]).rename_columns(["a", "b"]).slice(0, 0) for b in batches))
+    got = near_text.first_copies(spark.createDataFrame(docs, "doc_id long, text string"))
+    assert len(want) > 5 and sorted(r["doc_id"] for r in got.collect()) == [*want, 900, 901]
