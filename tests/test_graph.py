@@ -501,3 +501,13 @@ def test_hard_case_of_given_points(spark, tmp_path):
                 at = near
             right += at == q
         assert found[share] == right == k
+
+
+def test_walks_of_a_query_share_its_distances(spark):
+    """A walk that is given the query's distances finds, counts and expands what one that computes them does."""
+    vecs = grid(80, 3, 32)
+    pts = frame(spark, vecs)
+    g = search.Graph(pts, prune.prune(pts, 1))
+    for q in grid(5, 3, 33):
+        near = l2sq(q[None], vecs)[0]
+        assert search.beam(g, q, 0, [1, 4, 20], l2sq, near) == search.beam(g, q, 0, [1, 4, 20], l2sq)
