@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -9,6 +11,8 @@ from .common import discard, stage
 
 #: Rows of a key from which its minimum is broadcast to them; most keys for which that is done.
 HOT_ROWS, HOT_KEYS = 500, 10_000
+#: Links that one task may join, 16 MB of them: rounds of small jobs cost the driver more than the links are worth.
+FEW = 1 << 20
 
 
 def _state(edges: DataFrame) -> tuple:
@@ -31,18 +35,33 @@ def _joined(rows: DataFrame, least: DataFrame, key: str, most: int) -> DataFrame
     return cold.unionByName(met.where("_m is not null").withColumnRenamed("_m", "m"))
 
 
-def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
+def _solved(batches):
+    """(node, component) of all links at once: roots hook to their smallest neighbour, which leaves half of them at the most."""
+    both = [np.empty((0, 2), np.int64), *(np.stack([c.to_numpy(zero_copy_only=False) for c in b.columns], 1) for b in batches)]
+    names, at = np.unique(np.concatenate(both), return_inverse=True)
+    u, v = at.reshape(-1, 2).T
+    root = np.arange(len(names))
+    while len(u):
+        np.minimum.at(root, np.r_[root[u], root[v]], np.tile(np.minimum(root[u], root[v]), 2))
+        while not np.array_equal(jump := root[root], root):
+            root = jump
+        apart = root[u] != root[v]
+        u, v = u[apart], v[apart]
+    yield pa.RecordBatch.from_arrays([pa.array(names), pa.array(names[root])], ["node", "component"])
+
+
+def components(edges: DataFrame, a: str = "a", b: str = "b", few: int = 0) -> DataFrame:
     """(node, component): the smallest node reachable, for every node that an edge names.
 
     A large star links the larger neighbours of a node to its smallest one, a
     small star the smaller ones; both are a minimum by key, summed up before the
     shuffle, and a join that leaves a hub's rows where they are. Null ends and loops are left
     out. Rounds grow with the logarithm of the longest path. Each round is
-    written to the shared folder."""
+    written to the shared folder. Up to `few` links between whole numbers are joined in one task, without rounds."""
     clean = edges.select(F.col(a).alias("x"), F.col(b).alias("y")).where("x is not null and y is not null and x <> y")
     now = stage(clean.select(F.greatest("x", "y").alias("hi"), F.least("x", "y").alias("lo")).distinct())
     state = _state(now)
-    while state[0]:
+    while state[0] > few:
         both = now.select(F.col("hi").alias("u"), F.col("lo").alias("v")).unionByName(now.select(F.col("lo").alias("u"), F.col("hi").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n")).select("u", F.least("u", "m").alias("m"), "n")
         large = _joined(both.where("v > u"), least, "u", 2 * state[0]).select(F.col("v").alias("hi"), F.col("m").alias("lo")).distinct()
@@ -54,5 +73,10 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         state = _state(now)
         if state == before:
             break
+    else:
+        if few:
+            out = stage(now.coalesce(1).mapInArrow(_solved, "node long, component long"))
+            discard(now)
+            return out
     ends = now.select(F.col("hi").alias("node"), F.col("lo").alias("component"))
     return ends.unionByName(now.select(F.col("lo").alias("node"), F.col("lo").alias("component")).distinct())

@@ -170,12 +170,12 @@ def neighbours(hot: DataFrame, reps: DataFrame, most: int = MOST) -> DataFrame:
     return probes.join(reps, "fp").select("a", F.col("rep").alias("b"))
 
 
-def link(prints: DataFrame, most: int = MOST, bucket: int = BUCKET) -> DataFrame:
+def link(prints: DataFrame, most: int = MOST, bucket: int = BUCKET, few: int = 0) -> DataFrame:
     """prints(doc_id, fp) with component_id, the smallest doc_id reachable over links of `most` (2 or fewer) differing bits.
 
     Equal fingerprints collapse to their smallest doc_id before any pair is
     formed; a bucket yields at most one link per member. A row without doc_id
-    links nothing and has no component."""
+    links nothing and has no component. few: as in components()."""
     prints = stage(prints)
     n = shuffle_width(prints.sparkSession)
     reps = stage(prints.where("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("rep")))
@@ -185,7 +185,7 @@ def link(prints: DataFrame, most: int = MOST, bucket: int = BUCKET) -> DataFrame
     crowded = found.where("fp is not null").select("fp")
     if not crowded.isEmpty():
         edges = edges.unionByName(neighbours(crowded, reps, most))
-    groups = components(edges).select(F.col("node").alias("_node"), F.col("component").alias("_component"))
+    groups = components(edges, few=few).select(F.col("node").alias("_node"), F.col("component").alias("_component"))
     named = reps.join(groups, F.col("rep") == F.col("_node"), "left").select(F.col("fp").alias("_fp"), F.coalesce("_component", "rep").alias("component_id"))
     joined = prints.join(named, F.col("fp") == F.col("_fp"), "left").drop("_fp")
     return joined.withColumn("component_id", F.when(F.col("doc_id").isNotNull(), F.col("component_id")))

@@ -74,6 +74,22 @@ def test_components(spark):
     assert components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
+def test_few_links_need_no_rounds(spark, monkeypatch):
+    """Rounds of small jobs filled the driver in near_copies."""
+    from covergraph.llm import components as module
+
+    r = np.random.default_rng(5)
+    edges = [(i, i + 1) for i in range(0, 300)] + [(5000, 900), (900, 4000)] + [tuple(map(int, x)) for x in r.integers(10_000, 10_200, (120, 2))] + [(None, 7), (8, 8)]
+    frame = spark.createDataFrame(edges, "a long, b long").repartition(3)
+    want = sorted(map(tuple, components(frame).collect()))
+    staged = []
+    monkeypatch.setattr(module, "stage", lambda df, real=module.stage: staged.append(1) or real(df))
+    assert sorted(map(tuple, components(frame, few=1000).collect())) == want
+    assert len(staged) == 2
+    assert sorted(map(tuple, components(frame, few=100).collect())) == want  # more than a task may join
+    assert components(spark.createDataFrame([], "a long, b long"), few=10).count() == 0
+
+
 def test_components_of_hubs(spark):
     """Hubs above HOT_ROWS, at both ends of the order, with equal links and a path between them."""
     far = 9_000
