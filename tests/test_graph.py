@@ -511,3 +511,49 @@ def test_walks_of_a_query_share_its_distances(spark):
     for q in grid(5, 3, 33):
         near = l2sq(q[None], vecs)[0]
         assert search.beam(g, q, 0, [1, 4, 20], l2sq, near) == search.beam(g, q, 0, [1, 4, 20], l2sq)
+
+
+@pytest.mark.parametrize("delta", [None, 0.1])
+def test_peel_in_one_task_equals_peel(spark, delta):
+    """Twenty seeds were peeled job by job, and their graphs multiplied out to be checked."""
+    r = np.random.default_rng(8)
+    vecs = np.r_[r.integers(-50, 50, (330, 3)), np.zeros((3, 3), np.int64)].astype(float)
+    pts = frame(spark, vecs).repartition(3)
+    for seed in (1, 2):
+        p = cliques.peel(pts, "0.8", delta, seed=seed)
+        rounds, left, log = cliques.peel_here(*source.block(pts), "0.8", delta, seed=seed)
+        assert log == p.log
+        assert sorted(left.tolist()) == [x["id"] for x in p.leftovers.orderBy("id").collect()]
+        mine = sorted((turn, c, int(m), bool(k)) for turn, (places, kept) in enumerate(rounds, 1) for c in range(len(places)) for m, k in zip(places[c], kept[c], strict=True))
+        assert mine == sorted((x["round"], x["chunk"], x["member"], x["kept"]) for x in p.members.collect())
+        least = min(x["covered"] for x in audit.covered_counts(pts, p.inside(), all_linked=p.leftovers).collect())
+        assert cliques.covers_here(source.block(pts)[1], rounds, left, least) and not cliques.covers_here(source.block(pts)[1], rounds, left, least + 1)
+
+
+@pytest.mark.parametrize("metric", ["l2sq", "l1"])
+@pytest.mark.parametrize("whole", [True, False])
+def test_cliques_are_counted_without_their_edges(spark, metric, whole):
+    """Links of cliques were multiplied out and each was compared with all points."""
+    r = np.random.default_rng(9)
+    vecs = np.r_[r.integers(-9, 9, (150, 3)), np.zeros((12, 3), np.int64)] if whole else r.normal(size=(162, 3))
+    pts = frame(spark, vecs).repartition(3)
+    for order in ("hash", "partition"):
+        p = cliques.peel(pts, "0.8", 0.1, metric=metric, order=order)
+        want = rows(audit.covered_counts(pts, p.edges(), metric), "src", "covered", "checked")
+        assert rows(audit.clique_counts(pts, p.members, p.leftovers, metric), "src", "covered", "checked") == want
+
+
+def test_probes_go_over_points_sent_whole_where_they_fit(spark, monkeypatch, tmp_path):
+    """Each pass compared all probes with all line items."""
+    from covergraph import catalog
+
+    r = np.random.default_rng(10)
+    t = [(float(q), float(p), float(d) / 100, float(x) / 100) for q, p, d, x in r.integers(0, 9, (400, 4))]
+    spark.createDataFrame(t, "l_quantity double, l_extendedprice double, l_discount double, l_tax double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    monkeypatch.setattr(catalog, "PROBES", 60)
+    got = rows(catalog.probe_line_items(spark, str(tmp_path)), "share", "mean", "median", "min", "max")
+    monkeypatch.setattr(source, "BROADCAST_BYTES", 10)
+    assert got == rows(catalog.probe_line_items(spark, str(tmp_path)), "share", "mean", "median", "min", "max")
+    monkeypatch.undo()
+    monkeypatch.setattr(prune, "probe_prune", None)
+    assert catalog.probe_line_items(spark, str(tmp_path)).count() == 3
