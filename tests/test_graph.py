@@ -545,8 +545,6 @@ def test_cliques_are_counted_without_their_edges(spark, metric, whole):
 
 def test_probes_go_over_points_sent_whole_where_they_fit(spark, monkeypatch, tmp_path):
     """Each pass compared all probes with all line items."""
-    from covergraph import catalog
-
     r = np.random.default_rng(10)
     t = [(float(q), float(p), float(d) / 100, float(x) / 100) for q, p, d, x in r.integers(0, 9, (400, 4))]
     spark.createDataFrame(t, "l_quantity double, l_extendedprice double, l_discount double, l_tax double").write.parquet(f"{tmp_path}/lineitem.parquet")
@@ -557,3 +555,15 @@ def test_probes_go_over_points_sent_whole_where_they_fit(spark, monkeypatch, tmp
     monkeypatch.undo()
     monkeypatch.setattr(prune, "probe_prune", None)
     assert catalog.probe_line_items(spark, str(tmp_path)).count() == 3
+
+
+def test_costs_need_no_jobs_by_round(spark, monkeypatch):
+    """Each round of each peel was a chain of jobs; sets that can't be broadcast still are peeled so."""
+    sets = [("a", frame(spark, grid(150)).repartition(3)), ("b", frame(spark, grid(10)))]
+    monkeypatch.setattr(catalog, "_sets", lambda spark, sf_dir: iter(sets))
+    monkeypatch.setattr(source, "fits", lambda points: False)
+    want = catalog.distance_cost(spark, "").collect()
+    monkeypatch.undo()
+    monkeypatch.setattr(catalog, "_sets", lambda spark, sf_dir: iter(sets))
+    monkeypatch.setattr(cliques, "peel", None)
+    assert catalog.distance_cost(spark, "").collect() == want
