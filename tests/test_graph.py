@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from covergraph import catalog
 from covergraph.functions.exact import Share
-from covergraph.functions.metric import KERNELS, Rows, expression, l2sq
+from covergraph.functions.metric import KERNELS, Owners, Rows, expression, l2sq
 from covergraph.operators import audit, cliques, prune, search
 from covergraph.plans import evaluate
 from covergraph.sources import points as source
@@ -567,3 +567,31 @@ def test_costs_need_no_jobs_by_round(spark, monkeypatch):
     monkeypatch.setattr(catalog, "_sets", lambda spark, sf_dir: iter(sets))
     monkeypatch.setattr(cliques, "peel", None)
     assert catalog.distance_cost(spark, "").collect() == want
+
+
+def test_exact_costs_whatever_the_pairs(spark, monkeypatch):
+    """Exact peels were left out above a number of pairs; points that can't be broadcast refused them."""
+    pts = frame(spark, np.r_[grid(230, 3, 34), np.zeros((3, 3))]).repartition(3)
+    monkeypatch.setattr(catalog, "_sets", lambda spark, sf_dir: iter([("a", pts)]))
+    monkeypatch.setattr(cliques, "MOST_PAIRS", 1000)
+    got = [tuple(r) for r in catalog.distance_cost(spark, "").collect()]
+    assert all(r[4] and r[5] for r in got)
+    whole, ids = cliques.peel(pts, "0.8"), np.arange(233)
+    assert whole.log == cliques.peel_here(ids, source.block(pts)[1], "0.8")[2] and got[0][4:6] == (len(whole.log), sum(r["distances"] for r in whole.log))
+    monkeypatch.setattr(source, "BROADCAST_BYTES", 4000)
+    apart = cliques.peel(pts, "0.8")
+    assert apart.log == whole.log
+    cols = ["round", "chunk", "member", "owned", "kept"]
+    assert rows(apart.members, *cols) == rows(whole.members, *cols) and rows(apart.leftovers, "id") == rows(whole.leftovers, "id")
+
+
+@pytest.mark.parametrize("kind", ["short", "long", "mixed", "parts", "cosine"])
+def test_owners_in_single_and_double_precision(kind):
+    """Counts are those of distances in double precision, whatever precision a product takes."""
+    r = np.random.default_rng(35)
+    vecs = {"short": r.integers(0, 9, (1030, 64)), "long": np.floor(r.normal(size=(1030, 64)) * 2**20), "mixed": r.poisson(r.gamma(1, 300, (1030, 1)) * np.ones((1, 64)))}.get(kind, r.normal(size=(1030, 7))).astype(float)
+    metric = "cosine" if kind == "cosine" else "l2sq"
+    for size in (2, 10, 515):
+        own = vecs[r.permutation(1030)[: 1030 // size * size]]
+        want = [(d == d.min(axis=0)).sum(axis=1) for d in (KERNELS[metric](own[s : s + size], vecs) for s in range(0, len(own), size))]
+        assert (Owners(vecs, metric).counts(own, size) == np.concatenate(want)).all()
