@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from covergraph import catalog
 from covergraph.functions.exact import Share
-from covergraph.functions.metric import KERNELS, Owners, Rows, expression, l2sq
+from covergraph.functions.metric import KERNELS, Boxes, Owners, Rows, expression, l2sq
 from covergraph.operators import audit, cliques, prune, search
 from covergraph.plans import evaluate
 from covergraph.sources import points as source
@@ -595,3 +595,35 @@ def test_owners_in_single_and_double_precision(kind):
         own = vecs[r.permutation(1030)[: 1030 // size * size]]
         want = [(d == d.min(axis=0)).sum(axis=1) for d in (KERNELS[metric](own[s : s + size], vecs) for s in range(0, len(own), size))]
         assert (Owners(vecs, metric).counts(own, size) == np.concatenate(want)).all()
+
+
+@pytest.mark.parametrize("kind", ["ties", "flat", "copies", "few", "equal", "one"])
+def test_boxes_prune_and_count_as_points_do(kind):
+    """Links and owned counts over boxes of narrow vectors are those of all points compared one by one."""
+    r = np.random.default_rng(36)
+    vecs = {"ties": r.integers(0, 30, (3000, 3)), "flat": np.floor(r.random((3000, 4)) * [5000, 100000, 1000, 800]), "copies": np.repeat(r.integers(0, 5, (1500, 2)), 2, axis=0), "few": r.integers(0, 9, (30, 2)), "equal": np.zeros((5, 2)), "one": np.zeros((1, 3))}[kind].astype(float)
+    boxes, all_rows = Boxes(vecs), Rows(vecs, "l2sq")
+    assert sorted(boxes.order.tolist()) == list(range(len(vecs)))
+    row_of = np.argsort(boxes.order)
+    for need in (len(vecs) - 1, len(vecs) * 9 // 10, 0):
+        for p in r.integers(0, len(vecs), 15).tolist():
+            assert audit.cover_boxed(boxes, int(row_of[p]), need) == audit.cover(all_rows, [p], need)[0][0]
+    for size in (2, 10, 20):
+        own = vecs[r.permutation(len(vecs))[: len(vecs) // size * size]]
+        every = Owners(vecs)
+        assert (every.boxes is not None) == (len(vecs) >= 3000)
+        assert every.counts(own, size).tolist() == [x for s in range(0, len(own), size) for d in [l2sq(own[s : s + size], vecs)] for x in (d == d.min(axis=0)).sum(axis=1).tolist()]
+
+
+def test_probes_open_few_boxes(spark, monkeypatch):
+    """A probe was compared with every point, for each link."""
+    vecs = grid(20000, 3, 37)
+    boxes, met = Boxes(vecs), []
+    inside = Boxes.inside
+    monkeypatch.setattr(Boxes, "inside", lambda self, some: met.append(int(self.sizes[some].sum())) or inside(self, some))
+    links = [len(audit.cover_boxed(boxes, p, 19999)) for p in range(20)]
+    assert max(links) > 2 and sum(met) < 20 * 20000 * 0.8
+    monkeypatch.undo()
+    monkeypatch.setattr(prune, "cover", None)
+    pts = frame(spark, vecs[:300])
+    assert prune.prune(pts, 1).select("src").distinct().count() == 300
