@@ -627,3 +627,22 @@ def test_probes_open_few_boxes(spark, monkeypatch):
     monkeypatch.setattr(prune, "cover", None)
     pts = frame(spark, vecs[:300])
     assert prune.prune(pts, 1).select("src").distinct().count() == 300
+
+
+@pytest.mark.parametrize("kind", ["plain", "ties", "copies", "equal", "one"])
+def test_set_cover_of_many_sources_at_once(spark, monkeypatch, kind):
+    """Each source counted all targets and all pairs of bits anew; several share a pass over the ranks, with the same links."""
+    r = np.random.default_rng(38)
+    vecs = {"plain": r.normal(size=(300, 9)), "ties": r.integers(0, 3, (100, 2)), "copies": np.r_[r.integers(0, 9, (150, 2)), r.integers(0, 9, (10, 2))], "equal": np.zeros((5, 2)), "one": np.zeros((1, 2))}[kind].astype(float)
+    space, n = Rows(vecs, "l2sq"), len(vecs)
+    some = r.permutation(n)[:20]
+    owns = space.full(some)
+    owns[np.arange(len(some)), some] = 0
+    for need in (n - 1, (n - 1) * 9 // 10, 0):
+        assert prune.most_first_many(prune.target_ranks(space), owns, some, need) == [prune.most_first(space, own, p, need) for p, own in zip(some.tolist(), owns, strict=True)]
+    pts = frame(spark, vecs)
+    monkeypatch.setattr(prune, "MOST_RANKS", 0)
+    want = rows(prune.set_cover(pts, 1), "src", "rank", "dst", "gain", "cum")
+    monkeypatch.undo()
+    monkeypatch.setattr(prune, "most_first", None)
+    assert rows(prune.set_cover(pts, 1), "src", "rank", "dst", "gain", "cum") == want
